@@ -6,6 +6,7 @@ from importlib import import_module
 
 #: module, query, whether it has SQL
 OPERATORS = [
+    ("decontaminate", "op2_decontaminate", True),
     ("pii", "op6_pii", True),
 ]
 
