@@ -9,6 +9,7 @@ OPERATORS = [
     ("decontaminate", "op2_decontaminate", True),
     ("pii", "op6_pii", True),
     ("line_dedup", "op9_line_dedup", True),
+    ("ngram_join", "op10_ngram_join", True),
 ]
 
 
