@@ -7,6 +7,7 @@ from importlib import import_module
 #: module, query, whether it has SQL
 OPERATORS = [
     ("decontaminate", "op2_decontaminate", True),
+    ("warc", "op4_warc", True),
     ("pii", "op6_pii", True),
     ("language_id", "op7_language_id", False),
     ("line_dedup", "op9_line_dedup", True),
