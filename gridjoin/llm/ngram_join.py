@@ -6,9 +6,10 @@ Two documents link when 100 * intersection >= 75 * union. The result is each doc
 1. One scan gives each document its set's size and 128-bit digest, and counts the shingles that a task meets more than once. Equal
    sets are one class, whose least doc_id stands for it; copies go no further. The counts order the shingles: common ones last.
    The order changes the work, never the result.
-2. A second scan posts the first n - ceil(0.75 n) + 1 shingles of each set in that order: two sets that link share one. Postings are
-   sorted by shingle; a shingle of one class is passed over. In a group each class is paired with the group's leader only, the last
-   smaller class that its size admits as partner, so a group of thousands of near copies makes thousands of pairs, not millions.
+2. A second scan posts the first n - ceil(0.75 n) + DEPTH shingles of each set in that order: two sets that link share DEPTH of them
+   (or all that they need to share, if fewer). Postings are sorted by shingle; a shingle of one class is passed over. In a group each
+   class is paired with the group's leader only, the last smaller class that its size admits as partner, so a group of thousands of
+   near copies makes thousands of pairs, not millions. Pairs met less than DEPTH times go no further.
 3. Pairs are verified on whole sets. Around a hub, the candidates' sorted sets are walked as a prefix tree: along
    equal beginnings the partial overlap is shared, and a subtree ends when the remaining lengths cannot reach the needed overlap.
 4. Links make components. Then every pair of a group that is still in two different components and passes the size and
@@ -37,6 +38,8 @@ from .textnum import shingle_hashes, slices, utf8, word_hashes
 
 K, PERCENT = 5, 75
 COMMON, MAX_COMMON = 24, 1 << 20
+#: So many shingles two linked sets share among those posted.
+DEPTH = 4
 CHUNK = 256
 MAX_BROADCAST = 1_000_000
 FLUSH = 1 << 21
@@ -104,7 +107,7 @@ def _postings(common, k: int, percent: int):
                 if len(seen) > 500_000:
                     seen = set()
                 seen.add(g)
-                m = n - -(-percent * n // 100) + 1
+                m = min(n, n - -(-percent * n // 100) + DEPTH)
                 if len(keys):
                     at = np.minimum(np.searchsorted(keys, s), len(keys) - 1)
                     rank = np.where(keys[at] == s, ranks[at], 0)
@@ -159,7 +162,7 @@ def need(n, m, percent: int = PERCENT):
 
 def _leaders(percent: int):
     """kind 0: pairs g1, g2 with the leader; kind 1: the postings of groups of several classes, for the second round."""
-    schema = pa.schema([("kind", pa.int8()), ("h", pa.int64()), ("n", pa.int32()), ("pos", pa.int32()), ("g", pa.binary()), ("g2", pa.binary())])
+    schema = pa.schema([("kind", pa.int8()), ("h", pa.int64()), ("n", pa.int32()), ("pos", pa.int32()), ("g", pa.binary()), ("g2", pa.binary()), ("c", pa.int64())])
 
     def binary(v: np.ndarray) -> pa.Array:
         v = np.ascontiguousarray(v)
@@ -186,21 +189,29 @@ def _leaders(percent: int):
                     lead[x:z] = x
                     x = z
             own = np.arange(len(h))
-            ok = (lead != own) & (1 + np.minimum(n - pos, n[lead] - pos[lead]) - 1 >= need(n.astype(np.int64), n[lead].astype(np.int64), percent))
-            left, right = g[lead[ok]], g[ok]
+            ok = (lead != own) & (np.minimum(pos, pos[lead]) + np.minimum(n - pos, n[lead] - pos[lead]) >= need(n.astype(np.int64), n[lead].astype(np.int64), percent))
             m, p = len(h), int(ok.sum())
             if p:
-                both = np.unique(np.stack([left, right], 1).view("V32").ravel()).view("V16").reshape(-1, 2)
-                p = len(both)
-                yield pa.record_batch([pa.array(np.zeros(p, np.int8)), pa.nulls(p, pa.int64()), pa.nulls(p, pa.int32()), pa.nulls(p, pa.int32()), binary(both[:, 0]), binary(both[:, 1])], schema=schema)
-            yield pa.record_batch([pa.array(np.ones(m, np.int8)), pa.array(h), pa.array(n), pa.array(pos), binary(g), pa.nulls(m, pa.binary())], schema=schema)
+                # n carries how often the pair must be met, c how often it was
+                least = np.minimum(DEPTH, need(n.astype(np.int64), n[lead].astype(np.int64), percent))[ok]
+                both, at, count = np.unique(np.stack([g[lead[ok]], g[ok]], 1).view("S32").ravel(), return_index=True, return_counts=True)
+                both, p = both.view("V16").reshape(-1, 2), len(both)
+                yield pa.record_batch([pa.array(np.zeros(p, np.int8)), pa.nulls(p, pa.int64()), pa.array(least[at].astype(np.int32)), pa.nulls(p, pa.int32()), binary(both[:, 0]), binary(both[:, 1]), pa.array(count)], schema=schema)
+            yield pa.record_batch([pa.array(np.ones(m, np.int8)), pa.array(h), pa.array(n), pa.array(pos), binary(g), pa.nulls(m, pa.binary()), pa.nulls(m, pa.int64())], schema=schema)
 
     return run
 
 
 def _across(percent: int):
     """Pairs of nodes of a group that are in different components; batches sorted by h, n."""
-    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+    schema = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("least", pa.int64()), ("c", pa.int64())])
+
+    def summed(parts):
+        a, b, least = (np.concatenate(x) for x in zip(*parts, strict=True))
+        order = np.lexsort((b, a))
+        a, b, least = a[order], b[order], least[order]
+        first = np.flatnonzero(np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])]))
+        return pa.record_batch([pa.array(a[first]), pa.array(b[first]), pa.array(least[first]), pa.array(np.diff(np.append(first, len(a))))], schema=schema)
 
     def run(batches):
         rest = None
@@ -209,15 +220,22 @@ def _across(percent: int):
             h, n, pos, v, c = (t.column(x).to_numpy() for x in ("h", "n", "pos", "node", "comp"))
             n = n.astype(np.int64)
             edge = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1], [True]]))
+            parts, held = [], 0
             for x, y in zip(edge[:-1], edge[1:], strict=True):
                 if y - x < 2 or (c[x:y] == c[x]).all():
                     continue
                 for i in range(x, y - 1):
                     z = i + 1 + int(np.searchsorted(n[i + 1 : y], n[i] * 100 // percent, "right"))
                     j = np.arange(i + 1, z)
-                    j = j[(c[j] != c[i]) & (np.minimum(n[j] - pos[j], n[i] - pos[i]) >= need(n[j], n[i], percent))]
+                    j = j[(c[j] != c[i]) & (np.minimum(pos[j], pos[i]) + np.minimum(n[j] - pos[j], n[i] - pos[i]) >= need(n[j], n[i], percent))]
                     if len(j):
-                        yield pa.record_batch([pa.array(np.minimum(v[j], v[i])), pa.array(np.maximum(v[j], v[i]))], schema=schema)
+                        parts.append((np.minimum(v[j], v[i]), np.maximum(v[j], v[i]), np.minimum(DEPTH, need(n[j], n[i], percent))))
+                        held += len(j)
+                    if held > FLUSH:
+                        yield summed(parts)
+                        parts, held = [], 0
+            if parts:
+                yield summed(parts)
 
         for batch in batches:
             if not batch.num_rows:
@@ -338,16 +356,18 @@ def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataF
     order = np.argsort(keys)
     common = spark.sparkContext.broadcast((keys[order], top["c"].to_numpy(np.int64)[order]))
     postings = docs.mapInArrow(_postings(common, k, percent), "h long, n int, pos int, g binary")
-    led = stored(postings.repartition("h").sortWithinPartitions("h", "n", "g").mapInArrow(_leaders(percent), "kind byte, h long, n int, pos int, g binary, g2 binary"), "led")
+    led = stored(postings.repartition("h").sortWithinPartitions("h", "n", "g").mapInArrow(_leaders(percent), "kind byte, h long, n int, pos int, g binary, g2 binary, c long"), "led")
     reps = members.where("n > 0").groupBy("g").agg(F.min("doc_id").alias("node"))
     one, two = reps.select("g", F.col("node").alias("x")), reps.select(F.col("g").alias("g2"), F.col("node").alias("y"))
-    pairs = led.where("kind = 0").select("g", "g2").distinct().join(one, "g").join(two, "g2").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+    pairs = led.where("kind = 0").groupBy("g", "g2").agg(F.sum("c").alias("c"), F.max("n").alias("least")).where("c >= least")
+    pairs = pairs.join(one, "g").join(two, "g2").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
     links = verified(pairs, docs, k, percent)
     comps = connected_components(links)
     multi = led.where("kind = 1").select("h", "n", "pos", "g").join(reps, "g").join(comps, "node", "left").select("h", "n", "pos", "node", F.coalesce("comp", "node").alias("comp"))
     open_ = multi.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("h")
     rows = multi.join(open_, "h").repartition("h").sortWithinPartitions("h", "n", "node")
-    again = rows.mapInArrow(_across(percent), "a long, b long").distinct()
+    met = rows.mapInArrow(_across(percent), "a long, b long, least long, c long")
+    again = met.groupBy("a", "b").agg(F.sum("c").alias("c"), F.max("least").alias("least")).where("c >= least").select("a", "b")
     more = verified(again, docs, k, percent)
     comps = connected_components(links.unionByName(more))
     rep_comp = reps.join(comps, "node", "left").select("g", F.coalesce("comp", "node").alias("component_id"))
