@@ -8,6 +8,7 @@ from importlib import import_module
 OPERATORS = [
     ("decontaminate", "op2_decontaminate", True),
     ("warc", "op4_warc", True),
+    ("html_extract", "op5_html_extract", False),
     ("pii", "op6_pii", True),
     ("language_id", "op7_language_id", False),
     ("line_dedup", "op9_line_dedup", True),
