@@ -39,14 +39,15 @@ def _lines(text: Column) -> Column:
 
 def line_units(docs: DataFrame) -> DataFrame:
     """doc_id, th (hash of the text), ln (line, from 0), h (hash of the trimmed line), nw (words)."""
-    df = docs.where("text IS NOT NULL").select("doc_id", F.xxhash64("text").alias("th"), F.posexplode(_lines(F.col("text"))).alias("ln", "line"))
+    df = docs.where("text IS NOT NULL").select("doc_id", F.xxhash64("text").alias("th"), _lines(F.col("text")).alias("lines"))
+    df = df.select("doc_id", "th", F.posexplode("lines").alias("ln", "line"))
     df = df.select("doc_id", "th", "ln", _hash(F.trim("line")).alias("h"), F.regexp_count("line", F.lit(WORD)).cast("long").alias("nw"))
-    return df.where("nw > 0")
+    return df.where("nw > 0").repartition("doc_id", "th")
 
 
 def fingerprints(units: DataFrame) -> DataFrame:
     """doc_id, th, u (place among the units), ke (units of the gram), fp (hash of the gram)."""
-    units = units.repartition("doc_id", "th").dropDuplicates(["doc_id", "th", "ln"])
+    units = units.dropDuplicates(["doc_id", "th", "ln"])
     by_line = Window.partitionBy("doc_id", "th").orderBy("ln")
     by_word = Window.partitionBy("doc_id", "th").orderBy("cb")
     gram, block = by_word.rangeBetween(0, GRAM - 1), by_word.rangeBetween(0, RUN - 1)
@@ -74,18 +75,22 @@ def repeated_lines(docs: DataFrame) -> DataFrame:
     hits = hits.alias("x").join(of.alias("y"), F.expr("x.d0 <=> y.doc_id AND x.t0 = y.th"))
     hits = hits.select("x.*", low0.alias("lo0"), F.transform(F.slice("a", low0 + 1, F.lit(2 * RUN) + F.col("ke")), lambda s: s["h"]).alias("old"))
     at, at0 = F.col("u") - F.col("lo"), F.col("u0") - F.col("lo0")
-    steps = F.sequence(F.lit(1), F.lit(RUN))
 
-    def reach(a: Column, b: Column) -> Column:
-        """Equal units in a row from places a and b of own and old, by the step."""
-        stop = F.array_position(F.transform(steps, lambda k: F.coalesce(F.get("own", a(k))["h"] == F.get("old", b(k)), F.lit(False))), F.lit(False))
-        return F.when(stop == 0, F.lit(RUN)).otherwise(stop - 1).cast("int")
+    def reach(a, b, there: Column) -> Column:
+        """Equal units in a row from places a and b of own and old, by the step, of those that both have."""
+        most = F.least(F.lit(RUN), there)
+        same = F.transform(F.sequence(F.lit(1), most), lambda k: F.get("own", a(k))["h"] == F.get("old", b(k)))
+        stop = F.array_position(same, F.lit(False))
+        return F.when(most <= 0, 0).when(stop == 0, most).otherwise(stop - 1).cast("int")
 
     end, end0 = at + F.col("ke") - 1, at0 + F.col("ke") - 1
-    hits = hits.select("doc_id", "th", "own", "ke", at.alias("at"), reach(lambda k: at - k, lambda k: at0 - k).alias("left"), reach(lambda k: end + k, lambda k: end0 + k).alias("right"))
+    left = reach(lambda k: at - k, lambda k: at0 - k, F.least(at, at0))
+    right = reach(lambda k: end + k, lambda k: end0 + k, F.least(F.size("own") - end, F.size("old") - end0) - 1)
+    hits = hits.select("doc_id", "th", "own", "ke", at.alias("at"), left.alias("left"), right.alias("right"))
     run = F.slice("own", F.col("at") - F.col("left") + 1, F.col("left") + F.col("ke") + F.col("right"))
-    hits = hits.select("doc_id", "th", run.alias("run")).where(F.aggregate("run", F.lit(0).cast("long"), lambda a, x: a + x["nw"]) >= RUN)
-    return hits.select("doc_id", "th", F.explode(F.transform("run", lambda x: x["ln"])).alias("ln")).groupBy("doc_id", "th").agg(F.sort_array(F.collect_set("ln")).alias("gone"))
+    words = F.aggregate("run", F.lit(0).cast("long"), lambda a, x: a + x["nw"])
+    hits = hits.select("doc_id", "th", run.alias("run")).select("doc_id", "th", F.when(words >= RUN, F.transform("run", lambda x: x["ln"])).alias("lns"))
+    return hits.select("doc_id", "th", F.explode("lns").alias("ln")).groupBy("doc_id", "th").agg(F.sort_array(F.collect_set("ln")).alias("gone"))
 
 
 def dedup_lines(docs: DataFrame) -> DataFrame:
