@@ -71,3 +71,10 @@ def with_columns_of(schema: StructType, *names: str) -> str:
 
 def is_text(schema: StructType, name: str) -> bool:
     return isinstance(schema[name].dataType, StringType)
+
+
+def pieces(batches, rows: int = 256):
+    """Record batches cut small, for functions that make Python objects of their values."""
+    for batch in batches:
+        for i in range(0, batch.num_rows, rows):
+            yield batch.slice(i, rows)

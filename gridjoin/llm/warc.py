@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import fresh_path, stored, table
+from .common import fresh_path, pieces, stored, table
 
 #: Names and formats of WARC 1.1.
 VERSION = b"WARC/1.1"
@@ -94,7 +94,7 @@ def _write(folder: str):
 
     def run(batches):
         out, name, at = None, None, 0
-        for batch in batches:
+        for batch in pieces(batches):
             rows = {k: [] for k in schema.names}
             for page_id, url, html, refers in zip(*(batch.column(c).to_pylist() for c in ("page_id", "url", "html", "refers_to")), strict=True):
                 if out is None:
@@ -187,7 +187,7 @@ def _read(folder: str):
 
     def run(batches):
         reader = Reader(folder)
-        for batch in batches:
+        for batch in pieces(batches, 2000):
             rows = []
             for file, offset, length in zip(*(batch.column(c).to_pylist() for c in ("file", "offset", "length")), strict=True):
                 head, block = reader.read(file, offset, length)
