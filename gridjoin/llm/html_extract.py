@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import pieces, table
 
 GROUP = 256
 MAX_BROADCAST = 200_000
@@ -181,7 +181,7 @@ def host_path(url: str | None) -> tuple[str, str]:
 
 def _parse(batches):
     schema = pa.schema([("page_id", pa.int64()), ("url", pa.string()), ("host", pa.string()), ("path", pa.string()), ("lines", pa.list_(pa.string())), ("marks", pa.binary())])
-    for batch in batches:
+    for batch in pieces(batches):
         url = batch.column("url").to_pylist()
         where = [host_path(u) for u in url]
         cut = [page_lines(h or "") for h in batch.column("html").to_pylist()]
@@ -205,7 +205,7 @@ def _pair(batches):
     schema = pa.schema([("page_id", pa.int64()), ("url", pa.string()), ("text", pa.string())])
 
     def rows():
-        for batch in batches:
+        for batch in pieces(batches):
             yield from zip(*(batch.column(c).to_pylist() for c in ("page_id", "url", "host", "part", "path", "lines", "marks")), strict=True)
 
     def partner(row, before, after):
@@ -217,7 +217,7 @@ def _pair(batches):
         if row is not None:
             done.append((row[0], row[1], main_text(row[5], row[6], partner(row, before, after))))
         before, row = row, after
-        if len(done) >= 2000:
+        if len(done) >= 500:
             yield pa.record_batch([pa.array([x[i] for x in done], f.type) for i, f in enumerate(schema)], schema=schema)
             done = []
     if row is not None:
