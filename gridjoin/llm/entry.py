@@ -11,6 +11,7 @@ OPERATORS = [
     ("html_extract", "op5_html_extract", False),
     ("pii", "op6_pii", True),
     ("language_id", "op7_language_id", False),
+    ("lm_score", "op8_lm_score", False),
     ("line_dedup", "op9_line_dedup", True),
     ("ngram_join", "op10_ngram_join", True),
 ]
