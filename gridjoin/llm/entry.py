@@ -6,6 +6,7 @@ from importlib import import_module
 
 #: module, query, whether it has SQL
 OPERATORS = [
+    ("ann", "op1_ann", False),
     ("decontaminate", "op2_decontaminate", True),
     ("warc", "op4_warc", True),
     ("html_extract", "op5_html_extract", False),
