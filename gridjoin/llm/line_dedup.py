@@ -5,9 +5,10 @@ the grams inside each smallest block of units that reaches RUN words, the least
 documents that share a run of units of at least RUN words share the run's first block, so they share a fingerprint, whatever
 surrounds the run.
 
-Each fingerprint meets its first occurrence (least doc_id, then place). The match is extended both ways over equal lines, up
-to RUN units on each side (further on the run has fingerprints of its own), and where the repeated run has at least RUN words,
-its lines are deleted from the later place. The first occurrence stays, within one document too.
+Each fingerprint meets its first occurrence (least doc_id, then place). The hits of a document on one first document at one distance are a
+diagonal. Along it the match is extended both ways over equal lines, up to RUN units before its first and after its last hit (further on the
+run has fingerprints of its own), and each unbroken run of equal lines with at least RUN words is deleted from the later place. The
+first occurrence stays, within one document too.
 
 Plan: line hashes are made from the text (no text is shuffled), windows run within a document, the first occurrence is a
 minimum with a partial aggregate, and only repeated fingerprints are joined to line hashes. A fingerprint that a third of the documents
@@ -69,27 +70,31 @@ def repeated_lines(docs: DataFrame) -> DataFrame:
     here = (F.col("doc_id").eqNullSafe(F.col("f.doc_id"))) & (F.col("th") == F.col("f.th")) & (F.col("u") == F.col("f.u"))
     hits = found.join(first, "fp").where(~here).select("doc_id", "th", "u", "ke", F.col("f.doc_id").alias("d0"), F.col("f.th").alias("t0"), F.col("f.u").alias("u0"))
     of = units.dropDuplicates(["doc_id", "th", "ln"]).groupBy("doc_id", "th").agg(F.array_sort(F.collect_list(F.struct("ln", "h", "nw"))).alias("a"))
-    low, low0 = F.greatest(F.col("u") - RUN, F.lit(0)), F.greatest(F.col("u0") - RUN, F.lit(0))
-    hits = hits.alias("x").join(of.alias("y"), F.expr("x.doc_id <=> y.doc_id AND x.th = y.th"))
-    hits = hits.select("x.*", low.alias("lo"), F.slice("a", low + 1, F.lit(2 * RUN) + F.col("ke")).alias("own"))
-    hits = hits.alias("x").join(of.alias("y"), F.expr("x.d0 <=> y.doc_id AND x.t0 = y.th"))
-    hits = hits.select("x.*", low0.alias("lo0"), F.transform(F.slice("a", low0 + 1, F.lit(2 * RUN) + F.col("ke")), lambda s: s["h"]).alias("old"))
-    at, at0 = F.col("u") - F.col("lo"), F.col("u0") - F.col("lo0")
-
-    def reach(a, b, there: Column) -> Column:
-        """Equal units in a row from places a and b of own and old, by the step, of those that both have."""
-        most = F.least(F.lit(RUN), there)
-        same = F.transform(F.sequence(F.lit(1), most), lambda k: F.get("own", a(k))["h"] == F.get("old", b(k)))
-        stop = F.array_position(same, F.lit(False))
-        return F.when(most <= 0, 0).when(stop == 0, most).otherwise(stop - 1).cast("int")
-
-    end, end0 = at + F.col("ke") - 1, at0 + F.col("ke") - 1
-    left = reach(lambda k: at - k, lambda k: at0 - k, F.least(at, at0))
-    right = reach(lambda k: end + k, lambda k: end0 + k, F.least(F.size("own") - end, F.size("old") - end0) - 1)
-    hits = hits.select("doc_id", "th", "own", "ke", at.alias("at"), left.alias("left"), right.alias("right"))
-    run = F.slice("own", F.col("at") - F.col("left") + 1, F.col("left") + F.col("ke") + F.col("right"))
-    words = F.aggregate("run", F.lit(0).cast("long"), lambda a, x: a + x["nw"])
-    hits = hits.select("doc_id", "th", run.alias("run")).select("doc_id", "th", F.when(words >= RUN, F.transform("run", lambda x: x["ln"])).alias("lns"))
+    lines = hits.groupBy("doc_id", "th", "d0", "t0", (F.col("u") - F.col("u0")).alias("by")).agg(F.min("u").alias("lo"), F.max(F.col("u") + F.col("ke")).alias("hi"))
+    lines = lines.withColumn("lo", F.greatest(F.col("lo") - RUN, F.col("by"), F.lit(0))).withColumn("n", F.col("hi") + RUN - F.col("lo"))
+    lines = lines.alias("x").join(of.alias("y"), F.expr("x.doc_id <=> y.doc_id AND x.th = y.th"))
+    lines = lines.select("x.*", F.slice("a", F.col("lo") + 1, F.col("n")).alias("own"))
+    lines = lines.alias("x").join(of.alias("y"), F.expr("x.d0 <=> y.doc_id AND x.t0 = y.th"))
+    lines = lines.select("x.doc_id", "x.th", "own", F.transform(F.slice("a", F.col("lo") - F.col("by") + 1, F.col("n")), lambda s: s["h"]).alias("old"))
+    none = F.expr("cast(array() as array<struct<at:int,n:int>>)")
+
+    def closed(s: Column) -> Column:
+        run = F.array(F.struct(s["from"].alias("at"), (s["i"] - s["from"]).alias("n")))
+        return F.when(s["words"] >= RUN, F.concat(s["out"], run)).otherwise(s["out"])
+
+    def step(s: Column, x: Column) -> Column:
+        """from: where the unbroken run began; words: of it so far; out: the runs that are long enough."""
+        same = F.coalesce(x["h"] == F.get("old", s["i"]), F.lit(False))
+        return F.struct(
+            (s["i"] + 1).alias("i"),
+            F.when(same, s["from"]).otherwise(s["i"] + 1).alias("from"),
+            F.when(same, s["words"] + x["nw"]).otherwise(F.lit(0).cast("long")).alias("words"),
+            F.when(same, s["out"]).otherwise(closed(s)).alias("out"),
+        )
+
+    start = F.struct(F.lit(0).alias("i"), F.lit(0).alias("from"), F.lit(0).cast("long").alias("words"), none.alias("out"))
+    runs = F.aggregate("own", start, step, closed)
+    hits = lines.select("doc_id", "th", "own", runs.alias("runs")).select("doc_id", "th", F.flatten(F.transform("runs", lambda r: F.slice(F.transform("own", lambda x: x["ln"]), r["at"] + 1, r["n"]))).alias("lns"))
     return hits.select("doc_id", "th", F.explode("lns").alias("ln")).groupBy("doc_id", "th").agg(F.sort_array(F.collect_set("ln")).alias("gone"))
 
 
@@ -129,11 +134,11 @@ def dedup_sql(docs: str = "documents") -> str:
     fps AS (SELECT k.doc_id, u, ke, fp FROM k JOIN ch USING (doc_id, cb) WHERE gw >= {GRAM}),
     f0 AS (SELECT fp, min({{'d': doc_id, 'u': u}}) AS f FROM fps GROUP BY fp HAVING count(*) > 1),
     hits AS (SELECT doc_id, u, ke, f.d AS d0, f.u AS u0 FROM fps JOIN f0 USING (fp) WHERE NOT (doc_id = f.d AND u = f.u)),
-    a AS (SELECT doc_id, list(h ORDER BY u) AS hs, list(nw ORDER BY u) AS nws, list(ln ORDER BY u) AS lns FROM c GROUP BY doc_id),
-    e AS (SELECT hits.*, x.hs, x.nws, x.lns, y.hs AS os FROM hits JOIN a x USING (doc_id) JOIN a y ON y.doc_id = d0),
-    r AS (SELECT *, coalesce(list_position(list_transform(range(1, {RUN} + 1), lambda s: u - s >= 1 AND u0 - s >= 1 AND hs[u - s] = os[u0 - s]), false), {RUN} + 1) - 1 AS lft,
-          coalesce(list_position(list_transform(range(1, {RUN} + 1), lambda s: coalesce(hs[u + ke - 1 + s] = os[u0 + ke - 1 + s], false)), false), {RUN} + 1) - 1 AS rgt FROM e),
-    gone AS (SELECT DISTINCT doc_id, unnest(lns[u - lft:u + ke - 1 + rgt]) AS ln FROM r WHERE list_sum(nws[u - lft:u + ke - 1 + rgt]) >= {RUN}),
+    dg AS (SELECT doc_id, d0, u - u0 AS dl, min(u) - {RUN} AS lo, max(u + ke) + {RUN} AS hi FROM hits GROUP BY ALL),
+    eq AS (SELECT d.doc_id, d.d0, d.dl, x.u, x.ln, x.nw, coalesce(x.h = o.h, false) AS same FROM dg d JOIN c x ON x.doc_id = d.doc_id AND x.u >= d.lo AND x.u < d.hi LEFT JOIN c o ON o.doc_id = d.d0 AND o.u = x.u - d.dl),
+    isl AS (SELECT *, sum(CASE WHEN same THEN 0 ELSE 1 END) OVER (PARTITION BY doc_id, d0, dl ORDER BY u) AS k FROM eq),
+    ok AS (SELECT *, sum(nw) OVER (PARTITION BY doc_id, d0, dl, k) AS words FROM isl WHERE same),
+    gone AS (SELECT DISTINCT doc_id, ln FROM ok WHERE words >= {RUN}),
     n AS (SELECT doc_id, count(*) AS n FROM gone GROUP BY doc_id),
     t AS (SELECT l.doc_id, string_agg(line, chr(10) ORDER BY l.ln) AS kept FROM l ANTI JOIN gone ON l.doc_id = gone.doc_id AND l.ln = gone.ln GROUP BY l.doc_id)
     SELECT d.doc_id, CASE WHEN text IS NULL THEN 0 ELSE len(string_split(text, chr(10))) END AS n_lines, coalesce(n.n, 0) AS n_deleted,
