@@ -1,22 +1,24 @@
 """Operator 10, n-gram Jaccard join by a prefix tree.
 
-A document's set is its distinct 5-word shingles (with fewer words, the whole sequence; without words, nothing), as 64-bit hashes.
-Two documents link when 100 * intersection >= 75 * union. The result is each document's component.
+A document's set is its distinct 5-word shingles (with fewer words, the whole sequence; without words, nothing), as 64-bit numbers: a
+60-bit hash under a 4-bit rank, which is higher the more common the shingle's words are. Sets are sorted by that number, so one global order puts
+shingles of rare words first. Two documents link when 100 * intersection >= 75 * union. The result is each document's component.
 
 1. One scan gives each document its set's size and 128-bit digest, and counts the shingles that a task meets more than once. Equal
-   sets are one class, whose least doc_id stands for it; copies go no further. The counts order the shingles: common ones last.
-   The order changes the work, never the result.
-2. A second scan posts the first n - ceil(0.75 n) + DEPTH shingles of each set in that order: two sets that link share DEPTH of them
-   (or all that they need to share, if fewer). Postings are sorted by shingle; a shingle of one class is passed over. In a group each
-   class is paired with the group's leader only, the last smaller class that its size admits as partner, so a group of thousands of
-   near copies makes thousands of pairs, not millions. Pairs met less than DEPTH times go no further.
-3. Pairs are verified on whole sets. Around a hub, the candidates' sorted sets are walked as a prefix tree: along
-   equal beginnings the partial overlap is shared, and a subtree ends when the remaining lengths cannot reach the needed overlap.
-4. Links make components. Then every pair of a group that is still in two different components and passes the size and
-   position bounds is verified too. So every link between different texts is found or already implied, and none is assumed.
-
-No pair inside a component is needed, so copies are never expanded. Groups stream through a task sorted; hubs are split into chunks of
-CHUNK candidates. The list of common shingles is cut at MAX_COMMON (the rest merely sort as rare), which bounds its broadcast.
+   sets are one class, whose least doc_id stands for it; copies go no further. The word ranks (from a bounded sample of
+   WORD_SAMPLE documents) and the counts only order the shingles. The order changes the work, never the result.
+2. A second scan posts the first n - ceil(0.75 n) + DEPTH shingles of each set. Two sets that link share at least
+   need(n, m) - ceil(0.75 max(n, m)) + DEPTH of them, where need is the intersection they must have. Postings are sorted by shingle; a shingle of one
+   class is passed over.
+3. Groups of at most SMALL classes give their pairs (so at most SMALL for each posting); pairs that pass the size, position and
+   count bounds are verified on whole sets. Around a hub, the candidates' sorted sets are walked as a prefix tree: along equal beginnings
+   the partial overlap is shared, and a subtree ends when the remaining lengths cannot reach the needed overlap.
+4. Larger groups are joined whole inside blocks of BLOCK classes: each set comes to the group once for each other block of
+   it, intersections are counted within the block, and only links leave it, as a spanning forest. A pair is looked at in the first such
+   group that it shares. So thousands of near copies never become rows of pairs.
+
+A link's shared postings either include a large group, which step 4 settles, or lie in small groups only, where step 3 counts all of them.
+Components need no copies expanded. The list of common shingles is cut at MAX_COMMON (the rest merely sort by word rank), which bounds its broadcast.
 
 Defined cases: null or empty text has 0 shingles and is its own component. Repeated rows of a doc_id are reported each.
 A null doc_id takes part as a copy or neighbour but cannot name a component. Empty tables give no rows; other columns are not read.
@@ -32,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import drop_stored, stored, table
+from .common import drop_stored, pieces, stored, table
 from .components import connected_components
 from .textnum import shingle_hashes, slices, utf8, word_hashes
 
@@ -41,16 +43,46 @@ COMMON, MAX_COMMON = 24, 1 << 20
 #: So many shingles two linked sets share among those posted.
 DEPTH = 4
 CHUNK = 256
+SMALL, BLOCK = 40, 1536
+WORD_SAMPLE, WORDS = 2000, 1024
+#: log2 of the probability at which ranks begin, of a word that is not in the list, and the step of a rank.
+RARE, OTHER, STEP = -46.0, -17.0, 2.0
 MAX_BROADCAST = 1_000_000
 FLUSH = 1 << 21
 
 
-def sets_of(column, k: int = K) -> Iterator[np.ndarray]:
-    """The sorted distinct shingle hashes of each text."""
+Ranks = tuple[np.ndarray, np.ndarray]
+NO_RANKS: Ranks = (np.zeros(0, np.uint64), np.zeros(0, np.float32))
+
+
+def word_ranks(texts: list[str], most: int = WORDS) -> Ranks:
+    """Sorted hashes of the most frequent words of a sample and log2 of their shares."""
+    data, offsets = utf8(pa.array(texts, pa.string()))
+    parts = [word_hashes(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i])[0] for i, j in slices(offsets)]
+    words = np.concatenate(parts) if parts else np.zeros(0, np.uint64)
+    keys, count = np.unique(words, return_counts=True)
+    top = np.sort(np.lexsort((keys, -count))[:most])
+    return keys[top], np.maximum(np.log2(count[top] / max(1, len(words))), OTHER).astype(np.float32)
+
+
+def sets_of(column, k: int = K, ranks: Ranks = NO_RANKS) -> Iterator[np.ndarray]:
+    """The sorted distinct shingles of each text, the rank in the upper four bits."""
     data, offsets = utf8(column)
+    keys, logs = ranks
     for i, j in slices(offsets):
         words, at = word_hashes(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i])
         h, begin = shingle_hashes(words, at, k)
+        h >>= np.uint64(4)
+        if len(keys) and len(words) >= k:
+            where = np.minimum(np.searchsorted(keys, words), len(keys) - 1)
+            share = np.where(keys[where] == words, logs[where], np.float32(OTHER)).astype(np.float64)
+            total = np.concatenate([[0], np.cumsum(share)])
+            full = total[k:] - total[:-k]
+            n = np.diff(begin)
+            first = np.repeat(at[:-1] - begin[:-1], n) + np.arange(begin[-1])
+            rank = np.clip((full[np.minimum(first, len(full) - 1)] - RARE) // STEP, 0, 15)
+            rank[np.repeat(np.diff(at) < k, n)] = 0
+            h |= rank.astype(np.uint64) << np.uint64(60)
         for a, b in zip(begin[:-1], begin[1:], strict=True):
             yield np.unique(h[a:b])
 
@@ -59,7 +91,7 @@ def digest(s: np.ndarray) -> bytes:
     return hashlib.blake2b(s.tobytes(), digest_size=16).digest()
 
 
-def _scan(k: int):
+def _scan(k: int, ranks):
     """kind 0: doc_id, n, g (digest); kind 1: h, c (a shingle and how many of the task's classes have it)."""
     schema = pa.schema([("kind", pa.int8()), ("doc_id", pa.int64()), ("n", pa.int64()), ("g", pa.binary()), ("h", pa.int64()), ("c", pa.int64())])
 
@@ -73,7 +105,7 @@ def _scan(k: int):
         parts, held, seen = [], 0, set()
         for batch in batches:
             n, g = [], []
-            for s in sets_of(batch.column("text"), k):
+            for s in sets_of(batch.column("text"), k, ranks.value):
                 n.append(len(s))
                 g.append(digest(s))
                 if len(s) and g[-1] not in seen:
@@ -91,26 +123,26 @@ def _scan(k: int):
     return run
 
 
-def _postings(common, k: int, percent: int):
+def _postings(common, k: int, percent: int, ranks):
     """h, n, pos, g for the prefix of each set; a task posts a set once."""
     schema = pa.schema([("h", pa.int64()), ("n", pa.int32()), ("pos", pa.int32()), ("g", pa.binary())])
 
     def run(batches):
-        keys, ranks = common.value
+        keys, counts = common.value
         seen: set[bytes] = set()
         for batch in batches:
             hs, ns, ps, gs = [], [], [], []
-            for s in sets_of(batch.column("text"), k):
+            for s in sets_of(batch.column("text"), k, ranks.value):
                 n = len(s)
                 if not n or (g := digest(s)) in seen:
                     continue
                 if len(seen) > 500_000:
                     seen = set()
                 seen.add(g)
-                m = min(n, n - -(-percent * n // 100) + DEPTH)
+                m = posted(n, percent)
                 if len(keys):
                     at = np.minimum(np.searchsorted(keys, s), len(keys) - 1)
-                    rank = np.where(keys[at] == s, ranks[at], 0)
+                    rank = np.where(keys[at] == s, counts[at], 0)
                     s = s[np.lexsort((s, rank))] if rank.any() else s
                 hs.append(s[:m].view(np.int64))
                 ns.append(np.full(m, n, np.int32))
@@ -160,9 +192,21 @@ def need(n, m, percent: int = PERCENT):
     return -(-(percent * (n + m)) // (100 + percent))
 
 
-def _leaders(percent: int):
-    """kind 0: pairs g1, g2 with the leader; kind 1: the postings of groups of several classes, for the second round."""
-    schema = pa.schema([("kind", pa.int8()), ("h", pa.int64()), ("n", pa.int32()), ("pos", pa.int32()), ("g", pa.binary()), ("g2", pa.binary()), ("c", pa.int64())])
+def posted(n: int, percent: int) -> int:
+    """How many shingles of a set of n are posted."""
+    return min(n, n - -(-percent * n // 100) + DEPTH)
+
+
+def least_met(n: np.ndarray, m: np.ndarray, percent: int) -> np.ndarray:
+    """So many posted shingles two linked sets share at least: whichever ends first in the order, all that it shares but what follows its posted part."""
+    both = need(n, m, percent)
+    rest = lambda x: x - np.minimum(x, x - -(-percent * x // 100) + DEPTH)
+    return np.maximum(1, both - np.maximum(rest(n), rest(m)))
+
+
+def _small_pairs(percent: int):
+    """kind 0: pairs g, g2 of small groups, how often met (c) and how often they must be (n); kind 1: h and g of large groups."""
+    schema = pa.schema([("kind", pa.int8()), ("h", pa.int64()), ("g", pa.binary()), ("g2", pa.binary()), ("n", pa.int64()), ("c", pa.int64())])
 
     def binary(v: np.ndarray) -> pa.Array:
         v = np.ascontiguousarray(v)
@@ -173,82 +217,128 @@ def _leaders(percent: int):
             fresh = np.ones(len(a["h"]), bool)
             fresh[1:] = (a["h"][1:] != a["h"][:-1]) | (a["g"][1:] != a["g"][:-1])
             h, n, pos, g = (a[c][fresh] for c in ("h", "n", "pos", "g"))
-            if not len(h):
-                continue
-            edge = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1], [True]]))
-            size = np.diff(edge)
-            keep = np.repeat(size > 1, size)
-            h, n, pos, g = h[keep], n[keep], pos[keep], g[keep]
-            if not len(h):
-                continue
             edge = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1], [True]]))
-            lead = np.empty(len(h), np.int64)
-            for x, y in zip(edge[:-1], edge[1:], strict=True):
-                while x < y:  # n rises within a group: one leader serves until the sizes are too far apart
-                    z = x + int(np.searchsorted(n[x:y], n[x] * 100 // percent, "right"))
-                    lead[x:z] = x
-                    x = z
-            own = np.arange(len(h))
-            ok = (lead != own) & (np.minimum(pos, pos[lead]) + np.minimum(n - pos, n[lead] - pos[lead]) >= need(n.astype(np.int64), n[lead].astype(np.int64), percent))
-            m, p = len(h), int(ok.sum())
-            if p:
-                # n carries how often the pair must be met, c how often it was
-                least = np.minimum(DEPTH, need(n.astype(np.int64), n[lead].astype(np.int64), percent))[ok]
-                both, at, count = np.unique(np.stack([g[lead[ok]], g[ok]], 1).view("S32").ravel(), return_index=True, return_counts=True)
+            size = np.repeat(np.diff(edge), np.diff(edge))
+            large = size > SMALL
+            if m := int(large.sum()):
+                yield pa.record_batch([pa.array(np.ones(m, np.int8)), pa.array(h[large]), binary(g[large]), pa.nulls(m, pa.binary()), pa.nulls(m, pa.int64()), pa.nulls(m, pa.int64())], schema=schema)
+            keep = (size > 1) & ~large
+            h, n, pos, g = h[keep], n[keep].astype(np.int64), pos[keep].astype(np.int64), g[keep]
+            left, right = [], []
+            for step in range(1, SMALL):  # rows that far apart in one group
+                if step >= len(h):
+                    break
+                i = np.flatnonzero(h[step:] == h[:-step])
+                if not len(i):
+                    break
+                j = i + step
+                ok = (n[i] * 100 >= percent * n[j]) & (np.minimum(pos[i], pos[j]) + np.minimum(n[i] - pos[i], n[j] - pos[j]) >= need(n[i], n[j], percent))
+                left.append(i[ok])
+                right.append(j[ok])
+            i, j = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (left, right))
+            if len(i):
+                # sizes rise within a group and digests within a size, so a pair always stands one way round
+                both, at, count = np.unique(np.stack([g[i], g[j]], 1).view("S32").ravel(), return_index=True, return_counts=True)
                 both, p = both.view("V16").reshape(-1, 2), len(both)
-                yield pa.record_batch([pa.array(np.zeros(p, np.int8)), pa.nulls(p, pa.int64()), pa.array(least[at].astype(np.int32)), pa.nulls(p, pa.int32()), binary(both[:, 0]), binary(both[:, 1]), pa.array(count)], schema=schema)
-            yield pa.record_batch([pa.array(np.ones(m, np.int8)), pa.array(h), pa.array(n), pa.array(pos), binary(g), pa.nulls(m, pa.binary()), pa.nulls(m, pa.int64())], schema=schema)
+                yield pa.record_batch([pa.array(np.zeros(p, np.int8)), pa.nulls(p, pa.int64()), binary(both[:, 0]), binary(both[:, 1]), pa.array(least_met(n[i], n[j], percent)[at]), pa.array(count)], schema=schema)
 
     return run
 
 
-def _across(percent: int):
-    """Pairs of nodes of a group that are in different components; batches sorted by h, n."""
-    schema = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("least", pa.int64()), ("c", pa.int64())])
-
-    def summed(parts):
-        a, b, least = (np.concatenate(x) for x in zip(*parts, strict=True))
-        order = np.lexsort((b, a))
-        a, b, least = a[order], b[order], least[order]
-        first = np.flatnonzero(np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])]))
-        return pa.record_batch([pa.array(a[first]), pa.array(b[first]), pa.array(least[first]), pa.array(np.diff(np.append(first, len(a))))], schema=schema)
+def forest(a: np.ndarray, b: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """A spanning forest of the graph of edges a, b over n nodes, as each node's root."""
+    root = np.arange(n)
+    while True:
+        new = root.copy()
+        np.minimum.at(new, a, root[b])
+        np.minimum.at(new, b, root[a])
+        new = new[new]
+        if (new == root).all():
+            break
+        root = new
+    own = np.flatnonzero(root != np.arange(n))
+    return root[own], own
+
+
+def block_links(sets: list[np.ndarray], marks: list[np.ndarray], mark: int, side: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """Linked pairs of a block. marks: each set's large groups (sorted); pairs that share one before ``mark`` are left to that one. side: 0 or 1
+    for two different blocks, whose own pairs are left out; one value for a block with itself."""
+    m = len(sets)
+    n = np.array([len(s) for s in sets], np.int64)
+    todo = np.triu(np.ones((m, m), bool), 1)
+    if side.min() != side.max():
+        todo &= side[:, None] != side[None, :]
+    small, big = np.minimum(n[:, None], n[None, :]), np.maximum(n[:, None], n[None, :])
+    todo &= small * 100 >= percent * big
+    early = [x[x < mark] for x in marks]
+    row = np.repeat(np.arange(m), [len(x) for x in early])
+    if len(row):
+        _, col = np.unique(np.concatenate(early), return_inverse=True)
+        col = col.ravel()
+        for c in range(0, int(col.max()) + 1, 1024):
+            own = (col >= c) & (col < c + 1024)
+            dense = np.zeros((m, 1024), np.float32)
+            dense[row[own], col[own] - c] = 1
+            todo &= dense @ dense.T == 0
+    i, j = np.nonzero(todo)
+    if not len(i):
+        return i, j
+    wanted = need(n[i], n[j], percent)
+    if len(i) <= 4 * m:
+        common = np.array([len(np.intersect1d(sets[x], sets[y], assume_unique=True)) for x, y in zip(i, j, strict=True)])
+        ok = common >= wanted
+        return i[ok], j[ok]
+    used = np.unique(np.concatenate([i, j]))
+    token = np.concatenate([sets[x] for x in used])
+    row = np.repeat(used, n[used])
+    order = np.argsort(token, kind="stable")
+    token, row = token[order], row[order]
+    first = np.flatnonzero(np.concatenate([[True], token[1:] != token[:-1]]))
+    count = np.diff(np.append(first, len(token)))
+    total = np.zeros((m, m), np.float32)
+    for c in range(2, 9):  # rare shingles by pairs, the others by products
+        at = first[count == c]
+        for x in range(c):
+            for y in range(x + 1, c):
+                total += np.bincount(row[at + x] * m + row[at + y], minlength=m * m).reshape(m, m) if len(at) > m else 0
+                if 0 < len(at) <= m:
+                    np.add.at(total, (row[at + x], row[at + y]), 1)
+    total += total.T
+    often = np.flatnonzero(count > 8)
+    for c in range(0, len(often), 1024):
+        part = often[c : c + 1024]
+        dense = np.zeros((m, len(part)), np.float32)
+        size = count[part]
+        at = np.repeat(first[part] - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
+        dense[row[at], np.repeat(np.arange(len(part)), size)] = 1
+        total += dense @ dense.T
+    ok = total[i, j] >= wanted
+    return i[ok], j[ok]
+
+
+def _large_groups(percent: int):
+    """Rows sorted by h, c1, c2: a large group's pair of blocks, with node, side, marks and set, to links a, b."""
+    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
     def run(batches):
-        rest = None
-
-        def pairs(t: pa.Table):
-            h, n, pos, v, c = (t.column(x).to_numpy() for x in ("h", "n", "pos", "node", "comp"))
-            n = n.astype(np.int64)
-            edge = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1], [True]]))
-            parts, held = [], 0
-            for x, y in zip(edge[:-1], edge[1:], strict=True):
-                if y - x < 2 or (c[x:y] == c[x]).all():
-                    continue
-                for i in range(x, y - 1):
-                    z = i + 1 + int(np.searchsorted(n[i + 1 : y], n[i] * 100 // percent, "right"))
-                    j = np.arange(i + 1, z)
-                    j = j[(c[j] != c[i]) & (np.minimum(pos[j], pos[i]) + np.minimum(n[j] - pos[j], n[i] - pos[i]) >= need(n[j], n[i], percent))]
-                    if len(j):
-                        parts.append((np.minimum(v[j], v[i]), np.maximum(v[j], v[i]), np.minimum(DEPTH, need(n[j], n[i], percent))))
-                        held += len(j)
-                    if held > FLUSH:
-                        yield summed(parts)
-                        parts, held = [], 0
-            if parts:
-                yield summed(parts)
-
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            t = pa.Table.from_batches([batch])
-            t = t if rest is None else pa.concat_tables([rest, t])
-            h = t.column("h").to_numpy()
-            cut = int(np.searchsorted(h, h[-1]))
-            rest, t = t.slice(cut), t.slice(0, cut)
-            if t.num_rows:
-                yield from pairs(t)
-        if rest is not None:
-            yield from pairs(rest)
+        key, rows = None, []
+
+        def links():
+            if len(rows) > 1:
+                node, side, marks, sets = zip(*rows, strict=True)
+                i, j = block_links(list(sets), list(marks), key[0], np.array(side), percent)
+                if len(i):
+                    node = np.array(node, np.int64)
+                    a, b = forest(i, j, len(node))
+                    yield pa.record_batch([pa.array(node[a]), pa.array(node[b])], schema=schema)
+
+        for batch in pieces(batches):
+            for h, c1, c2, node, side, marks, s in zip(*(batch.column(c).to_pylist() for c in ("h", "c1", "c2", "node", "side", "marks", "s")), strict=True):
+                if (h, c1, c2) != key:
+                    yield from links()
+                    key, rows = (h, c1, c2), []
+                rows.append((node, side, np.sort(np.array(marks, np.int64)), np.frombuffer(s, np.uint64)))
+        yield from links()
 
     return run
 
@@ -314,64 +404,72 @@ def _verify(percent: int):
     return run
 
 
-def _set_rows(k: int):
+def _set_rows(k: int, ranks):
     schema = pa.schema([("doc_id", pa.int64()), ("s", pa.binary())])
 
     def run(batches):
         for batch in batches:
-            yield pa.record_batch([batch.column("doc_id"), pa.array([s.tobytes() for s in sets_of(batch.column("text"), k)], pa.binary())], schema=schema)
+            yield pa.record_batch([batch.column("doc_id"), pa.array([s.tobytes() for s in sets_of(batch.column("text"), k, ranks.value)], pa.binary())], schema=schema)
 
     return run
 
 
-def verified(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFrame:
-    """The pairs (a, b of doc_ids) that link, on the whole sets of those documents."""
-    spark = docs.sparkSession
+def sets_for(nodes: DataFrame, docs: DataFrame, k: int, ranks) -> DataFrame:
+    """doc_id, s (the set) for the documents in nodes (doc_id)."""
+    small = nodes.limit(MAX_BROADCAST + 1).count() <= MAX_BROADCAST
+    texts = docs.join(F.broadcast(nodes) if small else nodes, "doc_id", "left_semi")
+    return stored(texts.mapInArrow(_set_rows(k, ranks), "doc_id long, s binary").dropDuplicates(["doc_id"]), "sets", compression="none")
+
+
+def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b of doc_ids) that link, on the whole sets."""
     chunks = pairs.groupBy("a").agg(F.ceil(F.count("*") / CHUNK).cast("int").alias("m"))
     pairs = pairs.join(chunks, "a").select("a", F.pmod(F.hash("b"), F.col("m")).alias("chunk"), "b")
-    pairs = stored(pairs, "pairs")
-    wanted = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
-    wanted = stored(wanted, "wanted")
-    small = wanted.count() <= MAX_BROADCAST
-    texts = docs.join(F.broadcast(wanted) if small else wanted, "doc_id", "left_semi")
-    sets = stored(texts.mapInArrow(_set_rows(k), "doc_id long, s binary").dropDuplicates(["doc_id"]), "sets", compression="none")
     hubs = pairs.select("a", "chunk").distinct().join(sets, F.col("a") == F.col("doc_id")).select("a", "chunk", F.col("a").alias("node"), "s", F.lit(0).alias("role"))
     rest = pairs.join(sets, F.col("b") == F.col("doc_id")).select("a", "chunk", F.col("b").alias("node"), "s", F.lit(1).alias("role"))
     rows = hubs.unionByName(rest).repartition("a", "chunk").sortWithinPartitions("a", "chunk", "role")
-    links = stored(rows.select("a", "chunk", "node", "role", "s").mapInArrow(_verify(percent), "a long, b long"), "links")
-    for x in (pairs, wanted, sets):
-        drop_stored(x)
-    return links
+    return rows.select("a", "chunk", "node", "role", "s").mapInArrow(_verify(percent), "a long, b long")
+
+
+def joined_groups(large: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links inside large groups. large: h, node."""
+    marks = large.groupBy("node").agg(F.collect_list("h").alias("marks")).join(sets, F.col("node") == F.col("doc_id")).select("node", "marks", "s")
+    blocks = large.groupBy("h").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("m"))
+    dealt = large.join(blocks, "h").withColumn("own", F.pmod(F.hash("node"), F.col("m")))
+    dealt = dealt.select("h", "node", "own", F.explode(F.sequence(F.lit(0), F.col("m") - 1)).alias("other"))
+    dealt = dealt.select("h", "node", F.least("own", "other").alias("c1"), F.greatest("own", "other").alias("c2"), (F.col("own") > F.col("other")).cast("int").alias("side"))
+    rows = dealt.join(marks, "node").repartition("h", "c1", "c2").sortWithinPartitions("h", "c1", "c2", "node")
+    return rows.select("h", "c1", "c2", "node", "side", "marks", "s").mapInArrow(_large_groups(percent), "a long, b long")
 
 
 def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataFrame:
     """doc_id, n_shingles, component_id. docs: doc_id, text."""
     spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    scanned = stored(docs.mapInArrow(_scan(k), "kind byte, doc_id long, n long, g binary, h long, c long"), "scan")
+    some = [r[0] for r in docs.select("doc_id").where("doc_id IS NOT NULL").orderBy(F.xxhash64("doc_id"), "doc_id").limit(WORD_SAMPLE).collect()]
+    ranks = spark.sparkContext.broadcast(word_ranks([r[0] or "" for r in docs.where(F.col("doc_id").isin(some)).select("text").collect()] if some else []))
+    scanned = stored(docs.mapInArrow(_scan(k, ranks), "kind byte, doc_id long, n long, g binary, h long, c long"), "scan")
     members = scanned.where("kind = 0").select("doc_id", "n", "g")
     counts = scanned.where("kind = 1").groupBy("h").agg(F.sum("c").alias("c")).where(F.col("c") >= COMMON)
     top = counts.orderBy(F.desc("c"), "h").limit(MAX_COMMON).toPandas()
     keys = top["h"].to_numpy(np.int64).view(np.uint64)
     order = np.argsort(keys)
     common = spark.sparkContext.broadcast((keys[order], top["c"].to_numpy(np.int64)[order]))
-    postings = docs.mapInArrow(_postings(common, k, percent), "h long, n int, pos int, g binary")
-    led = stored(postings.repartition("h").sortWithinPartitions("h", "n", "g").mapInArrow(_leaders(percent), "kind byte, h long, n int, pos int, g binary, g2 binary, c long"), "led")
-    reps = members.where("n > 0").groupBy("g").agg(F.min("doc_id").alias("node"))
+    postings = docs.mapInArrow(_postings(common, k, percent, ranks), "h long, n int, pos int, g binary")
+    met = stored(postings.repartition("h").sortWithinPartitions("h", "n", "g").mapInArrow(_small_pairs(percent), "kind byte, h long, g binary, g2 binary, n long, c long"), "met")
+    reps = members.where("n > 0 AND doc_id IS NOT NULL").groupBy("g").agg(F.min("doc_id").alias("node"))
     one, two = reps.select("g", F.col("node").alias("x")), reps.select(F.col("g").alias("g2"), F.col("node").alias("y"))
-    pairs = led.where("kind = 0").groupBy("g", "g2").agg(F.sum("c").alias("c"), F.max("n").alias("least")).where("c >= least")
-    pairs = pairs.join(one, "g").join(two, "g2").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
-    links = verified(pairs, docs, k, percent)
+    pairs = met.where("kind = 0").groupBy("g", "g2").agg(F.sum("c").alias("c"), F.max("n").alias("least")).where("c >= least")
+    pairs = stored(pairs.join(one, "g").join(two, "g2").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")), "pairs")
+    large = stored(met.where("kind = 1").select("h", "g").join(reps, "g").select("h", "node"), "large")
+    drop_stored(met)
+    nodes = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).unionByName(large.select(F.col("node").alias("doc_id"))).distinct()
+    sets = sets_for(nodes, docs, k, ranks)
+    links = verified(pairs, sets, percent).unionByName(joined_groups(large, sets, percent))
     comps = connected_components(links)
-    multi = led.where("kind = 1").select("h", "n", "pos", "g").join(reps, "g").join(comps, "node", "left").select("h", "n", "pos", "node", F.coalesce("comp", "node").alias("comp"))
-    open_ = multi.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("h")
-    rows = multi.join(open_, "h").repartition("h").sortWithinPartitions("h", "n", "node")
-    met = rows.mapInArrow(_across(percent), "a long, b long, least long, c long")
-    again = met.groupBy("a", "b").agg(F.sum("c").alias("c"), F.max("least").alias("least")).where("c >= least").select("a", "b")
-    more = verified(again, docs, k, percent)
-    comps = connected_components(links.unionByName(more))
+    for x in (pairs, large, sets):
+        drop_stored(x)
     rep_comp = reps.join(comps, "node", "left").select("g", F.coalesce("comp", "node").alias("component_id"))
-    # equal sets share a component: join by digest, on one row for each digest
     return members.join(rep_comp, "g", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
