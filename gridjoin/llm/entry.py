@@ -8,6 +8,7 @@ from importlib import import_module
 OPERATORS = [
     ("ann", "op1_ann", False),
     ("decontaminate", "op2_decontaminate", True),
+    ("pieces", "op3_sentencepiece", False),
     ("warc", "op4_warc", True),
     ("html_extract", "op5_html_extract", False),
     ("pii", "op6_pii", True),
