@@ -20,8 +20,10 @@ OPERATORS = [
 
 
 def queries() -> dict:
-    return {q: getattr(import_module(f"gridjoin.llm.{m}"), q) for m, q, _ in OPERATORS}
+    return {q: getattr(import_module(f"gridjoin.llm.{m}"), q) for m, q, _ in OPERATORS} | {"pipeline": import_module("corpus_pipeline").run}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {q: import_module(f"gridjoin.llm.{m}").oracle() for m, q, sql in OPERATORS if sql}
+    found = {q: import_module(f"gridjoin.llm.{m}").oracle() for m, q, sql in OPERATORS if sql}
+    pipeline = import_module("corpus_pipeline").ORACLE_SQL
+    return found | ({"pipeline": pipeline} if pipeline else {})
