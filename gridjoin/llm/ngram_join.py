@@ -15,9 +15,10 @@ shingles of rare words first. Two documents link when 100 * intersection >= 75 *
    the partial overlap is shared, and a subtree ends when the remaining lengths cannot reach the needed overlap.
 4. Larger groups are joined whole inside blocks of BLOCK classes: each set comes to the group once for each other block of
    it, intersections are counted within the block, and only links leave it, as a spanning forest. A pair is looked at in the first such
-   group that it shares. So thousands of near copies never become rows of pairs.
+   group that it shares. So thousands of near copies never become rows of pairs. A class joins all but the last ``skipped`` of its large groups.
 
-A link's shared postings either include a large group, which step 4 settles, or lie in small groups only, where step 3 counts all of them.
+Where a link shares more large groups than either class skips, the first that they share is skipped by neither, and step 4 settles it. Where it shares
+fewer, step 3 has counted all its other postings, and its bound there is lowered by as many as the two classes' large groups can be.
 Components need no copies expanded. The list of common shingles is cut at MAX_COMMON (the rest merely sort by word rank), which bounds its broadcast.
 
 Defined cases: null or empty text has 0 shingles and is its own component. Repeated rows of a doc_id are reported each.
@@ -40,10 +41,10 @@ from .textnum import shingle_hashes, slices, utf8, word_hashes
 
 K, PERCENT = 5, 75
 COMMON, MAX_COMMON = 24, 1 << 20
-#: So many shingles two linked sets share among those posted.
-DEPTH = 4
+#: Linked sets share at least so many of the posted shingles (small sets: all that they need to share).
+DEPTH = 16
 CHUNK = 256
-SMALL, BLOCK = 40, 1536
+SMALL, BLOCK = 40, 512
 WORD_SAMPLE, WORDS = 2000, 1024
 #: log2 of the probability at which ranks begin, of a word that is not in the list, and the step of a rank.
 RARE, OTHER, STEP = -46.0, -17.0, 2.0
@@ -204,8 +205,13 @@ def least_met(n: np.ndarray, m: np.ndarray, percent: int) -> np.ndarray:
     return np.maximum(1, both - np.maximum(rest(n), rest(m)))
 
 
+def skipped(n, percent: int = PERCENT):
+    """So many of its large groups a class of n shingles leaves out: fewer than a link must share."""
+    return F.least(F.lit(DEPTH - 1), F.ceil(n * F.lit(percent) / 100).cast("int") - 1)
+
+
 def _small_pairs(percent: int):
-    """kind 0: pairs g, g2 of small groups, how often met (c) and how often they must be (n); kind 1: h and g of large groups."""
+    """kind 0: pairs g, g2 of small groups, how often met (c) and how often they must be (n); kind 1: h, g and n (the set's size) of large groups."""
     schema = pa.schema([("kind", pa.int8()), ("h", pa.int64()), ("g", pa.binary()), ("g2", pa.binary()), ("n", pa.int64()), ("c", pa.int64())])
 
     def binary(v: np.ndarray) -> pa.Array:
@@ -221,7 +227,7 @@ def _small_pairs(percent: int):
             size = np.repeat(np.diff(edge), np.diff(edge))
             large = size > SMALL
             if m := int(large.sum()):
-                yield pa.record_batch([pa.array(np.ones(m, np.int8)), pa.array(h[large]), binary(g[large]), pa.nulls(m, pa.binary()), pa.nulls(m, pa.int64()), pa.nulls(m, pa.int64())], schema=schema)
+                yield pa.record_batch([pa.array(np.ones(m, np.int8)), pa.array(h[large]), binary(g[large]), pa.nulls(m, pa.binary()), pa.array(n[large].astype(np.int64)), pa.nulls(m, pa.int64())], schema=schema)
             keep = (size > 1) & ~large
             h, n, pos, g = h[keep], n[keep].astype(np.int64), pos[keep].astype(np.int64), g[keep]
             left, right = [], []
@@ -264,12 +270,11 @@ def block_links(sets: list[np.ndarray], marks: list[np.ndarray], mark: int, side
     """Linked pairs of a block. marks: each set's large groups (sorted); pairs that share one before ``mark`` are left to that one. side: 0 or 1
     for two different blocks, whose own pairs are left out; one value for a block with itself."""
     m = len(sets)
-    n = np.array([len(s) for s in sets], np.int64)
+    n = np.array([len(s) for s in sets], np.int32)
     todo = np.triu(np.ones((m, m), bool), 1)
     if side.min() != side.max():
         todo &= side[:, None] != side[None, :]
-    small, big = np.minimum(n[:, None], n[None, :]), np.maximum(n[:, None], n[None, :])
-    todo &= small * 100 >= percent * big
+    todo &= np.minimum(n[:, None], n[None, :]) * 100 >= percent * np.maximum(n[:, None], n[None, :])
     early = [x[x < mark] for x in marks]
     row = np.repeat(np.arange(m), [len(x) for x in early])
     if len(row):
@@ -283,7 +288,7 @@ def block_links(sets: list[np.ndarray], marks: list[np.ndarray], mark: int, side
     i, j = np.nonzero(todo)
     if not len(i):
         return i, j
-    wanted = need(n[i], n[j], percent)
+    wanted = need(n[i].astype(np.int64), n[j].astype(np.int64), percent)
     if len(i) <= 4 * m:
         common = np.array([len(np.intersect1d(sets[x], sets[y], assume_unique=True)) for x, y in zip(i, j, strict=True)])
         ok = common >= wanted
@@ -418,7 +423,7 @@ def sets_for(nodes: DataFrame, docs: DataFrame, k: int, ranks) -> DataFrame:
     """doc_id, s (the set) for the documents in nodes (doc_id)."""
     small = nodes.limit(MAX_BROADCAST + 1).count() <= MAX_BROADCAST
     texts = docs.join(F.broadcast(nodes) if small else nodes, "doc_id", "left_semi")
-    return stored(texts.mapInArrow(_set_rows(k, ranks), "doc_id long, s binary").dropDuplicates(["doc_id"]), "sets", compression="none")
+    return stored(texts.mapInArrow(_set_rows(k, ranks), "doc_id long, s binary"), "sets", compression="none")
 
 
 def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -432,8 +437,11 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 
 def joined_groups(large: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Links inside large groups. large: h, node."""
-    marks = large.groupBy("node").agg(F.collect_list("h").alias("marks")).join(sets, F.col("node") == F.col("doc_id")).select("node", "marks", "s")
+    """Links inside large groups. large: h, node, n."""
+    every = large.groupBy("node", "n").agg(F.array_sort(F.collect_list("h")).alias("marks"))
+    every = every.select("node", F.slice("marks", F.lit(1), F.greatest(F.lit(0), F.size("marks") - skipped(F.col("n"), percent))).alias("marks")).where("size(marks) > 0")
+    marks = every.join(sets, F.col("node") == F.col("doc_id")).select("node", "marks", "s")
+    large = every.select("node", F.explode("marks").alias("h"))
     blocks = large.groupBy("h").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("m"))
     dealt = large.join(blocks, "h").withColumn("own", F.pmod(F.hash("node"), F.col("m")))
     dealt = dealt.select("h", "node", "own", F.explode(F.sequence(F.lit(0), F.col("m") - 1)).alias("other"))
@@ -459,9 +467,12 @@ def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataF
     met = stored(postings.repartition("h").sortWithinPartitions("h", "n", "g").mapInArrow(_small_pairs(percent), "kind byte, h long, g binary, g2 binary, n long, c long"), "met")
     reps = members.where("n > 0 AND doc_id IS NOT NULL").groupBy("g").agg(F.min("doc_id").alias("node"))
     one, two = reps.select("g", F.col("node").alias("x")), reps.select(F.col("g").alias("g2"), F.col("node").alias("y"))
-    pairs = met.where("kind = 0").groupBy("g", "g2").agg(F.sum("c").alias("c"), F.max("n").alias("least")).where("c >= least")
+    hot = met.where("kind = 1").groupBy("g").agg(F.count("*").alias("large"))
+    pairs = met.where("kind = 0").groupBy("g", "g2").agg(F.sum("c").alias("c"), F.max("n").alias("least")).where(F.col("c") > F.col("least") - DEPTH)
+    pairs = pairs.join(hot, "g", "left").join(hot.select(F.col("g").alias("g2"), F.col("large").alias("large2")), "g2", "left")
+    pairs = pairs.where(F.col("c") >= F.col("least") - F.least(F.lit(DEPTH - 1), F.coalesce("large", F.lit(0)), F.coalesce("large2", F.lit(0))))
     pairs = stored(pairs.join(one, "g").join(two, "g2").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")), "pairs")
-    large = stored(met.where("kind = 1").select("h", "g").join(reps, "g").select("h", "node"), "large")
+    large = stored(met.where("kind = 1").select("h", "g", "n").join(reps, "g").select("h", "node", "n"), "large")
     drop_stored(met)
     nodes = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).unionByName(large.select(F.col("node").alias("doc_id"))).distinct()
     sets = sets_for(nodes, docs, k, ranks)
