@@ -32,7 +32,7 @@ from .common import table
 from .textnum import mix, segment_hashes, slices, utf8
 
 MODEL_PATH = "/opt/tokenizers/piece_bpe_32k.model"
-SLICE, CACHE, SEAMS = 1 << 21, 1 << 20, 1 << 21
+SLICE, CACHE, SEAMS = 1 << 21, 3 << 20, 1 << 21
 SPACE = "▁"
 _B = np.uint64(0x9E3779B97F4A7C15)
 #: Kinds of pieces and of models in the model file.
@@ -243,8 +243,9 @@ class Model:
             self.seam_keys[at[new]], self.seam_ok[at[new]] = key[new], out[new]
         return out
 
-    def encode_equal(self, codes: np.ndarray) -> list[list[int]]:
-        """codes: [m, n] characters of m words of n characters. Piece ids; n_pieces + character for one outside the vocabulary."""
+    def encode_equal(self, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """codes: [m, n] characters of m words of n characters. All words' piece ids in a row (n_pieces + character for one outside the
+        vocabulary), and how many each has."""
         m, n = codes.shape
         other = len(self.names)
         prefix = np.zeros((m, n + 1), np.uint64)
@@ -270,55 +271,78 @@ class Model:
                 better = value > best[rows, i]
                 rows = rows[better]
                 best[rows, i], last[rows, i], back[rows, i] = value[better], t[better], k
-        out: list[list[int]] = [[] for _ in range(m)]
-        at, live = np.full(m, n), np.arange(m)
+        at, live, rows, found = np.full(m, n), np.arange(m), [], []
         while len(live):
-            t = last[live, at[live]]
-            k = np.maximum(back[live, at[live]], 1)
-            for r, x, p in zip(live.tolist(), t.tolist(), at[live].tolist(), strict=True):
-                out[r].append(x if x < other else other + int(codes[r, p - 1]))
-            at[live] -= k
+            here = at[live]
+            t = last[live, here]
+            rows.append(live)
+            found.append(np.where(t < other, t, other + codes[live, here - 1].astype(np.int64)))
+            at[live] -= np.maximum(back[live, here], 1)
             live = live[at[live] > 0]
-        return [x[::-1] for x in out]
+        steps = np.repeat(np.arange(len(rows)), [len(x) for x in rows])
+        row = np.concatenate(rows)
+        order = np.lexsort((-steps, row))
+        return np.concatenate(found)[order], np.bincount(row, minlength=m)
 
-    def spelled(self, ids: list[int]) -> list[int]:
+    def spell(self, ids: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Characters outside the vocabulary as byte pieces, or as the unknown piece."""
         n = len(self.names)
-        if max(ids, default=0) < n:
-            return ids
-        out: list[int] = []
-        for x in ids:
-            if x < n:
-                out.append(x)
-            elif self.bytes_.min() >= 0:
-                out += [int(self.bytes_[b]) for b in chr(x - n).encode("utf-8", "surrogatepass")]
-            else:
-                out.append(self.unk)
-        return out
-
-    def encode_words(self, words: list[tuple[int, str]]) -> list[list[int]]:
-        """Ids of words given as (spaces before, characters)."""
-        out: list[list[int]] = [[] for _ in words]
+        out = np.flatnonzero(ids >= n)
+        if not len(out):
+            return ids, size
+        if self.bytes_.min() < 0:
+            return np.where(ids >= n, self.unk, ids), size
+        chars, which = np.unique(ids[out] - n, return_inverse=True)
+        spelt = [self.bytes_[np.frombuffer(chr(c).encode("utf-8", "surrogatepass"), np.uint8)] for c in chars]
+        width = np.array([len(x) for x in spelt])
+        times = np.ones(len(ids), np.int64)
+        times[out] = width[which.ravel()]
+        word = np.repeat(np.arange(len(size)), size)
+        flat = np.repeat(ids, times)
+        begin = (np.cumsum(times) - times)[out]
+        for k in range(4):
+            own = width[which.ravel()] > k
+            letters = np.array([x[k] if len(x) > k else -1 for x in spelt])
+            flat[begin[own] + k] = letters[which.ravel()[own]]
+        return flat, np.bincount(word, weights=times, minlength=len(size)).astype(np.int64)
+
+    def encode_words(self, words: list[tuple[int, str]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Words given as (spaces before, characters): a pool of ids, where each word's begin in it, and how many it has."""
+        begin, size, pool, filled = np.zeros(len(words), np.int64), np.zeros(len(words), np.int64), [], 0
         by: dict[int, list[int]] = {}
+        special: list[int] = []
         for i, (spaces, core) in enumerate(words):
-            if not core:
-                out[i] = self.lone_spaces(spaces)
-            else:
+            if core:
                 by.setdefault(len(core) + (spaces > 0), []).append(i)
-        space = self.ids.get(SPACE, -1)
+            if spaces > 1 or not core:
+                special.append(i)
         for n, group in by.items():
             step = max(1, min(20_000, 2_000_000 // n))
             for k in range(0, len(group), step):
                 part = group[k : k + step]
                 text = "".join(SPACE + words[i][1] if words[i][0] else words[i][1] for i in part)
                 codes = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32).reshape(len(part), n)
-                for i, ids in zip(part, self.encode_equal(codes), strict=True):
-                    spaces = words[i][0]
-                    if spaces > 1:
-                        alone = ids[0] == space or ids[0] == len(self.names) + ord(SPACE)
-                        ids = self.lone_spaces(spaces) + ids[1:] if alone else self.lone_spaces(spaces - 1) + ids
-                    out[i] = self.spelled(ids)
-        return out
+                ids, count = self.spell(*self.encode_equal(codes))
+                begin[part], size[part] = filled + np.cumsum(count) - count, count
+                pool.append(ids)
+                filled += len(ids)
+        flat = np.concatenate(pool) if pool else np.zeros(0, np.int64)
+        space = self.ids.get(SPACE, -1)
+        unknown_space = [int(self.bytes_[b]) for b in SPACE.encode()] if self.bytes_.min() >= 0 else [self.unk]
+        extra: list[int] = []
+        for i in special:
+            spaces, core = words[i]
+            ids = flat[begin[i] : begin[i] + size[i]].tolist()
+            lead = [space] if space >= 0 else unknown_space
+            if not core:
+                ids = self.lone_spaces(spaces)
+            elif ids[: len(lead)] == lead:
+                ids = self.lone_spaces(spaces) + ids[len(lead) :]
+            else:
+                ids = self.lone_spaces(spaces - 1) + ids
+            begin[i], size[i] = filled + len(extra), len(ids)
+            extra += ids
+        return np.concatenate([flat, np.array(extra, np.int64)]), begin, size
 
 
 class Encoder:
@@ -332,14 +356,11 @@ class Encoder:
         self.keys, self.begin, self.size, self.ids = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int32)
 
     def learn(self, keys: np.ndarray, words: list[tuple[int, str]]) -> None:
-        found = self.model.encode_words(words)
-        size = np.array([len(x) for x in found], np.int64)
-        flat = np.fromiter((y for x in found for y in x), np.int32, int(size.sum()))
-        begin = len(self.ids) + np.cumsum(size) - size
-        self.ids = np.concatenate([self.ids, flat])
-        keys, begin, size = np.concatenate([self.keys, keys]), np.concatenate([self.begin, begin]), np.concatenate([self.size, size])
-        order = np.argsort(keys, kind="stable")
-        self.keys, self.begin, self.size = keys[order], begin[order], size[order]
+        pool, begin, size = self.model.encode_words(words)
+        begin += len(self.ids)
+        self.ids = np.concatenate([self.ids, pool.astype(np.int32)])
+        at = np.searchsorted(self.keys, keys)  # keys are sorted
+        self.keys, self.begin, self.size = (np.insert(x, at, y) for x, y in ((self.keys, keys), (self.begin, begin), (self.size, size)))
 
     def encode(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts in a row, and where each text's ids begin."""
