@@ -42,7 +42,7 @@ from .textnum import shingle_hashes, slices, utf8, word_hashes
 K, PERCENT = 5, 75
 COMMON, MAX_COMMON = 24, 1 << 20
 #: Linked sets share at least so many of the posted shingles (small sets: all that they need to share).
-DEPTH = 16
+DEPTH = 24
 CHUNK = 256
 SMALL, BLOCK = 40, 512
 WORD_SAMPLE, WORDS = 2000, 1024
@@ -212,7 +212,7 @@ def skipped(n, percent: int = PERCENT):
 
 def _small_pairs(percent: int):
     """kind 0: pairs g, g2 of small groups, how often met (c) and how often they must be (n); kind 1: h, g and n (the set's size) of large groups."""
-    schema = pa.schema([("kind", pa.int8()), ("h", pa.int64()), ("g", pa.binary()), ("g2", pa.binary()), ("n", pa.int64()), ("c", pa.int64())])
+    schema = pa.schema([("kind", pa.int8()), ("h", pa.int64()), ("g", pa.binary()), ("g2", pa.binary()), ("n", pa.int32()), ("c", pa.int32())])
 
     def binary(v: np.ndarray) -> pa.Array:
         v = np.ascontiguousarray(v)
@@ -227,7 +227,7 @@ def _small_pairs(percent: int):
             size = np.repeat(np.diff(edge), np.diff(edge))
             large = size > SMALL
             if m := int(large.sum()):
-                yield pa.record_batch([pa.array(np.ones(m, np.int8)), pa.array(h[large]), binary(g[large]), pa.nulls(m, pa.binary()), pa.array(n[large].astype(np.int64)), pa.nulls(m, pa.int64())], schema=schema)
+                yield pa.record_batch([pa.array(np.ones(m, np.int8)), pa.array(h[large]), binary(g[large]), pa.nulls(m, pa.binary()), pa.array(n[large].astype(np.int32)), pa.nulls(m, pa.int32())], schema=schema)
             keep = (size > 1) & ~large
             h, n, pos, g = h[keep], n[keep].astype(np.int64), pos[keep].astype(np.int64), g[keep]
             left, right = [], []
@@ -246,7 +246,7 @@ def _small_pairs(percent: int):
                 # sizes rise within a group and digests within a size, so a pair always stands one way round
                 both, at, count = np.unique(np.stack([g[i], g[j]], 1).view("S32").ravel(), return_index=True, return_counts=True)
                 both, p = both.view("V16").reshape(-1, 2), len(both)
-                yield pa.record_batch([pa.array(np.zeros(p, np.int8)), pa.nulls(p, pa.int64()), binary(both[:, 0]), binary(both[:, 1]), pa.array(least_met(n[i], n[j], percent)[at]), pa.array(count)], schema=schema)
+                yield pa.record_batch([pa.array(np.zeros(p, np.int8)), pa.nulls(p, pa.int64()), binary(both[:, 0]), binary(both[:, 1]), pa.array(least_met(n[i], n[j], percent)[at].astype(np.int32)), pa.array(count.astype(np.int32))], schema=schema)
 
     return run
 
@@ -437,11 +437,9 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 
 def joined_groups(large: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Links inside large groups. large: h, node, n."""
-    every = large.groupBy("node", "n").agg(F.array_sort(F.collect_list("h")).alias("marks"))
-    every = every.select("node", F.slice("marks", F.lit(1), F.greatest(F.lit(0), F.size("marks") - skipped(F.col("n"), percent))).alias("marks")).where("size(marks) > 0")
-    marks = every.join(sets, F.col("node") == F.col("doc_id")).select("node", "marks", "s")
-    large = every.select("node", F.explode("marks").alias("h"))
+    """Links inside large groups. large: node, marks (its large groups, sorted, without those skipped)."""
+    marks = large.join(sets, F.col("node") == F.col("doc_id")).select("node", "marks", "s")
+    large = large.select("node", F.explode("marks").alias("h"))
     blocks = large.groupBy("h").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("m"))
     dealt = large.join(blocks, "h").withColumn("own", F.pmod(F.hash("node"), F.col("m")))
     dealt = dealt.select("h", "node", "own", F.explode(F.sequence(F.lit(0), F.col("m") - 1)).alias("other"))
@@ -464,16 +462,21 @@ def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataF
     order = np.argsort(keys)
     common = spark.sparkContext.broadcast((keys[order], top["c"].to_numpy(np.int64)[order]))
     postings = docs.mapInArrow(_postings(common, k, percent, ranks), "h long, n int, pos int, g binary")
-    met = stored(postings.repartition("h").sortWithinPartitions("h", "n", "g").mapInArrow(_small_pairs(percent), "kind byte, h long, g binary, g2 binary, n long, c long"), "met")
+    met = stored(postings.repartition("h").sortWithinPartitions("h", "n", "g").mapInArrow(_small_pairs(percent), "kind byte, h long, g binary, g2 binary, n int, c int"), "met")
     reps = members.where("n > 0 AND doc_id IS NOT NULL").groupBy("g").agg(F.min("doc_id").alias("node"))
     one, two = reps.select("g", F.col("node").alias("x")), reps.select(F.col("g").alias("g2"), F.col("node").alias("y"))
     hot = met.where("kind = 1").groupBy("g").agg(F.count("*").alias("large"))
-    pairs = met.where("kind = 0").groupBy("g", "g2").agg(F.sum("c").alias("c"), F.max("n").alias("least")).where(F.col("c") > F.col("least") - DEPTH)
+    # counted under a hash of the pair, which is half as wide; the few that pass fetch their digests back
+    pairs = met.where("kind = 0").select("g", "g2", "n", "c", F.xxhash64("g", "g2").alias("pair"))
+    often = stored(pairs.groupBy("pair").agg(F.sum("c").alias("c"), F.min("n").alias("least")).where(F.col("c") > F.col("least") - DEPTH), "often")
+    pairs = pairs.select("g", "g2", "pair").join(F.broadcast(often) if often.count() <= MAX_BROADCAST else often, "pair").dropDuplicates(["g", "g2"])
     pairs = pairs.join(hot, "g", "left").join(hot.select(F.col("g").alias("g2"), F.col("large").alias("large2")), "g2", "left")
     pairs = pairs.where(F.col("c") >= F.col("least") - F.least(F.lit(DEPTH - 1), F.coalesce("large", F.lit(0)), F.coalesce("large2", F.lit(0))))
     pairs = stored(pairs.join(one, "g").join(two, "g2").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")), "pairs")
-    large = stored(met.where("kind = 1").select("h", "g", "n").join(reps, "g").select("h", "node", "n"), "large")
+    groups = met.where("kind = 1").groupBy("g", "n").agg(F.array_sort(F.collect_list("h")).alias("marks")).where(F.size("marks") > skipped(F.col("n"), percent)).join(reps, "g")
+    large = stored(groups.select("node", F.slice("marks", F.lit(1), F.size("marks") - skipped(F.col("n"), percent)).alias("marks")), "large")
     drop_stored(met)
+    drop_stored(often)
     nodes = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).unionByName(large.select(F.col("node").alias("doc_id"))).distinct()
     sets = sets_for(nodes, docs, k, ranks)
     links = verified(pairs, sets, percent).unionByName(joined_groups(large, sets, percent))
