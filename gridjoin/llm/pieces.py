@@ -32,7 +32,7 @@ from .common import table
 from .textnum import mix, segment_hashes, slices, utf8
 
 MODEL_PATH = "/opt/tokenizers/piece_bpe_32k.model"
-SLICE, CACHE, SEAMS = 1 << 21, 3 << 20, 1 << 21
+SLICE, CACHE, SEAMS = 1 << 20, 1 << 20, 1 << 20
 SPACE = "▁"
 _B = np.uint64(0x9E3779B97F4A7C15)
 #: Kinds of pieces and of models in the model file.
@@ -233,7 +233,7 @@ class Model:
     def seam(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         """stands(), by a table of pairs met before; a pair that shares its place with another is found again."""
         key = a.astype(np.int64) << 32 | b
-        at = (mix(key.view(np.uint64)) >> np.uint64(43)).astype(np.int64)
+        at = (mix(key.view(np.uint64)) >> np.uint64(44)).astype(np.int64)
         new = np.flatnonzero(self.seam_keys[at] != key)
         out = self.seam_ok[at]
         if len(new):
