@@ -49,7 +49,7 @@ def is_consistent(slack: Slack, v: dict[str, Fraction]) -> bool:
 
 
 def heavy_sets(slack: Slack, v: dict[str, Fraction]) -> list[tuple[frozenset[str], str]]:
-    return sorted(((u, r) for (r, u), e in slack.items() if total(v, u) >= e and total(v, u) > 0), key=lambda x: (sorted(x[0]), x[1]))
+    return sorted(((u, r) for (r, u), e in slack.items() if total(v, u) >= e), key=lambda x: (sorted(x[0]), x[1]))
 
 
 def max_step(slack: Slack, w: dict[str, Fraction], cover: dict[str, Fraction], delta: Fraction, left: Fraction) -> Fraction:
@@ -65,6 +65,7 @@ def max_step(slack: Slack, w: dict[str, Fraction], cover: dict[str, Fraction], d
 def build_mix(h: Hypergraph, slack: Slack, delta: Fraction | None = None, tie: str = "balanced") -> Mix:
     delta = kappa(h).value if delta is None else delta
     mix = Mix(delta, weights={x: Fraction(0) for x in h.vertices})
+    mix.heavy_sets = heavy_sets(slack, mix.weights)  # a value in every tuple has no slack at all
     left = Fraction(1)
     while left > 0:
         light = frozenset(h.vertices) - mix.heavy
