@@ -13,9 +13,10 @@ shingles of rare words first. Two documents link when 100 * intersection >= 75 *
 3. Groups of at most SMALL classes give their pairs (so at most SMALL for each posting); pairs that pass the size, position and
    count bounds are verified on whole sets. Around a hub, the candidates' sorted sets are walked as a prefix tree: along equal beginnings
    the partial overlap is shared, and a subtree ends when the remaining lengths cannot reach the needed overlap.
-4. Larger groups are joined whole inside blocks of BLOCK classes: each set comes to the group once for each other block of
-   it, intersections are counted within the block, and only links leave it, as a spanning forest. A pair is looked at in the first such
-   group that it shares. So thousands of near copies never become rows of pairs. A class joins all but the last ``skipped`` of its large groups.
+4. Larger groups are joined whole. Groups with the same least member are one cluster (near copies share most of their groups), and each set comes to
+   a cluster once for each block of BLOCK classes that it meets there; intersections of those that share a group are counted
+   within the block, and only links leave it, as a spanning forest. So thousands of near copies never become rows of pairs. A class
+   joins all but the last ``skipped`` of its large groups.
 
 Where a link shares more large groups than either class skips, the first that they share is skipped by neither, and step 4 settles it. Where it shares
 fewer, step 3 has counted all its other postings, and its bound there is lowered by as many as the two classes' large groups can be.
@@ -266,25 +267,24 @@ def forest(a: np.ndarray, b: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray
     return root[own], own
 
 
-def block_links(sets: list[np.ndarray], marks: list[np.ndarray], mark: int, side: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
-    """Linked pairs of a block. marks: each set's large groups (sorted); pairs that share one before ``mark`` are left to that one. side: 0 or 1
-    for two different blocks, whose own pairs are left out; one value for a block with itself."""
+def block_links(sets: list[np.ndarray], marks: list[np.ndarray], side: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """Linked pairs of a block that share a mark (a large group). side: 0 or 1 for two different blocks, whose own pairs are left out; one value for
+    a block with itself."""
     m = len(sets)
     n = np.array([len(s) for s in sets], np.int32)
-    todo = np.triu(np.ones((m, m), bool), 1)
+    todo = np.zeros((m, m), bool)
+    row = np.repeat(np.arange(m), [len(x) for x in marks])
+    _, col = np.unique(np.concatenate(marks), return_inverse=True)
+    col = col.ravel()
+    for c in range(0, int(col.max()) + 1, 1024):
+        own = (col >= c) & (col < c + 1024)
+        dense = np.zeros((m, 1024), np.float32)
+        dense[row[own], col[own] - c] = 1
+        todo |= dense @ dense.T > 0
+    todo &= np.triu(np.ones((m, m), bool), 1)
     if side.min() != side.max():
         todo &= side[:, None] != side[None, :]
     todo &= np.minimum(n[:, None], n[None, :]) * 100 >= percent * np.maximum(n[:, None], n[None, :])
-    early = [x[x < mark] for x in marks]
-    row = np.repeat(np.arange(m), [len(x) for x in early])
-    if len(row):
-        _, col = np.unique(np.concatenate(early), return_inverse=True)
-        col = col.ravel()
-        for c in range(0, int(col.max()) + 1, 1024):
-            own = (col >= c) & (col < c + 1024)
-            dense = np.zeros((m, 1024), np.float32)
-            dense[row[own], col[own] - c] = 1
-            todo &= dense @ dense.T == 0
     i, j = np.nonzero(todo)
     if not len(i):
         return i, j
@@ -322,7 +322,7 @@ def block_links(sets: list[np.ndarray], marks: list[np.ndarray], mark: int, side
 
 
 def _large_groups(percent: int):
-    """Rows sorted by h, c1, c2: a large group's pair of blocks, with node, side, marks and set, to links a, b."""
+    """Rows sorted by cluster, c1, c2: a cluster's pair of blocks, with node, side, marks and set, to links a, b."""
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
     def run(batches):
@@ -331,18 +331,18 @@ def _large_groups(percent: int):
         def links():
             if len(rows) > 1:
                 node, side, marks, sets = zip(*rows, strict=True)
-                i, j = block_links(list(sets), list(marks), key[0], np.array(side), percent)
+                i, j = block_links(list(sets), list(marks), np.array(side), percent)
                 if len(i):
                     node = np.array(node, np.int64)
                     a, b = forest(i, j, len(node))
                     yield pa.record_batch([pa.array(node[a]), pa.array(node[b])], schema=schema)
 
         for batch in pieces(batches):
-            for h, c1, c2, node, side, marks, s in zip(*(batch.column(c).to_pylist() for c in ("h", "c1", "c2", "node", "side", "marks", "s")), strict=True):
-                if (h, c1, c2) != key:
+            for cluster, c1, c2, node, side, marks, s in zip(*(batch.column(c).to_pylist() for c in ("cluster", "c1", "c2", "node", "side", "marks", "s")), strict=True):
+                if (cluster, c1, c2) != key:
                     yield from links()
-                    key, rows = (h, c1, c2), []
-                rows.append((node, side, np.sort(np.array(marks, np.int64)), np.frombuffer(s, np.uint64)))
+                    key, rows = (cluster, c1, c2), []
+                rows.append((node, side, np.array(marks, np.int64), np.frombuffer(s, np.uint64)))
         yield from links()
 
     return run
@@ -438,14 +438,14 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 def joined_groups(large: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Links inside large groups. large: node, marks (its large groups, sorted, without those skipped)."""
-    marks = large.join(sets, F.col("node") == F.col("doc_id")).select("node", "marks", "s")
-    large = large.select("node", F.explode("marks").alias("h"))
-    blocks = large.groupBy("h").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("m"))
-    dealt = large.join(blocks, "h").withColumn("own", F.pmod(F.hash("node"), F.col("m")))
-    dealt = dealt.select("h", "node", "own", F.explode(F.sequence(F.lit(0), F.col("m") - 1)).alias("other"))
-    dealt = dealt.select("h", "node", F.least("own", "other").alias("c1"), F.greatest("own", "other").alias("c2"), (F.col("own") > F.col("other")).cast("int").alias("side"))
-    rows = dealt.join(marks, "node").repartition("h", "c1", "c2").sortWithinPartitions("h", "c1", "c2", "node")
-    return rows.select("h", "c1", "c2", "node", "side", "marks", "s").mapInArrow(_large_groups(percent), "a long, b long")
+    single = large.select("node", F.explode("marks").alias("h"))
+    dealt = single.join(single.groupBy("h").agg(F.min("node").alias("cluster")), "h").groupBy("cluster", "node").agg(F.collect_list("h").alias("marks"))
+    blocks = dealt.groupBy("cluster").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("m"))
+    dealt = dealt.join(blocks, "cluster").withColumn("own", F.pmod(F.hash("node"), F.col("m")))
+    dealt = dealt.select("cluster", "node", "marks", "own", F.explode(F.sequence(F.lit(0), F.col("m") - 1)).alias("other"))
+    dealt = dealt.select("cluster", "node", "marks", F.least("own", "other").alias("c1"), F.greatest("own", "other").alias("c2"), (F.col("own") > F.col("other")).cast("int").alias("side"))
+    rows = dealt.join(sets, F.col("node") == F.col("doc_id")).repartition("cluster", "c1", "c2").sortWithinPartitions("cluster", "c1", "c2", "node")
+    return rows.select("cluster", "c1", "c2", "node", "side", "marks", "s").mapInArrow(_large_groups(percent), "a long, b long")
 
 
 def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataFrame:
