@@ -32,7 +32,7 @@ from .common import table
 from .textnum import mix, segment_hashes, slices, utf8
 
 MODEL_PATH = "/opt/tokenizers/piece_bpe_32k.model"
-SLICE, CACHE, SEAMS = 1 << 20, 1 << 20, 1 << 20
+SLICE, CACHE, SEAMS = 1 << 21, 3 << 20, 1 << 20
 SPACE = "▁"
 _B = np.uint64(0x9E3779B97F4A7C15)
 #: Kinds of pieces and of models in the model file.
@@ -353,14 +353,20 @@ class Encoder:
         self.clear()
 
     def clear(self) -> None:
-        self.keys, self.begin, self.size, self.ids = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int32)
+        kind = np.uint16 if len(self.model.names) <= 1 << 16 else np.int32
+        self.keys, self.begin, self.size = np.zeros(0, np.uint64), np.zeros(0, np.int32), np.zeros(0, np.int32)
+        self.pool, self.filled = np.zeros(1 << 16, kind), 0
 
     def learn(self, keys: np.ndarray, words: list[tuple[int, str]]) -> None:
         pool, begin, size = self.model.encode_words(words)
-        begin += len(self.ids)
-        self.ids = np.concatenate([self.ids, pool.astype(np.int32)])
+        if self.filled + len(pool) > len(self.pool):
+            self.pool = np.concatenate([self.pool[: self.filled], np.zeros(max(len(pool), self.filled // 2), self.pool.dtype)])
+        self.pool[self.filled : self.filled + len(pool)] = pool
         at = np.searchsorted(self.keys, keys)  # keys are sorted
-        self.keys, self.begin, self.size = (np.insert(x, at, y) for x, y in ((self.keys, keys), (self.begin, begin), (self.size, size)))
+        self.keys = np.insert(self.keys, at, keys)
+        self.begin = np.insert(self.begin, at, begin + self.filled)
+        self.size = np.insert(self.size, at, size)
+        self.filled += len(pool)
 
     def encode(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts in a row, and where each text's ids begin."""
@@ -394,9 +400,9 @@ class Encoder:
             raw = data.tobytes()
             self.learn(uniq[new], [(int(spaces[i]), raw[starts[i] : ends[i]].decode("utf-8", "surrogatepass")) for i in one[new]])
         place = np.searchsorted(self.keys, uniq)[inverse.ravel()] if len(uniq) else np.zeros(0, np.int64)
-        size = self.size[place]
+        size = self.size[place].astype(np.int64)
         begin = np.cumsum(size) - size
-        ids = self.ids[np.repeat(self.begin[place] - begin, size) + np.arange(int(size.sum()))]
+        ids = self.pool[np.repeat(self.begin[place] - begin, size) + np.arange(int(size.sum()))].astype(np.int32)
         return ids, np.concatenate([[0], np.cumsum(size)])[at]
 
     def decode(self, ids: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -444,7 +450,6 @@ def encode_texts(docs: DataFrame, model: Model | None = None, text_col: str = "t
         for batch in batches:
             column = _spaced(batch.column(batch.num_columns - 1))
             data, offsets = utf8(column)
-            parts, sizes, same = [np.zeros(0, np.int32)], [np.zeros(0, np.int64)], [np.zeros(0, bool)]
             for i, j in slices(offsets, SLICE):
                 own, at = data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]
                 ids, begin = encoder.encode(own, at)
@@ -455,12 +460,9 @@ def encode_texts(docs: DataFrame, model: Model | None = None, text_col: str = "t
                     equal[np.searchsorted(at, wrong, "right") - 1] = False
                 else:
                     equal &= [back[a:b].tobytes() == own[c:d].tobytes() for a, b, c, d in zip(where[:-1], where[1:], at[:-1], at[1:], strict=True)]
-                parts.append(ids)
-                sizes.append(np.diff(begin))
-                same.append(equal)
-            size = np.concatenate(sizes)
-            lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size)]), pa.int32()), pa.array(np.concatenate(parts), pa.int32()))
-            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in range(len(names))), lists, pa.array(size), pa.array(np.concatenate(same))], names=[*names, "ids", "n_tokens", "round_trip"])
+                lists = pa.ListArray.from_arrays(pa.array(begin, pa.int32()), pa.array(ids, pa.int32()))
+                rows = batch.slice(i, j - i)
+                yield pa.RecordBatch.from_arrays([*(rows.column(k) for k in range(len(names))), lists, pa.array(np.diff(begin)), pa.array(equal)], names=[*names, "ids", "n_tokens", "round_trip"])
 
     ddl = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema.fields)
     return docs.select(*[F.col(f"`{c}`") for c in kept.columns], F.col(text_col).cast("string").alias("__text")).mapInArrow(run, f"{ddl + ', ' if ddl else ''}ids array<int>, n_tokens long, round_trip boolean")
