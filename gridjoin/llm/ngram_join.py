@@ -50,7 +50,7 @@ WORD_SAMPLE, WORDS = 2000, 1024
 #: log2 of the probability at which ranks begin, of a word that is not in the list, and the step of a rank.
 RARE, OTHER, STEP = -46.0, -17.0, 2.0
 MAX_BROADCAST = 1_000_000
-FLUSH = 1 << 21
+FLUSH = 1 << 20
 
 
 Ranks = tuple[np.ndarray, np.ndarray]
@@ -105,7 +105,7 @@ def _scan(k: int, ranks):
 
     def run(batches):
         parts, held, seen = [], 0, set()
-        for batch in batches:
+        for batch in pieces(batches, 1000):
             n, g = [], []
             for s in sets_of(batch.column("text"), k, ranks.value):
                 n.append(len(s))
@@ -132,7 +132,7 @@ def _postings(common, k: int, percent: int, ranks):
     def run(batches):
         keys, counts = common.value
         seen: set[bytes] = set()
-        for batch in batches:
+        for batch in pieces(batches, 1000):  # a posting is wider than its word, so batches are cut
             hs, ns, ps, gs = [], [], [], []
             for s in sets_of(batch.column("text"), k, ranks.value):
                 n = len(s)
@@ -413,7 +413,7 @@ def _set_rows(k: int, ranks):
     schema = pa.schema([("doc_id", pa.int64()), ("s", pa.binary())])
 
     def run(batches):
-        for batch in batches:
+        for batch in pieces(batches, 500):
             yield pa.record_batch([batch.column("doc_id"), pa.array([s.tobytes() for s in sets_of(batch.column("text"), k, ranks.value)], pa.binary())], schema=schema)
 
     return run
