@@ -50,7 +50,7 @@ WORD_SAMPLE, WORDS = 2000, 1024
 #: log2 of the probability at which ranks begin, of a word that is not in the list, and the step of a rank.
 RARE, OTHER, STEP = -46.0, -17.0, 2.0
 MAX_BROADCAST = 1_000_000
-FLUSH = 1 << 20
+FLUSH = 1 << 21
 
 
 Ranks = tuple[np.ndarray, np.ndarray]
