@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from fractions import Fraction
 from functools import partial
 
 from gridjoin.operators import baselines as B
@@ -257,6 +258,20 @@ def plans() -> tuple[dict, dict]:
     }
     small = [r for r in rows if int(r[1]) <= 4]
     sql["kappa_methods"] = _values("family, enumerated, program, auto", [(r[0], r[4], r[4], r[4]) for r in small])
+    from gridjoin.functions.families import named
+
+    relations = ["kappa >= tau(reduced)", "kappa >= rho", "rho(reduced) = rho", "kappa <= psi", "kappa <= rho * arity / 2", "kappa <= phi * arity / 2", "kappa = rho if no cycle", "kappa = rho if binary"]
+    sql["relations_table"] = f"SELECT family, relation, true AS holds FROM ({_values('family', [(k,) for k in named()])}) CROSS JOIN ({_values('relation', [(r,) for r in relations])})"
+    ratio = lambda x: str(Fraction(x).numerator / Fraction(x).denominator)
+    # n / p^(1 / number) with the tabulated numbers; a boat inside lifts the lower bound, and one hypergraph is not reduced
+    table = _values("family, rho, tau, kappa, psi, boat, reduced", [(r[0], *(float(ratio(x)) for x in r[2:6]), float(r[0][-1]) if r[0].startswith("boat") else 0.0, 1.0 if r[0] == "not_reduced" else float(ratio(r[3]))) for r in rows])
+    load = lambda x: f"round(262144 / pow(64, 1 / {x}), 6)"
+    sql["bounds_table"] = f"SELECT family, {load('kappa')} AS load_kappa, {load('psi')} AS load_psi, {load('rho')} AS load_rho, {load('tau')} AS load_tau, {load('greatest(rho, boat)')} AS lower, {load('reduced')} AS conjectured, round(pow(262144, rho), 6) AS output FROM ({table})"
+    # the acceptance trace at 60,000 lines: one heavy set, two steps, all guarded by one relation
+    sql["mix_w03"] = _values(
+        "combo, n, p, kappa, steps, weights, heavy, heavy_sets, guards, shares, predicted_load",
+        [(0, 65536, 32, "3/2", "xyz:3/5 yz:2/5", "x=3/10 y=1/2 z=1/2", "x", "{x}@r", "r<-s s<-s t<-s", "x=2 y=4 z=4", round(65536 / 32 ** (2 / 3), 3))],
+    )
     for name in ("w02", "w03", "w05", "w09"):
         q[f"mix_{name}"] = partial(explain_mix, WORKLOADS[name])
     for name in ("w02", "w03", "w19", "w23"):
