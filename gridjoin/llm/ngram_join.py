@@ -12,7 +12,8 @@ shingles of rare words first. Two documents link when 100 * intersection >= 75 *
    class is passed over.
 3. Groups of at most SMALL classes give their pairs (so at most SMALL for each posting); pairs that pass the size, position and
    count bounds are verified on whole sets. Around a hub, the candidates' sorted sets are walked as a prefix tree: along equal beginnings
-   the partial overlap is shared, and a subtree ends when the remaining lengths cannot reach the needed overlap.
+   the partial overlap is shared, and a subtree ends when the remaining lengths cannot reach the needed overlap. Hubs with
+   one least neighbour are verified together, so that a set goes once to each such cluster.
 4. Larger groups are joined whole. Groups with the same least member are one cluster (near copies share most of their groups), and each set comes to
    a cluster once for each block of BLOCK classes that it meets there; intersections of those that share a group are counted
    within the block, and only links leave it, as a spanning forest. So thousands of near copies never become rows of pairs. A class
@@ -44,8 +45,9 @@ K, PERCENT = 5, 75
 COMMON, MAX_COMMON = 24, 1 << 20
 #: Linked sets share at least so many of the posted shingles (small sets: all that they need to share).
 DEPTH = 24
-CHUNK = 256
-SMALL, BLOCK = 40, 512
+#: Pairs with one least neighbour are verified together up to so many.
+TOGETHER = 4096
+SMALL, BLOCK = 24, 512
 WORD_SAMPLE, WORDS = 2000, 1024
 #: log2 of the probability at which ranks begin, of a word that is not in the list, and the step of a rank.
 RARE, OTHER, STEP = -46.0, -17.0, 2.0
@@ -380,30 +382,28 @@ def tree_matches(hub: np.ndarray, others: list[np.ndarray], percent: int = PERCE
 
 
 def _verify(percent: int):
-    """Rows sorted by hub, chunk and role (the hub itself first) to the links a, b."""
+    """Rows sorted by cluster: node, partners (whose pairs with the node are to be verified), set; to the links a, b."""
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
     def run(batches):
-        key, hub, names, others = None, None, [], []
+        key, sets, todo = None, {}, []
 
         def linked():
-            if hub is not None and others:
-                ok = np.array(names, np.int64)[tree_matches(hub, others, percent)]
-                if len(ok):
-                    yield pa.record_batch([pa.array(np.full(len(ok), key[0])), pa.array(ok)], schema=schema)
-
-        for batch in batches:
-            a, chunk, node, role = (batch.column(c).to_numpy() for c in ("a", "chunk", "node", "role"))
-            for i, s in enumerate(batch.column("s")):
-                if (here := (int(a[i]), int(chunk[i]))) != key:
+            for node, partners in todo:
+                near = [p for p in partners if p in sets]
+                if node in sets and near:
+                    ok = np.array(near, np.int64)[tree_matches(sets[node], [sets[p] for p in near], percent)]
+                    if len(ok):
+                        yield pa.record_batch([pa.array(np.full(len(ok), node)), pa.array(ok)], schema=schema)
+
+        for batch in pieces(batches):
+            for cluster, node, partners, s in zip(*(batch.column(c).to_pylist() for c in ("cluster", "node", "partners", "s")), strict=True):
+                if cluster != key:
                     yield from linked()
-                    key, hub, names, others = here, None, [], []
-                values = np.frombuffer(s.as_buffer(), np.uint64)
-                if role[i] == 0:
-                    hub = values
-                else:
-                    names.append(int(node[i]))
-                    others.append(values)
+                    key, sets, todo = cluster, {}, []
+                sets[node] = np.frombuffer(s, np.uint64)
+                if partners:
+                    todo.append((node, partners))
         yield from linked()
 
     return run
@@ -427,13 +427,17 @@ def sets_for(nodes: DataFrame, docs: DataFrame, k: int, ranks) -> DataFrame:
 
 
 def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b of doc_ids) that link, on the whole sets."""
-    chunks = pairs.groupBy("a").agg(F.ceil(F.count("*") / CHUNK).cast("int").alias("m"))
-    pairs = pairs.join(chunks, "a").select("a", F.pmod(F.hash("b"), F.col("m")).alias("chunk"), "b")
-    hubs = pairs.select("a", "chunk").distinct().join(sets, F.col("a") == F.col("doc_id")).select("a", "chunk", F.col("a").alias("node"), "s", F.lit(0).alias("role"))
-    rest = pairs.join(sets, F.col("b") == F.col("doc_id")).select("a", "chunk", F.col("b").alias("node"), "s", F.lit(1).alias("role"))
-    rows = hubs.unionByName(rest).repartition("a", "chunk").sortWithinPartitions("a", "chunk", "role")
-    return rows.select("a", "chunk", "node", "role", "s").mapInArrow(_verify(percent), "a long, b long")
+    """The pairs (a < b of doc_ids) that link, on the whole sets. A node has at most SMALL partners for each posted shingle, and a cluster of
+    more than TOGETHER pairs is taken apart into its hubs."""
+    least = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))).groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("cluster"))
+    led = pairs.join(least, "a")
+    led = led.join(led.groupBy("cluster").agg(F.count("*").alias("pairs")), "cluster")
+    led = led.select(F.when(F.col("pairs") > TOGETHER, F.col("a")).otherwise(F.col("cluster")).alias("cluster"), "a", "b")
+    none = F.lit(None).cast("long")
+    members = led.select("cluster", F.col("a").alias("node"), F.col("b").alias("partner")).unionByName(led.select("cluster", F.col("b").alias("node"), none.alias("partner")))
+    members = members.groupBy("cluster", "node").agg(F.collect_list("partner").alias("partners"))
+    rows = members.join(sets, F.col("node") == F.col("doc_id")).repartition("cluster").sortWithinPartitions("cluster", "node")
+    return rows.select("cluster", "node", "partners", "s").mapInArrow(_verify(percent), "a long, b long")
 
 
 def joined_groups(large: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -467,8 +471,11 @@ def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataF
     one, two = reps.select("g", F.col("node").alias("x")), reps.select(F.col("g").alias("g2"), F.col("node").alias("y"))
     hot = met.where("kind = 1").groupBy("g").agg(F.count("*").alias("large"))
     # counted under a hash of the pair, which is half as wide; the few that pass fetch their digests back
-    pairs = met.where("kind = 0").select("g", "g2", "n", "c", F.xxhash64("g", "g2").alias("pair"))
-    often = stored(pairs.groupBy("pair").agg(F.sum("c").alias("c"), F.min("n").alias("least")).where(F.col("c") > F.col("least") - DEPTH), "often")
+    # the low bits of that hash are the count that a pair must reach (more than 4094 is written as 4095, which only lets more pairs through)
+    key = F.xxhash64("g", "g2").bitwiseAND(F.lit(~4095)).bitwiseOR(F.least(F.col("n"), F.lit(4095)).cast("long"))
+    pairs = met.where("kind = 0").select("g", "g2", "c", key.alias("pair"))
+    often = pairs.groupBy("pair").agg(F.sum("c").alias("c")).withColumn("least", F.col("pair").bitwiseAND(F.lit(4095)))
+    often = stored(often.where(F.col("c") > F.col("least") - DEPTH), "often")
     pairs = pairs.select("g", "g2", "pair").join(F.broadcast(often) if often.count() <= MAX_BROADCAST else often, "pair").dropDuplicates(["g", "g2"])
     pairs = pairs.join(hot, "g", "left").join(hot.select(F.col("g").alias("g2"), F.col("large").alias("large2")), "g2", "left")
     pairs = pairs.where(F.col("c") >= F.col("least") - F.least(F.lit(DEPTH - 1), F.coalesce("large", F.lit(0)), F.coalesce("large2", F.lit(0))))
