@@ -264,9 +264,9 @@ def plans() -> tuple[dict, dict]:
     sql["relations_table"] = f"SELECT family, relation, true AS holds FROM ({_values('family', [(k,) for k in named()])}) CROSS JOIN ({_values('relation', [(r,) for r in relations])})"
     ratio = lambda x: str(Fraction(x).numerator / Fraction(x).denominator)
     # n / p^(1 / number) with the tabulated numbers; a boat inside lifts the lower bound, and one hypergraph is not reduced
-    table = _values("family, rho, tau, kappa, psi, boat, reduced", [(r[0], *(float(ratio(x)) for x in r[2:6]), float(r[0][-1]) if r[0].startswith("boat") else 0.0, 1.0 if r[0] == "not_reduced" else float(ratio(r[3]))) for r in rows])
+    table = _values("family, rho, tau, kappa, psi, phi, boat, reduced", [(r[0], *(float(ratio(x)) for x in r[2:6]), float(ratio(r[6])) * named()[r[0]].arity / 2, float(r[0][-1]) if r[0].startswith("boat") else 0.0, 1.0 if r[0] == "not_reduced" else float(ratio(r[3]))) for r in rows])
     load = lambda x: f"round(262144 / pow(64, 1 / {x}), 6)"
-    sql["bounds_table"] = f"SELECT family, {load('kappa')} AS load_kappa, {load('psi')} AS load_psi, {load('rho')} AS load_rho, {load('tau')} AS load_tau, {load('greatest(rho, boat)')} AS lower, {load('reduced')} AS conjectured, round(pow(262144, rho), 6) AS output FROM ({table})"
+    sql["bounds_table"] = f"SELECT family, {load('kappa')} AS load_kappa, {load('psi')} AS load_psi, {load('rho')} AS load_rho, {load('tau')} AS load_tau, {load('phi')} AS load_phi, {load('greatest(rho, boat)')} AS lower, {load('reduced')} AS conjectured, round(pow(262144, rho), 6) AS output FROM ({table})"
     # the acceptance trace at 60,000 lines: one heavy set, two steps, all guarded by one relation
     sql["mix_w03"] = _values(
         "combo, n, p, kappa, steps, weights, heavy, heavy_sets, guards, shares, predicted_load",
@@ -315,6 +315,29 @@ def operators() -> tuple[dict, dict]:
     def two(a, b, fn):
         return lambda s, d: fn(load(s, d, a), load(s, d, b))
 
+    def copied(fmt):
+        def run(s, d):
+            from gridjoin.sources.tables import read_text_formats, write
+            from gridjoin.streaming.streams import checkpoint_of
+
+            path = checkpoint_of(s, f"nation-{fmt}")
+            write(load(s, d, "nation"), path, fmt)
+            return read_text_formats(s, path, fmt, "n_nationkey int, n_name string, n_regionkey int")
+
+        return run
+
+    for fmt in ("csv", "json", "orc"):
+        add(f"op_j02_{fmt}", copied(fmt), "SELECT n_nationkey, n_name, n_regionkey FROM nation")
+
+    def partitioned(s, d):
+        from gridjoin.sources.tables import write
+        from gridjoin.streaming.streams import checkpoint_of
+
+        path = checkpoint_of(s, "events-by-type")
+        write(load(s, d, "events", ["event_id", "event_type"]), path, "parquet", ["event_type"])
+        return s.read.parquet(path).where("event_type = 'click'").select("event_id")
+
+    add("op_j07_partitioned", partitioned, "SELECT event_id FROM events WHERE event_type = 'click'")
     oc = ["o_orderkey", "o_custkey"]
     add("op_j01_load", lambda s, d: load(s, d, "nation", ["n_nationkey", "n_name"]), "SELECT n_nationkey, n_name FROM nation")
     add("op_j03_keys", lambda s, d: s.range(100).withColumnRenamed("id", "k"), "SELECT range AS k FROM range(100)")

@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridjoin.functions.hypergraph import Hypergraph
-from gridjoin.functions.measures import boat_inside, kappa, psi_star, rho_star, tau_star
+from gridjoin.functions.measures import boat_inside, kappa, phi, psi_star, rho_star, tau_star
 
 from .covermix import Combo, Plan, intermediates
 from .grid import CELL, replicate
@@ -115,6 +115,37 @@ def expected_output(h: Hypergraph, n: int, chances: list[float]) -> float:
     return float(n) ** float(tau_star(h).value) * prod(chances)
 
 
+def acyclic_load(tuples_in: int, tuples_out: int, p: int) -> tuple[float, float]:
+    """Loads of acyclic joins: of the full reducer, and of the output-sensitive improvement that is not executed here."""
+    return (tuples_in + tuples_out) / p, (tuples_in + (tuples_in * tuples_out) ** 0.5) / p
+
+
+def packing_load(h: Hypergraph, n: int, p: int) -> float:
+    """Of the algorithm with a load by the generalised vertex packing and the arity, n / p^(2 / (arity * phi)); not executed here."""
+    return predicted_load(phi(h).value * h.arity / 2, n, p)
+
+
+@dataclass
+class RunReport:
+    """One run of a plan: seconds, result rows, and the exchanges that were planned."""
+
+    seconds: float
+    rows: int
+    exchanges: dict[str, int]
+
+
+def measure(df: DataFrame) -> RunReport:
+    """Runs a plan into the noop sink; rows are counted on the way."""
+    import time
+
+    from pyspark.sql import Observation
+
+    seen = Observation()
+    began = time.time()
+    df.observe(seen, F.count(F.lit(1)).alias("rows")).write.format("noop").mode("overwrite").save()
+    return RunReport(time.time() - began, seen.get["rows"], dict(exchanges(df)))
+
+
 def bounds_row(name: str, h: Hypergraph, n: int, p: int) -> dict:
     return {
         "family": name,
@@ -122,6 +153,7 @@ def bounds_row(name: str, h: Hypergraph, n: int, p: int) -> dict:
         "load_psi": predicted_load(psi_star(h).value, n, p),
         "load_rho": predicted_load(rho_star(h).value, n, p),
         "load_tau": predicted_load(tau_star(h).value, n, p),
+        "load_phi": packing_load(h, n, p),
         "lower": lower_bound(h, n, p),
         "conjectured": conjectured_bound(h, n, p),
         "output": output_bound(h, n),

@@ -165,3 +165,16 @@ def test_absorbed(spark):
     small = q.absorbed()
     assert len(small.atoms) == 1 and rows_of(small.atoms[0].df) == [(1, 2)]
     assert natural_join(frame(spark, "a", [[1]]), frame(spark, "b", [[2]])).count() == 1
+
+
+def test_run_report_and_loads(spark):
+    from gridjoin.plans.cost import acyclic_load, combo_load, measure, output_bound
+
+    q = JoinQuery({k: f for k, f in triangle_instance(spark, 512, 64).items()})
+    report = measure(B.hypercube_join(q, 8))
+    assert report.rows == B.cascade_join(q).count() and report.exchanges["REPARTITION_BY_NUM"] >= 0
+    plan = C.preprocess(q, 8, lower_p=False)
+    for c in plan.combos:
+        load = combo_load(plan, c)
+        assert load.machines <= 8 and load.max_load <= load.sent and load.skew >= 1
+    assert report.rows <= output_bound(plan.hypergraph, plan.n) and acyclic_load(100, 400, 10) == (50.0, 30.0)
