@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from gridjoin.functions.hypergraph import Hypergraph
 from gridjoin.functions.measures import kappa
 
-from .degrees import Signature, combos, signatures, uniformize
+from .degrees import LIGHT, Signature, combos, signatures, subsets_in_order, uniformize
 from .grid import grid_join
 from .query import Atom, JoinQuery, max_machines, natural_join, power_of_two
 from .weights import Mix, build_mix, find_guards, integer_shares, search_delta
@@ -93,17 +93,20 @@ def plan_combo(h: Hypergraph, atoms: dict[str, frozenset[str]], parts: dict[str,
 def preprocess(query: JoinQuery, p: int, delta: str | Fraction = "kappa", clamp: bool = True, lower_p: bool = True, normalized: bool = False) -> Plan:
     """Sizes, parts and one plan for each combination. p becomes a power of two, and no larger than the cube root of n allows unless lower_p is False."""
     query = query if normalized else query.normalized()
-    counts = query.counts()
+    tops = query.tops()
+    counts = {a: c for a, (c, _) in tops.items()}
     n = 1 << power_of_two(max(counts.values(), default=0))
     p = 1 << (max(1, p).bit_length() - 1)
     p = min(p, max_machines(n)) if lower_p else p
     h = query.hypergraph
-    tagged = {a.name: uniformize(a.df, list(a.vars), n, p, clamp) for a in query.atoms}
+    tagged = {a.name: uniformize(a.df, list(a.vars), n, p, clamp, tops=tops[a.name][1]) for a in query.atoms}
     plan = Plan(query, h, n, p, tagged)
     if min(counts.values(), default=0) == 0:
         return plan
     atoms = {a.name: frozenset(a.vars) for a in query.atoms}
-    found = {a.name: signatures(tagged[a.name], list(a.vars)) for a in query.atoms}
+    # an atom without a heavy value has one part, of known size
+    light = {a.name for a in query.atoms if clamp and all(c <= n // p for c in tops[a.name][1].values())}
+    found = {a.name: [Signature(tuple((u, LIGHT) for u in subsets_in_order(list(a.vars))), counts[a.name])] if a.name in light else signatures(tagged[a.name], list(a.vars)) for a in query.atoms}
     plan.combos = [plan_combo(h, atoms, parts, plan.m, plan.k, delta) for parts in combos(found)]
     return plan
 

@@ -48,8 +48,9 @@ def bucket_name(subset: tuple[str, ...]) -> str:
     return "b_" + "_".join(subset)
 
 
-def uniformize(df: DataFrame, variables: list[str], n: int, p: int, clamp: bool = True, method: str = "join") -> DataFrame:
-    """df with a bucket column for each proper subset of the variables, by increasing size, each inside the parts made before."""
+def uniformize(df: DataFrame, variables: list[str], n: int, p: int, clamp: bool = True, method: str = "join", tops: dict[str, int] | None = None) -> DataFrame:
+    """df with a bucket column for each proper subset of the variables, by increasing size, each inside the parts made before. tops: the largest degree of
+    each variable, if known; where that is light, no part has a heavier one and nothing is counted."""
     spark = df.sparkSession
     done: list[tuple[str, ...]] = []
     heavy_sets: set[tuple[str, ...]] = set()
@@ -62,7 +63,7 @@ def uniformize(df: DataFrame, variables: list[str], n: int, p: int, clamp: bool
         # a set with a light subset is light, so only tuples that are heavy in all subsets are counted
         inside = [s for s in done if set(s) < set(u)]
         found = []
-        if heavy_sets.issuperset(inside):
+        if heavy_sets.issuperset(inside) and (tops is None or all(tops[v] > n // p for v in u)):
             rows = df
             for s in inside:
                 rows = rows.where(F.col(bucket_name(s)) != LIGHT)

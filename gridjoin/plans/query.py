@@ -90,6 +90,18 @@ class JoinQuery:
         return {a.name: found.get(a.name, 0) for a in self.atoms}
 
 
+    def tops(self) -> dict[str, tuple[int, dict[str, int]]]:
+        """Tuples and largest degree of each variable of each atom, in one job: the atoms' exchanges are shared by its branches."""
+        parts = []
+        for a in self.atoms:
+            for v in a.vars:
+                parts.append(a.df.groupBy(v).agg(F.count("*").alias("__deg")).agg(F.sum("__deg").alias("n"), F.max("__deg").alias("most")).select(F.lit(a.name).alias("atom"), F.lit(v).alias("var"), "n", "most"))
+        out: dict[str, tuple[int, dict[str, int]]] = {}
+        for r in reduce(DataFrame.unionAll, parts).collect():
+            out[r["atom"]] = (r["n"] or 0, out.get(r["atom"], (0, {}))[1] | {r["var"]: r["most"] or 0})
+        return out
+
+
 def natural_join(a: DataFrame, b: DataFrame, hint: str | None = None) -> DataFrame:
     shared = [c for c in a.columns if c in b.columns]
     b = b.hint(hint) if hint else b
