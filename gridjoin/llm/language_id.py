@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import lean, pieces, table
 from .textnum import segment_hashes, slices, utf8
 
 PER_LANG, SEGMENTS, SEGMENT = 150, 3000, 16
@@ -260,13 +260,13 @@ def identify(docs: DataFrame, learn_from: DataFrame) -> DataFrame:
     arrow = to_arrow_schema(schema)
 
     def run(batches):
-        for batch in batches:
+        for batch in pieces(batches, 2000):
             lang, score = predict(model.value, batch.column(names.index("text")))
             arrays = [batch.column(k) for k in range(len(names))]
             yield pa.RecordBatch.from_arrays([*arrays, pa.array(lang, pa.string()), pa.array(score)], names=[*arrow.names, "lang_pred", "score"])
 
     ddl = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in schema.fields)
-    return docs.mapInArrow(run, f"{ddl}, lang_pred string, score double")
+    return docs.mapInArrow(lean(run), f"{ddl}, lang_pred string, score double")
 
 
 def fold(docs: DataFrame, m: int):

@@ -37,7 +37,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import drop_stored, pieces, stored, table
+from .common import drop_stored, lean, pieces, stored, table
 from .components import connected_components
 from .textnum import shingle_hashes, slices, utf8, word_hashes
 
@@ -423,7 +423,7 @@ def sets_for(nodes: DataFrame, docs: DataFrame, k: int, ranks) -> DataFrame:
     """doc_id, s (the set) for the documents in nodes (doc_id)."""
     small = nodes.limit(MAX_BROADCAST + 1).count() <= MAX_BROADCAST
     texts = docs.join(F.broadcast(nodes) if small else nodes, "doc_id", "left_semi")
-    return stored(texts.mapInArrow(_set_rows(k, ranks), "doc_id long, s binary"), "sets", compression="none")
+    return stored(texts.mapInArrow(lean(_set_rows(k, ranks)), "doc_id long, s binary"), "sets", compression="none")
 
 
 def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -437,7 +437,7 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     members = led.select("cluster", F.col("a").alias("node"), F.col("b").alias("partner")).unionByName(led.select("cluster", F.col("b").alias("node"), none.alias("partner")))
     members = members.groupBy("cluster", "node").agg(F.collect_list("partner").alias("partners"))
     rows = members.join(sets, F.col("node") == F.col("doc_id")).repartition("cluster").sortWithinPartitions("cluster", "node")
-    return rows.select("cluster", "node", "partners", "s").mapInArrow(_verify(percent), "a long, b long")
+    return rows.select("cluster", "node", "partners", "s").mapInArrow(lean(_verify(percent)), "a long, b long")
 
 
 def joined_groups(large: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -449,7 +449,7 @@ def joined_groups(large: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     dealt = dealt.select("cluster", "node", "marks", "own", F.explode(F.sequence(F.lit(0), F.col("m") - 1)).alias("other"))
     dealt = dealt.select("cluster", "node", "marks", F.least("own", "other").alias("c1"), F.greatest("own", "other").alias("c2"), (F.col("own") > F.col("other")).cast("int").alias("side"))
     rows = dealt.join(sets, F.col("node") == F.col("doc_id")).repartition("cluster", "c1", "c2").sortWithinPartitions("cluster", "c1", "c2", "node")
-    return rows.select("cluster", "c1", "c2", "node", "side", "marks", "s").mapInArrow(_large_groups(percent), "a long, b long")
+    return rows.select("cluster", "c1", "c2", "node", "side", "marks", "s").mapInArrow(lean(_large_groups(percent)), "a long, b long")
 
 
 def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataFrame:
@@ -458,15 +458,15 @@ def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataF
     docs = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
     some = [r[0] for r in docs.select("doc_id").where("doc_id IS NOT NULL").orderBy(F.xxhash64("doc_id"), "doc_id").limit(WORD_SAMPLE).collect()]
     ranks = spark.sparkContext.broadcast(word_ranks([r[0] or "" for r in docs.where(F.col("doc_id").isin(some)).select("text").collect()] if some else []))
-    scanned = stored(docs.mapInArrow(_scan(k, ranks), "kind byte, doc_id long, n long, g binary, h long, c long"), "scan")
+    scanned = stored(docs.mapInArrow(lean(_scan(k, ranks)), "kind byte, doc_id long, n long, g binary, h long, c long"), "scan")
     members = scanned.where("kind = 0").select("doc_id", "n", "g")
     counts = scanned.where("kind = 1").groupBy("h").agg(F.sum("c").alias("c")).where(F.col("c") >= COMMON)
     top = counts.orderBy(F.desc("c"), "h").limit(MAX_COMMON).toPandas()
     keys = top["h"].to_numpy(np.int64).view(np.uint64)
     order = np.argsort(keys)
     common = spark.sparkContext.broadcast((keys[order], top["c"].to_numpy(np.int64)[order]))
-    postings = docs.mapInArrow(_postings(common, k, percent, ranks), "h long, n int, pos int, g binary")
-    met = stored(postings.repartition("h").sortWithinPartitions("h", "n", "g").mapInArrow(_small_pairs(percent), "kind byte, h long, g binary, g2 binary, n int, c int"), "met")
+    postings = docs.mapInArrow(lean(_postings(common, k, percent, ranks)), "h long, n int, pos int, g binary")
+    met = stored(postings.repartition("h").sortWithinPartitions("h", "n", "g").mapInArrow(lean(_small_pairs(percent)), "kind byte, h long, g binary, g2 binary, n int, c int"), "met")
     reps = members.where("n > 0 AND doc_id IS NOT NULL").groupBy("g").agg(F.min("doc_id").alias("node"))
     one, two = reps.select("g", F.col("node").alias("x")), reps.select(F.col("g").alias("g2"), F.col("node").alias("y"))
     hot = met.where("kind = 1").groupBy("g").agg(F.count("*").alias("large"))

@@ -28,7 +28,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import lean, table
 from .textnum import mix, segment_hashes, slices, utf8
 
 MODEL_PATH = "/opt/tokenizers/piece_bpe_32k.model"
@@ -465,7 +465,7 @@ def encode_texts(docs: DataFrame, model: Model | None = None, text_col: str = "t
                 yield pa.RecordBatch.from_arrays([*(rows.column(k) for k in range(len(names))), lists, pa.array(np.diff(begin)), pa.array(equal)], names=[*names, "ids", "n_tokens", "round_trip"])
 
     ddl = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema.fields)
-    return docs.select(*[F.col(f"`{c}`") for c in kept.columns], F.col(text_col).cast("string").alias("__text")).mapInArrow(run, f"{ddl + ', ' if ddl else ''}ids array<int>, n_tokens long, round_trip boolean")
+    return docs.select(*[F.col(f"`{c}`") for c in kept.columns], F.col(text_col).cast("string").alias("__text")).mapInArrow(lean(run), f"{ddl + ', ' if ddl else ''}ids array<int>, n_tokens long, round_trip boolean")
 
 
 def decode_ids(rows: DataFrame, model: Model | None = None, ids_col: str = "ids") -> DataFrame:
@@ -489,7 +489,7 @@ def decode_ids(rows: DataFrame, model: Model | None = None, ids_col: str = "ids"
             yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in range(len(names))), pa.array(text, pa.string())], names=[*names, "text"])
 
     ddl = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema.fields)
-    return rows.select(*[F.col(f"`{c}`") for c in kept.columns], F.col(ids_col).cast("array<int>").alias("__ids")).mapInArrow(run, f"{ddl + ', ' if ddl else ''}text string")
+    return rows.select(*[F.col(f"`{c}`") for c in kept.columns], F.col(ids_col).cast("array<int>").alias("__ids")).mapInArrow(lean(run), f"{ddl + ', ' if ddl else ''}text string")
 
 
 def op3_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
