@@ -19,6 +19,7 @@ from pyspark.sql import functions as F
 
 from gridjoin.functions.hypergraph import Hypergraph
 from gridjoin.functions.measures import kappa
+from gridjoin.sources.tables import staged
 
 from .degrees import LIGHT, Signature, combos, signatures, subsets_in_order, uniformize
 from .grid import grid_join
@@ -99,14 +100,16 @@ def preprocess(query: JoinQuery, p: int, delta: str | Fraction = "kappa", clamp:
     p = 1 << (max(1, p).bit_length() - 1)
     p = min(p, max_machines(n)) if lower_p else p
     h = query.hypergraph
+    # relations with heavy values are read by a job for each subset that may be heavy, and by the join
+    heavy = {a for a, (_, t) in tops.items() if any(c > n // p for c in t.values())}
+    query = JoinQuery([a.with_frame(staged(a.df, "atom")) if a.name in heavy else a for a in query.atoms])
     tagged = {a.name: uniformize(a.df, list(a.vars), n, p, clamp, tops=tops[a.name][1]) for a in query.atoms}
     plan = Plan(query, h, n, p, tagged)
     if min(counts.values(), default=0) == 0:
         return plan
     atoms = {a.name: frozenset(a.vars) for a in query.atoms}
-    # an atom without a heavy value has one part, of known size
-    light = {a.name for a in query.atoms if clamp and all(c <= n // p for c in tops[a.name][1].values())}
-    found = {a.name: [Signature(tuple((u, LIGHT) for u in subsets_in_order(list(a.vars))), counts[a.name])] if a.name in light else signatures(tagged[a.name], list(a.vars)) for a in query.atoms}
+    # a relation without a heavy value has one part, of known size
+    found = {a.name: [Signature(tuple((u, LIGHT) for u in subsets_in_order(list(a.vars))), counts[a.name])] if clamp and a.name not in heavy else signatures(tagged[a.name], list(a.vars)) for a in query.atoms}
     plan.combos = [plan_combo(h, atoms, parts, plan.m, plan.k, delta) for parts in combos(found)]
     return plan
 

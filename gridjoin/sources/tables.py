@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
+import tempfile
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -48,6 +53,27 @@ def write_bucketed(df: DataFrame, table: str, buckets: int, by: list[str]) -> No
     df.write.mode("overwrite").bucketBy(buckets, *by).sortBy(*by).saveAsTable(table)
 
 
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that driver and executors share; a temporary one where the session names none (tests)."""
+    global _own_dir
+    if found := spark.conf.get("spark.checkpoint.dir", None):
+        return found.rstrip("/")
+    if _own_dir is None:
+        _own_dir = tempfile.mkdtemp(prefix="gridjoin_")
+        atexit.register(shutil.rmtree, _own_dir, ignore_errors=True)
+    return f"file://{_own_dir}"
+
+
+_own_dir: str | None = None
+
+
+def staged(df: DataFrame, name: str) -> DataFrame:
+    """df as a written table in the shared folder: several jobs read it, and a lost executor does not bring its lineage back."""
+    path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def drain(df: DataFrame) -> None:
     """Runs a plan and keeps nothing."""
     df.write.format("noop").mode("overwrite").save()

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -13,11 +12,11 @@ from pyspark.sql import functions as F
 from gridjoin.operators.baselines import cascade_join
 from gridjoin.plans.covermix import cover_mix_join
 from gridjoin.plans.query import Atom, JoinQuery
+from gridjoin.sources.tables import shared_dir
 
 
 def checkpoint_of(spark: SparkSession, name: str) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.mkdtemp(prefix='gridjoin_stream_')}"
-    return f"{base.rstrip('/')}/stream-{name}-{uuid.uuid4().hex}"
+    return f"{shared_dir(spark)}/stream-{name}-{uuid.uuid4().hex}"
 
 
 def stream_degrees(sdf: DataFrame, keys: list[str], window: str, watermark: str, ts: str = "ts", slide: str | None = None, gap: str | None = None) -> DataFrame:
