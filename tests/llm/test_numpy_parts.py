@@ -124,6 +124,19 @@ def test_gru_gradients_and_normalisation():
     assert np.isclose(np.exp(lm_score.token_logs(m, states, np.arange(lm_score.VOCAB))).sum(), 1)
 
 
+def test_training_reads_the_whole_sample(monkeypatch):
+    seen = []
+
+    def window(m, inputs, targets, h):
+        seen.append(inputs.size)
+        return 0.0, {k: np.zeros_like(v) for k, v in m.items()}, h
+
+    monkeypatch.setattr(lm_score, "window_loss", window)
+    n = 1_000_000
+    lm_score.train(np.zeros(n, np.int64), epochs=1)
+    assert n - lm_score.STREAMS <= sum(seen) < n
+
+
 def test_scores_do_not_depend_on_batching():
     m = lm_score.fresh_model()
     rng = np.random.default_rng(2)
