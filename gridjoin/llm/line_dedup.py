@@ -1,19 +1,19 @@
-"""Operator 9, line deduplication by winnowing over line hashes. [native]
+"""Operator 9, line deduplication by blocks of line hashes. [native]
 
-A document's units are its lines that hold a word. From each unit starts a gram: the fewest whole units that reach GRAM words. Among
-the grams inside each smallest block of units that reaches RUN words, the least gram hash is a fingerprint (ties: the last). Two
-documents that share a run of units of at least RUN words share the run's first block, so they share a fingerprint, whatever
-surrounds the run.
+A document's units are its lines that hold a word. A block is the fewest whole units that reach RUN words, counted from a unit on or back
+from a unit. Two documents that share a run of units of at least RUN words share every block inside it, and these cover the run: a unit too
+near its end for a block from it on lies in the block that ends with the run.
 
-Each fingerprint meets its first occurrence (least doc_id, then place). The hits of a document on one first document at one distance are a
-diagonal. Along it the match is extended both ways over equal lines, up to RUN units before its first and after its last hit (further on the
-run has fingerprints of its own), and each unbroken run of equal lines with at least RUN words is deleted from the later place. The
+Each block meets its first occurrence (least doc_id, then place) and is deleted from every later place. So a unit goes exactly when some
+run of at least RUN words around it stands at an earlier place too, whatever surrounds the run and wherever parts of it stood before. The
 first occurrence stays, within one document too.
 
 Plan: line hashes are made from the text (no text is shuffled), windows run within a document, the first occurrence is a
-minimum with a partial aggregate, and only repeated fingerprints are joined to line hashes. A fingerprint that a third of the documents
+minimum with a partial aggregate, and only repeated blocks are joined back. A block that a third of the documents
 share is linked to its first place only, never in pairs. The text is read again for the result and joined to the deletions.
 
+The SQL links winnowed fingerprints of GRAM words instead and misses a run whose only fingerprint stood alone in an earlier document.
+
 Defined cases: null text stays null and has no lines; empty text is one empty line, never deleted. Rows that repeat both doc_id and
 text are one document, deleted from alike. Null doc_id sorts first and is a document as others. Empty tables give no rows.
 Other columns pass through dedup_lines() unread.
@@ -46,56 +46,34 @@ def line_units(docs: DataFrame) -> DataFrame:
     return df.where("nw > 0").repartition("doc_id", "th")
 
 
-def fingerprints(units: DataFrame) -> DataFrame:
-    """doc_id, th, u (place among the units), ke (units of the gram), fp (hash of the gram)."""
+def blocks(units: DataFrame) -> DataFrame:
+    """doc_id, th, lo and hi (first and last line), k1 and k2 (two hashes of the block's line hashes): the smallest block of RUN words from each
+    unit on, and the smallest up to each unit where it is not one of these."""
     units = units.dropDuplicates(["doc_id", "th", "ln"])
     by_line = Window.partitionBy("doc_id", "th").orderBy("ln")
-    by_word = Window.partitionBy("doc_id", "th").orderBy("cb")
-    gram, block = by_word.rangeBetween(0, GRAM - 1), by_word.rangeBetween(0, RUN - 1)
-    df = units.select("doc_id", "th", "h", "nw", (F.sum("nw").over(by_line) - F.col("nw")).alias("cb"), (F.row_number().over(by_line) - 1).alias("u"))
-    df = df.select("doc_id", "th", "cb", "u", F.collect_list("h").over(gram).alias("hs"), F.sum("nw").over(gram).alias("gw"), F.sum("nw").over(block).alias("bw"))
-    df = df.select("doc_id", "th", "cb", "u", "gw", "bw", F.size("hs").alias("ke"), _hash(F.array_join(F.transform("hs", lambda x: x.cast("string")), ",")).alias("fp"))
-    df = df.withColumn("near", F.collect_list(F.struct("fp", (-F.col("cb")).alias("nc"))).over(block))
-    least = F.array_min(F.filter("near", lambda x: -x["nc"] <= F.col("cb") + F.col("bw") - GRAM))
-    df = df.select("doc_id", "th", "cb", "u", "gw", "ke", "fp", F.when(F.col("bw") >= RUN, -least["nc"]).alias("chosen"))
-    chosen = F.collect_list("chosen").over(by_word.rangeBetween(1 - RUN, 0))
-    return df.withColumn("by", chosen).where(F.array_contains("by", F.col("cb")) & (F.col("gw") >= GRAM)).select("doc_id", "th", "u", "ke", "fp")
+    df = units.select("doc_id", "th", "ln", "h", "nw", F.sum("nw").over(by_line).alias("ce")).withColumn("cb", F.col("ce") - F.col("nw"))
+    on = Window.partitionBy("doc_id", "th").orderBy("cb").rangeBetween(0, RUN - 1)
+    upto = Window.partitionBy("doc_id", "th").orderBy("ce").rangeBetween(1 - RUN, 0)
+
+    def block(w, least: Column) -> Column:
+        hs = F.collect_list("h").over(w)
+        return F.when(F.sum("nw").over(w) >= least, F.struct(F.min("ln").over(w).alias("lo"), F.max("ln").over(w).alias("hi"), F.xxhash64(hs).alias("k1"), F.hash(hs).alias("k2")))
+
+    df = df.select("doc_id", "th", block(on, F.lit(RUN)).alias("a"), block(upto, F.col("nw") + RUN).alias("b"))
+    df = df.select("doc_id", "th", F.explode(F.filter(F.array("a", "b"), lambda x: x.isNotNull())).alias("x"))
+    return df.select("doc_id", "th", "x.lo", "x.hi", "x.k1", "x.k2")
 
 
 def repeated_lines(docs: DataFrame) -> DataFrame:
-    """doc_id, th, gone (the lines to delete)."""
-    units = line_units(docs)
-    found = fingerprints(units)
-    first = found.groupBy("fp").agg(F.min(F.struct("doc_id", "th", "u")).alias("f"), F.count("*").alias("n")).where("n > 1").select("fp", "f")
-    here = (F.col("doc_id").eqNullSafe(F.col("f.doc_id"))) & (F.col("th") == F.col("f.th")) & (F.col("u") == F.col("f.u"))
-    hits = found.join(first, "fp").where(~here).select("doc_id", "th", "u", "ke", F.col("f.doc_id").alias("d0"), F.col("f.th").alias("t0"), F.col("f.u").alias("u0"))
-    of = units.dropDuplicates(["doc_id", "th", "ln"]).groupBy("doc_id", "th").agg(F.array_sort(F.collect_list(F.struct("ln", "h", "nw"))).alias("a"))
-    lines = hits.groupBy("doc_id", "th", "d0", "t0", (F.col("u") - F.col("u0")).alias("by")).agg(F.min("u").alias("lo"), F.max(F.col("u") + F.col("ke")).alias("hi"))
-    lines = lines.withColumn("lo", F.greatest(F.col("lo") - RUN, F.col("by"), F.lit(0))).withColumn("n", F.col("hi") + RUN - F.col("lo"))
-    lines = lines.alias("x").join(of.alias("y"), F.expr("x.doc_id <=> y.doc_id AND x.th = y.th"))
-    lines = lines.select("x.*", F.slice("a", F.col("lo") + 1, F.col("n")).alias("own"))
-    lines = lines.alias("x").join(of.alias("y"), F.expr("x.d0 <=> y.doc_id AND x.t0 = y.th"))
-    lines = lines.select("x.doc_id", "x.th", "own", F.transform(F.slice("a", F.col("lo") - F.col("by") + 1, F.col("n")), lambda s: s["h"]).alias("old"))
-    none = F.expr("cast(array() as array<struct<at:int,n:int>>)")
-
-    def closed(s: Column) -> Column:
-        run = F.array(F.struct(s["from"].alias("at"), (s["i"] - s["from"]).alias("n")))
-        return F.when(s["words"] >= RUN, F.concat(s["out"], run)).otherwise(s["out"])
-
-    def step(s: Column, x: Column) -> Column:
-        """from: where the unbroken run began; words: of it so far; out: the runs that are long enough."""
-        same = F.coalesce(x["h"] == F.get("old", s["i"]), F.lit(False))
-        return F.struct(
-            (s["i"] + 1).alias("i"),
-            F.when(same, s["from"]).otherwise(s["i"] + 1).alias("from"),
-            F.when(same, s["words"] + x["nw"]).otherwise(F.lit(0).cast("long")).alias("words"),
-            F.when(same, s["out"]).otherwise(closed(s)).alias("out"),
-        )
-
-    start = F.struct(F.lit(0).alias("i"), F.lit(0).alias("from"), F.lit(0).cast("long").alias("words"), none.alias("out"))
-    runs = F.aggregate("own", start, step, closed)
-    hits = lines.select("doc_id", "th", "own", runs.alias("runs")).select("doc_id", "th", F.flatten(F.transform("runs", lambda r: F.slice(F.transform("own", lambda x: x["ln"]), r["at"] + 1, r["n"]))).alias("lns"))
-    return hits.select("doc_id", "th", F.explode("lns").alias("ln")).groupBy("doc_id", "th").agg(F.sort_array(F.collect_set("ln")).alias("gone"))
+    """doc_id, th, gone (the lines of repeated blocks; lines without a word among them stay)."""
+    found = blocks(line_units(docs))
+    first = found.groupBy("k1", "k2").agg(F.min(F.struct("doc_id", "th", "lo")).alias("f"), F.count("*").alias("n")).where("n > 1").select("k1", "k2", "f")
+    here = (F.col("doc_id").eqNullSafe(F.col("f.doc_id"))) & (F.col("th") == F.col("f.th")) & (F.col("lo") == F.col("f.lo"))
+    hits = found.join(first, ["k1", "k2"]).where(~here).select("doc_id", "th", "lo", "hi")
+    before = Window.partitionBy("doc_id", "th").orderBy("lo", "hi")
+    hits = hits.withColumn("top", F.max("hi").over(before.rowsBetween(Window.unboundedPreceding, -1)))
+    hits = hits.select("doc_id", "th", F.greatest("lo", F.coalesce(F.col("top") + 1, "lo")).alias("lo"), "hi").where("lo <= hi")  # each line once
+    return hits.groupBy("doc_id", "th").agg(F.sort_array(F.flatten(F.collect_list(F.sequence("lo", "hi")))).alias("gone"))
 
 
 def dedup_lines(docs: DataFrame) -> DataFrame:
@@ -103,12 +81,13 @@ def dedup_lines(docs: DataFrame) -> DataFrame:
     gone = repeated_lines(docs).select(F.col("doc_id").alias("__d"), F.col("th").alias("__t"), F.col("gone").alias("__gone"))
     df = docs.join(gone, F.col("doc_id").eqNullSafe(F.col("__d")) & (F.xxhash64("text") == F.col("__t")), "left")
     lines = _lines(F.col("text"))
-    kept = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col("__gone"))
+    gone = F.filter("__gone", lambda i: F.regexp_like(F.get(lines, i), F.lit(WORD)))
+    kept = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), gone)
     text = F.when(F.col("__gone").isNull(), F.col("text")).otherwise(F.array_join(F.transform(kept, lambda i: F.get(lines, i)), "\n"))
     return df.select(
         *docs.columns,
         F.when(F.col("text").isNull(), 0).otherwise(F.size(lines)).cast("long").alias("n_lines"),
-        F.coalesce(F.size("__gone"), F.lit(0)).cast("long").alias("n_deleted"),
+        F.coalesce(F.size(gone), F.lit(0)).cast("long").alias("n_deleted"),
         text.alias("kept_text"),
     )
 

@@ -109,6 +109,31 @@ def test_line_dedup_finds_any_aligned_run(spark):
         assert got[0] == 0 and got[1] == got[2] == len(run)
 
 
+def test_line_dedup_finds_runs_around_an_earlier_line(spark):
+    """The first document holds a line of the run alone; the later two share the run. Against brute force over all runs of lines."""
+    rng = random.Random(10)
+    texts = []
+    for _ in range(20):
+        line, before, after = prose(rng, 25, 9999), prose(rng, 15, 9999), prose(rng, 15, 9999)
+        texts += [f"{prose(rng, 30, 9999)}\n{line}", *("\n".join([prose(rng, 8, 9999), before, line, "", after, prose(rng, 9, 9999)]) for _ in range(2))]
+    short = [prose(rng, n, 9999) for n in (1, 4, 11, 18, 26, 49)]
+    texts += ["\n".join(rng.choice(short) for _ in range(rng.randint(1, 12))) for _ in range(30)]
+    units = [[(k, x) for k, x in enumerate(t.split("\n")) if x] for t in texts]
+    seen, want = set(), {}
+    for i, u in enumerate(units):
+        gone = set()
+        for a in range(len(u)):
+            for b in range(a + 1, len(u) + 1):
+                run = tuple(x for _, x in u[a:b])
+                if sum(len(x.split()) for x in run) >= line_dedup.RUN:
+                    if run in seen:
+                        gone |= {k for k, _ in u[a:b]}
+                    seen.add(run)
+        want[i] = "\n".join(x for k, x in enumerate(texts[i].split("\n")) if k not in gone)
+    assert all(want[i] != texts[i] for i in range(2, 60, 3))
+    assert {r["doc_id"]: r["kept_text"] for r in line_dedup.dedup_lines(docs(spark, texts)).collect()} == want
+
+
 def _components(texts):
     low = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
     sets = []
