@@ -4,8 +4,9 @@
    main element and in no part that is never content; refused, when it stands in a menu, header, footer, sidebar, notice, advert,
    form, script, style, comment section or hidden element; or open.
 2. Pages of a host are sorted by URL path and each is paired with the neighbour whose path shares the longer beginning. Their
-   lines are aligned by a longest common subsequence, and lines that both have are template: they are deleted unless protected.
-3. What remains is the protected lines where the page has any, else the open lines that were not shared.
+   lines are aligned by a longest common subsequence, and lines that both have are template. Protected lines are aligned with protected
+   lines only; when those shared hold half the words of either page's protected lines, the articles are near copies and keep them.
+3. What remains is the protected lines where the page has any, else the open lines, both without the template.
 
 A host with more than GROUP pages is dealt into parts of about GROUP pages by a hash of the path, so a host that holds a third of all pages
 is never one task's group; pages meet in sorted order and a task holds three at a time. Counting the hosts is a light aggregate.
@@ -164,11 +165,20 @@ def common_lines(a: list[str], b: list[str]) -> set[int]:
     return found
 
 
-def main_text(lines: list[str], marks: bytes, partner: list[str] | None) -> str:
-    shared = common_lines(lines, partner) if partner is not None else set()
-    if PROTECTED in marks:
-        return "\n".join(x for x, m in zip(lines, marks, strict=True) if m == PROTECTED)
-    return "\n".join(x for i, (x, m) in enumerate(zip(lines, marks, strict=True)) if m == OPEN and i not in shared)
+def main_text(lines: list[str], marks: bytes, partner: list[str] | None, partner_marks: bytes | None = None) -> str:
+    """Protected lines go only against protected lines, and not where they are half the words of either page's protected lines."""
+    if PROTECTED not in marks:
+        shared = common_lines(lines, partner) if partner is not None else set()
+        return "\n".join(x for i, (x, m) in enumerate(zip(lines, marks, strict=True)) if m == OPEN and i not in shared)
+    own = [i for i, m in enumerate(marks) if m == PROTECTED]
+    shared = set()
+    if partner_marks is not None and PROTECTED in partner_marks:
+        other = [x for x, m in zip(partner, partner_marks, strict=True) if m == PROTECTED]
+        shared = {own[k] for k in common_lines([lines[i] for i in own], other)}
+        words = lambda some: sum(len(x.split()) for x in some)
+        if 2 * words(lines[i] for i in shared) >= min(words(lines[i] for i in own), words(other)):
+            shared = set()
+    return "\n".join(lines[i] for i in own if i not in shared)
 
 
 def host_path(url: str | None) -> tuple[str, str]:
@@ -210,18 +220,18 @@ def _pair(batches):
 
     def partner(row, before, after):
         near = [x for x in (before, after) if x is not None and x[2:4] == row[2:4] and x[5] != row[5]]
-        return max(near, key=lambda x: _beginning(x[4], row[4]))[5] if near else None
+        return max(near, key=lambda x: _beginning(x[4], row[4]))[5:7] if near else (None, None)
 
     before, row, done = None, None, []
     for after in rows():
         if row is not None:
-            done.append((row[0], row[1], main_text(row[5], row[6], partner(row, before, after))))
+            done.append((row[0], row[1], main_text(row[5], row[6], *partner(row, before, after))))
         before, row = row, after
         if len(done) >= 500:
             yield pa.record_batch([pa.array([x[i] for x in done], f.type) for i, f in enumerate(schema)], schema=schema)
             done = []
     if row is not None:
-        done.append((row[0], row[1], main_text(row[5], row[6], partner(row, before, None))))
+        done.append((row[0], row[1], main_text(row[5], row[6], *partner(row, before, None))))
     if done:
         yield pa.record_batch([pa.array([x[i] for x in done], f.type) for i, f in enumerate(schema)], schema=schema)
 

@@ -265,6 +265,18 @@ def test_html_extract(spark):
     assert html_extract.extract_main_text(df.limit(0)).count() == 0
 
 
+def test_html_extract_differences_articles(spark):
+    """A notice that two articles share goes; what near copies share stays."""
+    page = "<nav>menu</nav><article><p>{}</p><p>read more every day</p></article>"
+    story = "all the many words of one long story that two hosts mirror"
+    rows = [(i, f"http://h.example/a/{i}", page.format(f"article {i} says things of its own")) for i in range(3)]
+    rows += [(10 + i, "http://m.example/a/", f"<article><p>{story}</p><p>mirror {i}</p></article>") for i in range(2)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    got = {r["page_id"]: r["text"] for r in html_extract.extract_main_text(df).collect()}
+    assert all(got[i] == f"article {i} says things of its own" for i in range(3))
+    assert got[10] == f"{story}\nmirror 0" and got[11] == f"{story}\nmirror 1"
+
+
 def test_sentencepiece(spark):
     texts = [None, "", " two  spaces ", "日本語 é 𝒳", "plain words and plain words", "a▁b", "w " * 20_000]
     df = docs(spark, texts).withColumn("ids", F.lit("clash")).drop("ids").withColumn("t", F.lit(1))
