@@ -161,7 +161,7 @@ def constraint_check(w, spark, sf_dir):
 
     out = None
     for name, (vs, df) in _tagged(w, spark, sf_dir, False).items():
-        for s in signatures(df, list(vs))[:6]:
+        for s in signatures(df, list(vs)):
             sigma = {frozenset(u): 1 << b for u, b in s.buckets}
             found = violations(df.where(s.condition()).select(*vs), list(vs), sigma)
             out = found if out is None else out.unionByName(found)

@@ -178,3 +178,14 @@ def test_run_report_and_loads(spark):
         load = combo_load(plan, c)
         assert load.machines <= 8 and load.max_load <= load.sent and load.skew >= 1
     assert report.rows <= output_bound(plan.hypergraph, plan.n) and acyclic_load(100, 400, 10) == (50.0, 30.0)
+
+
+def test_constraint_check_reads_every_part(spark, monkeypatch):
+    """Eight parts; the last in order holds five tuples of one y where its bucket allows two."""
+    from gridjoin import catalog
+
+    x, y = D.bucket_name(("x",)), D.bucket_name(("y",))
+    rows = [(b, b, b, 0) for b in range(7)] + [(10 + i, 99, 7, 0) for i in range(5)]
+    tagged = spark.createDataFrame(rows, f"x long, y long, {x} int, {y} int")
+    monkeypatch.setattr(catalog, "_tagged", lambda *a: {"r": (("x", "y"), tagged)})
+    assert catalog.constraint_check(None, spark, "").collect()[0]["violations"] == 1
