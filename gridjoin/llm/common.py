@@ -80,6 +80,21 @@ def pieces(batches, rows: int = 256):
             yield batch.slice(i, rows)
 
 
+def sized(batches, column: str, most: int):
+    """Record batches cut at about ``most`` bytes of a string column; a longer value stands alone."""
+    import numpy as np
+    import pyarrow.compute as pc
+
+    for batch in batches:
+        size = pc.binary_length(batch.column(column)).fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64)
+        at = np.cumsum(size)
+        i = 0
+        while i < batch.num_rows:
+            j = max(i + 1, int(np.searchsorted(at, (at[i - 1] if i else 0) + most, "right")))
+            yield batch.slice(i, j - i)
+            i = j
+
+
 def lean(run):
     """A function for mapInArrow that hands freed memory back to the system when a task ends: workers live on, and stages with other needs follow."""
 

@@ -215,6 +215,49 @@ def test_lm_score(spark, corpus):
     assert lm_score.score_texts(df.limit(0)).count() == 0
 
 
+def test_lm_score_equals_the_network_token_by_token(spark, corpus, monkeypatch):
+    """score against a loop over the tokens of each whole text, with the same weights and counts, at any cut of the work."""
+    low = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    tok = lambda t: [w for w in re.split(r"[\x20\x09-\x0D]+", (t or "").translate(low)) if w] + [None]
+    corpus = corpus.select("doc_id", "text").union(docs(spark, [" ".join(f"rare{i}" for i in range(2000))]).selectExpr("doc_id + 1000", "text"))
+    rows = {r["doc_id"]: r["text"] for r in corpus.collect()}
+    learn = sorted(i for i in rows if i % 5 != 1)
+    hashes = {w: int(lm_score.word_hashes(*lm_score.utf8(lm_score.pa.array([w])))[0][0]) for t in rows.values() for w in tok(t) if w}
+    hashes[None] = int(lm_score.END)
+    keys, vocab, ids = lm_score.learn_vocabulary([rows[i] or "" for i in learn])
+    m = {k: v.astype(np.float64) for k, v in lm_score.train(ids).items()}
+    ident = dict(zip(keys.tolist(), vocab.tolist(), strict=True))
+    other = lm_score.VOCAB - 1
+    count = {}
+    for i in learn:
+        for w in tok(rows[i]):
+            count[w] = count.get(w, 0) + 1
+    others = {w: c for w, c in count.items() if ident.get(hashes[w], other) == other}
+    assert others, "some words must be outside the vocabulary"
+    n, v, k, size = sum(others.values()), len(others), lm_score.HIDDEN, lm_score.PER_CLASS
+    soft = lambda x: x - np.log(np.exp(x - x.max()).sum()) - x.max()
+    want = {}
+    for i, t in rows.items():
+        h, before, total = np.zeros(k), ident[int(lm_score.END)], 0.0
+        for w in tok(t):
+            x, a = m["e"][before] @ m["wx"] + m["b"], h @ m["wh"]
+            r, u = (1 / (1 + np.exp(-(x + a)[j * k : j * k + k])) for j in (0, 1))
+            h = u * h + (1 - u) * np.tanh(x[2 * k :] + r * a[2 * k :])
+            before = ident.get(hashes[w], other)
+            c, at = divmod(before, size)
+            total += soft(m["uc"] @ h + m["bc"])[c] + soft(m["uw"][c * size : (c + 1) * size] @ h + m["bw"][c * size : (c + 1) * size])[at]
+            if before == other:
+                total += math.log((others.get(w, 0) + 0.5) / (n + 0.5 * (v + 1)))
+        want[i] = total / math.log(10)
+    df = corpus.select("doc_id", "text", (F.col("doc_id") % 5 != 1).alias("learn"), (F.col("doc_id") % 5 == 1).alias("held_out"))
+    got = {r["doc_id"]: r["score"] for r in lm_score.score_texts(df.coalesce(1), posts=100).collect()}
+    assert all(math.isclose(got[i], want[i], rel_tol=2e-4) for i in rows)
+    at, model = np.array([0, 300, 301, 301, 700]), lm_score.train(ids)
+    whole = lm_score.score_documents(model, ids[:700], at, 0)
+    monkeypatch.setattr(lm_score, "SCORE_ROWS", 7)
+    assert np.allclose(lm_score.score_documents(model, ids[:700], at, 0), whole, rtol=1e-5)
+
+
 def test_ann(spark):
     rng = np.random.default_rng(0)
     x = rng.normal(size=(900, 12)).astype(np.float32)
