@@ -37,7 +37,7 @@ def joins() -> tuple[dict, dict]:
     every = list(WORKLOADS)
     add("cm", every, lambda w: partial(_cover, w))
     add("cas", every, lambda w: partial(_plain, B.cascade_join, w))
-    add("hc", [f"w{i:02d}" for i in range(1, 14)] + ["w19"], lambda w: partial(_with, B.hypercube_join, w))
+    add("hc", every, lambda w: partial(_with, B.hypercube_join, w))
     add("hc_equal", ["w02", "w05", "w09", "w19"], lambda w: partial(_with, B.hypercube_join, w, shares="equal"))
     add("skew1", ["w02", "w03", "w05", "w23"], lambda w: partial(_with, B.one_round_skew_join, w))
     add("ded", ["w02", "w03", "w05", "w23"], lambda w: partial(_with, B.dedicated_heavy_join, w))
@@ -102,8 +102,7 @@ def kappa_methods(spark, sf_dir):
     from gridjoin.functions.families import named
     from gridjoin.functions.measures import kappa
 
-    small = {k: h for k, h in named().items() if len(h.vertices) <= 4}
-    return spark.createDataFrame([(k, *(str(kappa(h, m).value) for m in ("enum", "milp", "auto"))) for k, h in small.items()], "family string, enumerated string, program string, auto string")
+    return spark.createDataFrame([(k, *(str(kappa(h, m).value) for m in ("enum", "milp", "auto"))) for k, h in named().items()], "family string, enumerated string, program string, auto string")
 
 
 def bounds_table(spark, sf_dir):
@@ -172,7 +171,7 @@ def heavy_rel(w, spark, sf_dir):
     plan = C.preprocess(w.query(spark, sf_dir), P)
     combo = next(c for c in plan.combos if c.mix.heavy)
     parts = {a.name: plan.tagged[a.name].where(combo.parts[a.name].condition()).select(*a.vars) for a in plan.query.atoms}
-    return C.heavy_relation(parts, combo.mix)
+    return C.heavy_relation(parts, combo.mix.heavy_sets)
 
 
 def load_cells(w, spark, sf_dir):
@@ -256,8 +255,7 @@ def plans() -> tuple[dict, dict]:
         "dense_product_triangle": "SELECT z, CAST(600 AS BIGINT) AS cnt FROM range(10) AS t(z)",
         "lift_boat": "SELECT CAST(0 AS BIGINT) AS z, CAST(256 AS BIGINT) AS cnt",
     }
-    small = [r for r in rows if int(r[1]) <= 4]
-    sql["kappa_methods"] = _values("family, enumerated, program, auto", [(r[0], r[4], r[4], r[4]) for r in small])
+    sql["kappa_methods"] = _values("family, enumerated, program, auto", [(r[0], r[4], r[4], r[4]) for r in rows])
     from gridjoin.functions.families import named
 
     relations = ["kappa >= tau(reduced)", "kappa >= rho", "rho(reduced) = rho", "kappa <= psi", "kappa <= rho * arity / 2", "kappa <= phi * arity / 2", "kappa = rho if no cycle", "kappa = rho if binary"]
@@ -344,7 +342,7 @@ def operators() -> tuple[dict, dict]:
     add("op_j10_project", on("orders", lambda t: R.project(t, ["o_custkey", "o_orderstatus"])), "SELECT DISTINCT o_custkey, o_orderstatus FROM orders")
     add("op_j11_rename", on("region", lambda t: R.rename(t, {"r_regionkey": "k", "r_name": "name"})), "SELECT r_regionkey AS k, r_name AS name FROM region")
     add("op_j12_derive", on("lineitem", lambda t: R.derive(t, y="l_orderkey * 100000 + l_partkey").select("y").distinct()), "SELECT DISTINCT l_orderkey * 100000 + l_partkey AS y FROM lineitem")
-    add("op_j13_restrict", two("orders", "customer", lambda o, c: R.restrict(o.select(*oc), c.where("c_custkey <= 50").select(F.col("c_custkey").alias("o_custkey")))), "SELECT o_orderkey, o_custkey FROM orders WHERE o_custkey IN (SELECT c_custkey FROM customer WHERE c_custkey <= 50)")
+    add("op_j13_restrict", two("orders", "customer", lambda o, c: R.restrict(o.select(*oc), c.where("c_mktsegment = 'BUILDING'").select(F.col("c_custkey").alias("o_custkey")))), "SELECT o_orderkey, o_custkey FROM orders WHERE o_custkey IN (SELECT c_custkey FROM customer WHERE c_mktsegment = 'BUILDING')")
     add("op_j14_filters", on("part", lambda t: t.where("p_size BETWEEN 5 AND 20 AND p_brand IN ('Brand#11', 'Brand#12', 'Brand#21') AND p_type LIKE '%E%' AND p_name IS NOT NULL").select("p_partkey")), "SELECT p_partkey FROM part WHERE p_size BETWEEN 5 AND 20 AND p_brand IN ('Brand#11', 'Brand#12', 'Brand#21') AND p_type LIKE '%E%' AND p_name IS NOT NULL")
     add("op_j15_case_when", on("orders", lambda t: R.case_when(t, "size", [("o_totalprice > 200000", "large"), ("o_totalprice > 50000", "middle")], "small").groupBy("size").agg(F.count("*").alias("cnt"))), "SELECT CASE WHEN o_totalprice > 200000 THEN 'large' WHEN o_totalprice > 50000 THEN 'middle' ELSE 'small' END AS size, count(*) AS cnt FROM orders GROUP BY 1")
     joined = "SELECT o_orderkey, o_custkey, l_partkey FROM orders JOIN lineitem ON o_orderkey = l_orderkey"
@@ -354,14 +352,14 @@ def operators() -> tuple[dict, dict]:
     add("op_j23_cartesian", two("region", "lineitem", lambda r, t: R.cartesian(r.select("r_name"), t.select("l_linestatus").distinct())), "SELECT r_name, l_linestatus FROM region CROSS JOIN (SELECT DISTINCT l_linestatus FROM lineitem)")
     key = lambda o: o.select(F.col("o_custkey").alias("c_custkey"))
     add("op_j24_semi_join", two("customer", "orders", lambda c, o: R.semi_join(c.select("c_custkey"), key(o), ["c_custkey"])), "SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders)")
-    add("op_j25_anti_join", two("customer", "orders", lambda c, o: R.anti_join(c.select("c_custkey"), key(o.where("o_orderkey % 3 = 0")), ["c_custkey"])), "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders WHERE o_orderkey % 3 = 0)")
+    add("op_j25_anti_join", two("customer", "orders", lambda c, o: R.anti_join(c.select("c_custkey"), key(o.where("o_orderstatus = 'F'")), ["c_custkey"])), "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders WHERE o_orderstatus = 'F')")
     for how in ("left", "right", "full"):
-        add(f"op_j26_{how}_outer", two("documents", "labels", lambda d, t, how=how: d.where("doc_id % 2 = 0").select("doc_id", "lang").join(t.select("doc_id", "quality"), "doc_id", how)), f"SELECT doc_id, lang, quality FROM (SELECT doc_id, lang FROM documents WHERE doc_id % 2 = 0) {how} JOIN (SELECT doc_id, quality FROM labels) USING (doc_id)")
+        add(f"op_j26_{how}_outer", two("documents", "labels", lambda d, t, how=how: d.select("doc_id", "lang").join(t.select("doc_id", "quality"), "doc_id", how)), f"SELECT doc_id, lang, quality FROM (SELECT doc_id, lang FROM documents) {how} JOIN (SELECT doc_id, quality FROM labels) USING (doc_id)")
     add("op_j27_theta_join", two("nation", "region", lambda n, r: R.theta_join(n.select("n_nationkey"), r.select("r_regionkey"), "n_nationkey < r_regionkey * 3")), "SELECT n_nationkey, r_regionkey FROM nation JOIN region ON n_nationkey < r_regionkey * 3")
     add("op_j28_range_join", two("part", "supplier", lambda p, s_: R.range_join(p.select("p_partkey", "p_retailprice"), s_.where("s_acctbal > 0").selectExpr("s_suppkey", "s_acctbal AS lo", "s_acctbal + 20 AS hi"), "p_retailprice", "lo", "hi", 50.0).select("p_partkey", "s_suppkey")), "SELECT p_partkey, s_suppkey FROM part JOIN supplier ON s_acctbal > 0 AND p_retailprice BETWEEN s_acctbal AND s_acctbal + 20")
     add("op_j29_asof_join", on("events", lambda e: R.asof_join(e.where("event_type = 'click'"), e.where("event_type = 'purchase'"), "user_id", "ts", "value", "event_id").select("event_id", "last_value")), "SELECT a.event_id, (SELECT arg_max(b.value, struct_pack(t := b.ts, e := b.event_id)) FROM events b WHERE b.event_type = 'purchase' AND b.user_id = a.user_id AND b.ts <= a.ts) AS last_value FROM events a WHERE a.event_type = 'click'")
     add("op_j30_interval_join", on("events", lambda e: R.interval_join(e.where("event_type = 'click'").select("event_id", "user_id", "ts"), e.where("event_type = 'purchase'").select("event_id", "user_id", "ts"), "user_id", "ts", 86400).select("event_id", "b_event_id")), "SELECT a.event_id, b.event_id AS b_event_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND epoch(date_trunc('second', b.ts)) - epoch(date_trunc('second', a.ts)) BETWEEN 0 AND 86400")
-    add("op_j31_lateral", lambda s, d: s.sql("SELECT o_orderkey, m FROM {o} AS o, LATERAL (SELECT max(l_partkey) AS m FROM {l} AS l WHERE l.l_orderkey = o.o_orderkey)", o=load(s, d, "orders").where("o_orderkey % 7 = 0"), l=load(s, d, "lineitem")), "SELECT o_orderkey, max(l_partkey) AS m FROM (SELECT o_orderkey FROM orders WHERE o_orderkey % 7 = 0) LEFT JOIN lineitem ON l_orderkey = o_orderkey GROUP BY o_orderkey")
+    add("op_j31_lateral", lambda s, d: s.sql("SELECT o_orderkey, m FROM {o} AS o, LATERAL (SELECT max(l_partkey) AS m FROM {l} AS l WHERE l.l_orderkey = o.o_orderkey)", o=load(s, d, "orders"), l=load(s, d, "lineitem")), "SELECT o_orderkey, max(l_partkey) AS m FROM orders LEFT JOIN lineitem ON l_orderkey = o_orderkey GROUP BY o_orderkey")
     add("op_j40_hash_agg", on("lineitem", lambda t: R.hash_agg(t, ["l_returnflag", "l_linestatus"], qty="sum(l_quantity)", cnt="count(*)", top="max(l_extendedprice)")), "SELECT l_returnflag, l_linestatus, sum(l_quantity) AS qty, count(*) AS cnt, max(l_extendedprice) AS top FROM lineitem GROUP BY 1, 2")
     add("op_j41_sort_agg", on("lineitem", lambda t: t.groupBy("l_orderkey").agg(F.array_sort(F.collect_set("l_partkey")).alias("ps")).select("l_orderkey", F.array_join(F.transform("ps", lambda x: x.cast("string")), ",").alias("parts"))), "SELECT l_orderkey, array_to_string(list_sort(list(DISTINCT l_partkey)), ',') AS parts FROM lineitem GROUP BY l_orderkey")
     add("op_j42_distinct_agg", on("lineitem", lambda t: t.groupBy("l_partkey").agg(F.count_distinct("l_suppkey").alias("cnt"))), "SELECT l_partkey, count(DISTINCT l_suppkey) AS cnt FROM lineitem GROUP BY 1")
@@ -391,8 +389,8 @@ def operators() -> tuple[dict, dict]:
     from gridjoin.plans.degrees import heavy_candidates
 
     add("op_j58_heavy_hitters", on("lineitem", lambda t: heavy_candidates(t, ["l_suppkey"], 600)), "SELECT l_suppkey, count(*) AS cnt FROM lineitem GROUP BY 1 HAVING count(*) > 600")
-    cust, buyers = "SELECT c_custkey AS k FROM customer WHERE c_custkey % 2 = 0", "SELECT o_custkey AS k FROM orders"
-    both = lambda fn: two("customer", "orders", lambda c, o: fn(c.where("c_custkey % 2 = 0").selectExpr("c_custkey AS k"), o.selectExpr("o_custkey AS k")))
+    cust, buyers = "SELECT c_custkey AS k FROM customer WHERE c_acctbal > 0", "SELECT o_custkey AS k FROM orders"
+    both = lambda fn: two("customer", "orders", lambda c, o: fn(c.where("c_acctbal > 0").selectExpr("c_custkey AS k"), o.selectExpr("o_custkey AS k")))
     for name, fn, text in (("j60_union_all", lambda a, b: a.unionByName(b), "UNION ALL"), ("j60_union", lambda a, b: a.unionByName(b).distinct(), "UNION"), ("j61_intersect", lambda a, b: a.intersect(b), "INTERSECT"), ("j61_intersect_all", lambda a, b: a.intersectAll(b), "INTERSECT ALL"), ("j62_except", lambda a, b: b.subtract(a), None), ("j62_except_all", lambda a, b: b.exceptAll(a), None)):
         add(f"op_{name}", both(fn), f"{cust} {text} {buyers}" if text else f"{buyers} EXCEPT {'ALL ' if 'all' in name else ''}{cust}")
     add("op_j65_strings", on("pages", lambda t: t.select("page_id", F.regexp_extract("url", "://([^/]+)/", 1).alias("host"), F.length(F.trim("url")).cast("long").alias("n"), F.upper(F.substring("url", 1, 5)).alias("up"))), "SELECT page_id, regexp_extract(url, '://([^/]+)/', 1) AS host, length(trim(url)) AS n, upper(substr(url, 1, 5)) AS up FROM pages")
@@ -442,7 +440,7 @@ def operators() -> tuple[dict, dict]:
 
         add(name, run, text)
 
-    front("SELECT c, count(*) AS cnt FROM (SELECT DISTINCT o_custkey AS c, o_orderkey AS o FROM orders) AS a JOIN (SELECT DISTINCT l_orderkey AS o, l_partkey AS p FROM lineitem) AS b USING (o) WHERE c % 2 = 0 GROUP BY c", "sql_path")
+    front("SELECT c, count(*) AS cnt FROM (SELECT DISTINCT o_custkey AS c, o_orderkey AS o FROM orders) AS a JOIN (SELECT DISTINCT l_orderkey AS o, l_partkey AS p FROM lineitem) AS b USING (o) WHERE p > c GROUP BY c", "sql_path")
     front("SELECT n, count(*) AS cnt FROM (SELECT DISTINCT c_custkey AS c, c_nationkey AS n FROM customer) AS cu JOIN (SELECT DISTINCT o_custkey AS c, o_orderkey AS o FROM orders) AS od USING (c) JOIN (SELECT DISTINCT l_orderkey AS o, l_suppkey AS s FROM lineitem) AS li USING (o) JOIN (SELECT DISTINCT s_suppkey AS s, s_nationkey AS n FROM supplier) AS su USING (n, s) GROUP BY n", "sql_cycle")
     return q, sql
 

@@ -161,6 +161,7 @@ def bounds_row(name: str, h: Hypergraph, n: int, p: int) -> dict:
 
 
 def exchanges(df: DataFrame) -> Counter:
-    """Exchange nodes of the physical plan before it runs, by kind."""
+    """Exchange nodes of the physical plan before it runs, by kind; "grid" are those to the cells of a grid."""
     text = df._jdf.queryExecution().executedPlan().toString()
-    return Counter(k for k in ("REPARTITION_BY_NUM", "REPARTITION_BY_COL", "ENSURE_REQUIREMENTS", "BroadcastExchange") for _ in range(text.count(k)))
+    kinds = {"grid": "Exchange shufflepartitionidpassthrough", "REPARTITION_BY_NUM": "REPARTITION_BY_NUM", "REPARTITION_BY_COL": "REPARTITION_BY_COL", "ENSURE_REQUIREMENTS": "ENSURE_REQUIREMENTS", "BroadcastExchange": "BroadcastExchange"}
+    return Counter({k: text.count(t) for k, t in kinds.items()})

@@ -4,14 +4,19 @@ For each combination: variables in heavy sets form H. Their projections, at most
 check of its bound. Each relation with light variables is replaced by its guard joined with the heavy relation and filtered by the relation;
 relations that share a guard filter one intermediate, as equal schemas intersect. Relations with only heavy variables filter the heavy relation. The
 intermediates meet in one grid with shares p^v. Parts are disjoint and cells are exact, so the union over combinations has no duplicates.
+
+Where relations have several parts, combinations whose heavy values do not meet are left out, buckets are merged until at most MAX_COMBOS are left, and all
+of them run in one plan (combined.py).
 """
 
 from __future__ import annotations
 
 from collections import defaultdict
+from collections.abc import Iterable
 from dataclasses import dataclass, field
 from fractions import Fraction
 from functools import reduce
+from itertools import islice
 from math import prod
 
 from pyspark.sql import DataFrame
@@ -21,7 +26,9 @@ from gridjoin.functions.hypergraph import Hypergraph
 from gridjoin.functions.measures import kappa
 from gridjoin.sources.tables import staged
 
-from .degrees import LIGHT, Signature, combos, signatures, subsets_in_order, uniformize
+from .combined import PART, covering, product_in_grid
+from .combined import run as run_combined
+from .degrees import LIGHT, MAX_COMBOS, Signature, combos, parts_apart, signatures, subsets_in_order, uniformize, with_part
 from .grid import grid_join
 from .query import Atom, JoinQuery, max_machines, natural_join, power_of_two
 from .weights import Mix, build_mix, find_guards, integer_shares, search_delta
@@ -53,6 +60,11 @@ class Plan:
     p: int
     tagged: dict[str, DataFrame]
     combos: list[Combo] = field(default_factory=list)
+    #: Where there are several combinations: each relation with the number of its part, and the numbers.
+    parted: dict[str, DataFrame] = field(default_factory=dict)
+    ids: dict[str, dict[Signature, int]] = field(default_factory=dict)
+    #: Buckets merged into one.
+    base: int = 1
 
     @property
     def m(self) -> int:
@@ -91,7 +103,7 @@ def plan_combo(h: Hypergraph, atoms: dict[str, frozenset[str]], parts: dict[str,
     return Combo(parts, mix, guards, integer_shares(mix.exponents, 1 << k, mix.heavy), 1 << k)
 
 
-def preprocess(query: JoinQuery, p: int, delta: str | Fraction = "kappa", clamp: bool = True, lower_p: bool = True, normalized: bool = False) -> Plan:
+def preprocess(query: JoinQuery, p: int, delta: str | Fraction = "kappa", clamp: bool = True, lower_p: bool = True, normalized: bool = False, most: int = MAX_COMBOS) -> Plan:
     """Sizes, parts and one plan for each combination. p becomes a power of two, and no larger than the cube root of n allows unless lower_p is False."""
     query = query if normalized else query.normalized()
     tops = query.tops()
@@ -103,23 +115,35 @@ def preprocess(query: JoinQuery, p: int, delta: str | Fraction = "kappa", clamp:
     # relations with heavy values are read by a job for each subset that may be heavy, and by the join
     heavy = {a for a, (_, t) in tops.items() if any(c > n // p for c in t.values())}
     query = JoinQuery([a.with_frame(staged(a.df, "atom")) if a.name in heavy else a for a in query.atoms])
-    tagged = {a.name: uniformize(a.df, list(a.vars), n, p, clamp, tops=tops[a.name][1]) for a in query.atoms}
-    plan = Plan(query, h, n, p, tagged)
-    if min(counts.values(), default=0) == 0:
-        return plan
+    plan = Plan(query, h, n, p, {})
+    base = 1
+    while True:
+        plan.base = base
+        plan.tagged = {a.name: uniformize(a.df, list(a.vars), n, p, clamp, tops=tops[a.name][1], base=base) for a in query.atoms}
+        if min(counts.values(), default=0) == 0:
+            return plan
+        # a relation without a heavy value has one part, of known size
+        found = {a.name: [Signature(tuple((u, LIGHT) for u in subsets_in_order(list(a.vars))), counts[a.name])] if clamp and a.name not in heavy else signatures(plan.tagged[a.name], list(a.vars)) for a in query.atoms}
+        apart = None
+        if any(len(s) > 1 for s in found.values()):
+            parted = {a.name: with_part(plan.tagged[a.name], list(a.vars), found[a.name], PART) for a in query.atoms}
+            plan.parted = {r: staged(df, "parts") if len(found[r]) > 1 else df for r, df in parted.items()}
+            plan.ids = {r: {x: i for i, x in enumerate(s)} for r, s in found.items()}
+            apart = parts_apart(plan.parted, found)
+        # no base beyond 2^6 merges more
+        chosen = list(islice(combos(found, apart), most + 1 if base < 64 else None))
+        if len(chosen) <= most or base >= 64:
+            break
+        base *= 2
     atoms = {a.name: frozenset(a.vars) for a in query.atoms}
-    # a relation without a heavy value has one part, of known size
-    found = {a.name: [Signature(tuple((u, LIGHT) for u in subsets_in_order(list(a.vars))), counts[a.name])] if clamp and a.name not in heavy else signatures(tagged[a.name], list(a.vars)) for a in query.atoms}
-    plan.combos = [plan_combo(h, atoms, parts, plan.m, plan.k, delta) for parts in combos(found)]
+    plan.combos = [plan_combo(h, atoms, parts, plan.m, plan.k, delta) for parts in chosen]
     return plan
 
 
-def heavy_relation(parts: dict[str, DataFrame], mix: Mix) -> DataFrame | None:
-    """Join of all heavy projections; None without heavy variables."""
-    if not mix.heavy_sets:
-        return None
-    pieces = [parts[r].select(*sorted(u)).distinct() for u, r in mix.heavy_sets]
-    return reduce(natural_join, sorted(pieces, key=lambda d: len(d.columns)))
+def heavy_relation(parts: dict[str, DataFrame], sets: Iterable[tuple[frozenset[str], str]]) -> DataFrame | None:
+    """Join of the projections on heavy sets; None without any."""
+    pieces = [parts[r].select(*sorted(u)).distinct() for u, r in sets]
+    return reduce(natural_join, sorted(pieces, key=lambda d: len(d.columns))) if pieces else None
 
 
 def heavy_bound(combo: Combo, h: Hypergraph) -> float:
@@ -129,18 +153,20 @@ def heavy_bound(combo: Combo, h: Hypergraph) -> float:
 
 
 def intermediates(plan: Plan, combo: Combo, heavy: str = "global", self_guard: str = "join") -> list[DataFrame]:
-    """The frames that the grid joins. heavy: "global" joins the whole heavy relation to each guard; "per_relation" only the heavy sets that the guarded
-    relations touch. self_guard: "join", or "direct" to send relations that guard themselves as they are."""
+    """The frames that the grid joins. heavy: "global" joins the whole heavy relation to each guard; "per_relation" joins it to a heavy relation of its own, of
+    the few heavy sets that hold the heavy variables of the guarded relations. self_guard: "join", or "direct" to send relations that guard themselves as they are."""
     parts = {a.name: plan.tagged[a.name].where(combo.parts[a.name].condition()).select(*a.vars) for a in plan.query.atoms}
     by_vars = {a.name: frozenset(a.vars) for a in plan.query.atoms}
     mix, H = combo.mix, combo.mix.heavy
     fits = heavy_bound(combo, plan.hypergraph) <= MAX_BROADCAST
     small = F.broadcast if fits else (lambda d: d)
-    whole = heavy_relation(parts, mix)
+    own = lambda wanted: heavy_relation(parts, covering(mix.heavy_sets, wanted))
+    inside = [r for r, vs in by_vars.items() if vs <= H]
+    whole = heavy_relation(parts, mix.heavy_sets) if heavy == "global" else None
     if whole is not None:
-        for r, vs in by_vars.items():
-            if vs <= H:
-                whole = whole.join(parts[r].join(small(whole.select(*sorted(vs)).distinct()), sorted(vs), "left_semi"), sorted(vs), "left_semi")
+        for r in inside:
+            vs = sorted(by_vars[r])
+            whole = whole.join(parts[r].join(small(whole.select(*vs).distinct()), vs, "left_semi"), vs, "left_semi")
     groups: dict[str, list[str]] = defaultdict(list)
     for r, s in combo.guards.items():
         groups[s].append(r)
@@ -149,9 +175,10 @@ def intermediates(plan: Plan, combo: Combo, heavy: str = "global", self_guard: s
         frame = parts[s]
         direct = self_guard == "direct" and guarded == [s]
         touch = H & (by_vars[s] | frozenset().union(*(by_vars[r] for r in guarded)))
-        if whole is not None and not direct and (touch or heavy == "global"):
-            mine = whole if heavy == "global" else whole.select(*sorted(touch)).distinct()
+        if H and not direct and (touch or heavy == "global"):
+            mine = whole if heavy == "global" else own(touch)
             shared = [c for c in frame.columns if c in mine.columns]
+            # without a common variable every tuple meets every heavy value, as the bound of the intermediate allows
             frame = frame.join(small(mine), shared) if shared else frame.crossJoin(small(mine))
             done = done or heavy == "global"
         for r in guarded:
@@ -160,6 +187,8 @@ def intermediates(plan: Plan, combo: Combo, heavy: str = "global", self_guard: s
         out.append(frame)
     if whole is not None and not done:
         out.append(whole)
+    if heavy != "global":
+        out += [own(by_vars[r]).join(parts[r], sorted(by_vars[r]), "left_semi") for r in inside]
     return out
 
 
@@ -173,19 +202,21 @@ def empty_result(query: JoinQuery) -> DataFrame:
     return query.atoms[0].df.sparkSession.createDataFrame([], ", ".join(f"`{v}` {kinds[v]}" for v in query.variables))
 
 
-def cover_mix_join(query: JoinQuery, p: int, delta: str | Fraction = "kappa", heavy: str = "global", self_guard: str = "join", local: str = "catalyst", clamp: bool = True) -> DataFrame:
-    """Natural join of the query, columns in order of their names. Disconnected queries are joined by component and then combined."""
+def cover_mix_join(query: JoinQuery, p: int, delta: str | Fraction = "kappa", heavy: str = "global", self_guard: str = "join", local: str = "catalyst", clamp: bool = True, most: int = MAX_COMBOS) -> DataFrame:
+    """Natural join of the query, columns in order of their names. Disconnected queries are joined by component, and the components in a grid."""
     query = query.normalized()
     parts = query.hypergraph.components()
     if len(parts) > 1:
-        results = [cover_mix_join(JoinQuery([a for a in query.atoms if set(a.vars) <= set(c.vertices)]), p, delta, heavy, self_guard, local, clamp) for c in parts]
-        return reduce(lambda a, b: a.crossJoin(b), results).select(*query.variables)
+        results = [cover_mix_join(JoinQuery([a for a in query.atoms if set(a.vars) <= set(c.vertices)]), p, delta, heavy, self_guard, local, clamp, most) for c in parts]
+        return product_in_grid(results, p, MAX_BROADCAST, lambda df: staged(df, "component")).select(*query.variables)
     if len(query.atoms) == 1:
         return query.atoms[0].df.select(*query.variables)
-    plan = preprocess(query, p, delta, clamp, normalized=True)
+    plan = preprocess(query, p, delta, clamp, normalized=True, most=most)
     if not plan.combos:
         return empty_result(query)
-    return reduce(DataFrame.unionByName, [run_combo(plan, c, heavy, self_guard, local) for c in plan.combos]).select(*query.variables)
+    if len(plan.combos) == 1:
+        return run_combo(plan, plan.combos[0], heavy, self_guard, local).select(*query.variables)
+    return run_combined(plan, MAX_BROADCAST, heavy, self_guard)
 
 
 __all__ = ["Atom", "Combo", "Plan", "cover_mix_join", "heavy_bound", "heavy_relation", "intermediates", "plan_combo", "preprocess", "run_combo"]

@@ -7,15 +7,18 @@ the tag is a broadcast join of proven size without a shuffle of the relation.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 from fractions import Fraction
+from functools import reduce
 from itertools import combinations, product
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 LIGHT = -1
-MAX_COMBOS = 64
+#: Above so many combinations of parts, buckets are merged.
+MAX_COMBOS = 256
 
 
 def degree(df: DataFrame, of: list[str], given: list[str] | None = None) -> DataFrame:
@@ -48,16 +51,21 @@ def bucket_name(subset: tuple[str, ...]) -> str:
     return "b_" + "_".join(subset)
 
 
-def uniformize(df: DataFrame, variables: list[str], n: int, p: int, clamp: bool = True, method: str = "join", tops: dict[str, int] | None = None) -> DataFrame:
+def coarsen(bucket: Column, base: int) -> Column:
+    """``base`` neighbouring buckets as the largest of them; the factor two of a part's degrees becomes 2^base."""
+    return bucket if base == 1 else (F.ceil(bucket / base) * base).cast("int")
+
+
+def uniformize(df: DataFrame, variables: list[str], n: int, p: int, clamp: bool = True, method: str = "join", tops: dict[str, int] | None = None, base: int = 1) -> DataFrame:
     """df with a bucket column for each proper subset of the variables, by increasing size, each inside the parts made before. tops: the largest degree of
-    each variable, if known; where that is light, no part has a heavier one and nothing is counted."""
+    each variable, if known; where that is light, no part has a heavier one and nothing is counted. base: buckets merged into one."""
     spark = df.sparkSession
     done: list[tuple[str, ...]] = []
     heavy_sets: set[tuple[str, ...]] = set()
     for u in subsets_in_order(variables):
         name = bucket_name(u)
         if not clamp:
-            df = sum_by_key(df, [*map(bucket_name, done), *u], method, "__c").withColumn(name, degree_bucket(F.col("__c"))).drop("__c")
+            df = sum_by_key(df, [*map(bucket_name, done), *u], method, "__c").withColumn(name, coarsen(degree_bucket(F.col("__c")), base)).drop("__c")
             done.append(u)
             continue
         # a set with a light subset is light, so only tuples that are heavy in all subsets are counted
@@ -72,7 +80,7 @@ def uniformize(df: DataFrame, variables: list[str], n: int, p: int, clamp: bool
             found = heavy.collect()  # fewer than p for each signature
         if found:
             heavy_sets.add(u)
-            df = df.join(F.broadcast(spark.createDataFrame(found, heavy.schema)), keys, "left").withColumn(name, F.coalesce(degree_bucket(F.col("__c")), F.lit(LIGHT))).drop("__c")
+            df = df.join(F.broadcast(spark.createDataFrame(found, heavy.schema)), keys, "left").withColumn(name, F.coalesce(coarsen(degree_bucket(F.col("__c")), base), F.lit(LIGHT))).drop("__c")
         else:
             df = df.withColumn(name, F.lit(LIGHT))
         done.append(u)
@@ -114,22 +122,53 @@ def part_bound(n: int, arity: int) -> int:
     return max(1, n.bit_length()) ** (2**arity)
 
 
-def combos(parts: dict[str, list[Signature]], most: int = MAX_COMBOS) -> list[dict[str, Signature]]:
-    """Every choice of one part from each relation; empty parts have no signature."""
-    size = 1
-    for s in parts.values():
-        size *= len(s)
-    if size > most:
-        raise ValueError(f"{size} combinations of parts; coarsen the buckets")
-    return [dict(zip(parts, c, strict=True)) for c in product(*parts.values())]
+def with_part(tagged: DataFrame, variables: list[str], parts: list[Signature], name: str = "__part") -> DataFrame:
+    """The variables and the number of the part, its place in ``parts``."""
+    if len(parts) == 1:
+        return tagged.select(*variables, F.lit(0).alias(name))
+    names = [bucket_name(u) for u in subsets_in_order(variables)]
+    rows = [(i, *(b for _, b in s.buckets)) for i, s in enumerate(parts)]
+    table = tagged.sparkSession.createDataFrame(rows, f"{name} int, " + ", ".join(f"`{b}` int" for b in names))
+    return tagged.join(F.broadcast(table), names).select(*variables, name)
+
+
+Apart = dict[tuple[str, str], set[tuple[int, int]]]
+
+
+def parts_apart(parted: dict[str, DataFrame], parts: dict[str, list[Signature]]) -> Apart:
+    """Pairs of parts of two relations that are both heavy in a common variable and have no such value in common, so that no combination with both has
+    a result. Fewer than p values of a part are compared; one row for each pair of parts comes to the driver."""
+    jobs, able = [], {}
+    for v in sorted({u[0] for s in parts.values() for x in s for u, b in x.buckets if b != LIGHT and len(u) == 1}):
+        heavy = {r: [i for i, x in enumerate(s) if dict(x.buckets).get((v,), LIGHT) != LIGHT] for r, s in parts.items()}
+        heavy = {r: i for r, i in heavy.items() if i}
+        values = {r: parted[r].where(F.col("__part").isin(i)).select(v, F.col("__part")).distinct() for r, i in heavy.items()}
+        for r, s in combinations(sorted(heavy), 2):
+            able[v, r, s] = set(product(heavy[r], heavy[s]))
+            jobs.append(values[r].withColumnRenamed("__part", "i").join(values[s].withColumnRenamed("__part", "j"), v).select(F.lit(v).alias("v"), F.lit(r).alias("r"), F.lit(s).alias("s"), "i", "j").distinct())
+    if jobs:
+        for x in reduce(DataFrame.unionAll, jobs).collect():
+            able[x["v"], x["r"], x["s"]].discard((x["i"], x["j"]))
+    out: Apart = {}
+    for (_, r, s), pairs in able.items():
+        out.setdefault((r, s), set()).update(pairs)
+    return out
+
 
+def combos(parts: dict[str, list[Signature]], apart: Apart | None = None) -> Iterator[dict[str, Signature]]:
+    """Every choice of one part from each relation without a pair that is apart; empty parts have no signature."""
+    names, apart = sorted(parts), apart or {}
 
-def coarsen(df: DataFrame, variables: list[str], base: int) -> DataFrame:
-    """Merges ``base`` neighbouring buckets into the largest of them; the factor two becomes 2^base."""
-    for u in subsets_in_order(variables):
-        b = F.col(bucket_name(u))
-        df = df.withColumn(bucket_name(u), F.when(b == LIGHT, b).otherwise((F.ceil(b / base) * base).cast("int")))
-    return df
+    def extend(chosen: list[int]) -> Iterator[dict[str, Signature]]:
+        k = len(chosen)
+        if k == len(names):
+            yield {r: parts[r][i] for r, i in zip(names, chosen, strict=True)}
+            return
+        for i in range(len(parts[names[k]])):
+            if not any((j, i) in apart.get((names[x], names[k]), ()) for x, j in enumerate(chosen)):
+                yield from extend([*chosen, i])
+
+    return extend([])
 
 
 def violations(part: DataFrame, variables: list[str], sigma: dict[frozenset[str], int]) -> DataFrame:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import shutil
 import tempfile
 import uuid
@@ -54,10 +55,12 @@ def write_bucketed(df: DataFrame, table: str, buckets: int, by: list[str]) -> No
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one where the session names none (tests)."""
+    """The folder that driver and executors share; a temporary one where a local session names none (tests). On a cluster it must be named."""
     global _own_dir
     if found := spark.conf.get("spark.checkpoint.dir", None):
         return found.rstrip("/")
+    if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
     if _own_dir is None:
         _own_dir = tempfile.mkdtemp(prefix="gridjoin_")
         atexit.register(shutil.rmtree, _own_dir, ignore_errors=True)
@@ -84,7 +87,7 @@ def _lo(s, d):
 
 
 def _trade(s, d):
-    lines = load(s, d, "lineitem").join(load(s, d, "orders").where("o_orderkey % 50 = 0"), F.expr("l_orderkey = o_orderkey"))
+    lines = load(s, d, "lineitem").join(load(s, d, "orders"), F.expr("l_orderkey = o_orderkey"))
     return lines.join(load(s, d, "customer"), F.expr("o_custkey = c_custkey")).join(load(s, d, "supplier"), F.expr("l_suppkey = s_suppkey"))
 
 
@@ -97,7 +100,7 @@ def _clients(s, d):
 
 
 def _orders_of(s, d):
-    return load(s, d, "orders").where("o_orderkey % 20 = 0").join(_clients(s, d), F.expr("o_custkey = c_custkey"))
+    return load(s, d, "orders").join(_clients(s, d), F.expr("o_custkey = c_custkey"))
 
 
 def _doclabels(s, d):
@@ -128,10 +131,10 @@ _Y = "l_orderkey * 100000 + l_partkey"
 #: name: (DataFrame of it, SQL of it)
 SOURCES = {
     "lo": (_lo, "lineitem JOIN orders ON l_orderkey = o_orderkey"),
-    "trade": (_trade, "lineitem JOIN orders ON l_orderkey = o_orderkey AND o_orderkey % 50 = 0 JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey"),
+    "trade": (_trade, "lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey"),
     "supply": (_supply, "supplier JOIN nation ON s_nationkey = n_nationkey"),
     "clients": (_clients, "customer JOIN nation ON c_nationkey = n_nationkey"),
-    "orders_of": (_orders_of, "orders JOIN customer ON o_custkey = c_custkey AND o_orderkey % 20 = 0 JOIN nation ON c_nationkey = n_nationkey"),
+    "orders_of": (_orders_of, "orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey"),
     "doclabels": (_doclabels, "documents JOIN labels USING (doc_id)"),
     "doctokens": (_doctokens, f"(SELECT * FROM (SELECT doc_id, unnest(regexp_split_to_array(lower(text), '{SPACES}')) AS w FROM documents) WHERE w <> '') AS doctokens"),
     "itemtokens": (_itemtokens, f"(SELECT * FROM (SELECT item_id, unnest(regexp_split_to_array(lower(text), '{SPACES}')) AS w FROM benchmark) WHERE w <> '') AS itemtokens"),

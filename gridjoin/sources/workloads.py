@@ -93,6 +93,7 @@ def _pairs(source: str, variables: str, size: int) -> dict[str, Relation]:
 
 
 _Y = "l_orderkey * 100000 + l_partkey"
+_LINE = "l_orderkey * 8 + l_linenumber"
 _CUST = {"c": "c_custkey", "n": "CAST(c_nationkey AS BIGINT)"}
 _SUPP = {"s": "s_suppkey", "n": "CAST(s_nationkey AS BIGINT)"}
 _K = "CAST(regexp_extract(props, '([0-9]+)', 1) AS BIGINT)"
@@ -100,6 +101,18 @@ _EDGE = ("CAST(c_nationkey AS BIGINT)", "CAST(s_nationkey AS BIGINT)")
 _W05 = {"cust": rel("customer", **_CUST), "ord": rel("orders", "co"), "line": rel("lineitem", "os"), "supp": rel("supplier", **_SUPP)}
 _DOCS = {"ls": rel("documents", g="lang", u="source"), "sq": rel("doclabels", u="source", q="CAST(quality AS BIGINT)"), "lq": rel("doclabels", g="lang", q="CAST(quality AS BIGINT)")}
 
+
+
+def _few(c: str) -> str:
+    """Each value about half as often as the next."""
+    return f"CAST(length(bin({c})) AS BIGINT)"
+
+
+def _some(c: str) -> str:
+    """A third of the values fall on few, the others are many."""
+    return f"CASE WHEN {c} % 3 = 0 THEN {_few(c)} ELSE {c} + 100 END"
+
+
 WORKLOADS: dict[str, Workload] = {
     w.name: w
     for w in [
@@ -121,7 +134,7 @@ WORKLOADS: dict[str, Workload] = {
         Workload(
             "w14",
             {
-                "ab": rel("customer", None, "c_custkey % 10 = 0", a="c_custkey", b="CAST(c_nationkey AS BIGINT)"),
+                "ab": rel("customer", a="c_custkey", b="CAST(c_nationkey AS BIGINT)"),
                 "bcde": rel("supply", b="CAST(n_nationkey AS BIGINT)", c="s_suppkey", d="CAST(floor(s_acctbal / 2000) AS BIGINT)", e="CAST(n_regionkey AS BIGINT)"),
                 "bef": rel("clients", b="CAST(n_nationkey AS BIGINT)", e="CAST(n_regionkey AS BIGINT)", f="c_mktsegment"),
                 "efg": rel("orders_of", e="CAST(n_regionkey AS BIGINT)", f="c_mktsegment", g="o_orderpriority"),
@@ -132,7 +145,7 @@ WORKLOADS: dict[str, Workload] = {
             by=("e", "g"),
         ),
         Workload("w15", {"reg": rel("region", r="CAST(r_regionkey AS BIGINT)", g="r_name"), "nat": rel("nation", n="CAST(n_nationkey AS BIGINT)", r="CAST(n_regionkey AS BIGINT)"), "cust": rel("customer", **_CUST), "ord": rel("orders", "co"), "line": rel("lineitem", "ol")}),
-        Workload("w16", {f"r_p{v}": rel("lo", f"p{v}", "o_orderkey % 20 = 0") for v in "csf"}),
+        Workload("w16", {f"r_p{v}": rel("lo", f"p{v}") for v in "csf"}, by=("f",)),
         Workload("w17", {"rich": rel("customer", None, "c_acctbal > 0", c="c_custkey"), "ord": rel("orders", "co"), "back": rel("lineitem", "o", "l_returnflag = 'R'")}),
         Workload("w18", {"nat": rel("nation", n="CAST(n_nationkey AS BIGINT)", r="CAST(n_regionkey AS BIGINT)")} | _DOCS),
         Workload("w19", {"ut": rel("events", u="user_id", y="event_type"), "yk": rel("events", y="event_type", k=_K), "uk": rel("events", u="user_id", k=_K)}),
@@ -143,5 +156,10 @@ WORKLOADS: dict[str, Workload] = {
         Workload("w24", {"one": rel("embeddings", a="vec_id", g="CAST(label AS BIGINT)"), "two": rel("embeddings", b="vec_id", g="CAST(label AS BIGINT)")}),
         Workload("w25", {"back": rel("lineitem", "op", "l_returnflag = 'R'"), "open": rel("lineitem", "op", "l_linestatus = 'O'"), "ord": rel("orders", "co")}),
         Workload("w26", _DOCS),
+        # relations with values of many degrees: a few, about ten, and more than a hundred combinations of parts
+        Workload("w27", {"r": rel("lineitem", x=_few("l_linenumber"), y=_LINE), "s": rel("lineitem", y=_LINE, z="l_partkey"), "t": rel("lineitem", x=_few("l_linenumber"), z="l_partkey")}),
+        Workload("w28", {k: rel("lo", **{v: {"x": _few("l_partkey"), "y": _LINE, "z": "l_orderkey", "v": _LINE, "w": _few("o_custkey")}[v] for v in k[2:]}) for k in ("r_xy", "r_yz", "r_xz", "r_zv", "r_zw", "r_vw")}, by=("x", "w")),
+        Workload("w29", {f"r_{''.join(c)}": rel("lineitem", **{v: {"a": _few("l_partkey"), "b": "l_orderkey", "c": _few("l_orderkey"), "d": "l_suppkey"}[v] for v in c}) for c in ("abc", "abd", "acd", "bcd")}, by=("a", "c")),
+        Workload("w30", {"r": rel("lineitem", x=_few("l_partkey"), y=_some("l_orderkey")), "s": rel("lo", y=_few("o_custkey"), z=_some("l_orderkey + l_partkey")), "t": rel("lineitem", z=_few("l_orderkey"), x=_some("l_partkey + 7 * l_orderkey"))}),
     ]
 }

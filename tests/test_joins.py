@@ -8,6 +8,9 @@ from pyspark.sql import functions as F
 from gridjoin.operators import baselines as B
 from gridjoin.plans import covermix as C
 from gridjoin.plans import degrees as D
+from gridjoin.plans.combined import product_in_grid, shapes
+from gridjoin.plans.combined import run as run_combined
+from gridjoin.plans.cost import exchanges
 from gridjoin.plans.grid import CELL, grid_precondition, placed, replicate
 from gridjoin.plans.hard import lift_instance, product_instance, sparse_product_instance, triangle_instance, witness_check
 from gridjoin.plans.query import JoinQuery, max_machines, natural_join
@@ -73,7 +76,7 @@ def test_parts_with_heavy_values_at_a_forced_p(spark):
         assert c.machines <= 16
         if c.mix.heavy:
             parts = {a.name: plan.tagged[a.name].where(c.parts[a.name].condition()).select(*a.vars) for a in q.atoms}
-            assert C.heavy_relation(parts, c.mix).count() <= C.heavy_bound(c, plan.hypergraph)
+            assert C.heavy_relation(parts, c.mix.heavy_sets).count() <= C.heavy_bound(c, plan.hypergraph)
     for options in ({}, {"heavy": "per_relation"}, {"self_guard": "direct"}):
         got = []
         for c in plan.combos:
@@ -135,7 +138,7 @@ def test_grid_plan_and_witness(spark):
     for r in received.values():
         out = r if out is None else out.join(r, [c for c in out.columns if c in r.columns])
     assert witness_check(out, received, CELL).count() == 0
-    assert grid_precondition(frames[1], shares, 128) in (True, False)
+    assert grid_precondition(frames[1], shares, 128 * 4) and not grid_precondition(frames[0], {"x": 64, "y": 1}, 128)
     assert max_machines(65536) == 32
 
 
@@ -172,7 +175,7 @@ def test_run_report_and_loads(spark):
 
     q = JoinQuery({k: f for k, f in triangle_instance(spark, 512, 64).items()})
     report = measure(B.hypercube_join(q, 8))
-    assert report.rows == B.cascade_join(q).count() and report.exchanges["REPARTITION_BY_NUM"] >= 0
+    assert report.rows == B.cascade_join(q).count() and report.exchanges["grid"] == 3
     plan = C.preprocess(q, 8, lower_p=False)
     for c in plan.combos:
         load = combo_load(plan, c)
@@ -189,3 +192,73 @@ def test_constraint_check_reads_every_part(spark, monkeypatch):
     tagged = spark.createDataFrame(rows, f"x long, y long, {x} int, {y} int")
     monkeypatch.setattr(catalog, "_tagged", lambda *a: {"r": (("x", "y"), tagged)})
     assert catalog.constraint_check(None, spark, "").collect()[0]["violations"] == 1
+
+
+def zipf(spark, names, n, seed):
+    """The first column's values have degrees n/2, n/4, ...; of the second's, a third fall on few values too."""
+    few = lambda c: F.length(F.bin(c + 1)).cast("long")
+    x, y = (F.pmod(F.xxhash64(F.lit(seed + k), "id"), F.lit(n)) for k in (0, 50))
+    return spark.range(n).select(few(x).alias(names[0]), F.when(y % 3 == 0, few(y)).otherwise(y).alias(names[1])).distinct()
+
+
+@pytest.fixture(scope="module")
+def zipf_query(spark):
+    frames = {k: spark.createDataFrame(zipf(spark, k, 3000, i).collect(), f"{k[0]} long, {k[1]} long") for i, k in enumerate(("xy", "yz", "zx"))}
+    return JoinQuery(frames), rows_of(B.cascade_join(JoinQuery(frames)))
+
+
+def test_many_combinations_in_one_plan(spark, zipf_query):
+    """However many combinations: one grid exchange for each frame of a shape, and the results of plain joins."""
+    query, expected = zipf_query
+    seen = {}
+    for p in (8, 64):
+        plan = C.preprocess(query, p, lower_p=False)
+        kinds = shapes(plan.combos)
+        seen[p] = len(plan.combos)
+        assert sum(map(len, kinds.values())) == len(plan.combos) and any(c.mix.heavy for c in plan.combos)
+        for options in ({}, {"heavy": "per_relation"}, {"heavy": "per_relation", "self_guard": "direct"}):
+            df = run_combined(plan, C.MAX_BROADCAST, **options)
+            assert rows_of(df) == expected
+        assert exchanges(run_combined(plan, C.MAX_BROADCAST))["grid"] <= sum(len(dict(k.guards)) + 1 for k in kinds) <= 4 * len(kinds)
+    assert seen[8] >= 8 and seen[64] >= 100 and len(kinds) < 30
+    assert rows_of(run_combined(plan, 0)) == expected  # without broadcasts of heavy relations
+
+
+def test_buckets_are_merged_beyond_the_limit(spark, zipf_query):
+    query, expected = zipf_query
+    whole = C.preprocess(query, 32, lower_p=False)
+    plan = C.preprocess(query, 32, lower_p=False, most=20)
+    assert plan.base > 1 and len(plan.combos) <= 20 < len(whole.combos)
+    assert rows_of(run_combined(plan, C.MAX_BROADCAST)) == expected
+    forced = C.preprocess(query, 32, lower_p=False, most=0)  # nothing merges that far: all that is left runs
+    assert forced.base == 64 and rows_of(run_combined(forced, C.MAX_BROADCAST)) == expected
+
+
+def test_parts_that_do_not_meet_are_left_out(spark):
+    """x is heavy in both relations, by values of two degrees each, and only one value is common."""
+    r = [[1, i] for i in range(40)] + [[2, i] for i in range(20)] + [[100 + i, i] for i in range(30)]
+    s = [[1, i] for i in range(20)] + [[3, i] for i in range(40)] + [[200 + i, i] for i in range(30)]
+    query = JoinQuery({"r": frame(spark, "xy", r), "s": frame(spark, "xz", s)})
+    plan = C.preprocess(query, 16, lower_p=False)
+    sizes = [len(plan.ids[k]) for k in ("r", "s")]
+    assert sizes == [3, 3] and len(plan.combos) == 6  # of the four pairs of heavy parts one meets
+    assert rows_of(run_combined(plan, 100)) == brute({"r": (["x", "y"], r), "s": (["x", "z"], s)})
+
+
+def test_components_meet_in_a_grid(spark):
+    a, b, c = (frame(spark, n, [[i, 10 * i] for i in range(m)]) for n, m in (("ab", 7), ("cd", 5), ("ef", 3)))
+    expected = sorted((i, 10 * i, j, 10 * j, k, 10 * k) for i in range(7) for j in range(5) for k in range(3))
+    for most in (0, 4, 100):
+        df = product_in_grid([a, b, c], 8, most, lambda x: x)
+        assert rows_of(df) == expected
+        assert exchanges(df)["grid"] == (0 if most == 100 else 2 if most == 4 else 3)
+
+
+def test_no_shared_folder_off_local(spark, monkeypatch):
+    from types import SimpleNamespace
+
+    from gridjoin.sources import tables
+
+    far = SimpleNamespace(conf=SimpleNamespace(get=lambda k, d: d), sparkContext=SimpleNamespace(master="spark://host:7077"))
+    with pytest.raises(ValueError, match="checkpoint"):
+        tables.shared_dir(far)
