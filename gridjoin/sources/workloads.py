@@ -160,6 +160,6 @@ WORKLOADS: dict[str, Workload] = {
         Workload("w27", {"r": rel("lineitem", x=_few("l_linenumber"), y=_LINE), "s": rel("lineitem", y=_LINE, z="l_partkey"), "t": rel("lineitem", x=_few("l_linenumber"), z="l_partkey")}),
         Workload("w28", {k: rel("lo", **{v: {"x": _few("l_partkey"), "y": _LINE, "z": "l_orderkey", "v": _LINE, "w": _few("o_custkey")}[v] for v in k[2:]}) for k in ("r_xy", "r_yz", "r_xz", "r_zv", "r_zw", "r_vw")}, by=("x", "w")),
         Workload("w29", {f"r_{''.join(c)}": rel("lineitem", **{v: {"a": _few("l_partkey"), "b": "l_orderkey", "c": _few("l_orderkey"), "d": "l_suppkey"}[v] for v in c}) for c in ("abc", "abd", "acd", "bcd")}, by=("a", "c")),
-        Workload("w30", {"r": rel("lineitem", x=_few("l_partkey"), y=_some("l_orderkey")), "s": rel("lo", y=_few("o_custkey"), z=_some("l_orderkey + l_partkey")), "t": rel("lineitem", z=_few("l_orderkey"), x=_some("l_partkey + 7 * l_orderkey"))}),
+        Workload("w30", {"r": rel("lineitem", x=_few("l_partkey"), y=_some("l_orderkey")), "s": rel("lo", y=_few("o_custkey"), z=_some("(l_orderkey + l_partkey)")), "t": rel("lineitem", z=_few("l_orderkey"), x=_some("(l_partkey + 7 * l_orderkey)"))}),
     ]
 }
