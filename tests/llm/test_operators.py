@@ -2,6 +2,7 @@
 
 import itertools
 import math
+import os
 import random
 import re
 import zlib
@@ -298,26 +299,78 @@ def test_warc(spark):
 def test_html_extract(spark):
     plain = "<div>shared menu</div><p>{}</p><div>shared foot</div>"
     rows = [(i, f"http://h.example/a/{i}", plain.format(f"story {i}")) for i in range(6)]
-    rows += [(10, "http://h.example/b", "<nav>n</nav><article><p>kept</p><p>shared menu</p></article>"), (11, None, None), (12, "http://other.example/", "<p>alone</p>"), (13, "::bad::[", "")]
-    df = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("host", F.lit(0))
-    for group in (256, 2):
-        got = {r["page_id"]: (r["text"], r["n_chars"]) for r in html_extract.extract_main_text(df, group).collect()}
-        assert len(got) == 10 and got[10] == ("kept\nshared menu", 16) and got[11] == ("", 0) and got[12] == ("alone", 5) and got[13] == ("", 0)
-        if group == 256:
-            assert all(got[i] == (f"story {i}", 7) for i in range(6))
+    rows += [(10, "http://h.example/b", "<nav>n</nav><article><p>kept</p><p>shared menu</p></article>"), (11, None, None), (12, "http://other.example/", "<p>alone</p>"), (13, "::bad::[", ""), (None, "http://other.example/x", None)]
+    rows += [(20 + i, "http://same.example/", "<p>copy</p><p>of it</p>") for i in range(4)] + [(30, "http://same.example/", "<p>copy</p><p>by itself</p>")]
+    rows += [(40, "http://long.example/", "<p>a &amp; b</p>" * 5000)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("host", F.lit(0)).withColumn("part", F.lit(1)).withColumn("digest", F.lit("x"))
+    for part_bytes in (1 << 20, 200):
+        got = {r["page_id"]: (r["text"], r["n_chars"]) for r in html_extract.extract_main_text(df, part_bytes).collect()}
+        assert len(got) == len(rows) and got[10] == ("kept\nshared menu", 16) and got[11] == ("", 0) and got[12] == ("alone", 5) and got[13] == ("", 0) and got[None] == ("", 0)
+        assert all(got[i] == (f"story {i}", 7) for i in range(6))
+        assert all(got[i] == ("of it", 5) for i in range(20, 24)) and got[30] == ("by itself", 9) and got[40][1] == 5000 * 6 - 1
     assert html_extract.extract_main_text(df.limit(0)).count() == 0
 
 
-def test_html_extract_differences_articles(spark):
-    """A notice that two articles share goes; what near copies share stays."""
-    page = "<nav>menu</nav><article><p>{}</p><p>read more every day</p></article>"
-    story = "all the many words of one long story that two hosts mirror"
-    rows = [(i, f"http://h.example/a/{i}", page.format(f"article {i} says things of its own")) for i in range(3)]
-    rows += [(10 + i, "http://m.example/a/", f"<article><p>{story}</p><p>mirror {i}</p></article>") for i in range(2)]
+def _by_brute_force(rows):
+    """Every host's pages in order; the nearest different page on each side, by quadratic search; the subsequence by the full table."""
+    pages = []
+    for page_id, url, page in rows:
+        lines = html_extract.page_lines(page or "")
+        pages.append((*html_extract.host_path(url), page_id, html_extract._cut(page)[2], url, lines))
+    pages.sort(key=lambda x: x[:4])
+
+    def shared(a, b):
+        best = np.zeros((len(a) + 1, len(b) + 1), int)
+        for i in reversed(range(len(a))):
+            for j in reversed(range(len(b))):
+                best[i, j] = best[i + 1, j + 1] + 1 if a[i] == b[j] else max(best[i + 1, j], best[i, j + 1])
+        return best[0, 0]
+
+    out = {}
+    for k, (host, path, page_id, digest, url, lines) in enumerate(pages):
+        before = next((x for x in reversed(pages[:k]) if x[0] == host and x[3] != digest), None)
+        after = next((x for x in pages[k + 1 :] if x[0] == host and x[3] != digest), None)
+        near = [x for x in (before, after) if x is not None]
+        near = max(near, key=lambda x: len(os.path.commonprefix([x[1], path])), default=None)
+        out[page_id] = (near, lines, shared([t for t, _ in lines], [t for t, _ in near[5]]) if near else 0)
+    return out
+
+
+def test_html_extract_equals_brute_force_at_any_cut(spark):
+    """Sites of 10, 150 and 400 pages whose sections have templates of their own, one path for a whole host, and runs of equal pages."""
+    rng = random.Random(21)
+    rows = []
+    for host, n in (("a", 10), ("b", 150), ("c", 400), ("one", 120)):
+        for i in range(n):
+            section = f"s{rng.randint(0, n // 9)}"
+            url = f"http://{host}.example/" + ("" if host == "one" else f"{section}/{rng.randint(0, 999)}")
+            menu = "".join(f"<div>{section} menu {k}</div>" for k in range(3))
+            body = "<p>equal</p><p>body</p>" if rng.random() < 0.3 else f"<p>story {len(rows)}</p><p>of {rng.randint(0, 5)}</p>"
+            rows.append((len(rows), url, f"<article>{body}</article><p>x</p>" if rng.random() < 0.1 else menu + body + f"<div>{section} foot</div>"))
+    want = _by_brute_force(rows)
+    results = []
+    for part_bytes in (1 << 22, 6000, 500):
+        found = html_extract.extract_main_text(spark.createDataFrame(rows, "page_id long, url string, html string").repartition(5), part_bytes).collect()
+        results.append(sorted(tuple(r) for r in found))
+    assert results[0] == results[1] == results[2] and len(results[0]) == len(rows)
+    changed = 0
+    for page_id, _, text, _, n_shared, n_vetoed in results[0]:
+        near, lines, common = want[page_id]
+        assert n_shared == common
+        kept = html_extract.main_text([t for t, _ in lines], bytes(m for _, m in lines), [t for t, _ in near[5]] if near else None)
+        assert (text, n_shared, n_vetoed) == kept
+        changed += n_shared > n_vetoed
+    assert changed > 400
+
+
+def test_html_extract_differences_before_it_asks_the_tags(spark):
+    """Of two articles that quote one line both keep it; lines that are shared outside go by differencing, a notice that changes by its tag."""
+    page = "<p>menu</p><div class=ad>buy {0}</div><article><p>article {0} says things of its own</p><p>read more every day</p></article>"
+    rows = [(i, f"http://h.example/a/{i}", page.format(i)) for i in range(3)]
     df = spark.createDataFrame(rows, "page_id long, url string, html string")
-    got = {r["page_id"]: r["text"] for r in html_extract.extract_main_text(df).collect()}
-    assert all(got[i] == f"article {i} says things of its own" for i in range(3))
-    assert got[10] == f"{story}\nmirror 0" and got[11] == f"{story}\nmirror 1"
+    got = {r["page_id"]: r for r in html_extract.extract_main_text(df).collect()}
+    assert all(got[i]["text"] == f"article {i} says things of its own\nread more every day" for i in range(3))
+    assert all((got[i]["n_shared"], got[i]["n_vetoed"]) == (2, 1) for i in range(3))
 
 
 def test_sentencepiece(spark):
