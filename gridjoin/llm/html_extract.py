@@ -36,7 +36,7 @@ from pyspark.sql import functions as F
 
 from .common import drop_stored, lean, pieces, stored, table
 
-PART_BYTES, MAX_PARTS = 1 << 28, 50_000
+PART_BYTES, MAX_PARTS = 1 << 24, 50_000
 
 #: HTML's elements by what they do to text.
 RAW = frozenset("script style template noscript iframe svg math object audio video canvas textarea title noframes".split())
