@@ -9,7 +9,7 @@ from .common import drop_stored, stored
 
 
 def connected_components(edges: DataFrame, name: str = "components") -> DataFrame:
-    """edges: a, b (long). Returns node, comp (the least node of its component) for every node on an edge.
+    """edges: a, b (of any type with an order). Returns node, comp (the least node of its component) for every node on an edge.
 
     Each round points every node's larger neighbours at the least neighbour, then its smaller ones. Both are minima with partial
     aggregates and joins that AQE can split. Each round is a written table, so a lost executor repeats its own tasks only.

@@ -5,7 +5,7 @@ A document's set is its distinct 5-word shingles (with fewer words, the whole se
 shingles of rare words first. Two documents link when 100 * intersection >= 75 * union. The result is each document's component.
 
 1. One scan gives each document its set's size and 128-bit digest, and counts the shingles that a task meets more than once. Equal
-   sets are one class, whose least doc_id stands for it; copies go no further. The word ranks (from a bounded sample of
+   sets are one class, which the digest names; copies go no further. The word ranks (from a bounded sample of
    WORD_SAMPLE documents) and the counts only order the shingles. The order changes the work, never the result.
 2. A second scan posts the first n - ceil(0.75 n) + DEPTH shingles of each set. Two sets that link share at least
    need(n, m) - ceil(0.75 max(n, m)) + DEPTH of them, where need is the intersection they must have. Postings are sorted by shingle; a shingle of one
@@ -13,18 +13,21 @@ shingles of rare words first. Two documents link when 100 * intersection >= 75 *
 3. Groups of at most SMALL classes give their pairs (so at most SMALL for each posting); pairs that pass the size, position and
    count bounds are verified on whole sets. Around a hub, the candidates' sorted sets are walked as a prefix tree: along equal beginnings
    the partial overlap is shared, and a subtree ends when the remaining lengths cannot reach the needed overlap. Hubs with
-   one least neighbour are verified together, so that a set goes once to each such cluster.
-4. Larger groups are joined whole. Groups with the same least member are one cluster (near copies share most of their groups), and each set comes to
-   a cluster once for each block of BLOCK classes that it meets there; intersections of those that share a group are counted
-   within the block, and only links leave it, as a spanning forest. So thousands of near copies never become rows of pairs. A class
-   joins all but the last ``skipped`` of its large groups.
+   one least neighbour are verified together, so that a set goes once to each such cluster; a cluster of more than TOGETHER pairs is salted.
+4. Larger groups are joined whole. Groups with the same least member are one cluster (near copies share most of their groups). Its classes are dealt
+   to blocks of about BLOCK, and each block's links are found by counting intersections of those that share a group; only a spanning forest leaves it. Then
+   the roots of all blocks are joined in the same way. What steps 3 and 4 have linked so far are components; only classes of one cluster that are in
+   different ones are still compared, in blocks made by component. So a set goes once to each of its clusters, and once more to each
+   block of classes that are not linked with it; a thousand near copies never become rows of pairs. A class joins all but the last
+   ``skipped`` of its large groups.
 
 Where a link shares more large groups than either class skips, the first that they share is skipped by neither, and step 4 settles it. Where it shares
 fewer, step 3 has counted all its other postings, and its bound there is lowered by as many as the two classes' large groups can be.
 Components need no copies expanded. The list of common shingles is cut at MAX_COMMON (the rest merely sort by word rank), which bounds its broadcast.
 
-Defined cases: null or empty text has 0 shingles and is its own component. Repeated rows of a doc_id are reported each.
-A null doc_id takes part as a copy or neighbour but cannot name a component. Empty tables give no rows; other columns are not read.
+Defined cases: null or empty text has 0 shingles and is its own component. Repeated rows are reported each; rows of one doc_id with different texts are
+linked each by its text. A null doc_id takes part as any other and cannot name a component; alone, its component is null. Ties have no part in the
+result. Texts may be of any length. Empty tables give no rows; other columns are not read.
 """
 
 from __future__ import annotations
@@ -45,8 +48,8 @@ K, PERCENT = 5, 75
 COMMON, MAX_COMMON = 24, 1 << 20
 #: Linked sets share at least so many of the posted shingles (small sets: all that they need to share).
 DEPTH = 24
-#: Pairs with one least neighbour are verified together up to so many.
-TOGETHER = 4096
+#: Pairs with one least neighbour are verified together, about so many at a time.
+TOGETHER = 512
 SMALL, BLOCK = 24, 512
 WORD_SAMPLE, WORDS = 2000, 1024
 #: log2 of the probability at which ranks begin, of a word that is not in the list, and the step of a rank.
@@ -269,9 +272,9 @@ def forest(a: np.ndarray, b: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray
     return root[own], own
 
 
-def block_links(sets: list[np.ndarray], marks: list[np.ndarray], side: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray]:
+def block_links(sets: list[np.ndarray], marks: list[np.ndarray], side: np.ndarray, percent: int, apart: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Linked pairs of a block that share a mark (a large group). side: 0 or 1 for two different blocks, whose own pairs are left out; one value for
-    a block with itself."""
+    a block with itself. apart: numbers of components; pairs of one component are left out."""
     m = len(sets)
     n = np.array([len(s) for s in sets], np.int32)
     todo = np.zeros((m, m), bool)
@@ -286,6 +289,8 @@ def block_links(sets: list[np.ndarray], marks: list[np.ndarray], side: np.ndarra
     todo &= np.triu(np.ones((m, m), bool), 1)
     if side.min() != side.max():
         todo &= side[:, None] != side[None, :]
+    if apart is not None:
+        todo &= apart[:, None] != apart[None, :]
     todo &= np.minimum(n[:, None], n[None, :]) * 100 >= percent * np.maximum(n[:, None], n[None, :])
     i, j = np.nonzero(todo)
     if not len(i):
@@ -323,28 +328,35 @@ def block_links(sets: list[np.ndarray], marks: list[np.ndarray], side: np.ndarra
     return i[ok], j[ok]
 
 
+_LINK = "a binary, b binary"
+
+
+def _link_rows(a: list[bytes], b: list[bytes]) -> pa.RecordBatch:
+    return pa.record_batch([pa.array(a, pa.binary()), pa.array(b, pa.binary())], names=["a", "b"])
+
+
 def _large_groups(percent: int):
-    """Rows sorted by cluster, c1, c2: a cluster's pair of blocks, with node, side, marks and set, to links a, b."""
-    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+    """Rows sorted by cluster, c1, c2: a cluster's pair of blocks, with node, side, marks, comp (null where pairs of one component count too) and set, to
+    links a, b: each node of a linked part with its root."""
 
     def run(batches):
         key, rows = None, []
 
         def links():
             if len(rows) > 1:
-                node, side, marks, sets = zip(*rows, strict=True)
-                i, j = block_links(list(sets), list(marks), np.array(side), percent)
+                node, side, marks, comp, sets = zip(*rows, strict=True)
+                apart = None if comp[0] is None else np.unique(np.array(comp, "S16"), return_inverse=True)[1].ravel()
+                i, j = block_links(list(sets), list(marks), np.array(side), percent, apart)
                 if len(i):
-                    node = np.array(node, np.int64)
                     a, b = forest(i, j, len(node))
-                    yield pa.record_batch([pa.array(node[a]), pa.array(node[b])], schema=schema)
+                    yield _link_rows([node[x] for x in a], [node[x] for x in b])
 
         for batch in pieces(batches):
-            for cluster, c1, c2, node, side, marks, s in zip(*(batch.column(c).to_pylist() for c in ("cluster", "c1", "c2", "node", "side", "marks", "s")), strict=True):
+            for cluster, c1, c2, node, side, marks, comp, s in zip(*(batch.column(c).to_pylist() for c in ("cluster", "c1", "c2", "node", "side", "marks", "comp", "s")), strict=True):
                 if (cluster, c1, c2) != key:
                     yield from links()
                     key, rows = (cluster, c1, c2), []
-                rows.append((node, side, np.array(marks, np.int64), np.frombuffer(s, np.uint64)))
+                rows.append((node, side, np.array(marks, np.int64), comp, np.frombuffer(s, np.uint64)))
         yield from links()
 
     return run
@@ -382,8 +394,7 @@ def tree_matches(hub: np.ndarray, others: list[np.ndarray], percent: int = PERCE
 
 
 def _verify(percent: int):
-    """Rows sorted by cluster: node, partners (whose pairs with the node are to be verified), set; to the links a, b."""
-    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+    """Rows sorted by cluster and salt: node, partners (whose pairs with the node are to be verified), set; to the links a, b."""
 
     def run(batches):
         key, sets, todo = None, {}, []
@@ -392,15 +403,15 @@ def _verify(percent: int):
             for node, partners in todo:
                 near = [p for p in partners if p in sets]
                 if node in sets and near:
-                    ok = np.array(near, np.int64)[tree_matches(sets[node], [sets[p] for p in near], percent)]
-                    if len(ok):
-                        yield pa.record_batch([pa.array(np.full(len(ok), node)), pa.array(ok)], schema=schema)
+                    ok = [p for p, yes in zip(near, tree_matches(sets[node], [sets[p] for p in near], percent), strict=True) if yes]
+                    if ok:
+                        yield _link_rows([node] * len(ok), ok)
 
         for batch in pieces(batches):
-            for cluster, node, partners, s in zip(*(batch.column(c).to_pylist() for c in ("cluster", "node", "partners", "s")), strict=True):
-                if cluster != key:
+            for cluster, salt, node, partners, s in zip(*(batch.column(c).to_pylist() for c in ("cluster", "salt", "node", "partners", "s")), strict=True):
+                if (cluster, salt) != key:
                     yield from linked()
-                    key, sets, todo = cluster, {}, []
+                    key, sets, todo = (cluster, salt), {}, []
                 sets[node] = np.frombuffer(s, np.uint64)
                 if partners:
                     todo.append((node, partners))
@@ -410,46 +421,84 @@ def _verify(percent: int):
 
 
 def _set_rows(k: int, ranks):
-    schema = pa.schema([("doc_id", pa.int64()), ("s", pa.binary())])
+    schema = pa.schema([("node", pa.binary()), ("s", pa.binary())])
 
     def run(batches):
         for batch in pieces(batches, 500):
-            yield pa.record_batch([batch.column("doc_id"), pa.array([s.tobytes() for s in sets_of(batch.column("text"), k, ranks.value)], pa.binary())], schema=schema)
+            sets = list(sets_of(batch.column("text"), k, ranks.value))
+            yield pa.record_batch([pa.array([digest(s) for s in sets], pa.binary()), pa.array([s.tobytes() for s in sets], pa.binary())], schema=schema)
 
     return run
 
 
-def sets_for(nodes: DataFrame, docs: DataFrame, k: int, ranks) -> DataFrame:
-    """doc_id, s (the set) for the documents in nodes (doc_id)."""
-    small = nodes.limit(MAX_BROADCAST + 1).count() <= MAX_BROADCAST
-    texts = docs.join(F.broadcast(nodes) if small else nodes, "doc_id", "left_semi")
-    return stored(texts.mapInArrow(lean(_set_rows(k, ranks)), "doc_id long, s binary"), "sets", compression="none")
+def sets_for(ids: DataFrame, docs: DataFrame, k: int, ranks) -> DataFrame:
+    """node (the digest), s (the set) of the documents whose doc_id is in ids (d; null stands for null)."""
+    small = ids.limit(MAX_BROADCAST + 1).count() <= MAX_BROADCAST
+    texts = docs.join(F.broadcast(ids) if small else ids, F.col("doc_id").eqNullSafe(F.col("d")), "left_semi")
+    return stored(texts.mapInArrow(lean(_set_rows(k, ranks)), "node binary, s binary"), "sets", compression="none")
 
 
 def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a < b of doc_ids) that link, on the whole sets. A node has at most SMALL partners for each posted shingle, and a cluster of
-    more than TOGETHER pairs is taken apart into its hubs."""
+    """The pairs a < b that link, on the whole sets. A node has at most SMALL partners for each posted shingle."""
     least = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))).groupBy("a").agg(F.least(F.col("a"), F.min("b")).alias("cluster"))
     led = pairs.join(least, "a")
-    led = led.join(led.groupBy("cluster").agg(F.count("*").alias("pairs")), "cluster")
-    led = led.select(F.when(F.col("pairs") > TOGETHER, F.col("a")).otherwise(F.col("cluster")).alias("cluster"), "a", "b")
-    none = F.lit(None).cast("long")
-    members = led.select("cluster", F.col("a").alias("node"), F.col("b").alias("partner")).unionByName(led.select("cluster", F.col("b").alias("node"), none.alias("partner")))
-    members = members.groupBy("cluster", "node").agg(F.collect_list("partner").alias("partners"))
-    rows = members.join(sets, F.col("node") == F.col("doc_id")).repartition("cluster").sortWithinPartitions("cluster", "node")
-    return rows.select("cluster", "node", "partners", "s").mapInArrow(lean(_verify(percent)), "a long, b long")
+    led = led.join(led.groupBy("cluster").agg(F.ceil(F.count("*") / TOGETHER).cast("int").alias("salts")), "cluster")
+    led = led.select("cluster", F.pmod(F.hash("a"), F.col("salts")).alias("salt"), "a", "b")
+    none = F.lit(None).cast("binary")
+    members = led.select("cluster", "salt", F.col("a").alias("node"), F.col("b").alias("partner")).unionByName(led.select("cluster", "salt", F.col("b").alias("node"), none.alias("partner")))
+    members = members.groupBy("cluster", "salt", "node").agg(F.collect_list("partner").alias("partners"))
+    rows = members.join(sets, "node").repartition("cluster", "salt").sortWithinPartitions("cluster", "salt", "node")
+    return rows.select("cluster", "salt", "node", "partners", "s").mapInArrow(lean(_verify(percent)), _LINK)
+
 
+def in_blocks(dealt: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links within pairs of blocks. dealt: cluster, c1, c2, side, node, marks, comp."""
+    rows = dealt.join(sets, "node").repartition("cluster", "c1", "c2").sortWithinPartitions("cluster", "c1", "c2", "node")
+    return rows.select("cluster", "c1", "c2", "node", "side", "marks", "comp", "s").mapInArrow(lean(_large_groups(percent)), _LINK)
 
-def joined_groups(large: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Links inside large groups. large: node, marks (its large groups, sorted, without those skipped)."""
+
+def paired(dealt: DataFrame, blocks: DataFrame) -> DataFrame:
+    """Each row in every pair of blocks that has its own. blocks: cluster, own, other."""
+    dealt = dealt.join(blocks, ["cluster", "own"])
+    return dealt.select("cluster", F.least("own", "other").alias("c1"), F.greatest("own", "other").alias("c2"), (F.col("own") > F.col("other")).cast("int").alias("side"), "node", "marks", "comp")
+
+
+def joined_groups(large: DataFrame, sets: DataFrame, small_links: DataFrame, percent: int) -> DataFrame:
+    """Links of large groups, with the links of small ones. large: node, marks (its large groups, sorted, without those skipped). The result is a table."""
     single = large.select("node", F.explode("marks").alias("h"))
+    none = F.lit(None).cast("binary")
     dealt = single.join(single.groupBy("h").agg(F.min("node").alias("cluster")), "h").groupBy("cluster", "node").agg(F.collect_list("h").alias("marks"))
-    blocks = dealt.groupBy("cluster").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("m"))
-    dealt = dealt.join(blocks, "cluster").withColumn("own", F.pmod(F.hash("node"), F.col("m")))
-    dealt = dealt.select("cluster", "node", "marks", "own", F.explode(F.sequence(F.lit(0), F.col("m") - 1)).alias("other"))
-    dealt = dealt.select("cluster", "node", "marks", F.least("own", "other").alias("c1"), F.greatest("own", "other").alias("c2"), (F.col("own") > F.col("other")).cast("int").alias("side"))
-    rows = dealt.join(sets, F.col("node") == F.col("doc_id")).repartition("cluster", "c1", "c2").sortWithinPartitions("cluster", "c1", "c2", "node")
-    return rows.select("cluster", "c1", "c2", "node", "side", "marks", "s").mapInArrow(lean(_large_groups(percent)), "a long, b long")
+    sizes = dealt.groupBy("cluster").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("m"))
+    dealt = stored(dealt.join(sizes, "cluster").select("cluster", "node", "marks", "m", F.pmod(F.hash("node"), F.col("m")).alias("own")), "dealt")
+    first = stored(small_links.unionByName(in_blocks(dealt.select("cluster", F.col("own").alias("c1"), F.col("own").alias("c2"), F.lit(0).alias("side"), "node", "marks", none.alias("comp")), sets, percent)), "first")
+    split = dealt.where("m > 1")
+    if split.isEmpty():
+        drop_stored(dealt)
+        return first
+    # a root is a class that no link of its block points away from; the links of a block point at its nodes from their roots
+    roots = split.join(first.select(F.col("b").alias("node")).distinct(), "node", "left_anti")
+    rooms = roots.groupBy("cluster").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("r"))
+    every = F.explode(F.sequence(F.lit(0), F.col("r") - 1))
+    rows = roots.drop("own").join(rooms, "cluster").withColumn("own", F.pmod(F.hash("node", "cluster"), F.col("r")))
+    second = stored(in_blocks(paired(rows.select("cluster", "own", "node", "marks", none.alias("comp")), rooms.select("cluster", every.alias("own"), "r").select("cluster", "own", every.alias("other"))), sets, percent), "second")
+    comps = connected_components(first.unionByName(second))
+    # classes of one cluster in different components; a component keeps to its own blocks where it fills any
+    of = split.join(comps.withColumnRenamed("comp", "found"), "node", "left").select("cluster", "node", "marks", F.coalesce("found", "node").alias("comp"))
+    count = of.groupBy("cluster", "comp").agg(F.count("*").alias("n"))
+    several = count.groupBy("cluster").agg(F.count("*").alias("k"), F.sum(F.when(F.col("n") < BLOCK, F.col("n"))).alias("rest")).where("k > 1")
+    count = count.join(several, "cluster")
+    # blocks are named by a component and a number; small components share blocks without a name
+    full, none = F.col("n") >= BLOCK, F.lit(b"")
+    count = count.select("cluster", "comp", F.when(full, F.col("comp")).otherwise(none).alias("of"), F.ceil(F.when(full, F.col("n")).otherwise(F.col("rest")) / BLOCK).cast("int").alias("m"))
+    part = F.pmod(F.when(F.col("of") == none, F.hash("comp")).otherwise(F.hash("node")), F.col("m"))
+    rows = of.join(count, ["cluster", "comp"]).select("cluster", "node", "marks", "comp", F.struct("of", part.alias("part")).alias("own"))
+    rooms = count.select("cluster", "of", F.explode(F.sequence(F.lit(0), F.col("m") - 1)).alias("part")).distinct().select("cluster", F.struct("of", "part").alias("own"))
+    both = rooms.join(rooms.withColumnRenamed("own", "other"), "cluster").where((F.col("own.of") == none) | (F.col("own.of") != F.col("other.of")))
+    third = in_blocks(paired(rows, both), sets, percent)
+    out = stored(first.unionByName(second).unionByName(third), "links")
+    for x in (dealt, first, second):
+        drop_stored(x)
+    return out
 
 
 def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataFrame:
@@ -467,8 +516,7 @@ def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataF
     common = spark.sparkContext.broadcast((keys[order], top["c"].to_numpy(np.int64)[order]))
     postings = docs.mapInArrow(lean(_postings(common, k, percent, ranks)), "h long, n int, pos int, g binary")
     met = stored(postings.repartition("h").sortWithinPartitions("h", "n", "g").mapInArrow(lean(_small_pairs(percent)), "kind byte, h long, g binary, g2 binary, n int, c int"), "met")
-    reps = members.where("n > 0 AND doc_id IS NOT NULL").groupBy("g").agg(F.min("doc_id").alias("node"))
-    one, two = reps.select("g", F.col("node").alias("x")), reps.select(F.col("g").alias("g2"), F.col("node").alias("y"))
+    classes = members.where("n > 0").groupBy("g").agg(F.min("doc_id").alias("d"))
     hot = met.where("kind = 1").groupBy("g").agg(F.count("*").alias("large"))
     # counted under a hash of the pair, which is half as wide; the few that pass fetch their digests back
     # the low bits of that hash are the count that a pair must reach (more than 4094 is written as 4095, which only lets more pairs through)
@@ -479,19 +527,21 @@ def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataF
     pairs = pairs.select("g", "g2", "pair").join(F.broadcast(often) if often.count() <= MAX_BROADCAST else often, "pair").dropDuplicates(["g", "g2"])
     pairs = pairs.join(hot, "g", "left").join(hot.select(F.col("g").alias("g2"), F.col("large").alias("large2")), "g2", "left")
     pairs = pairs.where(F.col("c") >= F.col("least") - F.least(F.lit(DEPTH - 1), F.coalesce("large", F.lit(0)), F.coalesce("large2", F.lit(0))))
-    pairs = stored(pairs.join(one, "g").join(two, "g2").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")), "pairs")
-    groups = met.where("kind = 1").groupBy("g", "n").agg(F.array_sort(F.collect_list("h")).alias("marks")).where(F.size("marks") > skipped(F.col("n"), percent)).join(reps, "g")
+    pairs = stored(pairs.select(F.least("g", "g2").alias("a"), F.greatest("g", "g2").alias("b")), "pairs")
+    groups = met.where("kind = 1").groupBy(F.col("g").alias("node"), "n").agg(F.array_sort(F.collect_list("h")).alias("marks")).where(F.size("marks") > skipped(F.col("n"), percent))
     large = stored(groups.select("node", F.slice("marks", F.lit(1), F.size("marks") - skipped(F.col("n"), percent)).alias("marks")), "large")
     drop_stored(met)
     drop_stored(often)
-    nodes = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).unionByName(large.select(F.col("node").alias("doc_id"))).distinct()
-    sets = sets_for(nodes, docs, k, ranks)
-    links = verified(pairs, sets, percent).unionByName(joined_groups(large, sets, percent))
+    nodes = pairs.select(F.col("a").alias("g")).unionByName(pairs.select(F.col("b").alias("g"))).unionByName(large.select(F.col("node").alias("g"))).distinct()
+    sets = sets_for(classes.join(nodes, "g", "left_semi").select("d").distinct(), docs, k, ranks)
+    links = joined_groups(large, sets, verified(pairs, sets, percent), percent)
     comps = connected_components(links)
-    for x in (pairs, large, sets):
+    for x in (pairs, large, sets, links):
         drop_stored(x)
-    rep_comp = reps.join(comps, "node", "left").select("g", F.coalesce("comp", "node").alias("component_id"))
-    return members.join(rep_comp, "g", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
+    named = comps.join(classes, F.col("node") == F.col("g")).groupBy("comp").agg(F.min("d").alias("component_id"))
+    linked = comps.join(named, "comp").select(F.col("node").alias("g"), "component_id")
+    own = classes.join(linked, "g", "left").select("g", F.coalesce("component_id", "d").alias("component_id"))
+    return members.join(own, "g", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
 def op10_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -155,7 +155,7 @@ def _components(texts):
     return [(i, len(s), find(i)) for i, s in enumerate(sets)]
 
 
-def test_ngram_join(spark, corpus):
+def test_ngram_join(spark, corpus, monkeypatch):
     texts = [r["text"] for r in corpus.orderBy("doc_id").collect()]
     rng = random.Random(8)
     seed = prose(rng, 120).split()
@@ -163,10 +163,41 @@ def test_ngram_join(spark, corpus):
     df = docs(spark, texts).withColumn("h", F.lit(1))
     got = sorted(tuple(r) for r in ngram_join.link_documents(df).collect())
     assert got == _components(texts)
+    monkeypatch.setattr(ngram_join, "BLOCK", 16)  # the large group in many blocks
+    monkeypatch.setattr(ngram_join, "TOGETHER", 8)
+    assert sorted(tuple(r) for r in ngram_join.link_documents(df).collect()) == got
     again = ngram_join.link_documents(df.union(df.where("doc_id = 5"))).collect()
     assert len(again) == len(texts) + 1 and ngram_join.link_documents(df.limit(0)).count() == 0
 
 
+def test_ngram_join_blocks_of_several_components(spark, monkeypatch):
+    """Families that share a passage of rare words, so that their large groups meet in one cluster, and are linked only within; some are single."""
+    monkeypatch.setattr(ngram_join, "BLOCK", 16)
+    rng = random.Random(31)
+    texts = []
+    passage = [f"p{i}" for i in range(70)]
+    for family, n in ((0, 70), (1, 40), (2, 33), *((k, 1) for k in range(3, 23))):
+        own = [f"f{family}x{i}" for i in range(30 if family < 3 else 60)]
+        for _ in range(n):
+            texts.append(" ".join(w if rng.random() < 0.99 else f"q{rng.random()}" for w in passage + own))
+    rng.shuffle(texts)
+    got = sorted(tuple(r) for r in ngram_join.link_documents(docs(spark, texts)).collect())
+    assert got == _components(texts)
+
+
+def test_ngram_join_without_ids_and_with_equal_ids(spark):
+    """A text without an id links as any other; rows of one id with different texts are linked each by its text."""
+    rng = random.Random(5)
+    a, b = prose(rng, 60), prose(rng, 60)
+    near = lambda t: t + " end"
+    rows = [(7, a), (None, near(a)), (9, near(near(a))), (3, b), (3, prose(rng, 40)), (4, near(b)), (None, prose(rng, 50)), (None, None), (None, near(near(near(a))))]
+    got = ngram_join.link_documents(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    key = lambda r: (r[0] or -1, r[1], r[2] or -1)
+    size = lambda t: len({tuple(t.split()[i : i + 5]) for i in range(len(t.split()) - 4)}) if t else 0
+    comp = [7, 7, 7, 3, 3, 3, None, None, 7]
+    assert sorted(map(tuple, got), key=key) == sorted(((i, size(t), c) for (i, t), c in zip(rows, comp, strict=True)), key=key)
+
+
 def test_connected_components(spark):
     rng = random.Random(2)
     edges = [(i, i + 1) for i in range(0, 40)] + [(100, i) for i in range(101, 160)] + [(rng.randint(200, 260), rng.randint(200, 260)) for _ in range(40)]
