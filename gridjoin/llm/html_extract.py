@@ -345,8 +345,15 @@ def extract_main_text(pages: DataFrame, part_bytes: int = PART_BYTES) -> DataFra
     parts = min(MAX_PARTS, max(1, -(-(keys.agg(F.sum("size")).first()[0] or 0) // part_bytes)))
     ranged = keys.drop("size").repartitionByRange(parts, *ORDER).sortWithinPartitions(*ORDER)
     ddl = ", ".join(f"host{k} string, path{k} string, page_id{k} long, digest{k} binary" for k in range(4))
-    # a range has at least one row, and its first key comes before all others of it
-    rows = [[None if r[f"digest{k}"] is None else key_of(r[f"host{k}"], r[f"path{k}"], r[f"page_id{k}"], bytes(r[f"digest{k}"])) for k in range(4)] for r in ranged.mapInArrow(lean(_summary), ddl).collect()]
+    # fewer keys a range are sampled for the cuts than the default's 100, as all samples meet in the driver
+    sample = "spark.sql.execution.rangeExchange.sampleSizePerPartition"
+    default = spark.conf.get(sample)
+    spark.conf.set(sample, "20")
+    try:
+        found = ranged.mapInArrow(lean(_summary), ddl).collect()
+    finally:
+        spark.conf.set(sample, default)
+    rows = [[None if r[f"digest{k}"] is None else key_of(r[f"host{k}"], r[f"path{k}"], r[f"page_id{k}"], bytes(r[f"digest{k}"])) for k in range(4)] for r in found]
     rows.sort(key=lambda r: r[0])
     drop_stored(keys)
     plan = spark.sparkContext.broadcast(([r[0] for r in rows], seen_beside(rows)))

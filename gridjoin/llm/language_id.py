@@ -251,7 +251,8 @@ def learning_sample(docs: DataFrame, per_lang: int = PER_LANG) -> tuple[list[str
 
 
 def identify(docs: DataFrame, learn_from: DataFrame) -> DataFrame:
-    """The rows of docs with lang_pred and score added. learn_from: doc_id, text, lang."""
+    """The rows of docs with lang_pred and score added; columns of docs with these names are replaced. learn_from: doc_id, text, lang."""
+    docs = docs.drop("lang_pred", "score")
     model = docs.sparkSession.sparkContext.broadcast(train(*learning_sample(learn_from)))
     names = docs.columns
     from pyspark.sql.pandas.types import to_arrow_schema

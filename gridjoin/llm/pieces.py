@@ -438,10 +438,11 @@ def _spaced(column):
 
 
 def encode_texts(docs: DataFrame, model: Model | None = None, text_col: str = "text") -> DataFrame:
-    """docs with ids (array<int>), n_tokens and round_trip (whether the ids decode to the text, U+2581 as spaces) added, the text left out."""
+    """docs with ids (array<int>), n_tokens and round_trip (whether the ids decode to the text, U+2581 as spaces) added, the text left out. Columns of docs
+    with these names are replaced."""
     from pyspark.sql.pandas.types import to_arrow_schema
 
-    kept = docs.drop(text_col)
+    kept = docs.drop(text_col, "ids", "n_tokens", "round_trip")
     names = [f.name for f in to_arrow_schema(kept.schema)]
     sent = docs.sparkSession.sparkContext.broadcast(model or Model.read())
 
@@ -469,10 +470,10 @@ def encode_texts(docs: DataFrame, model: Model | None = None, text_col: str = "t
 
 
 def decode_ids(rows: DataFrame, model: Model | None = None, ids_col: str = "ids") -> DataFrame:
-    """rows (any columns, and ids) with text in place of the ids."""
+    """rows (any columns, and ids) with text in place of the ids; a column text is replaced."""
     from pyspark.sql.pandas.types import to_arrow_schema
 
-    kept = rows.drop(ids_col)
+    kept = rows.drop(ids_col, "text")
     names = [f.name for f in to_arrow_schema(kept.schema)]
     sent = rows.sparkSession.sparkContext.broadcast(model or Model.read())
 

@@ -2,7 +2,7 @@
 
 Four base kinds are always reported where their pattern and check hold: email, ip (parts at most 255), card (14 to 19
 digits, Luhn) and phone (10 to 15 digits). Two further kinds are reported when their score reaches ``ACCEPT``: iban
-(mod-97 makes 80 of 100 points) and ssn (the pattern alone makes 40, a context word in the 32 characters before it 40
+(mod-97 makes 80 of 100 points) and ssn (the pattern alone makes 40, a whole context word in the 32 characters before it 40
 more). Spans are code points, end exclusive, leftmost and not overlapping within a kind.
 
 Positions come from one split and one extract of the same pattern: the lengths of the gaps and of the matches, summed in
@@ -50,6 +50,11 @@ WORDS = {
 CONTEXT, NEAR, ACCEPT = 40, 32, 60
 
 
+def _context(kind: str) -> str:
+    """A whole word before the span; what is read begins one character earlier, so that a cut word does not count."""
+    return f"[^a-z]({WORDS[kind]})([^a-z]|$)"
+
+
 def _digits(m: Column) -> Column:
     return F.regexp_replace(m, "[^0-9]", "")
 
@@ -83,8 +88,8 @@ def spans_of(kind: str, text: Column) -> Column:
     def step(acc: Column, x: Column) -> Column:
         start = acc["pos"] + F.length(x["g"])
         end = start + F.length(x["m"])
-        before = F.lower(F.substring(text, F.greatest(start - NEAR, F.lit(0)) + 1, F.least(start, F.lit(NEAR))))
-        points = F.lit(POINTS[kind]) + F.when(before.rlike(f"({WORDS[kind]})"), CONTEXT).otherwise(0)
+        before = F.lower(F.when(start > NEAR, F.substring(text, start - NEAR, F.lit(NEAR + 1))).otherwise(F.concat(F.lit(" "), F.substring(text, F.lit(1), start))))
+        points = F.lit(POINTS[kind]) + F.when(before.rlike(_context(kind)), CONTEXT).otherwise(0)
         keep = confirmed(kind, x["m"])
         if kind in ADDED:
             keep = keep & (points >= ACCEPT)
@@ -152,14 +157,14 @@ def oracle() -> str:
         for i, (k, p) in enumerate(plain.items())
     )
     check = " ".join(f"WHEN '{k}' THEN {v}" for k, v in holds.items())
-    points = " ".join(f"WHEN '{k}' THEN {POINTS[k]} + CASE WHEN regexp_matches(b, '({WORDS[k]})') THEN {CONTEXT} ELSE 0 END" for k in plain)
+    points = " ".join(f"WHEN '{k}' THEN {POINTS[k]} + CASE WHEN regexp_matches(b, '{_context(k)}') THEN {CONTEXT} ELSE 0 END" for k in plain)
     counts = ", ".join(f"count(*) FILTER (kind = '{k}') AS n_{k}" for k in plain)
     zero = ", ".join(f"coalesce(n_{k}, 0) AS n_{k}" for k in plain)
     return f"""
     WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
     f AS ({found}),
     p AS (SELECT doc_id, t, kind, k, m, CAST(list_sum(list_transform(g[1:i], lambda x: length(x))) + coalesce(list_sum(list_transform(ms[1:i - 1], lambda x: length(x))), 0) AS BIGINT) AS s FROM f),
-    c AS (SELECT doc_id, kind, k, s, s + length(m) AS e, lower(substr(t, greatest(s - {NEAR}, 0) + 1, least(s, {NEAR}))) AS b FROM p WHERE CASE kind {check} END),
+    c AS (SELECT doc_id, kind, k, s, s + length(m) AS e, lower(CASE WHEN s > {NEAR} THEN substr(t, s - {NEAR}, {NEAR + 1}) ELSE ' ' || substr(t, 1, s) END) AS b FROM p WHERE CASE kind {check} END),
     q AS (SELECT *, CASE kind {points} END AS points FROM c),
     a AS (SELECT * FROM q WHERE k < {len(BASE)} OR points >= {ACCEPT}),
     r AS (SELECT doc_id, {counts}, coalesce(string_agg(kind || ':' || s || ':' || e, ',' ORDER BY s, k) FILTER (k < {len(BASE)}), '') AS base, string_agg(kind || ':' || s || ':' || e, ',' ORDER BY s, k) AS spans, max(points) AS max_points FROM a GROUP BY doc_id)

@@ -48,7 +48,7 @@ def corpus(spark):
 
 
 def test_pii(spark):
-    texts = [None, "", "mail a.b@c.example.org_x@y.zz now", "999.1.1.1 1.2.3.4.5.6.7.8 0000001.2.3.4", "card 4111-1111 1111 1111x 12345678901234", "+49 (30) 123456-78 +1", "bank DE89370400440532013000 DE89370400440532013001", "ssn 123-45-6789, plain 123-45-6789" + " " * 80 + "987-65-4321", "é" * 50 + "x@y.de", "1" * 30_000 + " a" * 30_000 + "@", "a@b"]
+    texts = [None, "", "mail a.b@c.example.org_x@y.zz now", "999.1.1.1 1.2.3.4.5.6.7.8 0000001.2.3.4", "card 4111-1111 1111 1111x 12345678901234", "+49 (30) 123456-78 +1", "bank DE89370400440532013000 DE89370400440532013001", "ssn 123-45-6789, plain 123-45-6789" + " " * 80 + "987-65-4321 lessn 111-22-3333", "é" * 50 + "x@y.de", "1" * 30_000 + " a" * 30_000 + "@", "a@b"]
     df = docs(spark, texts)
     got = {r["doc_id"]: r for r in pii.find_pii(df).collect()}
     assert got[0]["spans"] == got[1]["spans"] == "" and got[0]["base_sha256"] == "e3b0c44298fc1c149afbf4c8996fb92427ae41e4649b934ca495991b7852b855"
@@ -88,7 +88,7 @@ def test_masks_tolerate_a_substitution():
 
 
 def test_line_dedup(spark, corpus):
-    df = corpus.union(corpus.where("doc_id = 9"))
+    df = corpus.union(corpus.where("doc_id = 9")).withColumn("n_deleted", F.lit("clash"))
     got = {r["doc_id"]: r for r in line_dedup.dedup_lines(df).collect()}
     assert got[0]["kept_text"] is None and got[1]["kept_text"] == "" and got[1]["n_deleted"] == 0
     assert got[9]["n_deleted"] == 0 and got[10]["n_deleted"] == 1 and got[11]["n_deleted"] == 2 and got[11]["kept_text"].count("\n") == 2
@@ -219,7 +219,7 @@ def test_language_id(spark):
         texts.append(" ".join("".join(rng.choice(make[k].split()) for _ in range(rng.randint(1, 4))) for _ in range(30)))
         lang.append(k)
     df = docs(spark, [*texts, None, "", "12 $$"], lang=[*lang, None, "en", "de"])
-    got = language_id.identify(df.select("doc_id", "text"), df.where("doc_id % 3 <> 1").select("doc_id", "text", "lang")).orderBy("doc_id").collect()
+    got = language_id.identify(df.select("doc_id", "text", F.lit("clash").alias("score")), df.where("doc_id % 3 <> 1").select("doc_id", "text", "lang")).orderBy("doc_id").collect()
     assert [r["lang_pred"] for r in got[:80]] == lang and [r["lang_pred"] for r in got[80:]] == ["und"] * 3
     assert all(0 <= r["score"] <= 1 for r in got)
     none = language_id.identify(df.select("doc_id", "text"), df.limit(0).select("doc_id", "text", "lang"))
@@ -406,8 +406,9 @@ def test_html_extract_differences_before_it_asks_the_tags(spark):
 
 def test_sentencepiece(spark):
     texts = [None, "", " two  spaces ", "日本語 é 𝒳", "plain words and plain words", "a▁b", "w " * 20_000]
-    df = docs(spark, texts).withColumn("ids", F.lit("clash")).drop("ids").withColumn("t", F.lit(1))
+    df = docs(spark, texts).withColumns({"ids": F.lit("clash"), "n_tokens": F.lit("clash"), "t": F.lit(1)})
     coded = pieces.encode_texts(df)
+    assert coded.columns == ["doc_id", "lang", "source", "n_chars", "t", "ids", "n_tokens", "round_trip"]
     got = {r["doc_id"]: r for r in coded.collect()}
     assert got[0]["ids"] == got[1]["ids"] == [] and all(r["round_trip"] for r in got.values()) and got[2]["t"] == 1
     back = {r["doc_id"]: r["text"] for r in pieces.decode_ids(coded.select("doc_id", "ids")).collect()}
@@ -429,11 +430,25 @@ def test_pipeline(spark, tmp_path):
     base = text("en", 150)
     texts = [text("en" if i % 2 else "de", 40) for i in range(40)] + [base, base + " tail", text("en", 20) + "\n" + passage, text("en", 20) + "\n" + passage, passage, "12 34", text("en", 30) + " " + item + " " + text("en", 10), ""]
     lang = ["en" if i % 2 else "de" for i in range(40)] + ["en"] * 8
-    docs(spark, texts, lang=lang).write.parquet(f"{tmp_path}/documents.parquet")
+    clash = {c: F.lit("own") for c in ("Score", "n_deleted", "kept_text", "lang_pred")}
+    df = docs(spark, texts, lang=lang)
+    df = df.union(spark.createDataFrame([(48, None, "en", "s", None), (None, text("en", 35), None, None, None), (50, text("de", 5000), "de", "s", 9)], DOCS))
+    df.withColumns(clash).write.parquet(f"{tmp_path}/documents.parquet")
     spark.createDataFrame([(0, item)], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    stage = df.withColumns(clash)
+    for _, run in corpus_pipeline.STAGES[:-1]:
+        stage = run(spark, stage, str(tmp_path))
+        assert stage.columns == [*df.columns, *clash]
+        stage = spark.createDataFrame(stage.collect(), stage.schema)
+        assert {tuple(r)[5:] for r in stage.collect()} == {("own",) * 4}
     got = {r["doc_id"]: r for r in corpus_pipeline.run(spark, str(tmp_path)).collect()}
+    assert sorted(r["doc_id"] or -1 for r in stage.collect()) == sorted(i or -1 for i in got)
     # 41 is a near copy of 40, 44 is all repeated, 45 and 47 have no letter, 46 holds the item; 43 loses its passage
-    assert sorted(got) == [i for i in range(48) if i not in (41, 44, 45, 46, 47)]
+    # 48 has no text; the row without an id stays, and so does the long text
+    assert set(got) == {None, 50, *(i for i in range(48) if i not in (41, 44, 45, 46, 47))} and got[50]["round_trip"]
+    del got[None], got[50]
     assert got[43]["n_chars"] == len(texts[43].split("\n")[0]) and got[42]["n_chars"] == len(texts[42]) and all(r["round_trip"] for r in got.values())
     back = pieces.decode_ids(corpus_pipeline.run(spark, str(tmp_path)).select("doc_id", "ids")).collect()
-    assert {r["doc_id"]: r["text"] for r in back} == {i: texts[43].split("\n")[0] if i == 43 else texts[i] for i in got}
+    assert {r["doc_id"]: r["text"] for r in back if r["doc_id"] not in (None, 50)} == {i: texts[43].split("\n")[0] if i == 43 else texts[i] for i in got}
+    for _, run in corpus_pipeline.STAGES:
+        assert run(spark, df.limit(0), str(tmp_path)).count() == 0
