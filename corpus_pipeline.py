@@ -9,7 +9,9 @@ Stages work on all that the stage before kept, and all but the last return the c
 4. decontaminate: documents with a verified overlap with a benchmark item go.
 5. sentencepiece: the texts are encoded; the last stage returns doc_id, lang, source, n_chars, ids, n_tokens and round_trip.
 
-Rows with null doc_id pass the stages that filter by doc_id. Empty tables pass through as empty tables.
+Rows with null doc_id pass the stages that filter by doc_id. Null and empty texts have no letter and go first. Empty tables pass through as empty tables.
+Further columns of documents come along to the last stage, whatever their names. Rows that repeat are one document for every stage; of equal
+documents under several ids the least id stays, and of equal runs of lines the one at the least doc_id, then line.
 """
 
 from __future__ import annotations
@@ -18,20 +20,22 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridjoin.llm import decontaminate, language_id, line_dedup, ngram_join, pieces
-from gridjoin.llm.common import stored, table
+from gridjoin.llm.common import set_aside, stored, table
 
 MIN_SCORE = 0.35
 
 
 def stage_language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    docs, back = set_aside(docs, ("lang_pred", "score"))
     found = language_id.identify(docs, docs.where(language_id.fold(docs, 3) != 1).select("doc_id", "text", "lang"))
-    return found.where((F.col("lang_pred") != "und") & (F.col("score") >= MIN_SCORE)).select(*docs.columns)
+    return found.where((F.col("lang_pred") != "und") & (F.col("score") >= MIN_SCORE)).select(*back)
 
 
 def stage_line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    docs, back = set_aside(docs, line_dedup.ADDED)
     kept = line_dedup.dedup_lines(docs).where((F.col("n_deleted") == 0) | (F.trim(F.regexp_replace("kept_text", r"\s", "")) != ""))
     changed = kept.withColumn("n_chars", F.when(F.col("n_deleted") == 0, F.col("n_chars")).otherwise(F.length("kept_text").cast("long")))
-    return changed.withColumn("text", F.col("kept_text")).select(*docs.columns)
+    return changed.withColumn("text", F.col("kept_text")).select(*back)
 
 
 def stage_ngram_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
