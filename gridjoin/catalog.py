@@ -182,8 +182,8 @@ def load_cells(w, spark, sf_dir):
     return cell_counts([a.df for a in q.atoms], B.cover_shares(q.hypergraph, P), "portable")
 
 
-def load_cells_sql(w):
-    shares = B.cover_shares(w.hypergraph, P)
+def load_cells_sql(w, shares=None):
+    shares = shares or B.cover_shares(w.hypergraph, P)
     coord = lambda v, i: f"((({v} % 1000003) * {7919 + 2 * i} + {104729 * (i + 1)}) % 15485863) % {shares[v]}"
     parts, names = [], sorted(shares)
     for r in w.atoms.values():
@@ -200,30 +200,111 @@ def load_cells_sql(w):
 
 
 def load_table(names, spark, sf_dir):
-    """Load, replication and skew of the cover-mix join's combinations and of the one-round grid."""
+    """Load, replication and skew of the cover-mix join's combinations and of the one-round grid, with a hash that SQL repeats."""
     from gridjoin.plans.cost import combo_load, grid_load
 
     rows = []
     for name in names:
         plan = C.preprocess(WORKLOADS[name].query(spark, sf_dir), P)
         for i, c in enumerate(plan.combos):
-            rows.append((name, f"cover-mix {i}", combo_load(plan, c)))
+            rows.append((name, f"cover-mix {i}", combo_load(plan, c, "portable")))
         shares = B.cover_shares(plan.hypergraph, plan.p)
-        rows.append((name, "grid", grid_load([a.df for a in plan.query.atoms], shares, plan.n, plan.p, plan.hypergraph)))
-    return spark.createDataFrame([(n, m, r.max_load, r.sent, r.machines, r.rounds, float(r.predicted), r.ratio, r.replication, r.skew) for n, m, r in rows], "workload string, method string, max_load long, sent long, machines int, rounds int, predicted double, ratio double, replication double, skew double")
+        rows.append((name, "grid", grid_load([a.df for a in plan.query.atoms], shares, plan.n, plan.p, plan.hypergraph, "portable")))
+    return spark.createDataFrame(
+        [(n, m, r.max_load, r.sent, r.tuples_in, r.machines, r.rounds, *(round(float(x), 6) for x in (r.predicted, r.ratio, r.replication, r.skew))) for n, m, r in rows],
+        "workload string, method string, max_load long, sent long, tuples_in long, machines int, rounds int, predicted double, ratio double, replication double, skew double",
+    )
 
 
-def sparse_product(spark, sf_dir):
-    """Sizes and output of a sparse product instance against what is expected."""
-    from gridjoin.functions.families import boat, triangle
+def load_sql(names):
+    """Of workloads without heavy values, which have one combination that sends the relations as they are, and at least P^3 tuples."""
+    from math import prod
+
+    from gridjoin.functions.measures import kappa, tau_star
+    from gridjoin.plans.weights import build_mix, integer_shares
+
+    parts = []
+    for name in names:
+        w = WORKLOADS[name]
+        for method, shares, number in (("cover-mix 0", integer_shares(build_mix(w.hypergraph, {}).exponents, P), kappa(w.hypergraph).value), ("grid", B.cover_shares(w.hypergraph, P), tau_star(w.hypergraph).value)):
+            sizes = " UNION ALL ".join(f"SELECT count(*) AS c FROM ({r.sql()})" for r in w.atoms.values())
+            parts.append(
+                f"SELECT '{name}' AS workload, '{method}' AS method, max_load, sent, tuples_in, {prod(shares.values())} AS machines, 1 AS rounds, predicted, max_load / predicted AS ratio, sent / tuples_in AS replication, "
+                f"max_load * {prod(shares.values())} / sent AS skew FROM (SELECT max(cnt) AS max_load, CAST(sum(cnt) AS BIGINT) AS sent FROM ({load_cells_sql(w, shares)})), "
+                f"(SELECT CAST(sum(c) AS BIGINT) AS tuples_in, pow(2, ceil(log2(max(c)))) / pow({P}, 1 / {float(number)}) AS predicted FROM ({sizes}))"
+            )
+    return f"SELECT * REPLACE (round(predicted, 6) AS predicted, round(ratio, 6) AS ratio, round(replication, 6) AS replication, round(skew, 6) AS skew) FROM ({' UNION ALL '.join(parts)})"
+
+
+def round_loads(names, spark, sf_dir):
+    """Tuples received in every round of the cover-mix join's combinations."""
+    from gridjoin.plans.cost import round_loads as loads
+
+    rows = []
+    for name in names:
+        plan = C.preprocess(WORKLOADS[name].query(spark, sf_dir), P)
+        rows += [(name, i, x.round, x.kind, x.what, x.machines, x.max_load, x.sent) for i, c in enumerate(plan.combos) for x in loads(plan, c)]
+    return spark.createDataFrame(rows, "workload string, combo int, round int, kind string, what string, machines int, max_load long, sent long")
+
+
+def size_bounds(w, spark, sf_dir):
+    """Sizes of heavy sets, the heavy relation and intermediates against their bounds."""
+    from gridjoin.plans.cost import sizes
+
+    plan = C.preprocess(w.query(spark, sf_dir), P)
+    rows = [(i, what, n, round(most, 3), n <= most) for i, c in enumerate(plan.combos) for what, n, most in sizes(plan, c)]
+    return spark.createDataFrame(rows, "combo int, what string, tuples long, bound double, holds boolean")
+
+
+def sparse_boat(spark, how):
+    """Results of a sparse product instance, by one variable."""
+    from gridjoin.functions.families import boat
     from gridjoin.plans.hard import sparse_product_instance
     from gridjoin.plans.query import JoinQuery
 
-    rows = []
-    for name, h, n in (("triangle", triangle(), 4096), ("boat_2", boat(2), 512)):
-        frames = sparse_product_instance(spark, h, n)
-        rows.append((name, n, B.cascade_join(JoinQuery(frames)).count(), max(f.count() for f in frames.values())))
-    return spark.createDataFrame(rows, "family string, n int, output long, largest long")
+    query = JoinQuery(sparse_product_instance(spark, boat(3), 256, exact="rule"))
+    joined = {"cm": lambda: C.cover_mix_join(query, 8), "hc": lambda: B.hypercube_join(query, 8), "cas": lambda: B.cascade_join(query)}[how]()
+    return joined.groupBy("x0").count().withColumnRenamed("count", "cnt")
+
+
+def sparse_rules():
+    """The instance in SQL: its variables with their domains, and the conditions of its sparse edges."""
+    from gridjoin.functions.families import boat
+    from gridjoin.plans.hard import chances, domains, kept_by_rule
+
+    h = boat(3)
+    share = chances(h, 256)
+    edges = {"".join(sorted(e)): (e, i) for i, e in enumerate(h.edges)}
+    return domains(h, 256), {k: (sorted(e), kept_by_rule(e, i, share[k])) for k, (e, i) in edges.items() if share[k] < 1}, share
+
+
+def sparse_boat_sql():
+    sizes, rules, _ = sparse_rules()
+    sparse = [f"(SELECT {', '.join(vs)} FROM {', '.join(f'range({sizes[v]}) AS {v}_({v})' for v in vs)} WHERE {rule}) AS e{i}" for i, (vs, rule) in enumerate(rules.values())]
+    return f"SELECT x0, count(*) AS cnt FROM {', '.join(sparse)} GROUP BY x0"
+
+
+def sparse_product(spark, sf_dir):
+    """Tuples and results of the sparse product instance, and how many results are expected of it and of one machine of eight that receives n / 8 tuples."""
+    from pyspark.sql import functions as F
+
+    from gridjoin.functions.families import boat
+    from gridjoin.plans.cost import expected_output, machine_output
+    from gridjoin.plans.hard import sparse_product_instance
+
+    share = list(sparse_rules()[2].values())
+    largest = max(f.count() for f in sparse_product_instance(spark, boat(3), 256, exact="rule").values())
+    results = sparse_boat(spark, "cas").agg(F.sum("cnt")).first()[0]
+    return spark.createDataFrame([("boat_3", 256, largest, results, round(expected_output(boat(3), 256, share), 3), round(machine_output(boat(3), 32, share), 3))], "family string, n int, largest long, output long, expected double, of_a_machine double")
+
+
+def sparse_product_sql():
+    sizes, rules, share = sparse_rules()
+    counts = " UNION ALL ".join(f"SELECT count(*) AS c FROM {', '.join(f'range({sizes[v]}) AS {v}_({v})' for v in vs)} WHERE {rule}" for vs, rule in rules.values())
+    kept = 1.0
+    for x in share.values():
+        kept *= x
+    return f"SELECT 'boat_3' AS family, 256 AS n, greatest({sizes['x0'] * sizes['y0']}, (SELECT max(c) FROM ({counts}))) AS largest, (SELECT CAST(sum(cnt) AS BIGINT) FROM ({sparse_boat_sql()})) AS output, round(pow(256, 3) * {kept}, 3) AS expected, round(pow(32, 3) * {kept}, 3) AS of_a_machine"
 
 
 def dense_product(spark, sf_dir):
@@ -270,7 +351,11 @@ def plans() -> tuple[dict, dict]:
         "combo, n, p, kappa, steps, weights, heavy, heavy_sets, guards, shares, predicted_load",
         [(0, 65536, 32, "3/2", "xyz:3/5 yz:2/5", "x=3/10 y=1/2 z=1/2", "x", "{x}@r", "r<-s s<-s t<-s", "x=2 y=4 z=4", round(65536 / 32 ** (2 / 3), 3))],
     )
-    for name in ("w02", "w03", "w05", "w09"):
+    # of workloads without heavy values: one step with the whole cover; and one heavy set that the last step leaves out
+    sql["mix_w02"] = _values("combo, n, p, kappa, steps, weights, heavy, heavy_sets, guards, shares, predicted_load", [(0, 65536, 32, "3/2", "cps:1", "c=1/2 p=1/2 s=1/2", "", "", "r_cp<-r_cp r_cs<-r_cs r_ps<-r_ps", "c=3 p=3 s=3", round(65536 / 32 ** (2 / 3), 3))])
+    sql["mix_w05"] = _values("combo, n, p, kappa, steps, weights, heavy, heavy_sets, guards, shares, predicted_load", [(0, 65536, 32, "2", "cnos:1", "c=1/2 n=1/2 o=1/2 s=1/2", "", "", "cust<-cust line<-line ord<-ord supp<-supp", "c=4 n=2 o=2 s=2", round(65536 / 32 ** (1 / 2), 3))])
+    sql["mix_w09"] = _values("combo, n, p, kappa, steps, weights, heavy, heavy_sets, guards, shares, predicted_load", [(0, 65536, 32, "4/3", "flps:4/5 lps:1/5", "f=4/15 l=1/3 p=1/3 s=1/3", "f", "{f}@r_psf", "r_plf<-r_psl r_psf<-r_psl r_psl<-r_psl r_slf<-r_psl", "f=2 l=4 p=2 s=2", round(65536 / 32 ** (3 / 4), 3))])
+    for name in ("w02", "w03", "w05", "w09", "w28", "w30"):
         q[f"mix_{name}"] = partial(explain_mix, WORKLOADS[name])
     for name in ("w02", "w03", "w19", "w23"):
         q[f"sig_{name}"] = partial(signature_table, WORKLOADS[name], True)
@@ -287,7 +372,19 @@ def plans() -> tuple[dict, dict]:
     for name in ("w02", "w05"):
         q[f"load_cells_{name}"] = partial(load_cells, WORKLOADS[name])
         sql[f"load_cells_{name}"] = load_cells_sql(WORKLOADS[name])
-    q["load_table"] = partial(load_table, ("w02", "w03", "w03c", "w05", "w09"))
+    q["load_table"] = partial(load_table, ("w02", "w05", "w07"))
+    sql["load_table"] = load_sql(("w02", "w05", "w07"))
+    q["round_loads"] = partial(round_loads, ("w02", "w03", "w09", "w27"))
+    for name in ("w03", "w29"):
+        q[f"size_bounds_{name}"] = partial(size_bounds, WORKLOADS[name])
+    # one heavy relation of the values of x, each beside every tuple of the guard; v = 1/5 of x, so the bounds are 2p, 2 p^(1/5) and 2 n p^(1/5)
+    sql["size_bounds_w03"] = f"""WITH h AS ({sql['heavy_rel_w03']}), s AS ({w.atoms['s'].sql()}), c AS (SELECT (SELECT count(*) FROM h) AS h, (SELECT count(*) FROM s) AS s)
+        SELECT 0 AS combo, what, tuples, round(bound, 3) AS bound, tuples <= bound AS holds FROM (SELECT 'heavy set {{x}} of r' AS what, h AS tuples, 2.0 * {P} AS bound FROM c UNION ALL SELECT 'heavy relation', h, 2 * pow({P}, 0.2) FROM c
+        UNION ALL SELECT 's joined', h * s, 2 * pow({P}, 0.2) * pow(2, ceil(log2(s))) FROM c)"""
+    for how in ("cm", "hc", "cas"):
+        q[f"sparse_boat_{how}"] = lambda s, d, how=how: sparse_boat(s, how)
+        sql[f"sparse_boat_{how}"] = sparse_boat_sql()
+    sql["sparse_product_sizes"] = sparse_product_sql()
     return q, sql
 
 
@@ -388,7 +485,8 @@ def operators() -> tuple[dict, dict]:
     add("op_j57_top_k_per_group", on("customer", lambda t: R.top_k_per_group(t, ["c_nationkey"], [F.desc("c_acctbal"), F.asc("c_custkey")], 3).select("c_custkey")), "SELECT c_custkey FROM customer QUALIFY row_number() OVER (PARTITION BY c_nationkey ORDER BY c_acctbal DESC, c_custkey) <= 3")
     from gridjoin.plans.degrees import heavy_candidates
 
-    add("op_j58_heavy_hitters", on("lineitem", lambda t: heavy_candidates(t, ["l_suppkey"], 600)), "SELECT l_suppkey, count(*) AS cnt FROM lineitem GROUP BY 1 HAVING count(*) > 600")
+    for method in ("exact", "sketch"):
+        add("op_j58_heavy_hitters" + ("_sketch" if method == "sketch" else ""), on("lineitem", lambda t, method=method: heavy_candidates(t, ["l_suppkey"], 600, method, 512)), "SELECT l_suppkey, count(*) AS cnt FROM lineitem GROUP BY 1 HAVING count(*) > 600")
     cust, buyers = "SELECT c_custkey AS k FROM customer WHERE c_acctbal > 0", "SELECT o_custkey AS k FROM orders"
     both = lambda fn: two("customer", "orders", lambda c, o: fn(c.where("c_acctbal > 0").selectExpr("c_custkey AS k"), o.selectExpr("o_custkey AS k")))
     for name, fn, text in (("j60_union_all", lambda a, b: a.unionByName(b), "UNION ALL"), ("j60_union", lambda a, b: a.unionByName(b).distinct(), "UNION"), ("j61_intersect", lambda a, b: a.intersect(b), "INTERSECT"), ("j61_intersect_all", lambda a, b: a.intersectAll(b), "INTERSECT ALL"), ("j62_except", lambda a, b: b.subtract(a), None), ("j62_except_all", lambda a, b: b.exceptAll(a), None)):
@@ -487,6 +585,7 @@ def streams() -> tuple[dict, dict]:
     q = {
         "stream_degrees": degrees,
         "stream_degrees_sliding": lambda s, d: degrees(s, d, slide="12 hours"),
+        "stream_degrees_session": lambda s, d: degrees(s, d, gap="6 hours"),
         "stream_dedup": lambda s, d: S.run_to_end(S.stream_dedup(source(s, d).select("event_id", "ts"), ["event_id"], "1 day"), "dedup").select("event_id"),
         "stream_interval_join": pairs,
         "stream_heavy_keys": heavy,
@@ -497,6 +596,7 @@ def streams() -> tuple[dict, dict]:
     sql = {
         "stream_degrees": f"SELECT {text("date_trunc('day', ts)")} AS w_start, user_id, count(*) AS deg FROM events GROUP BY 1, 2",
         "stream_degrees_sliding": f"SELECT {text('make_timestamp(CAST(w AS BIGINT) * 1000000)')} AS w_start, user_id, count(*) AS deg FROM (SELECT user_id, floor(epoch(ts) / 43200) * 43200 - k * 43200 AS w FROM events, range(2) AS t(k)) GROUP BY 1, 2",
+        "stream_degrees_session": f"SELECT {text('min(ts)')} AS w_start, user_id, count(*) AS deg FROM (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM (SELECT user_id, ts, CASE WHEN ts >= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 6 HOURS THEN 1 ELSE 0 END AS fresh FROM events)) GROUP BY user_id, k",
         "stream_dedup": "SELECT DISTINCT event_id FROM events",
         "stream_interval_join": "SELECT a.event_id AS a_event_id, b.event_id AS b_event_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 3600 SECONDS",
         "stream_heavy_keys": "SELECT user_id, true AS heavy FROM events GROUP BY user_id HAVING count(*) >= 60",

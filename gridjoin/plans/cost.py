@@ -6,16 +6,17 @@ from collections import Counter
 from dataclasses import asdict, dataclass
 from fractions import Fraction
 from functools import reduce
+from itertools import combinations
 from math import prod
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from gridjoin.functions.hypergraph import Hypergraph
 from gridjoin.functions.measures import boat_inside, kappa, phi, psi_star, rho_star, tau_star
 
-from .covermix import Combo, Plan, intermediates
-from .grid import CELL, replicate
+from .covermix import Combo, Plan, heavy_relation, intermediates
+from .grid import CELL, coordinate, replicate
 
 
 @dataclass
@@ -62,10 +63,96 @@ def grid_load(frames: list[DataFrame], shares: dict[str, int], n: int, p: int, h
     return _report(cell_counts(frames, shares, hash), sum(f.count() for f in frames), prod(shares.values()), 1, predicted_load(tau_star(h).value, n, p))
 
 
-def combo_load(plan: Plan, combo: Combo) -> LoadReport:
-    """The grid round of one combination of the cover-mix join; rounds: the broadcast and the two of the semi-joins where there are heavy values."""
+def combo_load(plan: Plan, combo: Combo, hash: str = "xx") -> LoadReport:
+    """The grid round of one combination of the cover-mix join; rounds are those of its plan."""
     frames = intermediates(plan, combo)
-    return _report(cell_counts(frames, combo.shares), sum(f.count() for f in frames), combo.machines, 4 if combo.mix.heavy else 1, predicted_load(kappa(plan.hypergraph).value, plan.n, plan.p))
+    rounds = max((x.round for x in round_loads(plan, combo, hash)), default=1)
+    return _report(cell_counts(frames, combo.shares, hash), sum(f.count() for f in frames), combo.machines, rounds, predicted_load(kappa(plan.hypergraph).value, plan.n, plan.p))
+
+
+@dataclass
+class RoundLoad:
+    """Tuples that machines receive in one round; filters of different intermediates in one round have a row each."""
+
+    round: int
+    kind: str
+    what: str
+    machines: int
+    max_load: int
+    sent: int
+
+
+def _dealt(frames: list[DataFrame], keys: list[str], p: int, hash: str) -> tuple[int, int]:
+    """Most tuples of one of p machines, and all, when the frames are dealt by their keys."""
+    at = reduce(Column.__add__, [coordinate(F.col(v), p, seed, hash) * (seed + 1) for seed, v in enumerate(sorted(keys))]) % p
+    r = reduce(DataFrame.unionAll, [f.select(at.alias("m")) for f in frames]).groupBy("m").count().agg(F.max("count"), F.sum("count")).first()
+    return r[0] or 0, r[1] or 0
+
+
+def round_loads(plan: Plan, combo: Combo, hash: str = "xx") -> list[RoundLoad]:
+    """Measured loads of every round after the degrees: the broadcast of the heavy sets, the semi-joins (both sides dealt by the key, then the next
+    filter of the same intermediate), and the grid. hash: as for coordinates."""
+    parts = {a.name: plan.tagged[a.name].where(combo.parts[a.name].condition()).select(*a.vars) for a in plan.query.atoms}
+    out, now = [], 0
+    if combo.mix.heavy_sets:
+        now = 1
+        values = sum(parts[r].select(*sorted(u)).distinct().count() for u, r in combo.mix.heavy_sets)
+        out.append(RoundLoad(1, "broadcast", "heavy sets", plan.p, values, values * plan.p))
+    whole = heavy_relation(parts, combo.mix.heavy_sets)
+    last = now
+    for s in sorted(set(combo.guards.values())):
+        frame, step = parts[s], now
+        if whole is not None:
+            shared = [c for c in frame.columns if c in whole.columns]
+            frame = frame.join(F.broadcast(whole), shared) if shared else frame.crossJoin(F.broadcast(whole))
+        for r in sorted(r for r, g in combo.guards.items() if g == s and r != s):
+            step += 1
+            most, sent = _dealt([frame, parts[r]], parts[r].columns, plan.p, hash)
+            out.append(RoundLoad(step, "semi-join", f"{s} by {r}", plan.p, most, sent))
+            frame = frame.join(parts[r], parts[r].columns, "left_semi")
+        last = max(last, step)
+    frames = intermediates(plan, combo)
+    if len(frames) > 1:  # one intermediate is the result where it stands
+        counts = cell_counts(frames, combo.shares, hash).agg(F.max("cnt"), F.sum("cnt")).first()
+        out.append(RoundLoad(last + 1, "grid", "intermediates", combo.machines, counts[0] or 0, counts[1] or 0))
+    return out
+
+
+def plan_rounds(df: DataFrame) -> int:
+    """Rounds of a physical plan: most exchanges, broadcasts among them, on a way from a scan to the result."""
+    depth, path = 0, []
+    for line in df._jdf.queryExecution().executedPlan().toString().splitlines():
+        body = line.lstrip(" :+-*(0123456789)")
+        if not body or body.startswith("AdaptiveSparkPlan"):
+            continue
+        indent = len(line) - len(line.lstrip(" :+-"))
+        while path and path[-1][0] >= indent:
+            path.pop()
+        path.append((indent, body.startswith(("Exchange", "BroadcastExchange"))))
+        depth = max(depth, sum(x for _, x in path))
+    return depth
+
+
+def sizes(plan: Plan, combo: Combo) -> list[tuple[str, int, float]]:
+    """Sizes that the load bound rests on, each with its bound: heavy sets, the heavy relation and its degrees, and guards joined with it."""
+    parts = {a.name: plan.tagged[a.name].where(combo.parts[a.name].condition()).select(*a.vars) for a in plan.query.atoms}
+    whole, H = heavy_relation(parts, combo.mix.heavy_sets), sorted(combo.mix.heavy)
+    if whole is None:
+        return []
+    out = [(f"heavy set {{{','.join(sorted(u))}}} of {r}", parts[r].select(*sorted(u)).distinct().count(), float(heavy_set_bound(plan.p))) for u, r in combo.mix.heavy_sets]
+    out.append(("heavy relation", whole.count(), heavy_relation_bound(plan, combo)))
+    for given in (c for k in range(1, len(H)) for c in combinations(H, k)):
+        out.append((f"heavy relation given {','.join(given)}", whole.groupBy(*given).count().agg(F.max("count")).first()[0] or 0, heavy_relation_bound(plan, combo, frozenset(given))))
+    for s in sorted(set(combo.guards.values())):
+        shared = [c for c in parts[s].columns if c in H]
+        joined = parts[s].join(F.broadcast(whole), shared) if shared else parts[s].crossJoin(F.broadcast(whole))
+        out.append((f"{s} joined", joined.count(), intermediate_bound(plan, combo, s)))
+    return out
+
+
+def check_machines(plan: Plan) -> dict[int, tuple[int, float]]:
+    """Combinations whose grid has more than p cells, with their cells and p to the norm; there are none."""
+    return {i: (c.machines, machines_used(c.mix.exponents, c.p)) for i, c in enumerate(plan.combos) if c.machines > c.p or machines_used(c.mix.exponents, c.p) > c.p * (1 + 1e-9)}
 
 
 def predicted_load(number: Fraction, n: int, p: int) -> float:
@@ -115,6 +202,11 @@ def expected_output(h: Hypergraph, n: int, chances: list[float]) -> float:
     return float(n) ** float(tau_star(h).value) * prod(chances)
 
 
+def machine_output(h: Hypergraph, load: float, chances: list[float]) -> float:
+    """Results that one machine which receives ``load`` tuples of each relation of a sparse product instance makes at most, on average."""
+    return load ** float(tau_star(h).value) * prod(chances)
+
+
 def acyclic_load(tuples_in: int, tuples_out: int, p: int) -> tuple[float, float]:
     """Loads of acyclic joins: of the full reducer, and of the output-sensitive improvement that is not executed here."""
     return (tuples_in + tuples_out) / p, (tuples_in + (tuples_in * tuples_out) ** 0.5) / p

@@ -185,6 +185,18 @@ def violations(part: DataFrame, variables: list[str], sigma: dict[frozenset[str]
     return out
 
 
-def heavy_candidates(df: DataFrame, keys: list[str], threshold: int) -> DataFrame:
-    """Keys with more than threshold tuples, exact: partial counts, then the filter."""
+def heavy_candidates(df: DataFrame, keys: list[str], threshold: int, method: str = "exact", cells: int = 1 << 16) -> DataFrame:
+    """Keys with more than threshold tuples, and their exact counts. "exact": partial counts, then the filter. "sketch": for keys too many to be
+    counted each, tuples are counted by a hash of the key in ``cells`` cells first; a key can only be heavy in a heavy cell, so only these are counted
+    by key. The cells' table is of fixed size, so it is broadcast."""
+    if method == "sketch":
+        cell = F.pmod(F.xxhash64(*keys), F.lit(cells))
+        full = df.groupBy(cell.alias("__cell")).agg(F.count("*").alias("__n")).where(F.col("__n") > threshold).select("__cell")
+        df = df.withColumn("__cell", cell).join(F.broadcast(full), "__cell", "left_semi").drop("__cell")
     return df.groupBy(*keys).agg(F.count("*").alias("cnt")).where(F.col("cnt") > threshold)
+
+
+def partition_check(df: DataFrame, tagged: DataFrame, variables: list[str]) -> dict[str, bool]:
+    """Whether the parts are a partition: no tuple is lost or new, and none is in two parts."""
+    here, there = df.select(*variables), tagged.select(*variables)
+    return {"nothing is lost": here.exceptAll(there).isEmpty(), "nothing is new or twice": there.exceptAll(here).isEmpty()}

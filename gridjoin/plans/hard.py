@@ -32,8 +32,21 @@ def product_instance(spark: SparkSession, h: Hypergraph, sizes: dict[str, int])
     return {_name(e): reduce(lambda a, b: a.crossJoin(b), [spark.range(sizes[x]).withColumnRenamed("id", x) for x in sorted(e)]) for e in h.edges}
 
 
-def sparse_product_instance(spark: SparkSession, h: Hypergraph, n: int, seed: int = 7, exact: bool = False) -> dict[str, DataFrame]:
-    """Edges of cover one are products; of others about n tuples stay. They are drawn, not filtered from the product, unless exact."""
+def chances(h: Hypergraph, n: int) -> dict[str, float]:
+    """The share of each edge's product that a sparse instance keeps."""
+    v = min_vertex_cover(h)
+    return {_name(e): min(1.0, n ** float(1 - sum((v[x] for x in e), Fraction(0)))) for e in h.edges}
+
+
+def kept_by_rule(e: Edge, i: int, chance: float) -> str:
+    """A condition that keeps about this share of an edge's product, in arithmetic that other engines repeat."""
+    terms = " + ".join(f"{x} * {7_919 + 104_729 * (k + 1) + 31 * i}" for k, x in enumerate(sorted(e)))
+    return f"(({terms}) % 15485863 * 48271 + {i}) % 2147483647 % 1000000 < {round(chance * 1_000_000)}"
+
+
+def sparse_product_instance(spark: SparkSession, h: Hypergraph, n: int, seed: int = 7, exact: bool | str = False) -> dict[str, DataFrame]:
+    """Edges of cover one are products; of others about n tuples stay. They are drawn, not filtered from the product, unless exact ("rule": filtered by
+    kept_by_rule)."""
     sizes, v, out = domains(h, n), min_vertex_cover(h), {}
     for i, e in enumerate(h.edges):
         xs = sorted(e)
@@ -43,6 +56,8 @@ def sparse_product_instance(spark: SparkSession, h: Hypergraph, n: int, seed: in
         chance = min(1.0, n ** float(1 - sum((v[x] for x in e), Fraction(0))))
         if chance >= 1:
             out[_name(e)] = product_instance(spark, Hypergraph.of([e]), sizes)[_name(e)]
+        elif exact == "rule":
+            out[_name(e)] = product_instance(spark, Hypergraph.of([e]), sizes)[_name(e)].where(kept_by_rule(e, i, chance))
         elif exact:
             all_ = product_instance(spark, Hypergraph.of([e]), sizes)[_name(e)]
             out[_name(e)] = all_.where(F.pmod(F.xxhash64(F.lit(seed + i), *xs), F.lit(1 << 30)) < int(chance * (1 << 30)))
@@ -89,6 +104,16 @@ def triangle_instance(spark: SparkSession, n: int, p: int) -> dict[str, DataFram
     }
 
 
+def bowtie_instance(spark: SparkSession, n: int, p: int) -> dict[str, DataFrame]:
+    """The worked bow-tie as data: z is heavy in zw by few values and w in vw by some more, the other relations are light. The worked slack exponents ask
+    for 1 / 25 of log p, which powers of two as degrees do not have at this size, so the least that they have takes their place: two values of z, four of w."""
+    step = max(1, n // p)
+    many = lambda a, b, k: spark.range(n).select((F.col("id") % (n // 4)).alias(a), ((F.col("id") * k + F.expr(f"id div {n // 4}")) % (n // 4)).alias(b)).distinct()
+    few = lambda a, b, m: spark.range(n).select((F.col("id") % (n // m)).alias(a), F.expr(f"(id div {n // m}) * {step}").alias(b)).distinct()
+    zw = spark.range(n).select(F.expr(f"(id div {n // 2}) * {step}").alias("z"), (F.col("id") % (n // 2)).alias("w"))
+    return {"xy": many("x", "y", 3), "yz": many("y", "z", 5), "xz": many("x", "z", 7), "zv": many("z", "v", 11), "zw": zw, "vw": few("v", "w", 4)}
+
+
 def bowtie_slack(variant: str = "printed") -> dict[tuple[str, frozenset[str]], Fraction]:
     """Slack exponents of the worked bow-tie; "repaired" gives the step sizes that three covers need. The exponents."""
     w = {"printed": Fraction(1, 5), "repaired": Fraction(3, 25)}[variant]

@@ -86,11 +86,20 @@ def delta_join(old: JoinQuery, deltas: dict[str, DataFrame], p: int | None = Non
 
 
 def stream_multiway_join(sdf: DataFrame, name: str, fixed: dict[str, DataFrame], p: int, path: str) -> DataFrame:
-    """Joins each micro-batch of new tuples of one atom with fixed relations; each batch's results are its own folder, so a batch run again replaces it."""
+    """Joins each micro-batch of one atom's tuples with fixed relations. Results are a set, as of the whole stream: tuples of earlier batches are kept in a
+    table, and only new ones are joined. Each batch's tuples and results are folders of their own, so a batch run again replaces them."""
     spark = sdf.sparkSession
+    seen, schema = f"{path}-seen", sdf.schema
 
     def batch(df: DataFrame, number: int) -> None:
-        cover_mix_join(JoinQuery({name: df} | fixed), p).write.mode("overwrite").parquet(f"{path}/batch={number}")
+        new = df.distinct()
+        if number:
+            past = spark.read.schema(schema).option("basePath", seen).parquet(f"{seen}/batch=*").where(F.col("batch") < number)
+            same = [F.col(f"n.`{c}`").eqNullSafe(F.col(f"p.`{c}`")) for c in df.columns]
+            new = new.alias("n").join(past.alias("p"), same, "left_anti")
+        new.write.mode("overwrite").parquet(f"{seen}/batch={number}")
+        fresh = spark.read.schema(schema).parquet(f"{seen}/batch={number}")
+        cover_mix_join(JoinQuery({name: fresh} | fixed), p).write.mode("overwrite").parquet(f"{path}/batch={number}")
 
     q = sdf.writeStream.foreachBatch(batch).option("checkpointLocation", checkpoint_of(spark, "multiway")).trigger(availableNow=True).start()
     q.awaitTermination()

@@ -2,6 +2,7 @@
 
 import random
 from collections import Counter
+from fractions import Fraction
 from itertools import product
 
 import pytest
@@ -12,9 +13,10 @@ from gridjoin.plans import covermix as C
 from gridjoin.plans import degrees as D
 from gridjoin.plans.combined import blocks, product_in_grid, shapes
 from gridjoin.plans.combined import run as run_combined
+from gridjoin.plans import cost
 from gridjoin.plans.cost import exchanges
-from gridjoin.plans.grid import CELL, grid_precondition, placed, replicate
-from gridjoin.plans.hard import lift_instance, product_instance, sparse_product_instance, triangle_instance, witness_check
+from gridjoin.plans.grid import CELL, grid_join, grid_precondition, placed, replicate
+from gridjoin.plans.hard import bowtie_instance, chances, lift_instance, product_instance, sparse_product_instance, triangle_instance, witness_check
 from gridjoin.plans.query import JoinQuery, max_machines, natural_join
 from gridjoin.plans.sqlfront import run_sql
 from gridjoin.functions import families
@@ -264,3 +266,88 @@ def test_no_shared_folder_off_local(spark, monkeypatch):
     far = SimpleNamespace(conf=SimpleNamespace(get=lambda k, d: d), sparkContext=SimpleNamespace(master="spark://host:7077"))
     with pytest.raises(ValueError, match="checkpoint"):
         tables.shared_dir(far)
+
+
+def test_loads_of_all_rounds_and_sizes(spark, zipf_query):
+    """The bounds that the load rests on hold on data; each round's tuples are counted, and the plan has no more rounds than these and the degrees' tags."""
+    query, _ = zipf_query
+    plan = C.preprocess(query, 32, lower_p=False)
+    heavy = [c for c in plan.combos if c.mix.heavy]
+    assert heavy and not cost.check_machines(plan)
+    for c in (heavy[0], max(heavy, key=lambda c: len(c.mix.heavy))):
+        found = cost.sizes(plan, c)
+        assert len(found) >= 3 and all(n <= most for _, n, most in found)
+        loads = cost.round_loads(plan, c)
+        assert [x.round for x in loads] == sorted(x.round for x in loads) and loads[0].kind == "broadcast" and loads[0].max_load <= 2 * 32 * len(c.mix.heavy_sets)
+        assert all(x.max_load <= x.sent <= x.max_load * x.machines for x in loads)
+    light = next(c for c in plan.combos if not c.mix.heavy)
+    assert [x.kind for x in cost.round_loads(plan, light)] == ["grid"]
+    r, s = (frame(spark, n, [[i, i] for i in range(9)]) for n in ("xy", "yz"))
+    assert cost.plan_rounds(grid_join([r, s], {"x": 2, "y": 2, "z": 2})) == 1 and cost.plan_rounds(r) == 0
+    assert cost.plan_rounds(r.join(F.broadcast(s), "y").groupBy("x").count()) == 2
+
+
+def test_parts_are_a_partition(spark):
+    rng = random.Random(4)
+    df = frame(spark, "xy", [[int(rng.paretovariate(0.8)) % 20, i] for i in range(200)]).distinct()
+    tagged = D.uniformize(df, ["x", "y"], 256, 8)
+    assert all(D.partition_check(df, tagged, ["x", "y"]).values())
+    assert D.partition_check(df, tagged.limit(100), ["x", "y"]) == {"nothing is lost": False, "nothing is new or twice": True}
+    assert not D.partition_check(df, tagged.union(tagged.limit(1)), ["x", "y"])["nothing is new or twice"]
+    exact = rows_of(D.heavy_candidates(df, ["x"], 8))
+    assert exact and all(rows_of(D.heavy_candidates(df, ["x"], 8, "sketch", cells)) == exact for cells in (1, 4, 1 << 10))
+
+
+def test_worked_bow_tie_as_data(spark):
+    """z becomes heavy in zw by the first step, w in vw by the second; the results are those of plain joins in every variant."""
+    query = JoinQuery(bowtie_instance(spark, 4096, 1024))
+    plan = C.preprocess(query, 1024, lower_p=False)
+    mix = next(c.mix for c in plan.combos if {"z", "w"} <= c.mix.heavy)
+    assert [x for _, x in mix.steps] == [Fraction(1, 2), Fraction(1, 2)] and [sorted(v) for v, _ in mix.steps] == [list("vwxyz"), list("vwxy")]
+    assert {(tuple(u), r) for u, r in mix.heavy_sets} == {(("z",), "zw"), (("w",), "vw")}
+    query = JoinQuery(bowtie_instance(spark, 256, 32))
+    expected = rows_of(B.cascade_join(query))
+    assert expected and rows_of(C.cover_mix_join(query, 32)) == expected
+
+
+def test_sparse_product_sizes(spark):
+    h = families.boat(3)
+    share = list(chances(h, 256).values())
+    assert sorted(share) == [1 / 16, 1 / 16, 1, 1, 1] and cost.expected_output(h, 256, share) == 65536
+    assert cost.machine_output(h, 32, share) == 128
+    frames = sparse_product_instance(spark, h, 256, exact="rule")
+    assert abs(B.cascade_join(JoinQuery(frames)).count() - 65536) < 0.25 * 65536
+
+
+def events(spark, path, rows):
+    spark.createDataFrame(rows, "u long, ts timestamp").coalesce(1).write.mode("append").parquet(path)
+
+
+def test_late_rows_and_sessions(spark, tmp_path):
+    from datetime import datetime
+
+    from gridjoin.sources.tables import stream_events
+    from gridjoin.streaming import streams as S
+
+    path, day = str(tmp_path / "in"), lambda d, h=0: datetime(2024, 1, d, h)
+    events(spark, path, [(1, day(1)), (1, day(1, 5)), (2, day(9))])
+    events(spark, path, [(1, day(8, 1)), (3, day(20))])  # within two days of the latest
+    events(spark, path, [(1, day(2)), (3, day(20, 1)), (4, day(30))])  # the first is late by far
+    source = lambda: stream_events(spark, path, spark.read.parquet(path).schema)
+    got = S.run_to_end(S.stream_degrees(source(), ["u"], "1 day", "2 days"), "late").select("u", F.dayofmonth("w_start").alias("d"), "deg")
+    assert rows_of(got.select("d", "deg", "u")) == [(1, 2, 1), (8, 1, 1), (9, 1, 2), (20, 2, 3)]
+    sessions = S.run_to_end(S.stream_degrees(source(), ["u"], "1 day", "2 days", gap="6 hours"), "sessions")
+    assert (2, 1) in rows_of(sessions.select("deg", "u")) and (2, 3) in rows_of(sessions.select("deg", "u"))
+
+
+def test_stream_multiway_over_two_files(spark, tmp_path):
+    """A tuple that returns in a later batch repeats no result."""
+    from gridjoin.sources.tables import stream_events
+    from gridjoin.streaming import streams as S
+
+    path = str(tmp_path / "in")
+    for rows in ([[1, 1], [2, 1]], [[2, 1], [3, 2], [None, 1]], [[1, 1], [3, 2]]):
+        frame(spark, "uy", rows).coalesce(1).write.mode("append").parquet(path)
+    new = stream_events(spark, path, spark.read.parquet(path).schema)
+    got = S.stream_multiway_join(new, "uy", {"yk": frame(spark, "yk", [[1, 5], [2, 6], [2, 7]]), "uk": frame(spark, "uk", [[1, 5], [2, 5], [3, 7]])}, 4, str(tmp_path / "out"))
+    assert rows_of(got.select("k", "u", "y")) == [(5, 1, 1), (5, 2, 1), (7, 3, 2)]
