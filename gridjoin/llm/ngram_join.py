@@ -5,7 +5,7 @@ A document's set is its distinct 5-word shingles (with fewer words, the whole se
 shingles of rare words first. Two documents link when 100 * intersection >= 75 * union. The result is each document's component.
 
 1. One scan gives each document its set's size and 128-bit digest, and counts the shingles that a task meets more than once. Equal
-   sets are one class, which the digest names; copies go no further. The word ranks (from a bounded sample of
+   sets are one class, which gets a number; copies go no further. The word ranks (from a bounded sample of
    WORD_SAMPLE documents) and the counts only order the shingles. The order changes the work, never the result.
 2. A second scan posts the first n - ceil(0.75 n) + DEPTH shingles of each set. Two sets that link share at least
    need(n, m) - ceil(0.75 max(n, m)) + DEPTH of them, where need is the intersection they must have. Postings are sorted by shingle; a shingle of one
@@ -40,7 +40,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import drop_stored, lean, pieces, stored, table
+from .common import drop_stored, lean, pieces, settled, stored, table
 from .components import connected_components
 from .textnum import shingle_hashes, slices, utf8, word_hashes
 
@@ -49,8 +49,8 @@ COMMON, MAX_COMMON = 24, 1 << 20
 #: Linked sets share at least so many of the posted shingles (small sets: all that they need to share).
 DEPTH = 24
 #: Pairs with one least neighbour are verified together, about so many at a time.
-TOGETHER = 512
-SMALL, BLOCK = 24, 512
+TOGETHER = 128
+SMALL, BLOCK = 24, 128
 WORD_SAMPLE, WORDS = 2000, 1024
 #: log2 of the probability at which ranks begin, of a word that is not in the list, and the step of a rank.
 RARE, OTHER, STEP = -46.0, -17.0, 2.0
@@ -328,11 +328,11 @@ def block_links(sets: list[np.ndarray], marks: list[np.ndarray], side: np.ndarra
     return i[ok], j[ok]
 
 
-_LINK = "a binary, b binary"
+_LINK = "a long, b long"
 
 
-def _link_rows(a: list[bytes], b: list[bytes]) -> pa.RecordBatch:
-    return pa.record_batch([pa.array(a, pa.binary()), pa.array(b, pa.binary())], names=["a", "b"])
+def _link_rows(a, b) -> pa.RecordBatch:
+    return pa.record_batch([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
 
 
 def _large_groups(percent: int):
@@ -345,11 +345,12 @@ def _large_groups(percent: int):
         def links():
             if len(rows) > 1:
                 node, side, marks, comp, sets = zip(*rows, strict=True)
-                apart = None if comp[0] is None else np.unique(np.array(comp, "S16"), return_inverse=True)[1].ravel()
+                apart = None if comp[0] is None else np.array(comp, np.int64)
                 i, j = block_links(list(sets), list(marks), np.array(side), percent, apart)
                 if len(i):
                     a, b = forest(i, j, len(node))
-                    yield _link_rows([node[x] for x in a], [node[x] for x in b])
+                    node = np.array(node, np.int64)
+                    yield _link_rows(node[a], node[b])
 
         for batch in pieces(batches):
             for cluster, c1, c2, node, side, marks, comp, s in zip(*(batch.column(c).to_pylist() for c in ("cluster", "c1", "c2", "node", "side", "marks", "comp", "s")), strict=True):
@@ -403,9 +404,9 @@ def _verify(percent: int):
             for node, partners in todo:
                 near = [p for p in partners if p in sets]
                 if node in sets and near:
-                    ok = [p for p, yes in zip(near, tree_matches(sets[node], [sets[p] for p in near], percent), strict=True) if yes]
-                    if ok:
-                        yield _link_rows([node] * len(ok), ok)
+                    ok = np.array(near, np.int64)[tree_matches(sets[node], [sets[p] for p in near], percent)]
+                    if len(ok):
+                        yield _link_rows(np.full(len(ok), node), ok)
 
         for batch in pieces(batches):
             for cluster, salt, node, partners, s in zip(*(batch.column(c).to_pylist() for c in ("cluster", "salt", "node", "partners", "s")), strict=True):
@@ -421,7 +422,7 @@ def _verify(percent: int):
 
 
 def _set_rows(k: int, ranks):
-    schema = pa.schema([("node", pa.binary()), ("s", pa.binary())])
+    schema = pa.schema([("g", pa.binary()), ("s", pa.binary())])
 
     def run(batches):
         for batch in pieces(batches, 500):
@@ -431,11 +432,19 @@ def _set_rows(k: int, ranks):
     return run
 
 
-def sets_for(ids: DataFrame, docs: DataFrame, k: int, ranks) -> DataFrame:
-    """node (the digest), s (the set) of the documents whose doc_id is in ids (d; null stands for null)."""
-    small = ids.limit(MAX_BROADCAST + 1).count() <= MAX_BROADCAST
-    texts = docs.join(F.broadcast(ids) if small else ids, F.col("doc_id").eqNullSafe(F.col("d")), "left_semi")
-    return stored(texts.mapInArrow(lean(_set_rows(k, ranks)), "node binary, s binary"), "sets", compression="none")
+def sets_for(wanted: DataFrame, docs: DataFrame, k: int, ranks) -> DataFrame:
+    """node, s (the set) of the classes in wanted (g, d, node). d is the doc_id that stands for the class, or null; texts of other classes may have it too."""
+    small = F.broadcast if wanted.limit(MAX_BROADCAST + 1).count() <= MAX_BROADCAST else (lambda x: x)
+    texts = docs.join(small(wanted.select("d")), F.col("doc_id").eqNullSafe(F.col("d")), "left_semi")
+    return stored(texts.mapInArrow(lean(_set_rows(k, ranks)), "g binary, s binary").join(small(wanted.select("g", "node")), "g").select("node", "s"), "sets", compression="none")
+
+
+def with_sets(rows: DataFrame, sets: DataFrame, nodes: DataFrame | None = None) -> DataFrame:
+    """rows (node and others) with the node's set. Sets that no row asks for stay where they are while the nodes asked for can be broadcast."""
+    ids = (rows if nodes is None else nodes).select("node").distinct()
+    if ids.limit(MAX_BROADCAST + 1).count() <= MAX_BROADCAST:
+        sets = sets.join(F.broadcast(ids), "node", "left_semi")
+    return rows.join(sets, "node")
 
 
 def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -444,16 +453,17 @@ def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     led = pairs.join(least, "a")
     led = led.join(led.groupBy("cluster").agg(F.ceil(F.count("*") / TOGETHER).cast("int").alias("salts")), "cluster")
     led = led.select("cluster", F.pmod(F.hash("a"), F.col("salts")).alias("salt"), "a", "b")
-    none = F.lit(None).cast("binary")
+    none = F.lit(None).cast("long")
     members = led.select("cluster", "salt", F.col("a").alias("node"), F.col("b").alias("partner")).unionByName(led.select("cluster", "salt", F.col("b").alias("node"), none.alias("partner")))
     members = members.groupBy("cluster", "salt", "node").agg(F.collect_list("partner").alias("partners"))
-    rows = members.join(sets, "node").repartition("cluster", "salt").sortWithinPartitions("cluster", "salt", "node")
+    nodes = pairs.select(F.col("a").alias("node")).unionAll(pairs.select(F.col("b").alias("node")))
+    rows = with_sets(members, sets, nodes).repartition("cluster", "salt").sortWithinPartitions("cluster", "salt", "node")
     return rows.select("cluster", "salt", "node", "partners", "s").mapInArrow(lean(_verify(percent)), _LINK)
 
 
 def in_blocks(dealt: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Links within pairs of blocks. dealt: cluster, c1, c2, side, node, marks, comp."""
-    rows = dealt.join(sets, "node").repartition("cluster", "c1", "c2").sortWithinPartitions("cluster", "c1", "c2", "node")
+    rows = with_sets(dealt, sets).repartition("cluster", "c1", "c2").sortWithinPartitions("cluster", "c1", "c2", "node")
     return rows.select("cluster", "c1", "c2", "node", "side", "marks", "comp", "s").mapInArrow(lean(_large_groups(percent)), _LINK)
 
 
@@ -466,7 +476,7 @@ def paired(dealt: DataFrame, blocks: DataFrame) -> DataFrame:
 def joined_groups(large: DataFrame, sets: DataFrame, small_links: DataFrame, percent: int) -> DataFrame:
     """Links of large groups, with the links of small ones. large: node, marks (its large groups, sorted, without those skipped). The result is a table."""
     single = large.select("node", F.explode("marks").alias("h"))
-    none = F.lit(None).cast("binary")
+    none = F.lit(None).cast("long")
     dealt = single.join(single.groupBy("h").agg(F.min("node").alias("cluster")), "h").groupBy("cluster", "node").agg(F.collect_list("h").alias("marks"))
     sizes = dealt.groupBy("cluster").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("m"))
     dealt = stored(dealt.join(sizes, "cluster").select("cluster", "node", "marks", "m", F.pmod(F.hash("node"), F.col("m")).alias("own")), "dealt")
@@ -488,7 +498,7 @@ def joined_groups(large: DataFrame, sets: DataFrame, small_links: DataFrame, per
     several = count.groupBy("cluster").agg(F.count("*").alias("k"), F.sum(F.when(F.col("n") < BLOCK, F.col("n"))).alias("rest")).where("k > 1")
     count = count.join(several, "cluster")
     # blocks are named by a component and a number; small components share blocks without a name
-    full, none = F.col("n") >= BLOCK, F.lit(b"")
+    full, none = F.col("n") >= BLOCK, F.lit(-1)
     count = count.select("cluster", "comp", F.when(full, F.col("comp")).otherwise(none).alias("of"), F.ceil(F.when(full, F.col("n")).otherwise(F.col("rest")) / BLOCK).cast("int").alias("m"))
     part = F.pmod(F.when(F.col("of") == none, F.hash("comp")).otherwise(F.hash("node")), F.col("m"))
     rows = of.join(count, ["cluster", "comp"]).select("cluster", "node", "marks", "comp", F.struct("of", part.alias("part")).alias("own"))
@@ -516,7 +526,8 @@ def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataF
     common = spark.sparkContext.broadcast((keys[order], top["c"].to_numpy(np.int64)[order]))
     postings = docs.mapInArrow(lean(_postings(common, k, percent, ranks)), "h long, n int, pos int, g binary")
     met = stored(postings.repartition("h").sortWithinPartitions("h", "n", "g").mapInArrow(lean(_small_pairs(percent)), "kind byte, h long, g binary, g2 binary, n int, c int"), "met")
-    classes = members.where("n > 0").groupBy("g").agg(F.min("doc_id").alias("d"))
+    classes = stored(members.where("n > 0").groupBy("g").agg(F.min("doc_id").alias("d")).withColumn("node", F.monotonically_increasing_id()), "classes")
+    one, two = classes.select("g", F.col("node").alias("x")), classes.select(F.col("g").alias("g2"), F.col("node").alias("y"))
     hot = met.where("kind = 1").groupBy("g").agg(F.count("*").alias("large"))
     # counted under a hash of the pair, which is half as wide; the few that pass fetch their digests back
     # the low bits of that hash are the count that a pair must reach (more than 4094 is written as 4095, which only lets more pairs through)
@@ -527,21 +538,20 @@ def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataF
     pairs = pairs.select("g", "g2", "pair").join(F.broadcast(often) if often.count() <= MAX_BROADCAST else often, "pair").dropDuplicates(["g", "g2"])
     pairs = pairs.join(hot, "g", "left").join(hot.select(F.col("g").alias("g2"), F.col("large").alias("large2")), "g2", "left")
     pairs = pairs.where(F.col("c") >= F.col("least") - F.least(F.lit(DEPTH - 1), F.coalesce("large", F.lit(0)), F.coalesce("large2", F.lit(0))))
-    pairs = stored(pairs.select(F.least("g", "g2").alias("a"), F.greatest("g", "g2").alias("b")), "pairs")
-    groups = met.where("kind = 1").groupBy(F.col("g").alias("node"), "n").agg(F.array_sort(F.collect_list("h")).alias("marks")).where(F.size("marks") > skipped(F.col("n"), percent))
+    pairs = stored(pairs.join(one, "g").join(two, "g2").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")), "pairs")
+    groups = met.where("kind = 1").groupBy("g", "n").agg(F.array_sort(F.collect_list("h")).alias("marks")).where(F.size("marks") > skipped(F.col("n"), percent)).join(classes.select("g", "node"), "g")
     large = stored(groups.select("node", F.slice("marks", F.lit(1), F.size("marks") - skipped(F.col("n"), percent)).alias("marks")), "large")
     drop_stored(met)
     drop_stored(often)
-    nodes = pairs.select(F.col("a").alias("g")).unionByName(pairs.select(F.col("b").alias("g"))).unionByName(large.select(F.col("node").alias("g"))).distinct()
-    sets = sets_for(classes.join(nodes, "g", "left_semi").select("d").distinct(), docs, k, ranks)
+    nodes = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).unionByName(large.select("node")).distinct()
+    sets = sets_for(classes.join(nodes, "node"), docs, k, ranks)
     links = joined_groups(large, sets, verified(pairs, sets, percent), percent)
     comps = connected_components(links)
-    for x in (pairs, large, sets, links):
-        drop_stored(x)
-    named = comps.join(classes, F.col("node") == F.col("g")).groupBy("comp").agg(F.min("d").alias("component_id"))
-    linked = comps.join(named, "comp").select(F.col("node").alias("g"), "component_id")
-    own = classes.join(linked, "g", "left").select("g", F.coalesce("component_id", "d").alias("component_id"))
-    return members.join(own, "g", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
+    # a component is named by its least doc_id, which need not be that of its least class
+    named = comps.join(classes, "node").groupBy("comp").agg(F.min("d").alias("component_id"))
+    own = classes.join(comps.join(named, "comp"), "node", "left").select("g", F.coalesce("component_id", "d").alias("component_id"))
+    found = members.join(own, "g", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
+    return settled(found, "components", scanned, classes, pairs, large, sets, links, comps)
 
 
 def op10_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
