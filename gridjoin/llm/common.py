@@ -63,6 +63,14 @@ def drop_stored(df: DataFrame) -> None:
         delete_path(df.sparkSession, files[0].rsplit("/", 1)[0])
 
 
+def settled(df: DataFrame, name: str, *used: DataFrame) -> DataFrame:
+    """df as a written table, for results that are small beside the tables they were made from, which are removed."""
+    out = stored(df, name)
+    for x in used:
+        drop_stored(x)
+    return out
+
+
 def set_aside(docs: DataFrame, names: tuple[str, ...]) -> tuple[DataFrame, list]:
     """docs with columns of these names renamed, for an operator that would replace them, and the columns that bring all back as they were."""
     taken = {c: f"__own_{c}" for c in docs.columns if c.lower() in names}

@@ -29,7 +29,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, stored, table
+from .common import WORD, settled, stored, table
 
 GRAM, RUN = 20, 50
 
@@ -85,7 +85,7 @@ def repeated_lines(docs: DataFrame) -> DataFrame:
     before = Window.partitionBy("doc_id", "th").orderBy("lo", "hi")
     hits = hits.withColumn("top", F.max("hi").over(before.rowsBetween(Window.unboundedPreceding, -1)))
     hits = hits.select("doc_id", "th", F.greatest("lo", F.coalesce(F.col("top") + 1, "lo")).alias("lo"), "hi").where("lo <= hi")  # each line once
-    return hits.groupBy("doc_id", "th").agg(F.sort_array(F.flatten(F.collect_list(F.sequence("lo", "hi")))).alias("gone"))
+    return settled(hits.groupBy("doc_id", "th").agg(F.sort_array(F.flatten(F.collect_list(F.sequence("lo", "hi")))).alias("gone")), "gone", met)
 
 
 #: What dedup_lines() adds.

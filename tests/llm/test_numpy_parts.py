@@ -182,9 +182,9 @@ def test_page_lines(page, lines):
 
 def test_differencing_deletes_shared_open_lines():
     a, b = ["menu", "story one", "tail", "tail"], ["menu", "story two", "tail"]
-    assert html_extract.main_text(a, bytes([1, 1, 1, 1]), b) == "story one\ntail"
-    assert html_extract.main_text(a, bytes([1, 2, 1, 1]), b) == "story one"
-    assert html_extract.main_text(a, bytes([1, 1, 1, 0]), None) == "menu\nstory one\ntail"
+    assert html_extract.main_text(a, bytes([1, 1, 1, 1]), b) == ("story one\ntail", 2, 0)
+    assert html_extract.main_text(a, bytes([1, 2, 1, 1]), b) == ("story one", 2, 0) and html_extract.main_text(a, bytes([2, 2, 1, 1]), b) == ("menu\nstory one", 2, 1)
+    assert html_extract.main_text(a, bytes([1, 1, 1, 0]), None) == ("menu\nstory one\ntail", 0, 0)
     rng = random.Random(1)
     for _ in range(100):
         x, y = [[rng.choice("abc") for _ in range(rng.randint(0, 9))] for _ in range(2)]
