@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridjoin.llm import decontaminate, language_id, line_dedup, ngram_join, pieces
-from gridjoin.llm.common import set_aside, stored, table
+from gridjoin.llm.common import drop_stored, set_aside, stored, table
 
 MIN_SCORE = 0.35
 
@@ -65,7 +65,11 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each stage's table is removed when the next is written."""
     docs = table(spark, sf_dir, "documents")
-    for name, stage in STAGES:
-        docs = stored(stage(spark, docs, sf_dir), f"stage-{name}")
+    for i, (name, stage) in enumerate(STAGES):
+        done = stored(stage(spark, docs, sf_dir), f"stage-{name}")
+        if i:
+            drop_stored(docs)
+        docs = done
     return docs
