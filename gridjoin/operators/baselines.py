@@ -12,11 +12,13 @@ from pyspark.sql import functions as F
 
 from gridjoin.functions.hypergraph import Hypergraph
 from gridjoin.functions.measures import min_vertex_cover
+from gridjoin.plans.combined import TASK
 from gridjoin.plans.covermix import MAX_BROADCAST, empty_result
 from gridjoin.plans.degrees import heavy_candidates
-from gridjoin.plans.grid import CELL, grid_join, join_order, local_join, one_exchange, replicate, to_cells
+from gridjoin.plans.grid import CELL, grid_join, join_order, local_join, one_exchange, replicate
 from gridjoin.plans.query import Atom, JoinQuery, natural_join, power_of_two
 from gridjoin.plans.weights import integer_shares
+from gridjoin.sources.tables import staged
 
 
 def cover_shares(h: Hypergraph, p: int) -> dict[str, int]:
@@ -98,7 +100,19 @@ def by_pattern(query: JoinQuery, heavy: dict[str, DataFrame]) -> dict[frozenset[
                         df = df.where(F.col(f"__h_{v}") if v in pattern else ~F.col(f"__h_{v}"))
                 atoms.append(Atom(a.name, df.select(*a.vars)))
             out[pattern] = atoms
-    return out
+    met = _met(tagged, query, names)
+    return {p: atoms for p, atoms in out.items() if p in met}
+
+
+def _met(tagged: dict[str, DataFrame], query: JoinQuery, names: list[str]) -> set[frozenset[str]]:
+    """The patterns in which no relation is empty: one count of each relation's flags, at most two to the number of its heavy variables rows each."""
+    jobs = []
+    for a in query.atoms:
+        mine = [v for v in names if v in a.vars]
+        jobs.append(tagged[a.name].groupBy(F.concat_ws(",", F.lit(""), *[F.when(F.col(f"__h_{v}"), v) for v in mine]).alias("__heavy")).count().select(F.lit(a.name).alias("__atom"), "__heavy"))
+    found = {(r["__atom"], frozenset(x for x in r["__heavy"].split(",") if x)) for r in reduce(DataFrame.unionAll, jobs).collect()}
+    every = [frozenset(p) for k in range(len(names) + 1) for p in combinations(names, k)]
+    return {p for p in every if all((a.name, p & frozenset(a.vars)) in found for a in query.atoms)}
 
 
 def one_round_skew_join(query: JoinQuery, p: int, threshold: int | None = None) -> DataFrame:
@@ -111,39 +125,39 @@ def one_round_skew_join(query: JoinQuery, p: int, threshold: int | None = None)
         light = query.hypergraph.induced(set(query.variables) - pattern)
         shares = cover_shares(light, p) if light.edges else {}
         results.append(grid_join([a.df for a in atoms], shares))
-    return reduce(DataFrame.unionByName, results).select(*query.variables)
+    return reduce(DataFrame.unionByName, results).select(*query.variables) if results else empty_result(query)
 
 
 def dedicated_heavy_join(query: JoinQuery, p: int, threshold: int | None = None) -> DataFrame:
-    """Each assignment of the heavy variables owns a block of machines: relations are cut down to it, then a grid of the rest runs in the block."""
+    """Each assignment of the heavy variables owns a block of machines: relations are cut down to it, then a grid of the rest runs in the block. The
+    cells of all blocks are spread over at most p tasks (or as many as the session's shuffles have)."""
     query = query.normalized()
     n = max(query.counts().values(), default=0)
     patterns = by_pattern(query, heavy_values(query, threshold or max(1, (1 << power_of_two(n)) // p)))
-    one_exchange(query.atoms[0].df.sparkSession)
+    spark = query.atoms[0].df.sparkSession
+    one_exchange(spark)
     results = []
     for pattern, atoms in patterns.items():
         if not pattern:
             results.append(grid_join([a.df for a in atoms], cover_shares(query.hypergraph, p)))
             continue
         pieces = [a.df.select(*sorted(set(a.vars) & pattern)).distinct() for a in atoms if set(a.vars) & pattern]
-        blocks = reduce(natural_join, sorted(pieces, key=lambda d: len(d.columns)))
-        blocks = blocks.limit(MAX_BROADCAST + 1)
-        rows = blocks.collect()
-        if len(rows) > MAX_BROADCAST:
-            raise ValueError("more heavy assignments than machines can be dedicated to")
-        if not rows:
+        # numbered as they are written
+        listed = staged(reduce(natural_join, sorted(pieces, key=lambda d: len(d.columns))).withColumn("__block", F.monotonically_increasing_id()), "blocks")
+        count = listed.count()
+        if not count:
             continue
-        names = sorted(pattern)
-        listed = query.atoms[0].df.sparkSession.createDataFrame([(i, *(r[v] for v in names)) for i, r in enumerate(sorted(rows, key=lambda r: tuple(str(r[v]) for v in names)))], "__block int, " + ", ".join(f"{v} {blocks.schema[v].dataType.simpleString()}" for v in names))
+        small = F.broadcast if count <= MAX_BROADCAST else (lambda d: d)
         light = query.hypergraph.induced(set(query.variables) - pattern)
-        shares = {v: 1 for v in query.variables} | (cover_shares(light, max(1, p // len(rows))) if light.edges else {})
-        cells = prod(shares.values())
+        shares = {v: 1 for v in query.variables} | (cover_shares(light, max(1, p // count)) if light.edges else {})
+        tasks = min(prod(shares.values()) * count, max(p, int(spark.conf.get("spark.sql.shuffle.partitions"))))
         frames = []
         for a in atoms:
             mine = [v for v in a.vars if v in pattern]
-            df = a.df.join(F.broadcast(listed.select("__block", *mine)), mine) if mine else a.df.crossJoin(F.broadcast(listed.select("__block")))
-            df = replicate(df, query.variables, shares)
-            frames.append(to_cells(df.withColumn(CELL, (F.col(CELL) + F.col("__block") * cells).cast("int")).drop("__block"), cells * len(rows)))
+            # a relation without a heavy variable goes to every block, as the method has it
+            df = a.df.join(small(listed.select("__block", *mine).distinct()), mine) if mine else a.df.crossJoin(small(listed.select("__block")))
+            df = replicate(df, query.variables, shares).withColumn(TASK, F.pmod(F.xxhash64("__block", CELL), F.lit(tasks)).cast("int"))
+            frames.append(df.repartitionById(tasks, F.col(TASK)))
         results.append(local_join(frames).select(*query.variables))
     return reduce(DataFrame.unionByName, results).select(*query.variables) if results else empty_result(query)
 
