@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from gridjoin.functions.hypergraph import Hypergraph
 from gridjoin.functions.measures import kappa
-from gridjoin.sources.tables import staged
+from gridjoin.sources.tables import staged, staged_together
 
 from .combined import PART, covering, product_in_grid
 from .combined import run as run_combined
@@ -106,15 +106,16 @@ def plan_combo(h: Hypergraph, atoms: dict[str, frozenset[str]], parts: dict[str,
 def preprocess(query: JoinQuery, p: int, delta: str | Fraction = "kappa", clamp: bool = True, lower_p: bool = True, normalized: bool = False, most: int = MAX_COMBOS) -> Plan:
     """Sizes, parts and one plan for each combination. p becomes a power of two, and no larger than the cube root of n allows unless lower_p is False."""
     query = query if normalized else query.normalized()
-    tops = query.tops()
+    # every relation is read by the counts, by a job for each subset that may be heavy, and by the join
+    frames = staged_together([a.df for a in query.atoms], "atom")
+    query = JoinQuery([a.with_frame(df) for a, df in zip(query.atoms, frames, strict=True)])
+    tops = query.tops(max(1 << 10, min(1 << 16, 64 * p)))
     counts = {a: c for a, (c, _) in tops.items()}
     n = 1 << power_of_two(max(counts.values(), default=0))
     p = 1 << (max(1, p).bit_length() - 1)
     p = min(p, max_machines(n)) if lower_p else p
     h = query.hypergraph
-    # relations with heavy values are read by a job for each subset that may be heavy, and by the join
     heavy = {a for a, (_, t) in tops.items() if any(c > n // p for c in t.values())}
-    query = JoinQuery([a.with_frame(staged(a.df, "atom")) if a.name in heavy else a for a in query.atoms])
     plan = Plan(query, h, n, p, {})
     base = 1
     while True:

@@ -57,8 +57,8 @@ def coarsen(bucket: Column, base: int) -> Column:
 
 
 def uniformize(df: DataFrame, variables: list[str], n: int, p: int, clamp: bool = True, method: str = "join", tops: dict[str, int] | None = None, base: int = 1) -> DataFrame:
-    """df with a bucket column for each proper subset of the variables, by increasing size, each inside the parts made before. tops: the largest degree of
-    each variable, if known; where that is light, no part has a heavier one and nothing is counted. base: buckets merged into one."""
+    """df with a bucket column for each proper subset of the variables, by increasing size, each inside the parts made before. tops: what no degree of
+    a variable exceeds, if known; where that is light, no part has a heavier one and nothing is counted. base: buckets merged into one."""
     spark = df.sparkSession
     done: list[tuple[str, ...]] = []
     heavy_sets: set[tuple[str, ...]] = set()

@@ -89,16 +89,22 @@ class JoinQuery:
         found = {r["atom"]: r["count"] for r in reduce(DataFrame.unionAll, parts).groupBy("atom").count().collect()}
         return {a.name: found.get(a.name, 0) for a in self.atoms}
 
-
-    def tops(self) -> dict[str, tuple[int, dict[str, int]]]:
-        """Tuples and largest degree of each variable of each atom, in one job: the atoms' exchanges are shared by its branches."""
-        parts = []
+    def tops(self, cells: int = 1 << 16) -> dict[str, tuple[int, dict[str, int]]]:
+        """Tuples of each atom, and for each of its variables a number that no degree exceeds: the most tuples in one of ``cells`` cells that values are hashed to. One
+        pass over the atoms for all variables; only cells are shuffled, so a variable of many values costs no more than one of few."""
+        parts, names = [], []
         for a in self.atoms:
+            keys = []
             for v in a.vars:
-                parts.append(a.df.groupBy(v).agg(F.count("*").alias("__deg")).agg(F.sum("__deg").alias("n"), F.max("__deg").alias("most")).select(F.lit(a.name).alias("atom"), F.lit(v).alias("var"), "n", "most"))
-        out: dict[str, tuple[int, dict[str, int]]] = {}
-        for r in reduce(DataFrame.unionAll, parts).collect():
-            out[r["atom"]] = (r["n"] or 0, out.get(r["atom"], (0, {}))[1] | {r["var"]: r["most"] or 0})
+                keys.append(F.pmod(F.xxhash64(v), F.lit(cells)) + F.lit(len(names) * cells))
+                names.append((a.name, v))
+            parts.append(a.df.select(F.explode(F.array(*keys)).alias("cell")))
+        counts = reduce(DataFrame.unionAll, parts).groupBy("cell").count()
+        found = {r["at"]: (r["n"], r["most"]) for r in counts.groupBy(F.expr(f"cell div {cells}").alias("at")).agg(F.sum("count").alias("n"), F.max("count").alias("most")).collect()}
+        out: dict[str, tuple[int, dict[str, int]]] = {a.name: (0, {}) for a in self.atoms}
+        for i, (atom, v) in enumerate(names):
+            n, most = found.get(i, (0, 0))
+            out[atom] = (n, out[atom][1] | {v: most})
         return out
 
 

@@ -7,6 +7,7 @@ import re
 import shutil
 import tempfile
 import uuid
+from concurrent.futures import ThreadPoolExecutor
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -77,6 +78,12 @@ def staged(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def staged_together(frames: list[DataFrame], name: str) -> list[DataFrame]:
+    """staged() of several frames, a few jobs at a time."""
+    with ThreadPoolExecutor(4) as pool:
+        return list(pool.map(lambda df: staged(df, name), frames))
+
+
 def drain(df: DataFrame) -> None:
     """Runs a plan and keeps nothing."""
     df.write.format("noop").mode("overwrite").save()
