@@ -5,15 +5,19 @@ subspaces of two components, each with 16 centroids, so a code takes four bits.
 along the vector weighs ETA times its part across, as that is what moves large inner products. Codes are chosen by coordinate
 descent, centroids by least squares under the same loss, on a bounded sample of SAMPLE vectors (those of least hash of vec_id).
 
-Every vector is encoded into a stored index: id, codes, |x|^2 / 2, vector. A search sends a block of at most about QUERIES queries to all tasks; each task
-scans the codes tile by tile with tables of two codes at a time, keeps KEEP candidates of a tile for each query, and measures those
-exactly, in double precision, on the original vectors. A task returns its best k for each query; a window merges the tasks.
+1. Every vector is encoded into a stored index of slabs: ids, codes, two further layers of four-bit codes (each of what the layers before
+   leave, by plain least squares), |x|^2 / 2, and the same of the vector that all layers add up to. The vectors stay in their own table.
+2. Queries are packed into blocks of about QUERIES; each slab meets each block (the blocks are a broadcast while they have at most BLOCK_BYTES). A task makes
+   tables of two codes at a time for a few queries, scans the slab's codes, refines its WIDE best estimates of each query to the
+   distance from what all layers add up to, and keeps the KEEP best of these over its slabs.
+3. The KEEP best estimates of all tasks are measured exactly, in double precision, on the original vectors, which are fetched for these only.
 
-Equal vectors: in a tile only the k + 1 rows of least vec_id of a group of equal vectors are scanned, as no other can be among k nearest with
-ties to the smaller id. So a vector that a third of the rows share cannot fill the candidates, and nothing is lost.
+Equal vectors have equal codes and norms, hence equal estimates. Of such a group only the k + 1 rows of least vec_id are kept, in a slab, in a task and
+over all, as no other can be among k nearest with ties to the smaller id. So a vector that a third of the rows share cannot fill the candidates.
 
 Defined cases: vectors that are null, empty, zero, or hold null or non-finite components take no part, nor do those of another length than
-the most frequent one (ties: the larger), nor rows with null vec_id. Of rows that repeat a vec_id one counts as query, and each pair is returned once.
+the most frequent one (ties: the larger), nor rows with null vec_id. Of rows that repeat a vec_id the one of least vector is the query; as candidates all are measured, and the
+nearest counts, so each pair is returned once.
 Empty tables give no rows. With k or fewer candidates, all are returned. Other columns are not read.
 """
 
@@ -24,9 +28,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import stored, table
+from .common import lean, pieces, settled, stored, table
+from .textnum import mix
 
-SAMPLE, QUERIES, TILE, KEEP = 20_000, 4096, 4096, 96
+SAMPLE, QUERIES, SLAB, LAYERS, WIDE, KEEP = 20_000, 1024, 4096, 2, 768, 192
+#: Queries of a block that are scanned together, blocks whose best a task holds, bytes of blocks and rows of candidates that may be broadcast.
+TOGETHER, HELD, BLOCK_BYTES, MAX_BROADCAST = 128, 16, 1 << 26, 1_000_000
 #: The inner products that matter are at least this share of the norms; it sets ETA.
 THRESHOLD = 0.2
 ROUNDS, SEED = 3, 1
@@ -122,16 +129,49 @@ def vectors(column: pa.Array, dim: int | None = None) -> tuple[np.ndarray, np.nd
     return rows[good], x[good]
 
 
-def fewest(ids: np.ndarray, x: np.ndarray, most: int) -> np.ndarray:
-    """Rows in order of id, at most ``most`` of each group of equal vectors."""
-    order = np.argsort(ids, kind="stable")
-    raw = np.ascontiguousarray(x[order] + 0.0).view(f"V{x.shape[1] * 8}").ravel()
-    _, group = np.unique(raw.view(f"S{x.shape[1] * 8}"), return_inverse=True)
-    group = group.ravel()
-    by = np.argsort(group, kind="stable")
-    first = np.flatnonzero(np.concatenate([[True], np.diff(group[by]) > 0]))
+def decoded(codes: np.ndarray, books: np.ndarray) -> np.ndarray:
+    return books[np.arange(len(books)), codes].reshape(len(codes), -1)
+
+
+def refine(est: np.ndarray, luts: np.ndarray, codes: np.ndarray, gain: np.ndarray, top: np.ndarray) -> np.ndarray:
+    """Estimates of the chosen rows with the inner products of their further layers added, and the gain, by which half the squared norm of what all layers
+    add up to is less than that of the vector. luts: as for scan, top: [queries, chosen]."""
+    out = np.take_along_axis(est, top, 1) + gain.astype(np.float32)[top]
+    row = np.arange(len(top))[:, None]
+    for j in range(len(luts)):
+        out += luts[j][row, codes[top, j]]
+    return out
+
+
+def signatures(codes: np.ndarray, half: np.ndarray) -> np.ndarray:
+    """64 bits of each row's codes and norm; equal vectors have equal ones."""
+    wide = np.zeros((len(codes), -(-codes.shape[1] // 8) * 8), np.uint8)
+    wide[:, : codes.shape[1]] = codes
+    out = mix(half.view(np.uint64))
+    for word in wide.view(np.uint64).T:
+        out = mix(out * np.uint64(31) + word)
+    return out.view(np.int64)
+
+
+def fewest(ids: np.ndarray, sig: np.ndarray, most: int) -> np.ndarray:
+    """Rows of the least ids, at most ``most`` of each signature."""
+    by = np.lexsort((ids, sig))
+    first = np.flatnonzero(np.concatenate([[True], np.diff(sig[by]) != 0]))
     rank = np.arange(len(by)) - np.repeat(first, np.diff(np.append(first, len(by))))
-    return order[np.sort(by[rank < most])]
+    return by[rank < most]
+
+
+def best_of(est: np.ndarray, ids: np.ndarray, sig: np.ndarray, keep: int, most: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of each row of estimates the ``keep`` largest (ties: by signature, then the least id), at most ``most`` of one estimate and signature."""
+    order = np.lexsort((ids, sig, -est), axis=1)
+    est, ids, sig = (np.take_along_axis(x, order, 1) for x in (est, ids, sig))
+    fresh = np.ones(est.shape, bool)
+    fresh[:, 1:] = (est[:, 1:] != est[:, :-1]) | (sig[:, 1:] != sig[:, :-1])
+    at = np.arange(est.shape[1])
+    rank = at - np.maximum.accumulate(np.where(fresh, at, 0), axis=1)
+    est = np.where(rank < most, est, -np.inf)
+    order = np.argsort(-est, axis=1, kind="stable")[:, :keep]
+    return tuple(np.take_along_axis(x, order, 1) for x in (est, ids, sig))
 
 
 def tables(q: np.ndarray, books: np.ndarray) -> np.ndarray:
@@ -150,60 +190,77 @@ def scan(luts: np.ndarray, codes: np.ndarray, half: np.ndarray) -> np.ndarray:
 
 
 def _encode_all(state, dim: int):
-    schema = pa.schema([("vec_id", pa.int64()), ("codes", pa.binary()), ("half", pa.float64()), ("x", pa.binary())])
+    schema = pa.schema([(c, pa.binary()) for c in ("ids", "codes", "more", "half", "gain")])
+    pack = lambda codes: np.ascontiguousarray(codes[:, 0::2] << 4 | codes[:, 1::2])
 
     def run(batches):
-        centre, books, weight = state.value
-        for batch in batches:
+        centre, books, layers, weight = state.value
+        for batch in pieces(batches, SLAB):
             ids = batch.column("vec_id")
             rows, x = vectors(batch.column("embedding"), dim)
             keep = ids.is_valid().to_numpy(zero_copy_only=False)[rows]
             rows, x = rows[keep], x[keep]
-            if not len(rows):
-                continue
-            c = padded(x - centre)
-            codes = encode(c, books, weight)
-            packed = codes[:, 0::2] << 4 | codes[:, 1::2]
-            yield pa.record_batch([ids.take(pa.array(rows)), pa.array([r.tobytes() for r in packed], pa.binary()), pa.array((c * c).sum(axis=1) / 2), pa.array([r.tobytes() for r in x], pa.binary())], schema=schema)
+            if len(rows):
+                c = padded(x - centre)
+                codes = encode(c, books, weight)
+                rest, more = c - decoded(codes, books), []
+                for b in layers:
+                    more.append(encode(rest, b, 1.0, 0))
+                    rest = rest - decoded(more[-1], b)
+                yield pa.record_batch([pa.array([v.tobytes()], pa.binary()) for v in (ids.take(pa.array(rows)).to_numpy(), pack(codes), pack(np.concatenate(more, axis=1)), (c * c).sum(axis=1) / 2, ((c * c).sum(axis=1) - ((c - rest) ** 2).sum(axis=1)) / 2)], schema=schema)
+
+    return run
+
+
+def _scan_pairs(state, dim: int, k: int):
+    """Rows: a slab (ids, codes, more, half, gain) beside a block of queries (block, asked: vec_id and q), to query_id, vec_id, est, sig."""
+    schema = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("est", pa.float32()), ("sig", pa.int64())])
+
+    def run(batches):
+        centre, books, layers = state.value
+        held: dict[int, tuple] = {}
+
+        def out(block: int) -> pa.RecordBatch:
+            qid, est, ids, sig = held.pop(block)
+            real = np.isfinite(est)
+            return pa.record_batch([pa.array(np.repeat(qid, real.sum(axis=1))), pa.array(ids[real]), pa.array(est[real]), pa.array(sig[real])], schema=schema)
+
+        for batch in pieces(batches, 16):
+            for block, asked, *slab in zip(batch.column("block").to_pylist(), batch.column("asked"), *(batch.column(c).to_pylist() for c in ("ids", "codes", "more", "half", "gain")), strict=True):
+                ids, half, gain = np.frombuffer(slab[0], np.int64), np.frombuffer(slab[3], np.float64), np.frombuffer(slab[4], np.float64)
+                codes, more = (np.frombuffer(x, np.uint8).reshape(len(ids), -1) for x in slab[1:3])
+                sig = signatures(np.concatenate([codes, more], axis=1), half)
+                few = fewest(ids, sig, k + 1)
+                ids, codes, more, half, gain, sig = ids[few], codes[few], more[few], half[few], gain[few], sig[few]
+                qid = asked.values.field("vec_id").to_numpy()
+                q = padded(asked.values.field("q").flatten().to_numpy().reshape(len(qid), dim) - centre)
+                if block not in held:
+                    if len(held) >= HELD:
+                        yield out(next(iter(held)))
+                    held[block] = qid, np.full((len(qid), KEEP), -np.inf, np.float32), np.zeros((len(qid), KEEP), np.int64), np.zeros((len(qid), KEEP), np.int64)
+                _, best, names, sigs = held[block]
+                for i in range(0, len(qid), TOGETHER):
+                    part = slice(i, i + TOGETHER)
+                    est = scan(tables(q[part], books), codes, half)
+                    est[ids == qid[part, None]] = -np.inf
+                    m = min(WIDE, len(ids))
+                    top = np.argpartition(-est, m - 1, axis=1)[:, :m]
+                    new = refine(est, np.concatenate([tables(q[part], b) for b in layers]), more, gain, top), ids[top], sig[top]
+                    best[part], names[part], sigs[part] = best_of(*(np.concatenate([old[part], x], axis=1) for old, x in zip((best, names, sigs), new, strict=True)), KEEP, k + 1)
+        while held:
+            yield out(next(iter(held)))
 
     return run
 
 
-def _search(state, dim: int, k: int):
+def _measure(dim: int):
+    """query_id, vec_id, q and embedding to the exact distance."""
     schema = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.float64())])
 
     def run(batches):
-        qid, q, luts, width = state.value
-        best = np.full((len(qid), k), np.inf)
-        name = np.full((len(qid), k), np.iinfo(np.int64).max)
-
-        def tile(ids: np.ndarray, codes: np.ndarray, half: np.ndarray, x: np.ndarray) -> None:
-            keep = fewest(ids, x, k + 1)
-            ids, codes, half, x = ids[keep], codes[keep], half[keep], x[keep]
-            for a in range(0, len(qid), 256):
-                part = slice(a, a + 256)
-                est = scan(luts[:, part], codes, half)
-                m = min(KEEP, len(ids))
-                top = np.argpartition(-est, m - 1, axis=1)[:, :m] if m < len(ids) else np.tile(np.arange(m), (len(est), 1))
-                near = np.empty(top.shape)
-                for i in range(0, len(top), 32):
-                    near[i : i + 32] = np.sqrt(((x[top[i : i + 32]] - q[part][i : i + 32, None]) ** 2).sum(axis=2))
-                found = ids[top]
-                near[found == qid[part][:, None]] = np.inf
-                d, v = np.concatenate([best[part], near], axis=1), np.concatenate([name[part], found], axis=1)
-                order = np.lexsort((v, d), axis=1)[:, :k]
-                best[part], name[part] = np.take_along_axis(d, order, 1), np.take_along_axis(v, order, 1)
-
-        for batch in batches:
-            for i in range(0, batch.num_rows, TILE):
-                t = batch.slice(i, TILE)
-                n = t.num_rows
-                codes = np.frombuffer(b"".join(t.column("codes").to_pylist()), np.uint8).reshape(n, width)
-                x = np.frombuffer(b"".join(t.column("x").to_pylist()), np.float64).reshape(n, dim)
-                tile(t.column("vec_id").to_numpy(), codes, t.column("half").to_numpy(), x)
-        real = np.isfinite(best)
-        if real.any():
-            yield pa.record_batch([pa.array(np.repeat(qid, real.sum(axis=1))), pa.array(name[real]), pa.array(best[real])], schema=schema)
+        for batch in pieces(batches, 2048):
+            q, x = (batch.column(c).flatten().cast(pa.float64()).to_numpy(zero_copy_only=False).reshape(-1, dim) for c in ("q", "embedding"))
+            yield pa.record_batch([batch.column("query_id"), batch.column("vec_id"), pa.array(np.sqrt(((x - q) ** 2).sum(axis=1)))], schema=schema)
 
     return run
 
@@ -222,24 +279,33 @@ def nearest(base: DataFrame, queries: DataFrame, k: int = 10) -> DataFrame:
     sample = base.where(fit).orderBy(F.xxhash64("vec_id"), "vec_id").limit(SAMPLE).select("embedding").toArrow()
     _, x = vectors(sample.column("embedding"), dim)
     centre, weight = x.mean(axis=0), eta(dim)
-    books = train(padded(x - centre), weight)
-    sent = spark.sparkContext.broadcast((centre, books, weight))
-    index = stored(base.mapInArrow(_encode_all(sent, dim), "vec_id long, codes binary, half double, x binary"), "vector-index")
-    asked = queries.where(fit).dropDuplicates(["vec_id"])
-    blocks = max(1, -(-asked.count() // QUERIES))
-    found = None
-    for b in range(blocks):
-        got = asked.where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == b).toArrow()
-        if not got.num_rows:
-            continue
-        _, q = vectors(got.column("embedding"), dim)
-        state = spark.sparkContext.broadcast((got.column("vec_id").to_numpy(), q, tables(padded(q - centre), books), len(books) // 2))
-        part = index.mapInArrow(_search(state, dim, k), "query_id long, vec_id long, score double")
-        found = part if found is None else found.unionByName(part)
-    if found is None:
+    x = padded(x - centre)
+    books = train(x, weight)
+    rest, layers = x - decoded(encode(x, books, weight), books), []
+    for _ in range(LAYERS):
+        layers.append(train(rest, 1.0, 0))
+        rest = rest - decoded(encode(rest, layers[-1], 1.0, 0), layers[-1])
+    sent = spark.sparkContext.broadcast((centre, books, layers, weight))
+    asked = stored(queries.where(fit).groupBy("vec_id").agg(F.min("embedding").alias("q")), "asked")
+    count = asked.count()
+    if not count:
         return none
+    blocks = -(-count // QUERIES)
+    small = F.broadcast if count * dim * 8 <= BLOCK_BYTES else (lambda d: d)
+    packed = asked.groupBy(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).alias("block")).agg(F.collect_list(F.struct("vec_id", "q")).alias("asked"))
+    index = stored(base.mapInArrow(lean(_encode_all(sent, dim)), "ids binary, codes binary, more binary, half binary, gain binary"), "index")
+    pairs = index.withColumn("block", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long")))).join(small(packed), "block")
+    rough = pairs.mapInArrow(lean(_scan_pairs(spark.sparkContext.broadcast((centre, books, layers)), dim, k)), "query_id long, vec_id long, est float, sig long")
+    alike = Window.partitionBy("query_id", "est", "sig").orderBy("vec_id")
+    best = Window.partitionBy("query_id").orderBy(F.desc("est"), "sig", "vec_id")
+    rough = rough.dropDuplicates(["query_id", "vec_id", "est", "sig"]).withColumn("r", F.row_number().over(alike)).where(F.col("r") <= k + 1)
+    rough = stored(rough.withColumn("r", F.row_number().over(best)).where(F.col("r") <= KEEP).select("query_id", "vec_id").distinct(), "rough")
+    few = F.broadcast if rough.count() <= MAX_BROADCAST else (lambda d: d)
+    rows = base.where(fit).join(few(rough), "vec_id").join(small(asked.withColumnRenamed("vec_id", "query_id")), "query_id")
+    exact = rows.select("query_id", "vec_id", "q", "embedding").mapInArrow(lean(_measure(dim)), "query_id long, vec_id long, score double")
     order = Window.partitionBy("query_id").orderBy("score", "vec_id")
-    return found.dropDuplicates(["query_id", "vec_id"]).withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    found = exact.groupBy("query_id", "vec_id").agg(F.min("score").alias("score")).withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
+    return settled(found.select("query_id", "rank", "vec_id", "score"), "nearest", asked, index, rough)
 
 
 def op1_ann(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -159,8 +159,14 @@ def test_anisotropic_codes_lower_their_loss():
     codes = ann.encode(x, books, w)
     est = ann.scan(ann.tables(x[:3], books), codes[:, 0::2] << 4 | codes[:, 1::2], np.zeros(len(x)))
     assert np.allclose(est, x[:3] @ books[np.arange(8), codes].reshape(len(x), -1).T, atol=1e-4)
-    same = np.array([[1.0, 2], [1, 2], [1, 2], [0, 1]])
-    assert ann.fewest(np.array([9, 3, 5, 1]), same, 2).tolist() == [3, 1, 2]
+    ids, sig = np.array([9, 3, 5, 1]), np.array([7, 7, 7, 2])
+    assert sorted(ids[ann.fewest(ids, sig, 2)].tolist()) == [1, 3, 5]
+    est, ids, sig = (np.array([x]) for x in ([1.0, 3.0, 1.0, 1.0, 2.0], [4, 9, 2, 3, 8], [5, 1, 5, 5, 6]))
+    assert [x.tolist() for x in ann.best_of(est, ids, sig, 4, 2)] == [[[3.0, 2.0, 1.0, 1.0]], [[9, 8, 2, 3]], [[1, 6, 5, 5]]]
+    half = np.array([1.5, 1.5, 2.5, 1.5])
+    codes = np.array([[1, 2], [1, 2], [1, 2], [2, 1]], np.uint8)
+    marks = ann.signatures(codes, half)
+    assert marks[0] == marks[1] and len(set(marks.tolist())) == 3
 
 
 @pytest.mark.parametrize(
