@@ -219,11 +219,26 @@ def packing_load(h: Hypergraph, n: int, p: int) -> float:
 
 @dataclass
 class RunReport:
-    """One run of a plan: seconds, result rows, and the exchanges that were planned."""
+    """One run of a plan: seconds, result rows, the exchanges and rounds that were planned, and over its stages the bytes read, shuffled and spilled
+    and the most that a stage's operators held in memory."""
 
     seconds: float
     rows: int
     exchanges: dict[str, int]
+    rounds: int = 0
+    input_bytes: int = 0
+    shuffle_bytes: int = 0
+    spilled_bytes: int = 0
+    peak_memory: int = 0
+
+
+def _stages(spark) -> dict[int, tuple[int, int, int, int]]:
+    """Input, shuffled, spilled bytes and peak execution memory of the stages that the session's status store still holds."""
+    sc = spark.sparkContext
+    none = sc._jvm.java.util.ArrayList()
+    found = sc._jsc.sc().statusStore().stageList(none, False, False, sc._gateway.new_array(sc._jvm.double, 0), none)
+    every = (found.apply(i) for i in range(found.size()))
+    return {s.stageId(): (s.inputBytes(), s.shuffleWriteBytes(), s.memoryBytesSpilled() + s.diskBytesSpilled(), s.peakExecutionMemory()) for s in every}
 
 
 def measure(df: DataFrame) -> RunReport:
@@ -232,10 +247,13 @@ def measure(df: DataFrame) -> RunReport:
 
     from pyspark.sql import Observation
 
-    seen = Observation()
+    seen, before = Observation(), set(_stages(df.sparkSession))
     began = time.time()
     df.observe(seen, F.count(F.lit(1)).alias("rows")).write.format("noop").mode("overwrite").save()
-    return RunReport(time.time() - began, seen.get["rows"], dict(exchanges(df)))
+    took = time.time() - began
+    ran = [v for k, v in _stages(df.sparkSession).items() if k not in before]
+    read, shuffled, spilled = (sum(v[i] for v in ran) for i in range(3))
+    return RunReport(took, seen.get["rows"], dict(exchanges(df)), plan_rounds(df), read, shuffled, spilled, max((v[3] for v in ran), default=0))
 
 
 def bounds_row(name: str, h: Hypergraph, n: int, p: int) -> dict:

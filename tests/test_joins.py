@@ -180,6 +180,7 @@ def test_run_report_and_loads(spark):
     q = JoinQuery({k: f for k, f in triangle_instance(spark, 512, 64).items()})
     report = measure(B.hypercube_join(q, 8))
     assert report.rows == B.cascade_join(q).count() and report.exchanges["grid"] == 3
+    assert report.shuffle_bytes > 0 and report.spilled_bytes == 0 and report.peak_memory > 0 and report.rounds >= 2  # the distinct, and the grid
     plan = C.preprocess(q, 8, lower_p=False)
     for c in plan.combos:
         load = combo_load(plan, c)
