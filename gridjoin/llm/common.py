@@ -71,6 +71,18 @@ def settled(df: DataFrame, name: str, *used: DataFrame) -> DataFrame:
     return out
 
 
+#: Rows of a table of ids up to which it is broadcast.
+MAX_IDS = 1_000_000
+
+
+def without(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """The rows of docs whose doc_id is not in ids (doc_id); a null doc_id stays. The ids are written first, and broadcast while they are at most
+    MAX_IDS, so that the texts need not be shuffled; above that both sides are."""
+    ids = stored(ids.select("doc_id").where("doc_id IS NOT NULL").distinct(), "ids")
+    few = F.broadcast if ids.count() <= MAX_IDS else (lambda d: d)
+    return docs.join(few(ids), "doc_id", "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
+
+
 def set_aside(docs: DataFrame, names: tuple[str, ...]) -> tuple[DataFrame, list]:
     """docs with columns of these names renamed, for an operator that would replace them, and the columns that bring all back as they were."""
     taken = {c: f"__own_{c}" for c in docs.columns if c.lower() in names}

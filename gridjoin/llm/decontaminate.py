@@ -14,7 +14,8 @@ positions are shuffled by hash and the words are fetched for the hits only. Only
 for each document and item before the shuffle, so a passage in a third of the documents is no hot key.
 
 Defined cases: null or empty text, or a null item, matches nothing. Empty tables give no rows. Repeated documents or
-items with one id give one row. Other columns are not read. Whole texts are read, however long.
+items with one id give one row. Of several windows of a pair the best counts, and equal ones are one row, so ties have no part in the result. Other
+columns are not read, whatever their names. Whole texts are read, however long.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import table, without
 
 #: The masks. Each selects 7 of 11 words.
 MASKS = ("11101001101", "11010111001", "10111010011")
@@ -88,7 +89,7 @@ def find_overlaps(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", max
 
 def drop_contaminated(docs: DataFrame, items: DataFrame) -> DataFrame:
     """The documents without a verified overlap, with their columns; a null doc_id is never contaminated."""
-    return docs.join(find_overlaps(docs, items).select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)
+    return without(docs, find_overlaps(docs, items))
 
 
 def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:

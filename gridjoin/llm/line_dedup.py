@@ -16,7 +16,8 @@ of it stood before. The first occurrence stays, within one document too.
 
 Plan: line hashes are made from the text (no text is shuffled for them), windows run within a document, fingerprints are counted with a partial
 aggregate, and only windows of repeated fingerprints go on, through a written table. A passage that a third of the documents share is linked to its
-first place only, never in pairs; joins on it are left to AQE's splitting of skewed partitions. The text is read again for the result.
+first place only, never in pairs. The tables of first places and of lines to delete are broadcast while they are small; above that, joins are left to
+AQE's splitting of skewed partitions. The text is read again for the result.
 
 Defined cases: null text stays null and has no lines; empty text is one empty line, never deleted. Rows that repeat both doc_id and
 text are one document, deleted from alike. Of equal runs in rows of one doc_id and different texts the one of least text hash comes first. Null doc_id
@@ -32,6 +33,8 @@ from pyspark.sql import functions as F
 from .common import WORD, settled, stored, table
 
 GRAM, RUN = 20, 50
+#: Rows up to which the table of first places, and that of the lines to delete, are broadcast; a row of these has at most ten lines on average then.
+MAX_BROADCAST = 400_000
 
 
 def _hash(text: Column) -> Column:
@@ -79,13 +82,14 @@ def repeated_lines(docs: DataFrame) -> DataFrame:
     place = F.struct("doc_id", "th", "at")
     repeated = found.groupBy("fp").agg(F.min(place).alias("one"), F.max(place).alias("two")).where("one <> two").select("fp")
     met = stored(found.join(repeated, "fp").select("doc_id", "th", "lo", "hi", "k1", "k2"), "met")
-    first = met.groupBy("k1", "k2").agg(F.min(F.struct("doc_id", "th", "lo")).alias("f"), F.count("*").alias("n")).where("n > 1").select("k1", "k2", "f")
+    first = stored(met.groupBy("k1", "k2").agg(F.min(F.struct("doc_id", "th", "lo")).alias("f"), F.count("*").alias("n")).where("n > 1").select("k1", "k2", "f"), "first")
+    few = F.broadcast if first.count() <= MAX_BROADCAST else (lambda d: d)
     here = (F.col("doc_id").eqNullSafe(F.col("f.doc_id"))) & (F.col("th") == F.col("f.th")) & (F.col("lo") == F.col("f.lo"))
-    hits = met.join(first, ["k1", "k2"]).where(~here).select("doc_id", "th", "lo", "hi")
+    hits = met.join(few(first), ["k1", "k2"]).where(~here).select("doc_id", "th", "lo", "hi")
     before = Window.partitionBy("doc_id", "th").orderBy("lo", "hi")
     hits = hits.withColumn("top", F.max("hi").over(before.rowsBetween(Window.unboundedPreceding, -1)))
     hits = hits.select("doc_id", "th", F.greatest("lo", F.coalesce(F.col("top") + 1, "lo")).alias("lo"), "hi").where("lo <= hi")  # each line once
-    return settled(hits.groupBy("doc_id", "th").agg(F.sort_array(F.flatten(F.collect_list(F.sequence("lo", "hi")))).alias("gone")), "gone", met)
+    return settled(hits.groupBy("doc_id", "th").agg(F.sort_array(F.flatten(F.collect_list(F.sequence("lo", "hi")))).alias("gone")), "gone", met, first)
 
 
 #: What dedup_lines() adds.
@@ -96,6 +100,8 @@ def dedup_lines(docs: DataFrame) -> DataFrame:
     """The rows of docs with the columns n_lines, n_deleted and kept_text added; columns of docs with these names are replaced."""
     docs = docs.drop(*ADDED)
     gone = repeated_lines(docs).select(F.col("doc_id").alias("__d"), F.col("th").alias("__t"), F.col("gone").alias("__gone"))
+    size = gone.agg(F.count("*"), F.coalesce(F.sum(F.size("__gone")), F.lit(0))).first()
+    gone = F.broadcast(gone) if size[0] <= MAX_BROADCAST and size[1] <= 10 * MAX_BROADCAST else gone
     df = docs.join(gone, F.col("doc_id").eqNullSafe(F.col("__d")) & (F.xxhash64("text") == F.col("__t")), "left")
     lines = _lines(F.col("text"))
     gone = F.filter("__gone", lambda i: F.regexp_like(F.get(lines, i), F.lit(WORD)))
