@@ -19,7 +19,8 @@ shingles of rare words first. Two documents link when 100 * intersection >= 75 *
    the roots of all blocks are joined in the same way. What steps 3 and 4 have linked so far are components; only classes of one cluster that are in
    different ones are still compared, in blocks made by component. So a set goes once to each of its clusters, and once more to each
    block of classes that are not linked with it; a thousand near copies never become rows of pairs. A class joins all but the last
-   ``skipped`` of its large groups.
+   ``skipped`` of its large groups. Which groups are large is free to choose: those of HOT classes or more are from the start, so their postings are salted, and
+   of a longer group than LONG rows no task holds more than these.
 
 Where a link shares more large groups than either class skips, the first that they share is skipped by neither, and step 4 settles it. Where it shares
 fewer, step 3 has counted all its other postings, and its bound there is lowered by as many as the two classes' large groups can be.
@@ -51,6 +52,8 @@ DEPTH = 24
 #: Pairs with one least neighbour are verified together, about so many at a time.
 TOGETHER = 128
 SMALL, BLOCK = 24, 128
+#: Shingles of so many classes are dealt by salt and their groups are large in any case; rows of a group that are held at once.
+HOT, SALTS, LONG = 1 << 16, 64, 1 << 16
 WORD_SAMPLE, WORDS = 2000, 1024
 #: log2 of the probability at which ranks begin, of a word that is not in the list, and the step of a rank.
 RARE, OTHER, STEP = -46.0, -17.0, 2.0
@@ -130,15 +133,15 @@ def _scan(k: int, ranks):
     return run
 
 
-def _postings(common, k: int, percent: int, ranks):
-    """h, n, pos, g for the prefix of each set; a task posts a set once."""
-    schema = pa.schema([("h", pa.int64()), ("n", pa.int32()), ("pos", pa.int32()), ("g", pa.binary())])
+def _postings(common, k: int, percent: int, ranks, hot: int):
+    """h, salt, n, pos, g for the prefix of each set; a task posts a set once. Shingles of ``hot`` classes or more are salted by the class."""
+    schema = pa.schema([("h", pa.int64()), ("salt", pa.int8()), ("n", pa.int32()), ("pos", pa.int32()), ("g", pa.binary())])
 
     def run(batches):
         keys, counts = common.value
         seen: set[bytes] = set()
         for batch in pieces(batches, 1000):  # a posting is wider than its word, so batches are cut
-            hs, ns, ps, gs = [], [], [], []
+            hs, ss, ns, ps, gs = [], [], [], [], []
             for s in sets_of(batch.column("text"), k, ranks.value):
                 n = len(s)
                 if not n or (g := digest(s)) in seen:
@@ -147,10 +150,15 @@ def _postings(common, k: int, percent: int, ranks):
                     seen = set()
                 seen.add(g)
                 m = posted(n, percent)
+                salt = np.zeros(m, np.int8)
                 if len(keys):
                     at = np.minimum(np.searchsorted(keys, s), len(keys) - 1)
                     rank = np.where(keys[at] == s, counts[at], 0)
-                    s = s[np.lexsort((s, rank))] if rank.any() else s
+                    if rank.any():
+                        order = np.lexsort((s, rank))
+                        s = s[order]
+                        salt[rank[order][:m] >= hot] = 1 + g[0] % SALTS
+                ss.append(salt)
                 hs.append(s[:m].view(np.int64))
                 ns.append(np.full(m, n, np.int32))
                 ps.append(np.arange(m, dtype=np.int32))
@@ -158,14 +166,16 @@ def _postings(common, k: int, percent: int, ranks):
             if hs:
                 names = pa.array([g for g, _ in gs], pa.binary())
                 which = np.repeat(np.arange(len(gs)), [m for _, m in gs])
-                yield pa.record_batch([pa.array(np.concatenate(hs)), pa.array(np.concatenate(ns)), pa.array(np.concatenate(ps)), names.take(pa.array(which))], schema=schema)
+                yield pa.record_batch([pa.array(np.concatenate(hs)), pa.array(np.concatenate(ss)), pa.array(np.concatenate(ns)), pa.array(np.concatenate(ps)), names.take(pa.array(which))], schema=schema)
 
     return run
 
 
-def _groups(batches, columns: list[str]) -> Iterator[dict[str, np.ndarray]]:
-    """Sorted batches, cut so that no group of equal h is split, without groups of one row. g becomes an array of 16-byte values."""
-    rest: pa.Table | None = None
+def _groups(batches, columns: list[str]) -> Iterator[tuple[dict[str, np.ndarray], bool]]:
+    """Sorted batches, cut so that no group of equal h and salt is split, without groups of one row (but of salted ones); and, with True, the parts of a group of more than LONG rows,
+    which is not held. g becomes an array of 16-byte values."""
+    held: pa.Table | None = None
+    long = None
 
     def arrays(t: pa.Table) -> dict[str, np.ndarray]:
         out = {c: t.column(c).to_numpy() for c in columns if c != "g"}
@@ -173,9 +183,9 @@ def _groups(batches, columns: list[str]) -> Iterator[dict[str, np.ndarray]]:
         return out | {"g": g.view("V16")}
 
     def several(t: pa.Table) -> pa.Table:
-        h = t.column("h").to_numpy()
-        same = h[1:] == h[:-1]
-        keep = np.zeros(len(h), bool)
+        h, salt = t.column("h").to_numpy(), t.column("salt").to_numpy()
+        same = (h[1:] == h[:-1]) & (salt[1:] == salt[:-1])
+        keep = salt > 0
         keep[1:] |= same
         keep[:-1] |= same
         return t.filter(pa.array(keep))
@@ -184,14 +194,32 @@ def _groups(batches, columns: list[str]) -> Iterator[dict[str, np.ndarray]]:
         if not batch.num_rows:
             continue
         t = pa.Table.from_batches([batch])
-        t = t if rest is None else pa.concat_tables([rest, t])
-        h = t.column("h").to_numpy()
-        cut = int(np.searchsorted(h, h[-1]))
-        rest, t = t.slice(cut), t.slice(0, cut)
+        t = t if held is None else pa.concat_tables([held, t])
+        held = None
+        h, salt = t.column("h").to_numpy(), t.column("salt").to_numpy()
+        if long is not None:
+            others = np.flatnonzero((h != long[0]) | (salt != long[1]))
+            n = int(others[0]) if len(others) else len(h)
+            if n:
+                yield arrays(t.slice(0, n)), True
+            if n == len(h):
+                continue
+            long, t, h, salt = None, t.slice(n), h[n:], salt[n:]
+        others = np.flatnonzero((h != h[-1]) | (salt != salt[-1]))
+        cut = int(others[-1]) + 1 if len(others) else 0
+        held, t = t.slice(cut), t.slice(0, cut)
         if t.num_rows and (t := several(t)).num_rows:
-            yield arrays(t)
-    if rest is not None and (t := several(rest)).num_rows:
-        yield arrays(t)
+            yield arrays(t), False
+        if held.num_rows > LONG:
+            a = arrays(held)
+            fresh = np.concatenate([[True], a["g"][1:] != a["g"][:-1]])
+            if fresh.sum() > SMALL:
+                yield a, True
+                long, held = (h[-1], salt[-1]), None
+            else:  # copies of a few classes
+                held = held.filter(pa.array(fresh))
+    if held is not None and (t := several(held)).num_rows:
+        yield arrays(t), False
 
 
 def need(n, m, percent: int = PERCENT):
@@ -225,13 +253,13 @@ def _small_pairs(percent: int):
         return pa.Array.from_buffers(pa.binary(), len(v), [None, pa.py_buffer(np.arange(0, 16 * len(v) + 1, 16, dtype=np.int32)), pa.py_buffer(v.tobytes())])
 
     def run(batches):
-        for a in _groups(batches, ["h", "n", "pos"]):
+        for a, long in _groups(batches, ["h", "salt", "n", "pos"]):
             fresh = np.ones(len(a["h"]), bool)
             fresh[1:] = (a["h"][1:] != a["h"][:-1]) | (a["g"][1:] != a["g"][:-1])
-            h, n, pos, g = (a[c][fresh] for c in ("h", "n", "pos", "g"))
-            edge = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1], [True]]))
+            h, salt, n, pos, g = (a[c][fresh] for c in ("h", "salt", "n", "pos", "g"))
+            edge = np.flatnonzero(np.concatenate([[True], (h[1:] != h[:-1]) | (salt[1:] != salt[:-1]), [True]]))
             size = np.repeat(np.diff(edge), np.diff(edge))
-            large = size > SMALL
+            large = (size > SMALL) | (salt > 0) | long
             if m := int(large.sum()):
                 yield pa.record_batch([pa.array(np.ones(m, np.int8)), pa.array(h[large]), binary(g[large]), pa.nulls(m, pa.binary()), pa.array(n[large].astype(np.int32)), pa.nulls(m, pa.int32())], schema=schema)
             keep = (size > 1) & ~large
@@ -474,7 +502,7 @@ def paired(dealt: DataFrame, blocks: DataFrame) -> DataFrame:
 
 
 def joined_groups(large: DataFrame, sets: DataFrame, small_links: DataFrame, percent: int) -> DataFrame:
-    """Links of large groups, with the links of small ones. large: node, marks (its large groups, sorted, without those skipped). The result is a table."""
+    """node, comp: components by the links of large groups and those of small ones. large: node, marks (its large groups, sorted, without those skipped)."""
     single = large.select("node", F.explode("marks").alias("h"))
     none = F.lit(None).cast("long")
     dealt = single.join(single.groupBy("h").agg(F.min("node").alias("cluster")), "h").groupBy("cluster", "node").agg(F.collect_list("h").alias("marks"))
@@ -483,8 +511,10 @@ def joined_groups(large: DataFrame, sets: DataFrame, small_links: DataFrame, per
     first = stored(small_links.unionByName(in_blocks(dealt.select("cluster", F.col("own").alias("c1"), F.col("own").alias("c2"), F.lit(0).alias("side"), "node", "marks", none.alias("comp")), sets, percent)), "first")
     split = dealt.where("m > 1")
     if split.isEmpty():
+        comps = connected_components(first)
         drop_stored(dealt)
-        return first
+        drop_stored(first)
+        return comps
     # a root is a class that no link of its block points away from; the links of a block point at its nodes from their roots
     roots = split.join(first.select(F.col("b").alias("node")).distinct(), "node", "left_anti")
     rooms = roots.groupBy("cluster").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("r"))
@@ -504,14 +534,14 @@ def joined_groups(large: DataFrame, sets: DataFrame, small_links: DataFrame, per
     rows = of.join(count, ["cluster", "comp"]).select("cluster", "node", "marks", "comp", F.struct("of", part.alias("part")).alias("own"))
     rooms = count.select("cluster", "of", F.explode(F.sequence(F.lit(0), F.col("m") - 1)).alias("part")).distinct().select("cluster", F.struct("of", "part").alias("own"))
     both = rooms.join(rooms.withColumnRenamed("own", "other"), "cluster").where((F.col("own.of") == none) | (F.col("own.of") != F.col("other.of")))
-    third = in_blocks(paired(rows, both), sets, percent)
-    out = stored(first.unionByName(second).unionByName(third), "links")
-    for x in (dealt, first, second):
+    third = stored(in_blocks(paired(rows, both), sets, percent), "third")
+    out = comps if third.isEmpty() else connected_components(comps.select(F.col("node").alias("a"), F.col("comp").alias("b")).unionByName(third))
+    for x in (dealt, first, second, third, *([comps] if out is not comps else [])):
         drop_stored(x)
     return out
 
 
-def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataFrame:
+def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT, hot: int = HOT) -> DataFrame:
     """doc_id, n_shingles, component_id. docs: doc_id, text."""
     spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
@@ -524,11 +554,11 @@ def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataF
     keys = top["h"].to_numpy(np.int64).view(np.uint64)
     order = np.argsort(keys)
     common = spark.sparkContext.broadcast((keys[order], top["c"].to_numpy(np.int64)[order]))
-    postings = docs.mapInArrow(lean(_postings(common, k, percent, ranks)), "h long, n int, pos int, g binary")
-    met = stored(postings.repartition("h").sortWithinPartitions("h", "n", "g").mapInArrow(lean(_small_pairs(percent)), "kind byte, h long, g binary, g2 binary, n int, c int"), "met")
+    postings = docs.mapInArrow(lean(_postings(common, k, percent, ranks, hot)), "h long, salt byte, n int, pos int, g binary")
+    met = stored(postings.repartition("h", "salt").sortWithinPartitions("h", "salt", "n", "g").mapInArrow(lean(_small_pairs(percent)), "kind byte, h long, g binary, g2 binary, n int, c int"), "met")
     classes = stored(members.where("n > 0").groupBy("g").agg(F.min("doc_id").alias("d")).withColumn("node", F.monotonically_increasing_id()), "classes")
     one, two = classes.select("g", F.col("node").alias("x")), classes.select(F.col("g").alias("g2"), F.col("node").alias("y"))
-    hot = met.where("kind = 1").groupBy("g").agg(F.count("*").alias("large"))
+    of_large = met.where("kind = 1").groupBy("g").agg(F.count("*").alias("large"))
     # counted under a hash of the pair, which is half as wide; the few that pass fetch their digests back
     # the low bits of that hash are the count that a pair must reach (more than 4094 is written as 4095, which only lets more pairs through)
     key = F.xxhash64("g", "g2").bitwiseAND(F.lit(~4095)).bitwiseOR(F.least(F.col("n"), F.lit(4095)).cast("long"))
@@ -536,22 +566,21 @@ def link_documents(docs: DataFrame, k: int = K, percent: int = PERCENT) -> DataF
     often = pairs.groupBy("pair").agg(F.sum("c").alias("c")).withColumn("least", F.col("pair").bitwiseAND(F.lit(4095)))
     often = stored(often.where(F.col("c") > F.col("least") - DEPTH), "often")
     pairs = pairs.select("g", "g2", "pair").join(F.broadcast(often) if often.count() <= MAX_BROADCAST else often, "pair").dropDuplicates(["g", "g2"])
-    pairs = pairs.join(hot, "g", "left").join(hot.select(F.col("g").alias("g2"), F.col("large").alias("large2")), "g2", "left")
+    pairs = pairs.join(of_large, "g", "left").join(of_large.select(F.col("g").alias("g2"), F.col("large").alias("large2")), "g2", "left")
     pairs = pairs.where(F.col("c") >= F.col("least") - F.least(F.lit(DEPTH - 1), F.coalesce("large", F.lit(0)), F.coalesce("large2", F.lit(0))))
     pairs = stored(pairs.join(one, "g").join(two, "g2").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")), "pairs")
-    groups = met.where("kind = 1").groupBy("g", "n").agg(F.array_sort(F.collect_list("h")).alias("marks")).where(F.size("marks") > skipped(F.col("n"), percent)).join(classes.select("g", "node"), "g")
+    groups = met.where("kind = 1").groupBy("g", "n").agg(F.array_sort(F.collect_set("h")).alias("marks")).where(F.size("marks") > skipped(F.col("n"), percent)).join(classes.select("g", "node"), "g")
     large = stored(groups.select("node", F.slice("marks", F.lit(1), F.size("marks") - skipped(F.col("n"), percent)).alias("marks")), "large")
     drop_stored(met)
     drop_stored(often)
     nodes = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).unionByName(large.select("node")).distinct()
     sets = sets_for(classes.join(nodes, "node"), docs, k, ranks)
-    links = joined_groups(large, sets, verified(pairs, sets, percent), percent)
-    comps = connected_components(links)
+    comps = joined_groups(large, sets, verified(pairs, sets, percent), percent)
     # a component is named by its least doc_id, which need not be that of its least class
     named = comps.join(classes, "node").groupBy("comp").agg(F.min("d").alias("component_id"))
     own = classes.join(comps.join(named, "comp"), "node", "left").select("g", F.coalesce("component_id", "d").alias("component_id"))
     found = members.join(own, "g", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
-    return settled(found, "components", scanned, classes, pairs, large, sets, links, comps)
+    return settled(found, "components", scanned, classes, pairs, large, sets, comps)
 
 
 def op10_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -249,3 +249,15 @@ def test_unigram_viterbi_equals_brute_force():
         for w in itertools.product("abc", repeat=n):
             pool, begin, size = model.encode_words([(1, "".join(w))])
             assert pool[begin[0] : begin[0] + size[0]].tolist() == best("▁" + "".join(w)), w
+
+
+def test_long_groups_of_postings_are_not_held(monkeypatch):
+    """A group of more than LONG rows leaves in parts, marked as long; copies of few classes do not make a group long."""
+    monkeypatch.setattr(ngram_join, "LONG", 50)
+    digest = lambda i: i.to_bytes(16, "big")
+    rows = [(1, 0, digest(0)), (2, 0, digest(1)), (2, 0, digest(2)), *[(3, 0, digest(i)) for i in range(200)], *[(4, 0, digest(i // 100)) for i in range(200)], (5, 0, digest(1)), (5, 1, digest(2)), (5, 1, digest(3))]
+    table = pa.table({"h": pa.array([r[0] for r in rows], pa.int64()), "salt": pa.array([r[1] for r in rows], pa.int8()), "g": pa.array([r[2] for r in rows], pa.binary())})
+    got = [(set(a["h"].tolist()), len(a["h"]), long) for a, long in ngram_join._groups(table.to_batches(max_chunksize=30), ["h", "salt"])]
+    assert sum(n for h, n, long in got if h == {3}) == 200 and all(long for h, _, long in got if h == {3})
+    assert max(n for _, n, _ in got) <= 110 and not any(long for h, _, long in got if 3 not in h)
+    assert {2, 3, 4, 5} <= set().union(*(h for h, _, _ in got)) and 1 not in set().union(*(h for h, _, _ in got))

@@ -165,7 +165,7 @@ def test_ngram_join(spark, corpus, monkeypatch):
     assert got == _components(texts)
     monkeypatch.setattr(ngram_join, "BLOCK", 16)  # the large group in many blocks
     monkeypatch.setattr(ngram_join, "TOGETHER", 8)
-    assert sorted(tuple(r) for r in ngram_join.link_documents(df).collect()) == got
+    assert sorted(tuple(r) for r in ngram_join.link_documents(df, hot=30).collect()) == got  # and salted
     again = ngram_join.link_documents(df.union(df.where("doc_id = 5"))).collect()
     assert len(again) == len(texts) + 1 and ngram_join.link_documents(df.limit(0)).count() == 0
 
