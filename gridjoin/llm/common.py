@@ -18,7 +18,20 @@ WORD = r"[^\x20\x09-\x0D]+"
 _local_dir: str | None = None
 
 
+#: Bytes of a record batch that goes to a Python worker.
+BATCH_BYTES = 1 << 23
+
+
+def small_batches(spark: SparkSession, most: int = BATCH_BYTES) -> None:
+    """Lets Spark cut record batches at so many bytes, a runtime setting of the session: a batch and its copies, in the executor and in the worker, are
+    what a task with Python needs beside its own arrays, and 10,000 long texts would be far more."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    if int(spark.conf.get(key).rstrip("bB")) > most:
+        spark.conf.set(key, str(most))
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    small_batches(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -42,6 +55,7 @@ def fresh_path(spark: SparkSession, name: str) -> str:
 def stored(df: DataFrame, name: str, **options: str) -> DataFrame:
     """Cuts the lineage: writes df as Parquet into the shared folder and reads it back, so a lost executor costs only
     the tasks that were under way."""
+    small_batches(df.sparkSession)
     path = fresh_path(df.sparkSession, name)
     writer = df.write
     for k, v in options.items():

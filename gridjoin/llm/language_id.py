@@ -15,7 +15,8 @@ chunk of about CHUNK bytes, and forward-backward runs over all windows of the ch
 
 Defined cases: null text and text without a letter are ``und`` with score 0. A table without labelled rows in the learning folds gives
 ``und`` throughout. Rows with null doc_id are predicted but not learned from, held_out is false. Repeated rows are each predicted.
-Other columns are not read.
+Of languages of equal mass the first by name is predicted. Texts of any length are labelled whole, in windows. Other columns pass through unread, but
+for lang_pred and score, which are replaced.
 """
 
 from __future__ import annotations
@@ -25,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import lean, pieces, table
+from .common import lean, pieces, small_batches, table
 from .textnum import segment_hashes, slices, utf8
 
 PER_LANG, SEGMENTS, SEGMENT = 150, 3000, 16
@@ -239,21 +240,22 @@ def predict(model: dict, column) -> tuple[list[str], np.ndarray]:
     return [names[b] if b >= 0 else "und" for b in best], np.clip(score, 0, 1)
 
 
-def learning_sample(docs: DataFrame, per_lang: int = PER_LANG) -> tuple[list[str], list[str]]:
-    """Texts and languages of at most per_lang documents of each language, those of least hash of doc_id."""
+def learning_sample(docs: DataFrame, per_lang: int = PER_LANG, max_langs: int = MAX_LANGS) -> tuple[list[str], list[str]]:
+    """Texts and languages of at most per_lang documents of each language, those of least hash of doc_id. More than max_langs languages are an error."""
     rows = docs.where("lang IS NOT NULL AND text IS NOT NULL AND doc_id IS NOT NULL")
-    langs = [r[0] for r in rows.select("lang").distinct().limit(MAX_LANGS + 1).collect()]
-    if len(langs) > MAX_LANGS:
-        raise ValueError(f"more than {MAX_LANGS} languages")
+    langs = [r[0] for r in rows.select("lang").distinct().limit(max_langs + 1).collect()]
+    if len(langs) > max_langs:
+        raise ValueError(f"more than {max_langs} languages")
     wanted = [r[0] for lang in sorted(langs) for r in rows.where(F.col("lang") == lang).select("doc_id", F.xxhash64("doc_id").alias("r")).orderBy("r", "doc_id").limit(per_lang).collect()]
     found = sorted(((r["doc_id"], r["lang"], r["text"]) for r in rows.where(F.col("doc_id").isin(wanted)).select("doc_id", "lang", "text").collect()) if wanted else [])
     return [t for _, _, t in found], [lang for _, lang, _ in found]
 
 
-def identify(docs: DataFrame, learn_from: DataFrame) -> DataFrame:
+def identify(docs: DataFrame, learn_from: DataFrame, per_lang: int = PER_LANG, max_langs: int = MAX_LANGS) -> DataFrame:
     """The rows of docs with lang_pred and score added; columns of docs with these names are replaced. learn_from: doc_id, text, lang."""
+    small_batches(docs.sparkSession)
     docs = docs.drop("lang_pred", "score")
-    model = docs.sparkSession.sparkContext.broadcast(train(*learning_sample(learn_from)))
+    model = docs.sparkSession.sparkContext.broadcast(train(*learning_sample(learn_from, per_lang, max_langs)))
     names = docs.columns
     from pyspark.sql.pandas.types import to_arrow_schema
 

@@ -15,7 +15,8 @@ library, so such a text decodes to spaces. The model file's path is a parameter;
 Words are encoded once for each worker (up to CACHE words are kept); nothing is shuffled.
 
 Defined cases: null ids decode to null; null or empty text has no ids. Repeated rows are each encoded, empty tables give no rows,
-other columns pass through. Texts of any length are encoded whole, about SLICE bytes at a time.
+other columns pass through, but for those named as its results, which are replaced. Of pieces of equal score the
+leftmost merge comes first, as in the library. Texts of any length are encoded whole, about SLICE bytes at a time.
 """
 
 from __future__ import annotations
@@ -28,7 +29,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import lean, table
+from .common import lean, small_batches, table
 from .textnum import mix, segment_hashes, slices, utf8
 
 MODEL_PATH = "/opt/tokenizers/piece_bpe_32k.model"
@@ -442,6 +443,7 @@ def encode_texts(docs: DataFrame, model: Model | None = None, text_col: str = "t
     with these names are replaced."""
     from pyspark.sql.pandas.types import to_arrow_schema
 
+    small_batches(docs.sparkSession)
     kept = docs.drop(text_col, "ids", "n_tokens", "round_trip")
     names = [f.name for f in to_arrow_schema(kept.schema)]
     sent = docs.sparkSession.sparkContext.broadcast(model or Model.read())
