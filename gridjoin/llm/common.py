@@ -30,6 +30,13 @@ def small_batches(spark: SparkSession, most: int = BATCH_BYTES) -> None:
         spark.conf.set(key, str(most))
 
 
+def hand_back(spark: SparkSession) -> None:
+    """Asks the executors' JVMs to collect garbage, after which they give free heap back to the system: before a stage whose memory is in Python workers, when one with
+    large sorts has filled the heap. A task for each core; an executor that gets none merely keeps its heap."""
+    n = spark.sparkContext.defaultParallelism
+    spark.range(0, n, 1, n).select(F.expr("java_method('java.lang.System', 'gc')")).collect()
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     small_batches(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")

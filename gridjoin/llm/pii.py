@@ -9,7 +9,7 @@ Positions come from one split and one extract of the same pattern: the lengths o
 turn. Everything is a row-wise JVM expression, so there is no shuffle and a hot source costs nothing.
 
 Defined cases: null or empty text has no spans (empty string, SHA-256 of the empty string). A table without rows gives no
-rows. Repeated rows are reported each. Columns other than doc_id and text are not read. Texts of any length are
+rows. Repeated rows are reported each. Spans of one start are in the order of the kinds. Columns other than doc_id and text are not read. Texts of any length are
 scanned whole; the patterns are anchored and possessive where that finds the same spans, so a long run of digits or
 letters costs linear time.
 """

@@ -14,7 +14,8 @@ Reading: the blocks give every capture; captures are ordered by file and offset,
 
 Defined cases: null html is an empty payload; equal empty payloads revisit as others do. A null url has no target line and the key "-".
 A null page_id is a response of its own with a random record id. Rows that repeat a page_id with one payload are written each with the
-same type. Empty tables give an empty index and no rows. Other columns are not read.
+same type. Of equal payloads the largest page_id is the response, so ties are between repeated rows alone. Payloads of any length are written whole.
+Empty tables give an empty index and no rows. Other columns are not read.
 """
 
 from __future__ import annotations
