@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridjoin.llm import decontaminate, language_id, line_dedup, ngram_join, pieces
-from gridjoin.llm.common import drop_stored, set_aside, stored, table
+from gridjoin.llm.common import drop_stored, hand_back, set_aside, stored, table, without
 
 MIN_SCORE = 0.35
 
@@ -39,9 +39,9 @@ def stage_line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def stage_ngram_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    hand_back(spark)
     found = ngram_join.link_documents(docs.select("doc_id", "text"))
-    others = found.where("doc_id <> component_id").select("doc_id").distinct()
-    return docs.join(others, "doc_id", "left_anti").select(*docs.columns)
+    return without(docs, found.where("doc_id <> component_id"))
 
 
 def stage_decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -49,6 +49,7 @@ def stage_decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def stage_sentencepiece(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    hand_back(spark)
     return pieces.encode_texts(docs.select("doc_id", "lang", "source", "n_chars", "text"))
 
 
