@@ -259,6 +259,18 @@ def test_components_meet_in_a_grid(spark):
         assert exchanges(df)["grid"] == (0 if most == 100 else 2 if most == 4 else 3)
 
 
+def test_cells_are_joined_by_sorts_that_spill(spark):
+    """A hashed cell that is larger than a task's memory fails."""
+    rng = random.Random(9)
+    r, s, t = (frame(spark, n, [[rng.randrange(9), rng.randrange(9)] for _ in range(40)]).distinct() for n in ("xy", "yz", "zx"))
+    joined = grid_join([r, s, t], {"x": 2, "y": 2, "z": 2})
+    wide = product_in_grid([r, t.toDF("v", "w")], 4, 0, lambda df: df)
+    assert rows_of(joined) == rows_of(natural_join(natural_join(r, s), t).select("x", "y", "z")) and wide.count() == r.count() * t.count()
+    for df in (joined, wide):
+        plan = df._jdf.queryExecution().executedPlan().toString()
+        assert "SortMergeJoin" in plan and "ShuffledHashJoin" not in plan
+
+
 def test_no_shared_folder_off_local(spark, monkeypatch):
     from types import SimpleNamespace
 
