@@ -364,3 +364,15 @@ def test_stream_multiway_over_two_files(spark, tmp_path):
     new = stream_events(spark, path, spark.read.parquet(path).schema)
     got = S.stream_multiway_join(new, "uy", {"yk": frame(spark, "yk", [[1, 5], [2, 6], [2, 7]]), "uk": frame(spark, "uk", [[1, 5], [2, 5], [3, 7]])}, 4, str(tmp_path / "out"))
     assert rows_of(got.select("k", "u", "y")) == [(5, 1, 1), (5, 2, 1), (7, 3, 2)]
+
+
+def test_order_graphs_follow_the_table(spark, tmp_path):
+    """Measures, values and bounds are of the hypergraphs that the given lines make."""
+    from gridjoin import catalog
+
+    lines = [(1, 1), (1, 2), (1, 3), (2, 1), (3, 5), (3, 5)]
+    spark.createDataFrame(lines, "l_orderkey long, l_linenumber int").write.parquet(f"{tmp_path}/lineitem.parquet")
+    q = catalog.queries()
+    assert [(r["kind"], r["lines"], r["orders"], r["rho"], r["psi"]) for r in q["measures_table"](spark, str(tmp_path)).collect()] == [("star", 1, 2, "1", "1"), ("star", 3, 1, "3", "3"), ("cycle", 3, 1, "3/2", "2")]
+    assert [(r["orders"], r["enumerated"], r["program"], r["auto"]) for r in q["kappa_methods"](spark, str(tmp_path)).collect()] == [(2, "1", "1", "1"), (1, "3", "3", "3"), (1, "3/2", "3/2", "3/2")]
+    assert [(r["kind"], r["n"], r["output"]) for r in q["bounds_table"](spark, str(tmp_path)).collect()] == [("star", 4, 4.0), ("star", 4, 64.0), ("cycle", 4, 8.0)]
