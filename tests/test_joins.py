@@ -376,3 +376,10 @@ def test_order_graphs_follow_the_table(spark, tmp_path):
     assert [(r["kind"], r["lines"], r["orders"], r["rho"], r["psi"]) for r in q["measures_table"](spark, str(tmp_path)).collect()] == [("star", 1, 2, "1", "1"), ("star", 3, 1, "3", "3"), ("cycle", 3, 1, "3/2", "2")]
     assert [(r["orders"], r["enumerated"], r["program"], r["auto"]) for r in q["kappa_methods"](spark, str(tmp_path)).collect()] == [(2, "1", "1", "1"), (1, "3", "3", "3"), (1, "3/2", "3/2", "3/2")]
     assert [(r["kind"], r["n"], r["output"]) for r in q["bounds_table"](spark, str(tmp_path)).collect()] == [("star", 4, 4.0), ("star", 4, 64.0), ("cycle", 4, 8.0)]
+
+
+def test_keys_number_the_rows_of_a_table(spark, tmp_path):
+    from gridjoin import catalog
+
+    spark.createDataFrame([(7 * k % 101,) for k in range(101)], "o_orderkey long").repartition(5).write.parquet(f"{tmp_path}/orders.parquet")
+    assert rows_of(catalog.queries()["op_j03_keys"](spark, str(tmp_path))) == {(k, k) for k in range(101)}
