@@ -403,3 +403,22 @@ def test_cascade_count_drops_variables_as_it_goes(spark):
     assert rows_of(found.withColumnRenamed("cnt", "a")) == rows_of(B.cascade_join(q).groupBy("s").agg(F.count("*").alias("a")))
     plan = found._jdf.queryExecution().optimizedPlan().toString()
     assert plan.count("Aggregate") >= 2 and plan.count("Join Inner") == 3
+
+
+def test_small_relations_are_hashed_and_joins_follow_sizes(spark):
+    """A cycle of five whose two middle relations meet many times over: they are joined last, on all that they share by then, and small relations are not sorted."""
+    from gridjoin.operators.baselines import hypercube_join
+    from gridjoin.plans.grid import MAX_HASHED, Size, join_tree
+
+    a, b = Size(36e6, {"o": 9e6, "p": 1e6}), Size(36e6, {"p": 1e6, "s": 6e4})
+    cycle = [Size(9e6, {"c": 9e5, "o": 9e6}), a, b, Size(6e4, {"s": 6e4, "n": 25}), Size(9e5, {"c": 9e5, "n": 25})]
+    assert sorted(map(str, join_tree(cycle))) == ["((0, 4), 1)", "(2, 3)"]
+    assert cycle[4].rows <= MAX_HASHED < cycle[0].rows and not a.joined(b).bound
+    rows = [(i % 7, i % 11, i % 5, i % 3) for i in range(400)]
+    base = spark.createDataFrame(rows, "a int, b int, c int, d int")
+    query = JoinQuery({"ab": base.select("a", "b"), "bc": base.select("b", "c"), "cd": base.select("c", "d"), "da": base.select("d", "a").where("a < 5")})
+    got = hypercube_join(query, 8)
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("ShuffledHashJoin") == 2 and plan.count("SortMergeJoin") == 1
+    want = {(a, b, c, d) for a in range(5) for b in range(11) for c in range(5) for d in range(3)}
+    assert {tuple(r) for r in got.collect()} == want
