@@ -1,14 +1,15 @@
 """Operator 8, scoring by a gated recurrent language model, with corpus counts behind it.
 
 Model: a GRU over words with a class-factored softmax, P(w | state) = P(class | state) P(w | class, state), trained in numpy by truncated
-backpropagation: streams of text are read in windows, the state is carried from one to the next, gradients stop at their edge. It learns from a
-bounded sample, SAMPLE documents of the learning folds (those of least hash of doc_id), and reads them whole (but for fewer than
-STREAMS tokens at the end). Its vocabulary is VOCAB entries: the sample's most frequent words, the end and one entry for all other words; such a word's probability is that entry's, times its share among other words
-by corpus counts, (c + 0.5) / (N' + 0.5 (V' + 1)). A document is scored whole: state is carried over all its windows.
+backpropagation: streams of text are read in windows, the state is carried from one to the next, gradients stop at their edge. It learns from all
+documents of the learning folds, whole. It starts on the driver with SAMPLE of them (those of least hash of doc_id, which are all where there are no more); then
+every task goes on from that start over all learning texts of its partition, and the tasks' models are averaged by tokens. So weights depend
+on how the table is partitioned where there are more than SAMPLE documents. Its vocabulary is VOCAB entries: the most frequent words of the learning folds, the end and one
+entry for all other words; such a word's probability is that entry's, times its share among other words by corpus counts,
+(c + 0.5) / (N' + 0.5 (V' + 1)). A document is scored whole: state is carried over all its windows.
 
 Counts cover every document of the learning folds, exactly:
-1. A first scan counts the HOT most frequent words of the sample, the tokens and the documents; these words may be hot
-   keys, so they are summed map-side and their counts are a broadcast of bounded size.
+1. A first scan counts all words, summed in the tasks before they are shuffled. The HOT most frequent may be hot keys; their counts are a broadcast of bounded size.
 2. A second scan runs the model, adds the hot words' terms, and posts all other words. Postings leave as packed arrays, one row
    for each batch and bucket of word hashes. A bucket holds about POSTS postings: their number follows the words that the first scan counted. Batches are
    cut at BATCH_BYTES, and the network's outputs are kept for SCORE_ROWS tokens at a time, so a task's memory follows neither rows nor lengths.
@@ -37,6 +38,8 @@ SAMPLE, HOT, POSTS = 1500, 1 << 16, 1_000_000
 CLASSES, PER_CLASS, HIDDEN, EMBED = 32, 32, 16, 16
 VOCAB = CLASSES * PER_CLASS
 STREAMS, WINDOW, EPOCHS = 64, 20, 2
+#: Streams at most where all texts are read, windows of a stream at least (while there are as many tokens), tokens held at once, and tasks that sum the models of the others.
+MANY, LONG, HELD, SUMS = 512, 100, 1 << 20, 16
 #: Most tokens whose states are scored at once, most bytes of a batch's texts (a longer text stands alone).
 SCORE_ROWS, BATCH_BYTES = 1 << 16, 1 << 24
 #: The end token's hash; no word has it but by chance.
@@ -74,73 +77,162 @@ def _log_softmax(x: np.ndarray) -> np.ndarray:
 
 
 def window_loss(m: dict, inputs: np.ndarray, targets: np.ndarray, h0: np.ndarray) -> tuple[float, dict, np.ndarray]:
-    """Mean loss (natural log) of a window [T, n], its gradients, and the last state."""
+    """Mean loss (natural log) of a window [T, n], its gradients, and the last state. Words are grouped by class and inputs by word, so that each group is one product or sum."""
     T, n = inputs.shape
     k = HIDDEN
-    hs, saved = [h0], []
+    x = (m["e"] @ m["wx"] + m["b"])[inputs]
+    hs, saved = np.empty((T + 1, n, k), x.dtype), []
+    hs[0] = h0
     for t in range(T):
-        h, s = gru_step(m, m["e"][inputs[t]] @ m["wx"] + m["b"], hs[-1])
-        hs.append(h)
+        hs[t + 1], s = gru_step(m, x[t], hs[t])
         saved.append(s)
-    H = np.concatenate(hs[1:])
     y = targets.ravel()
-    cls, own = y // PER_CLASS, y % PER_CLASS
-    lc = _log_softmax(H @ m["uc"].T + m["bc"])
-    block = (cls * PER_CLASS)[:, None] + np.arange(PER_CLASS)
-    W = m["uw"][block]
-    lw = _log_softmax(np.einsum("nkh,nh->nk", W, H) + m["bw"][block])
-    rows = np.arange(len(y))
-    loss = -(lc[rows, cls] + lw[rows, own]).mean()
-    g = {x: np.zeros_like(v) for x, v in m.items()}
-    dc, dw = np.exp(lc), np.exp(lw)
-    dc[rows, cls] -= 1
-    dw[rows, own] -= 1
-    dc /= len(y)
-    dw /= len(y)
+    cls = (y // PER_CLASS).astype(np.int16)
+    order = np.argsort(cls, kind="stable")
+    edge = np.searchsorted(cls[order], np.arange(CLASSES + 1))
+    H, cls, own = hs[1:].reshape(T * n, k)[order], cls[order], (y % PER_CLASS)[order]
+    g = {}
+    loss, dc = _softmax_loss(H @ m["uc"].T + m["bc"], cls)
     g["uc"], g["bc"] = dc.T @ H, dc.sum(axis=0)
-    np.add.at(g["uw"], block, dw[:, :, None] * H[:, None, :])
-    np.add.at(g["bw"], block, dw)
-    dH = (dc @ m["uc"] + np.einsum("nk,nkh->nh", dw, W)).reshape(T, n, k)
-    dh = np.zeros_like(h0)
+    dH = dc @ m["uc"]
+    g["uw"], g["bw"] = np.zeros_like(m["uw"]), np.zeros_like(m["bw"])
+    for c in range(CLASSES):
+        rows, part = slice(edge[c], edge[c + 1]), slice(c * PER_CLASS, (c + 1) * PER_CLASS)
+        if edge[c] < edge[c + 1]:
+            more, dw = _softmax_loss(H[rows] @ m["uw"][part].T + m["bw"][part], own[rows])
+            loss += more
+            g["uw"][part], g["bw"][part] = dw.T @ H[rows], dw.sum(axis=0)
+            dH[rows] += dw @ m["uw"][part]
+    back = np.empty_like(dH)
+    back[order] = dH
+    dH = (back / len(y)).reshape(T, n, k)
+    for c in ("uc", "bc", "uw", "bw"):
+        g[c] /= len(y)
+    g["wh"], dx, dh = np.zeros_like(m["wh"]), np.empty_like(x), np.zeros_like(h0)
     for t in range(T - 1, -1, -1):
         r, u, c, a = saved[t]
         d = dH[t] + dh
-        du = d * (hs[t] - c) * u * (1 - u)
-        dcand = d * (1 - u) * (1 - c * c)
-        dr = dcand * a * r * (1 - r)
-        dx = np.concatenate([dr, du, dcand], axis=1)
-        da = np.concatenate([dr, du, dcand * r], axis=1)
-        x = m["e"][inputs[t]]
-        g["wx"] += x.T @ dx
-        g["b"] += dx.sum(axis=0)
+        rest = d * (1 - u)
+        dx[t, :, k : 2 * k] = rest * (hs[t] - c) * u
+        dx[t, :, 2 * k :] = dcand = rest * (1 - c * c)
+        dx[t, :, :k] = dcand * a * r * (1 - r)
+        da = dx[t].copy()
+        da[:, 2 * k :] *= r
         g["wh"] += hs[t].T @ da
-        np.add.at(g["e"], inputs[t], dx @ m["wx"].T)
         dh = d * u + da @ m["wh"].T
-    return float(loss), g, hs[-1]
+    words = inputs.ravel().astype(np.int16)
+    order = np.argsort(words, kind="stable")
+    words = words[order]
+    first = np.flatnonzero(np.concatenate([[True], words[1:] != words[:-1]]))
+    by_word = np.zeros((VOCAB, 3 * k), x.dtype)
+    by_word[words[first]] = np.add.reduceat(dx.reshape(T * n, 3 * k)[order], first, axis=0)
+    g["e"], g["wx"], g["b"] = by_word @ m["wx"].T, m["e"].T @ by_word, by_word.sum(axis=0)
+    return float(loss / len(y)), g, hs[-1]
+
+
+def _softmax_loss(x: np.ndarray, at: np.ndarray) -> tuple[float, np.ndarray]:
+    """Summed loss of the entries ``at`` under a softmax of each row, and its gradient."""
+    rows = np.arange(len(at))
+    x -= x.max(axis=1, keepdims=True)
+    chosen = x[rows, at]
+    np.exp(x, out=x)
+    total = x.sum(axis=1)
+    x /= total[:, None]
+    x[rows, at] -= 1
+    return float((np.log(total) - chosen).sum()), x
+
+
+class Adam:
+    def __init__(self, m: dict, rate: float):
+        self.m, self.rate, self.step = m, rate, 0
+        self.first, self.second = ({k: np.zeros_like(v) for k, v in m.items()} for _ in range(2))
+
+    def read(self, x: np.ndarray, y: np.ndarray) -> None:
+        """Windows of x, y [length, streams] in turn; the state is carried from one to the next."""
+        h = np.zeros((x.shape[1], HIDDEN), np.float32)
+        for t in range(0, len(x), WINDOW):
+            _, g, h = window_loss(self.m, x[t : t + WINDOW], y[t : t + WINDOW], h)
+            self.step += 1
+            for k in self.m:
+                self.first[k] += 0.1 * (g[k] - self.first[k])
+                self.second[k] += 0.01 * (g[k] * g[k] - self.second[k])
+                self.m[k] -= (self.rate * (self.first[k] / (1 - 0.9**self.step)) / (np.sqrt(self.second[k] / (1 - 0.99**self.step)) + 1e-8)).astype(np.float32)
+
+
+def _streams(ids: np.ndarray, streams: int) -> tuple[np.ndarray, np.ndarray]:
+    length = (len(ids) - 1) // streams
+    return ids[: streams * length].reshape(streams, length).T, ids[1 : streams * length + 1].reshape(streams, length).T
 
 
 def train(ids: np.ndarray, seed: int = 8, epochs: int = EPOCHS, rate: float = 0.01) -> dict[str, np.ndarray]:
     """ids: the sample's tokens with an end after each document. Truncated backpropagation with carried state, by Adam."""
     m = fresh_model(seed)
-    length = (len(ids) - 1) // STREAMS
-    if length < 2:
+    if (len(ids) - 1) // STREAMS < 2:
         return m
-    x = ids[: STREAMS * length].reshape(STREAMS, length).T
-    y = ids[1 : STREAMS * length + 1].reshape(STREAMS, length).T
-    first, second = ({k: np.zeros_like(v) for k, v in m.items()} for _ in range(2))
-    step = 0
+    adam = Adam(m, rate)
     for _ in range(epochs):
-        h = np.zeros((STREAMS, HIDDEN), np.float32)
-        for t in range(0, length, WINDOW):
-            _, g, h = window_loss(m, x[t : t + WINDOW], y[t : t + WINDOW], h)
-            step += 1
-            for k in m:
-                first[k] += 0.1 * (g[k] - first[k])
-                second[k] += 0.01 * (g[k] * g[k] - second[k])
-                m[k] -= (rate * (first[k] / (1 - 0.9**step)) / (np.sqrt(second[k] / (1 - 0.99**step)) + 1e-8)).astype(np.float32)
+        adam.read(*_streams(ids, STREAMS))
     return m
 
 
+def read_on(adam: Adam, ids: np.ndarray, last: bool) -> np.ndarray:
+    """Training goes on over all of ids in many streams; returns what is left for the next tokens to follow, after the last ones nothing that could be predicted."""
+    while len(ids) > (1 if last else HELD):
+        streams = max(1, min(MANY, (len(ids) - 1) // (LONG * WINDOW)))
+        x, y = _streams(ids, streams)
+        adam.read(x, y)
+        ids = ids[x.size :]
+    return ids
+
+
+def _trained(state):
+    """One row for each task: its model after all its texts, as a sum weighted by tokens."""
+    schema = pa.schema([("at", pa.int32()), ("n", pa.int64()), ("model", pa.binary())])
+
+    def run(batches):
+        keys, vocab, m, other_id = state.value
+        m = {k: v.copy() for k, v in m.items()}
+        adam, left, n = Adam(m, 0.003), np.zeros(0, np.int64), 0
+        for batch in sized(batches, "text", BATCH_BYTES):
+            for _, _, h, _ in tokens(batch.column("text")):
+                where = place(keys, h)
+                n += len(h)
+                left = read_on(adam, np.concatenate([left, np.where(where >= 0, vocab[where], other_id)]), False)
+        if n:
+            read_on(adam, left, True)
+            yield pa.record_batch([pa.array([TaskContext.get().partitionId() % SUMS], pa.int32()), pa.array([n]), pa.array([(_flat(m) * n).tobytes()], pa.binary())], schema=schema)
+
+    return run
+
+
+def _flat(m: dict) -> np.ndarray:
+    return np.concatenate([m[k].ravel() for k in sorted(m)]).astype(np.float64)
+
+
+def _summed(batches):
+    total, n = None, 0
+    for batch in batches:
+        for more, blob in zip(batch.column("n").to_pylist(), batch.column("model"), strict=True):
+            x = np.frombuffer(blob.as_buffer(), np.float64)
+            total, n = (x.copy() if total is None else total + x), n + more
+    if n:
+        yield pa.record_batch([pa.array([n]), pa.array([total.tobytes()], pa.binary())], names=["n", "model"])
+
+
+def train_on(texts: DataFrame, keys: np.ndarray, vocab: np.ndarray, m: dict) -> dict[str, np.ndarray]:
+    """The model after all texts: each task goes on from m over all its own, and their models are averaged by tokens, in SUMS tasks first."""
+    state = texts.sparkSession.sparkContext.broadcast((keys, vocab, m, VOCAB - 1))
+    rows = texts.mapInArrow(lean(_trained(state)), "at int, n long, model binary").repartitionById(SUMS, F.col("at")).mapInArrow(_summed, "n long, model binary").collect()
+    n = sum(r["n"] for r in rows)
+    if not n:
+        return m
+    mean, out, at = sum(np.frombuffer(r["model"], np.float64) for r in sorted(rows, key=lambda r: (r["n"], bytes(r["model"])))) / n, {}, 0
+    for k in sorted(m):
+        out[k] = mean[at : at + m[k].size].reshape(m[k].shape).astype(np.float32)
+        at += m[k].size
+    return out
+
+
 def token_logs(m: dict, states: np.ndarray, targets: np.ndarray) -> np.ndarray:
     """Natural log probabilities of targets; tokens are grouped by class, so each class is one product."""
     cls = targets // PER_CLASS
@@ -215,23 +307,20 @@ def place(keys: np.ndarray, h: np.ndarray) -> np.ndarray:
     return np.where(keys[at] == h, at, -1)
 
 
-def _hot_counts(hot):
-    schema = pa.schema([("word", pa.int32()), ("c", pa.int64())])
-
-    def run(batches):
-        keys = hot.value
-        total, seen = np.zeros(len(keys) + 1, np.int64), 0
-        for batch in sized(batches, "text", BATCH_BYTES):
-            for _, _, h, _ in tokens(batch.column("text")):
-                at = place(keys, h)
-                total[: len(keys)] += np.bincount(at[at >= 0], minlength=len(keys))
-                total[len(keys)] += len(h)
-            seen += batch.num_rows
-        if seen:
-            word = np.flatnonzero(total)
-            yield pa.record_batch([pa.array(word, pa.int32()), pa.array(total[word])], schema=schema)
-
-    return run
+def _word_counts(batches):
+    """word, c: tokens by hash (as a signed number), summed over a task's texts while they are few."""
+    schema = pa.schema([("word", pa.int64()), ("c", pa.int64())])
+    keys, counts = np.zeros(0, np.uint64), np.zeros(0, np.int64)
+    for batch in sized(batches, "text", BATCH_BYTES):
+        for _, _, h, _ in tokens(batch.column("text")):
+            new, c = np.unique(h, return_counts=True)
+            keys, at = np.unique(np.concatenate([keys, new]), return_inverse=True)
+            counts = np.bincount(at.ravel(), weights=np.concatenate([counts, c])).astype(np.int64)
+            if len(keys) > POSTS:
+                yield pa.record_batch([pa.array(keys.view(np.int64)), pa.array(counts)], schema=schema)
+                keys, counts = np.zeros(0, np.uint64), np.zeros(0, np.int64)
+    if len(keys):
+        yield pa.record_batch([pa.array(keys.view(np.int64)), pa.array(counts)], schema=schema)
 
 
 _ROWS = "kind int, bucket int, batch long, ids binary, a binary, b binary, c binary, d binary, e binary, f binary"
@@ -362,11 +451,9 @@ def _merge(batches):
     yield from out()
 
 
-def learn_vocabulary(texts: list[str], hot: int = HOT) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Sorted hashes of the sample's most frequent words (END among them), their vocabulary ids (the last id: other words), and the token ids."""
-    every = [h for _, _, h, _ in tokens(pa.array(texts, pa.string()))]
-    h = np.concatenate(every) if every else np.zeros(0, np.uint64)
-    keys, count = np.unique(np.append(h, END), return_counts=True)
+def vocabulary(keys: np.ndarray, count: np.ndarray, hot: int = HOT) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted hashes of the most frequent words (END among them) of sorted keys, and their vocabulary ids (the last id: other words). The most frequent VOCAB
+    or more of a corpus give the same ids as all of its words."""
     top = np.lexsort((keys, -count))[:hot]
     if END not in keys[top]:
         top[-1] = np.searchsorted(keys, END)
@@ -376,7 +463,21 @@ def learn_vocabulary(texts: list[str], hot: int = HOT) -> tuple[np.ndarray, np.n
     if ids[end] == VOCAB - 1:
         ids[top[VOCAB - 2]], ids[end] = VOCAB - 1, VOCAB - 2
     chosen = np.sort(top)
-    return keys[chosen], ids[chosen], ids[np.searchsorted(keys, h)]
+    return keys[chosen], ids[chosen]
+
+
+def token_ids(texts: list[str], keys: np.ndarray, vocab: np.ndarray) -> np.ndarray:
+    at = [place(keys, h) for _, _, h, _ in tokens(pa.array(texts, pa.string()))]
+    at = np.concatenate(at) if at else np.zeros(0, np.int64)
+    return np.where(at >= 0, vocab[at], VOCAB - 1)
+
+
+def learn_vocabulary(texts: list[str], hot: int = HOT) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """vocabulary() of the words of texts, and the token ids."""
+    every = [h for _, _, h, _ in tokens(pa.array(texts, pa.string()))]
+    keys, count = np.unique(np.append(np.concatenate(every) if every else np.zeros(0, np.uint64), END), return_counts=True)
+    keys, vocab = vocabulary(keys, count, hot)
+    return keys, vocab, token_ids(texts, keys, vocab)
 
 
 def score_texts(docs: DataFrame, sample: int = SAMPLE, hot: int = HOT, posts: int = POSTS) -> DataFrame:
@@ -384,16 +485,24 @@ def score_texts(docs: DataFrame, sample: int = SAMPLE, hot: int = HOT, posts: in
     spark = docs.sparkSession
     rows = docs.where("learn").select(F.xxhash64("doc_id").alias("r"), "doc_id").orderBy("r", "doc_id").limit(sample).collect()
     found = sorted((r["doc_id"], r["text"] or "") for r in docs.where("learn").where(F.col("doc_id").isin([r["doc_id"] for r in rows])).select("doc_id", "text").collect()) if rows else []
-    keys, vocab, ids = learn_vocabulary([t for _, t in found], hot)
-    model = train(ids)
-    sent = spark.sparkContext.broadcast(keys)
-    counts = np.zeros(len(keys) + 1, np.int64)
-    for r in docs.where("learn").select("text").mapInArrow(lean(_hot_counts(sent)), "word int, c long").groupBy("word").agg(F.sum("c").alias("c")).collect():
-        counts[r["word"]] = r["c"]
-    total, counts = int(counts[-1]), counts[:-1]
+    learning = docs.where("learn").select("text")
+    words = stored(learning.mapInArrow(lean(_word_counts), "word long, c long").groupBy("word").agg(F.sum("c").alias("c")), "words")
+    total = words.agg(F.sum("c")).first()[0] or 0
+    # words of equal count by their hash, which is unsigned
+    top = words.orderBy(F.desc("c"), F.col("word").bitwiseXOR(F.lit(-(1 << 63)))).limit(max(hot, VOCAB)).collect()
+    count = {r["word"] % (1 << 64): r["c"] for r in top}
+    end = int(END)
+    if end not in count:
+        count[end] = words.where(F.col("word") == int(END.view(np.int64))).agg(F.sum("c")).first()[0] or 0
+    every = np.array(sorted(count), np.uint64)
+    keys, vocab = vocabulary(every, np.array([count[int(k)] + (int(k) == end) for k in every], np.int64), hot)
+    counts = np.array([count[int(k)] for k in keys], np.int64)
+    model = train(token_ids([t for _, t in found], keys, vocab))
+    n_docs, n_learn = docs.agg(F.count("*"), F.count_if("learn")).first()
+    if n_learn > len(found):
+        model = train_on(learning, keys, vocab, model)
     end_id = int(vocab[np.searchsorted(keys, END)])
     state = spark.sparkContext.broadcast((keys, np.log10(counts + 0.5), counts, vocab, model, end_id, VOCAB - 1))
-    n_docs, n_learn = docs.agg(F.count("*"), F.count_if("learn")).first()
     buckets = max(16, -(-(total - int(counts.sum())) * n_docs // (max(1, n_learn) * posts)))
     posted = docs.mapInArrow(lean(_scan(state, buckets)), _ROWS).repartitionById(buckets, F.col("bucket")).sortWithinPartitions("bucket", "kind")
     counted = stored(posted.mapInArrow(lean(_count), _ROWS), "counted")
@@ -411,7 +520,7 @@ def score_texts(docs: DataFrame, sample: int = SAMPLE, hot: int = HOT, posts: in
         (F.col("logs") - F.col("n_tokens") * F.lit(float(np.log10(total + 0.5 * (v + 1))))).alias("base_score"),
         (F.col("model") + F.col("other_logs") - F.col("other_n") * F.lit(float(np.log10(n_other + 0.5 * (v_other + 1))))).alias("score"),
     )
-    return settled(scores, "scores", counted)
+    return settled(scores, "scores", counted, words)
 
 
 def _distinct(batches):

@@ -247,6 +247,15 @@ def test_lm_score(spark, corpus):
     assert lm_score.score_texts(df.limit(0)).count() == 0
 
 
+def test_lm_score_learns_from_documents_beyond_its_start(spark):
+    """Two kinds of text, of which the document that training starts with can only be one: the other's words and their order are learned too."""
+    kinds = [" ".join(f"{w}{i % 7}" for i in range(400)) for w in ("red", "blue")]
+    rows = [(i, kinds[i % 2], i >= 2, i < 2) for i in range(242)]
+    got = lm_score.score_texts(spark.createDataFrame(rows, "doc_id long, text string, learn boolean, held_out boolean").coalesce(2), sample=1)
+    scores = {r["doc_id"]: r["score"] / r["n_tokens"] for r in got.where("held_out").collect()}
+    assert len(scores) == 2 and min(scores.values()) > -1.5, scores
+
+
 def test_lm_score_equals_the_network_token_by_token(spark, corpus, monkeypatch):
     """score against a loop over the tokens of each whole text, with the same weights and counts, at any cut of the work."""
     low = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
