@@ -422,3 +422,30 @@ def test_small_relations_are_hashed_and_joins_follow_sizes(spark):
     assert plan.count("ShuffledHashJoin") == 2 and plan.count("SortMergeJoin") == 1
     want = {(a, b, c, d) for a in range(5) for b in range(11) for c in range(5) for d in range(3)}
     assert {tuple(r) for r in got.collect()} == want
+
+
+def test_small_relations_go_to_every_machine(spark, monkeypatch):
+    """Large relations are not copied along the variables of small ones, which are broadcast; results are the same, also with nulls and with a value in many tuples."""
+    from gridjoin.plans import grid
+    from gridjoin.plans.grid import Size, join_tree, whole_everywhere
+
+    n = 36_000_000
+    cycle = [Size(9e6, {"c": 9e5, "o": 9e6}), Size(n, {"o": 9e6, "s": 6e4}), Size(6e4, {"s": 6e4, "n": 25}), Size(9e5, {"c": 9e5, "n": 25})]
+    assert whole_everywhere(cycle, 32) == {2, 3}
+    # the two small ones alone would meet too many times
+    assert "(2, 3)" not in str(join_tree(cycle, frozenset({2, 3}))) and "(3, 2)" not in str(join_tree(cycle, frozenset({2, 3})))
+    assert not whole_everywhere([Size(n, {"a": 5, "b": 5}), Size(5, {"b": 5, "c": 5}), Size(n, {"c": 5, "d": 5})], 32)  # the others would fall apart
+    monkeypatch.setattr(grid, "MAX_HASHED", 100)
+    rng = random.Random(31)
+    some = lambda names, m, top: spark.createDataFrame([(rng.randrange(top), rng.randrange(9) if rng.random() < 0.9 else None) for _ in range(m)], f"{names[0]} int, {names[1]} int")
+    co = spark.createDataFrame([(rng.randrange(30), o) for o in range(300)], "c int, o int")
+    os = spark.createDataFrame([(rng.randrange(300), rng.randrange(12)) for _ in range(900)], "o int, s int")
+    chain = JoinQuery({"co": co, "os": os, "cn": some("cn", 30, 30), "nr": some("nr", 9, 9)})
+    ring = JoinQuery({"co": co, "os": os, "cn": some("cn", 30, 30), "sn": some("sn", 20, 12)})
+    bag = lambda df: Counter(tuple(r) for r in df.select(*sorted(df.columns)).collect())
+    for q in (chain, ring):
+        want = bag(B.cascade_join(q))
+        for join in (lambda q: B.hypercube_join(q, 4), lambda q: C.cover_mix_join(q, 4), lambda q: B.dedicated_heavy_join(q, 4, 10_000), lambda q: B.dedicated_heavy_join(q, 4, 60)):
+            assert bag(join(q)) == want and want
+        plan = B.hypercube_join(q, 4)._jdf.queryExecution().executedPlan().toString()
+        assert plan.count("BroadcastHashJoin") == 2 and "explode" not in plan
