@@ -449,3 +449,13 @@ def test_small_relations_go_to_every_machine(spark, monkeypatch):
             assert bag(join(q)) == want and want
         plan = B.hypercube_join(q, 4)._jdf.queryExecution().executedPlan().toString()
         assert plan.count("BroadcastHashJoin") == 2 and "explode" not in plan
+
+
+def test_no_axis_for_variables_of_one_relation():
+    """A path of three: the variables at its ends would copy the middle relation; the smaller outer relation takes the larger number of copies."""
+    from gridjoin.plans.weights import joint_shares
+
+    rows = {frozenset("co"): 9e6, frozenset("op"): 36e6, frozenset("ps"): 36e6}
+    assert joint_shares(rows, 32) == {"o": 5, "p": 6}
+    assert joint_shares({frozenset("co"): 9e6, frozenset("os"): 36e6}, 32) == {"o": 32}
+    assert joint_shares({frozenset("co"): 9e6}, 32) == {}
