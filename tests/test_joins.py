@@ -459,3 +459,28 @@ def test_no_axis_for_variables_of_one_relation():
     assert joint_shares(rows, 32) == {"o": 5, "p": 6}
     assert joint_shares({frozenset("co"): 9e6, frozenset("os"): 36e6}, 32) == {"o": 32}
     assert joint_shares({frozenset("co"): 9e6}, 32) == {}
+
+
+def test_shares_follow_sizes_and_degrees(spark, monkeypatch):
+    """Large relations are parted along variables that are light in all of them, also beside a variable of few values, in one plan or with several parts; results are whole."""
+    from gridjoin.plans import grid
+    from gridjoin.plans.grid import Size, cell_load, fitted_shares
+
+    n = 36_000_000
+    four = [Size(n, {"p": 1.2e6, "s": 6e4, "l": 7}), Size(n, {"p": 1.2e6, "s": 6e4, "f": 3}), Size(n / 2, {"p": 1.2e6, "l": 7, "f": 3}), Size(n / 30, {"s": 6e4, "l": 7, "f": 3})]
+    assert fitted_shares(four, 32, list("pslf")) == {"p": 16, "s": 2, "l": 1, "f": 1}
+    # three values on four coordinates leave a cell in four empty
+    assert cell_load(four[3:], {"f": 4}) == n / 30 / 3 and cell_load(four[3:], {"f": 2}) == n / 45
+    assert fitted_shares(four, 32, []) == {}
+    monkeypatch.setattr(grid, "MAX_HASHED", 100)
+    base = spark.createDataFrame([(7919 * i % 600, i // 7 % 40, i % 7, i % 5, min(i % 12 // 4 * (i % 5), 3)) for i in range(3500)], "p long, s long, l long, f long, k long")
+    whole = JoinQuery({v: base.select(*v).distinct() for v in ("psl", "psf", "plf", "slf")})
+    chain = JoinQuery({"op": base.selectExpr("p * 40 + s AS o", "p"), "ok": base.selectExpr("p * 40 + s AS o", "k")})
+    bag = lambda df: Counter(tuple(r) for r in df.select(*sorted(df.columns)).collect())
+    assert bag(B.hypercube_join(whole, 16)) == bag(B.cascade_join(whole))
+    # k has heavy values, and its relation two parts
+    plan = C.preprocess(chain, 16)
+    assert len(plan.combos) > 1 and not any(c.mix.heavy for c in plan.combos)
+    assert C.spread(plan, grid.sizes([a.df for a in plan.query.atoms])) == ({"o": 16}, frozenset())
+    got = C.cover_mix_join(chain, 16)
+    assert bag(got) == bag(B.cascade_join(chain)) and "explode" not in got._jdf.queryExecution().executedPlan().toString()
